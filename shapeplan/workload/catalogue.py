@@ -1,13 +1,413 @@
-"""Queries and their SQL."""
+"""All queries over the given tables by name, with DuckDB SQL where SQL can express them."""
 
+from __future__ import annotations
 
-def flagship(spark, sf_dir):
-    return spark.range(1)
+import json
+from collections.abc import Callable
+from functools import partial
 
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
 
-def queries():
-    return {}
+from shapeplan.execute import validate
+from shapeplan.execute.endpoint import AnswerCap, capped_misses
+from shapeplan.execute.engines import equivalent, explain
+from shapeplan.functions.register import register
+from shapeplan.measure import trace as tr
+from shapeplan.measure import work
+from shapeplan.model import load_schema
+from shapeplan.operators import compile as q
+from shapeplan.operators import relational as rel
+from shapeplan.operators.rewrite import OFF, Limits, filter_edges, push_filter, slices, split_filter
+from shapeplan.plans.depgraph import degrees, dependencies, dependency_graph
+from shapeplan.plans.order import CONFIGS, PlanConfig, plan_orders, plan_validation, traverse
+from shapeplan.runtime import scratch_path, table
+from shapeplan.sources import TripleSource
+from shapeplan.sources import io as graph_io
+from shapeplan.sources.mapping import corrupted, default_mapping
+from shapeplan.sources.stats import class_stats, graph_size, predicate_stats, schema_classes
+from shapeplan.streaming import events as ev
+from shapeplan.workload import reference_sql as ref
+from shapeplan.workload.testbeds import graph_of
 
+Query = Callable[[SparkSession, str], DataFrame]
+_queries: dict[str, Query] = {}
+_sql: dict[str, str] = {}
 
-def oracle_sql():
-    return {}
+
+def _add(name: str, run: Query, sql: str | None = None) -> None:
+    _queries[name] = run
+    if sql is not None:
+        _sql[name] = sql
+
+
+def _mapping(schema: str, level: str):
+    s = load_schema(schema)
+    return corrupted(default_mapping(s.options.get("line_key", "line")), level, schema == "C"), s
+
+
+def _values(rows: list[tuple], cols: str) -> str:
+    lit = lambda x: "TRUE" if x is True else "FALSE" if x is False else str(x) if isinstance(x, (int, float)) else f"'{x}'"
+    return f"SELECT * FROM (VALUES {', '.join('(' + ', '.join(map(lit, r)) + ')' for r in rows)}) t({cols})"
+
+
+# Verdicts and summaries of the workloads by every engine.
+
+
+def _verdicts(schema: str, level: str, engine: str, config, spark: SparkSession, sf_dir: str) -> DataFrame:
+    return validate(*graph_of(spark, sf_dir, schema, level), engine, config).verdicts
+
+
+def _summary(schema: str, level: str, engine: str, config, spark: SparkSession, sf_dir: str) -> DataFrame:
+    return validate(*graph_of(spark, sf_dir, schema, level), engine, config).summary()
+
+
+def _valid(schema: str, shape: str, spark: SparkSession, sf_dir: str) -> DataFrame:
+    return validate(*graph_of(spark, sf_dir, schema), "fused").of(shape)
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _verdicts("A", "L0", "planned", 5, spark, sf_dir)
+
+
+for _s, _l in [("A", "L0"), ("A", "L1"), ("A", "L2"), ("A", "L3"), ("B", "L0"), ("B", "L2"), ("C", "L0"), ("C", "L2"), ("R", "L3")]:
+    _add(f"verdicts_{_s}_{_l}", partial(_verdicts, _s, _l, "fused", 5), ref.verdicts(*_mapping(_s, _l)))
+for _s, _l, _engines in [("A", "L2", ("naive", "naive_py", "fused", "planned")), ("B", "L2", ("naive", "fused", "planned")), ("C", "L2", ("fused", "planned")), ("R", "L3", ("naive", "fused", "planned")), ("B_low", "L0", ("fused", "planned")), ("star", "L2", ("naive", "planned"))]:
+    for _e in _engines:
+        _add(f"summary_{_s}_{_l}_{_e}", partial(_summary, _s, _l, _e, 5), ref.summary(*_mapping(_s, _l)))
+for _k in CONFIGS:
+    _add(f"summary_A_L3_planned_{_k}", partial(_summary, "A", "L3", "planned", _k), ref.summary(*_mapping("A", "L3")))
+for _name, _c in (("links", PlanConfig("links", start="OrderLine")), ("random", PlanConfig("random", seed=1)), ("referenced_first", PlanConfig("referenced_first"))):
+    _add(f"summary_R_L3_{_name}", partial(_summary, "R", "L3", "planned", _c), ref.summary(*_mapping("R", "L3")))
+for _s in "RABC":
+    for _shape in load_schema(_s).names:
+        _add(f"valid_{_s}_{_shape}", partial(_valid, _s, _shape), ref.verdicts(*_mapping(_s, "L0"), _shape))
+
+
+def _rewrite_off(spark, sf_dir):
+    return validate(*graph_of(spark, sf_dir, "R", "L3"), "planned", 5, OFF).summary()
+
+
+_add("summary_R_L3_order_only", _rewrite_off, ref.summary(*_mapping("R", "L3")))
+
+
+def _triple_engine(spark, sf_dir):
+    """Schema R's Nation and Supplier over triples instead of class tables; entities lose their class prefix in the end."""
+    g, _ = graph_of(spark, sf_dir, "R", "L3")
+    schema = load_schema("R")
+    small = type(schema)("R_small", tuple(s for s in schema.shapes if s.name in ("Nation", "Supplier")))
+    out = validate(TripleSource(g.triples(["Nation", "Supplier"]), g.mapping.links), small, "fused").verdicts
+    return out.withColumn("entity", F.substring_index("entity", "/", -1))
+
+
+_r_map, _r_schema = _mapping("R", "L3")
+_add("verdicts_R_triples", _triple_engine, f"SELECT * FROM ({ref.verdicts(_r_map, _r_schema)}) WHERE shape IN ('Nation', 'Supplier')")
+
+
+def _agree(spark, sf_dir):
+    g, s = graph_of(spark, sf_dir, "A", "L2")
+    return equivalent(validate(g, s, "fused").verdicts, validate(g, s, "naive").verdicts)
+
+
+_add("verdict_diff", _agree, "SELECT 'A' AS shape, '' AS entity, TRUE AS valid, 'a' AS side WHERE FALSE")
+
+
+def _explained(spark, sf_dir):
+    g, s = graph_of(spark, sf_dir, "A", "L2")
+    return explain(g, s, validate(g, s, "fused"), "Customer").groupBy("reason").agg(F.count(F.lit(1)).alias("n"))
+
+
+_add("explain_A_Customer", _explained, """
+WITH n AS (SELECT n_nationkey AS k FROM nation WHERE n_name IS NOT NULL AND n_nationkey % 25 >= 6),
+c AS (SELECT *, CASE WHEN c_custkey % 100 < 25 THEN NULL ELSE c_acctbal END AS bal FROM customer)
+SELECT CASE WHEN bal IS NULL OR bal < 0 THEN 'c_acctbal min 1 [value >= 0]' ELSE 'c_nationkey min 1 -> Nation' END AS reason, count(*) AS n
+FROM c WHERE bal IS NULL OR bal < 0 OR c_nationkey NOT IN (SELECT k FROM n) GROUP BY 1
+""")
+
+# Planning.
+
+for _s in "RABC":
+    _schema = load_schema(_s)
+    _dep = dependency_graph(_schema)
+    _add(f"plan_orders_{_s}", lambda spark, d, s=_schema: plan_orders(spark, s), _values([(k, i, n) for k, c in CONFIGS.items() if c.strategy != "random" for i, n in enumerate(traverse(_dep, c), 1)], "config, pos, shape"))
+    _add(f"degrees_{_s}", lambda spark, d, s=_schema: degrees(spark, s), _values([(s.name, len({a for a, b, _ in _dep.edges if b == s.name}), len({b for a, b, _ in _dep.edges if a == s.name}), s.n_constraints, s.target is not None) for s in _schema.shapes], "shape, in_deg, out_deg, n_constraints, has_target"))
+    _add(f"deps_{_s}", lambda spark, d, s=_schema: dependencies(spark, s), _values([(s.name, c.ref, c.path, c.kind, c.n) for s in _schema.shapes for c in s.counts() if c.ref], "src, dst, path, kind, n"))
+
+
+def _udtf(spark, sf_dir):
+    register(spark)
+    from shapeplan.model.parse import FOLDER
+
+    text = json.dumps(json.loads((FOLDER / "B.json").read_text())).replace("'", "''")
+    return spark.sql(f"SELECT * FROM shape_plan('{text}', 5)")
+
+
+_plan_b = plan_validation(load_schema("B"), 5)
+_add("udtf_plan", _udtf, _values([(i, s, ",".join(_plan_b.deferrals[s])) for i, s in enumerate(_plan_b.order, 1)], "pos, shape, deferred"))
+
+# Target, minimum, maximum and counting queries.
+
+_base = default_mapping()
+for _shape in load_schema("C").shapes:
+    _add(f"target_{_shape.name}", lambda spark, d, s=_shape: q.target(graph_of(spark, d, "C")[0], s), f"SELECT entity FROM {ref.entities(_base, _shape.target)}")
+for _s, _names in (("A", ("Nation", "Customer", "Order")), ("R", ("Supplier", "OrderLine"))):
+    for _n in _names:
+        _shape = load_schema(_s)[_n]
+        _add(f"counts_{_s}_{_n}", lambda spark, d, s=_shape, x=_s: q.counts(graph_of(spark, d, x)[0], s), ref.counts(_base, _shape))
+        _add(f"min_{_s}_{_n}", lambda spark, d, s=_shape, x=_s: q.min_query(graph_of(spark, d, x)[0], s).select("entity"), "SELECT t.entity FROM " + ref.entities(_base, _shape.target) + " t" + "".join(f" JOIN {ref.witnesses(_base, _shape, c, False)} w{k} ON w{k}.entity = t.entity" for k, c in enumerate(_shape.counts("min"))))
+        for _k, _c in enumerate(_shape.counts("max"), 1):
+            _w = ref.witnesses(_base, _shape, _c, False)
+            _add(f"max_{_s}_{_n}_{_k}", lambda spark, d, s=_shape, x=_s, c=_c: q.max_query(graph_of(spark, d, x)[0], s, c).select("entity").distinct(), f"SELECT entity FROM {_w} GROUP BY entity HAVING count(*) > {_c.n}")
+
+# Rewrites.
+
+
+def _pushed(mode: str, spark, sf_dir):
+    g, s = graph_of(spark, sf_dir, "R", "L3")
+    c = next(c for c in s["OrderLine"].counts() if c.ref == "Nation")
+    valid = validate(g, s, "fused").valid["Nation"]
+    nodes = valid if mode == "valid" else g.entities("Nation").join(valid, "entity", "left_anti")
+    return push_filter(g, s["OrderLine"], g.entities("OrderLine"), c, nodes, 25, mode).select("entity")
+
+
+_hub = "SELECT DISTINCT l_orderkey * 16 + l_linenumber AS entity FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey WHERE c_nationkey % 25 >= 12"
+_add("push_valid_list", partial(_pushed, "valid"), _hub)
+_add("push_invalid_list", partial(_pushed, "invalid"), _hub)
+
+
+def _split(mode: str, spark, sf_dir):
+    g, s = graph_of(spark, sf_dir, "A", "L2")
+    valid = validate(g, s, "fused").valid["Customer"]
+    nodes = valid if mode == "valid" else g.entities("Customer").join(valid, "entity", "left_anti")
+    return split_filter(g.edges("Order", "o_custkey"), nodes, 1200, mode, Limits(max_filter_items=300, max_rewritten=8))
+
+
+_a_map, _a_schema = _mapping("A", "L2")
+_linked = ref.valid_ctes(_a_map, _a_schema, "Customer") + " SELECT o_orderkey AS entity FROM orders WHERE o_custkey IN (SELECT entity FROM valid_Customer)"
+_add("union_split_filter", partial(_split, "valid"), _linked)
+_add("split_exclusion", partial(_split, "invalid"), _linked)
+
+
+def _slice(spark, sf_dir):
+    rows = table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("entity"))
+    return rows.orderBy("entity").offset(100).limit(50)
+
+
+_add("slice_offset", _slice, "SELECT o_orderkey AS entity FROM orders ORDER BY 1 LIMIT 50 OFFSET 100")
+
+
+def _sliced(strategy: str, spark, sf_dir):
+    rows = table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("entity"))
+    parts = list(slices(rows, 400, 1500, strategy))
+    out = parts[0].withColumn("slice", F.lit(0))
+    for i, p in enumerate(parts[1:], 1):
+        out = out.unionByName(p.withColumn("slice", F.lit(i)))
+    return out.select("entity")
+
+
+for _strategy in ("offset", "hash", "range"):
+    # With offsets, four slices of 400 rows are all of 1,500; at another size what lies beyond isn't asked for.
+    _add(f"slices_{_strategy}", partial(_sliced, _strategy), "SELECT c_custkey AS entity FROM customer" + (" ORDER BY 1 LIMIT 1600" if _strategy == "offset" else ""))
+
+
+def _edge_join(mode: str, spark, sf_dir):
+    g, _ = graph_of(spark, sf_dir, "R", "L3")
+    good = table(spark, sf_dir, "supplier").where("s_acctbal >= 0").select(F.col("s_suppkey").alias("entity"))
+    bad = table(spark, sf_dir, "supplier").where("s_acctbal < 0").select(F.col("s_suppkey").alias("entity"))
+    pairs = g.edges("OrderLine", "l_suppkey")
+    return filter_edges(pairs, good if mode == "valid" else bad, mode).select("entity").distinct()
+
+
+_edge_sql = "SELECT DISTINCT l_orderkey * 16 + l_linenumber AS entity FROM lineitem JOIN supplier ON l_suppkey = s_suppkey WHERE s_acctbal >= 0"
+_add("join_semi_valid", partial(_edge_join, "valid"), _edge_sql)
+_add("join_anti_invalid", partial(_edge_join, "invalid"), _edge_sql)
+
+# Measures.
+
+
+def _rules(schema: str, level: str, order: bool, spark, sf_dir):
+    g, s = graph_of(spark, sf_dir, schema, level)
+    if not order:
+        return work.count_rules(g, s)
+    return work.count_rules(g, s, ["Nation", "Customer", "Order"] if schema == "A" else list(plan_validation(s, 5).order), validate(g, s, "fused").valid)
+
+
+for _s, _l, _o in (("A", "L2", ["Nation", "Customer", "Order"]), ("R", "L3", list(plan_validation(load_schema("R"), 5).order))):
+    _add(f"rules_naive_{_s}", partial(_rules, _s, _l, False), ref.rules(*_mapping(_s, _l)))
+    _add(f"rules_planned_{_s}", partial(_rules, _s, _l, True), ref.rules(*_mapping(_s, _l), _o))
+
+
+def _ratio(spark, sf_dir):
+    a, b = _rules("A", "L3", False, spark, sf_dir), _rules("A", "L3", True, spark, sf_dir)
+    return a.select(F.col("n_rules").alias("naive")).crossJoin(F.broadcast(b.select(F.col("n_rules").alias("planned")))).withColumn("ratio", F.round(F.col("naive") / F.col("planned"), 2))
+
+
+_add("rules_ratio_A", _ratio, f"SELECT a.n_rules AS naive, b.n_rules AS planned, round(a.n_rules / b.n_rules, 2) AS ratio FROM ({ref.rules(*_mapping('A', 'L3'))}) a, ({ref.rules(*_mapping('A', 'L3'), ['Nation', 'Customer', 'Order'])}) b")
+
+
+def _prefiltered(spark, sf_dir):
+    g, s = graph_of(spark, sf_dir, "R", "L3")
+    return work.prefiltered(g, s, "OrderLine", "l_orderkey/o_custkey/c_nationkey", validate(g, s, "fused").valid["Nation"])
+
+
+_add("prefiltered_running_example", _prefiltered, f"SELECT (SELECT count(*) FROM {ref.entities(_base, 'OrderLine')}) - (SELECT count(*) FROM ({_hub})) AS n_prefiltered")
+_add("retrieved_A", lambda spark, d: work.retrieved(*graph_of(spark, d, "A")), """
+SELECT 'Nation' AS shape, count(*) AS n_retrieved FROM nation
+UNION ALL SELECT 'Customer', (SELECT count(*) FROM customer) + (SELECT count(DISTINCT c_nationkey) FROM customer)
+UNION ALL SELECT 'Order', (SELECT count(*) FROM orders) + (SELECT count(DISTINCT o_custkey) FROM orders)
+""")
+for _s in "ABC":
+    _add(f"invalid_pct_{_s}", lambda spark, d, s=_s: work.invalid_pct(_verdicts(s, "L2", "fused", 5, spark, d)), f"SELECT count(*) AS n_entities, count(*) FILTER (WHERE valid) AS n_valid, round(100.0 * count(*) FILTER (WHERE NOT valid) / count(*), 2)::DOUBLE AS invalid_pct FROM ({ref.verdicts(*_mapping(_s, 'L2'))})")
+_add("checks_A", lambda spark, d: work.checks(*graph_of(spark, d, "A")), f"""
+WITH c(kind, n) AS ({" UNION ALL ".join(f"SELECT '{'inter' if c.ref else 'intra'}', (SELECT sum(greatest(coalesce(k, 0), 1)) FROM {ref.entities(_base, s.target)} t LEFT JOIN (SELECT entity, count(*) AS k FROM {ref.witnesses(_base, s, c, False)} GROUP BY entity) w ON w.entity = t.entity)" for s in load_schema("A").shapes for c in s.counts())})
+SELECT kind, count(*) AS n_constraints, avg(n)::DOUBLE AS avg_checks FROM c GROUP BY kind
+""")
+_add("shape_cardinality", lambda spark, d: class_stats(graph_of(spark, d, "C")[0], schema_classes(load_schema("C"))), " UNION ALL ".join(f"SELECT '{c}' AS cls, count(*) AS n_entities FROM {ref.entities(_base, c)}" for c in schema_classes(load_schema("C"))))
+_add("predicate_stats_Order", lambda spark, d: predicate_stats(graph_of(spark, d, "B")[0], "Order", ["o_custkey", "^l_orderkey"]), " UNION ALL ".join(f"SELECT '{p}' AS path, (SELECT count(*) FROM (SELECT DISTINCT entity, value FROM {x})) AS n, (SELECT count(DISTINCT entity) FROM {x}) AS n_subjects, (SELECT count(DISTINCT value) FROM {x}) AS n_objects, (SELECT max(k) FROM (SELECT count(DISTINCT value) AS k FROM {x} GROUP BY entity)) AS max_per_subject" for p in ("o_custkey", "^l_orderkey") for x in [f"(SELECT * FROM {ref.edges(_base, 'Order', p)} WHERE value IS NOT NULL)"]))
+_add("graph_size", lambda spark, d: graph_size(graph_of(spark, d, "B")[0].triples(["Region", "Nation", "Customer"])), """
+WITH t AS (
+  SELECT 'Region/' || r_regionkey AS s FROM region UNION ALL SELECT 'Region/' || r_regionkey FROM region WHERE r_name IS NOT NULL
+  UNION ALL SELECT 'Nation/' || n_nationkey FROM nation, range(3) UNION ALL SELECT 'Customer/' || c_custkey FROM customer, range(5))
+SELECT count(*) AS n_triples, count(DISTINCT s) AS n_subjects FROM t
+""")
+_add("capped_misses", lambda spark, d: _capped(spark, d), """
+WITH v AS (SELECT DISTINCT o_orderkey AS e FROM orders JOIN lineitem ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey WHERE TRUE),
+seen AS (SELECT e FROM v ORDER BY e LIMIT (SELECT count(*) // 2 + count(*) % 2 FROM v))
+SELECT (SELECT count(*) FROM v) AS n_valid, (SELECT count(*) FROM v WHERE e NOT IN (SELECT e FROM seen)) AS n_missed,
+  (SELECT count(*) FROM v WHERE e NOT IN (SELECT e FROM seen))::DOUBLE / (SELECT count(*) FROM v) AS share_missed
+""")
+
+
+def _capped(spark, sf_dir):
+    g, s = graph_of(spark, sf_dir, "A")
+    rows = q.min_query(g, s["Order"]).select("entity").distinct()
+    n = rows.count()
+    return capped_misses(g, s["Order"], rows, AnswerCap(n // 2 + n % 2))
+
+
+def _answers(spark, sf_dir):
+    t = F.expr("timestampdiff(MICROSECOND, TIMESTAMP_NTZ'2024-01-01 00:00:00', ts)") / 1e6
+    return table(spark, sf_dir, "events").select(F.col("event_type").alias("engine"), "event_id", t.cast("double").alias("t"))
+
+
+def _trace(spark, sf_dir):
+    return tr.answer_trace(_answers(spark, sf_dir), ["engine"], ["t", "event_id"])
+
+
+_trace_sql = "SELECT event_type AS engine, event_id, t, row_number() OVER (PARTITION BY event_type ORDER BY t, event_id) AS answer_no FROM (SELECT *, epoch_us(ts) / 1e6 - epoch(TIMESTAMP '2024-01-01') AS t FROM events)"
+_add("answer_trace", _trace, _trace_sql)
+_add("dief_at_t", lambda spark, d: tr.dief_at_t(_trace(spark, d), 1_000_000.0, ["engine"]).withColumn("dief", F.round("dief", 2)), f"""
+WITH s AS (SELECT engine, t, max(answer_no)::DOUBLE AS k FROM ({_trace_sql}) WHERE t <= 1000000 GROUP BY engine, t),
+x AS (SELECT *, lead(t) OVER w AS t2, lead(k) OVER w AS k2 FROM s WINDOW w AS (PARTITION BY engine ORDER BY t))
+SELECT engine, round(sum(CASE WHEN t2 IS NULL THEN (1000000 - t) * k ELSE (t2 - t) * (k + k2) / 2 END), 2) AS dief FROM x GROUP BY engine
+""")
+_add("trace_summary", lambda spark, d: tr.trace_summary(_trace(spark, d), ["engine"]), f"SELECT engine, 1.0 / nullif(min(t), 0) AS inv_tfff, 1.0 / nullif(max(t), 0) AS inv_et, count(*) AS comp, count(*)::DOUBLE / nullif(max(t), 0) AS throughput FROM ({_trace_sql}) GROUP BY engine")
+
+# Recursion, disjunction, negation.
+
+
+def _recursive(schema: str, shape: str, level: str, wide: bool, spark, sf_dir):
+    g, s = graph_of(spark, sf_dir, schema)
+    from shapeplan.sources import corrupt
+
+    return validate(corrupt(g, level, wide), s, "planned").of(shape)
+
+
+_add("x1_turn_chain", partial(_recursive, "X1", "Turn", "L1", True), """
+WITH t AS (SELECT *, CASE WHEN (conv_id * 8 + turn) % 100 < 10 THEN NULL ELSE text END AS x FROM conversations)
+SELECT 'Turn' AS shape, CAST(conv_id * 64 + turn AS VARCHAR) AS entity, bool_and(x IS NOT NULL) OVER (PARTITION BY conv_id ORDER BY turn) AND min(turn) OVER (PARTITION BY conv_id) = 0 AS valid FROM t
+""")
+_add("x2_order_chain", partial(_recursive, "X2", "Order", "L1", False), """
+SELECT 'Order' AS shape, CAST(o_orderkey AS VARCHAR) AS entity, bool_and(o_totalprice IS NOT NULL AND o_orderkey % 100 >= 10) OVER (PARTITION BY o_custkey ORDER BY o_orderkey) AS valid FROM orders
+""")
+for _s in ("X3", "X4"):
+    _add(f"{_s.lower()}_documents", lambda spark, d, s=_s: validate(*graph_of(spark, d, s), "fused").of("Document"), ref.verdicts(*_mapping(_s, "L0"), "Document"))
+
+# Surrounding operators.
+
+_add("filter_value_test", lambda spark, d: table(spark, d, "part").where("p_size BETWEEN 1 AND 10 AND p_type LIKE '%BRASS%' AND p_brand IS NOT NULL").select("p_partkey", "p_size"), "SELECT p_partkey, p_size FROM part WHERE p_size BETWEEN 1 AND 10 AND p_type LIKE '%BRASS%' AND p_brand IS NOT NULL")
+_add("join_inner_path", lambda spark, d: graph_of(spark, d, "R")[0].edges("OrderLine", "l_orderkey/o_custkey/c_nationkey").distinct(), "SELECT DISTINCT l_orderkey * 16 + l_linenumber AS entity, c_nationkey AS value FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey")
+
+
+def _range(spark, sf_dir):
+    lines = table(spark, sf_dir, "lineitem").select(F.col("l_orderkey").alias("k"), "l_linenumber", "l_shipdate")
+    orders = table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("k"), "o_orderdate")
+    return rel.range_join(lines, orders, ["k"], F.col("l_shipdate"), F.col("o_orderdate"), F.col("o_orderdate") + F.expr("INTERVAL 30 DAYS")).groupBy("l_linenumber").agg(F.count(F.lit(1)).alias("n"))
+
+
+_add("join_range_ship", _range, "SELECT l_linenumber, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey AND l_shipdate BETWEEN o_orderdate AND o_orderdate + INTERVAL 30 DAYS GROUP BY 1")
+
+
+def _asof(spark, sf_dir):
+    e = table(spark, sf_dir, "events")
+    buys = e.where("event_type = 'purchase'").select("user_id", "ts", "event_id")
+    clicks = e.where("event_type = 'click'").groupBy("user_id", "ts").agg(F.max("event_id").alias("click_id"))
+    return rel.asof_join(buys, clicks, ["user_id"], "ts", ["click_id"])
+
+
+_add("asof_event", _asof, """
+SELECT b.user_id, b.ts, b.event_id, c.click_id FROM (SELECT * FROM events WHERE event_type = 'purchase') b
+ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS click_id FROM events WHERE event_type = 'click' GROUP BY 1, 2) c ON b.user_id = c.user_id AND b.ts >= c.ts
+""")
+_rep = f"SELECT 'A' AS workload, shape, valid FROM ({ref.verdicts(*_mapping('A', 'L2'))}) UNION ALL SELECT 'R', shape, valid FROM ({ref.verdicts(*_mapping('R', 'L3'))})"
+
+
+def _report(kind: str, spark, sf_dir):
+    v = _verdicts("A", "L2", "fused", 5, spark, sf_dir).withColumn("workload", F.lit("A")).unionByName(_verdicts("R", "L3", "fused", 5, spark, sf_dir).withColumn("workload", F.lit("R")))
+    return rel.quality_report(v, ["workload", "shape"], kind)
+
+
+for _k in ("rollup", "cube"):
+    _add(f"report_{_k}", partial(_report, _k), f"SELECT workload, shape, count(*) AS n, count(*) FILTER (WHERE valid) AS n_valid FROM ({_rep}) GROUP BY {_k.upper()}(workload, shape)")
+_add("topk_invalid_shapes", lambda spark, d: rel.top_invalid(_summary("B", "L2", "fused", 5, spark, d), 3), f"SELECT * FROM ({ref.summary(*_mapping('B', 'L2'))}) ORDER BY n_invalid DESC, shape LIMIT 3")
+_add("counts_distinct", lambda spark, d: table(spark, d, "lineitem").groupBy("l_returnflag").agg(F.count_distinct("l_partkey").alias("parts"), F.min("l_shipdate").alias("first"), F.bool_or(F.col("l_tax") > 0.07).alias("high"), F.count_if(F.col("l_discount") > 0.05).alias("n_discount")), "SELECT l_returnflag, count(DISTINCT l_partkey) AS parts, min(l_shipdate) AS first, bool_or(l_tax > 0.07) AS high, count(*) FILTER (WHERE l_discount > 0.05) AS n_discount FROM lineitem GROUP BY 1")
+_add("prev_order_chain", lambda spark, d: table(spark, d, "orders").select("o_orderkey", F.lag("o_orderkey").over(Window.partitionBy("o_custkey").orderBy("o_orderkey")).alias("prev"), F.row_number().over(Window.partitionBy("o_custkey").orderBy("o_orderkey")).cast("long").alias("depth")), "SELECT o_orderkey, lag(o_orderkey) OVER w AS prev, row_number() OVER w AS depth FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderkey)")
+_add("triples_by_predicate", lambda spark, d: graph_of(spark, d, "B")[0].triples(["Nation", "Supplier"]).groupBy("p").agg(F.count(F.lit(1)).alias("n"), F.count_distinct("s").alias("n_subjects")), """
+SELECT 'type' AS p, (SELECT count(*) FROM nation) + (SELECT count(*) FROM supplier) AS n, (SELECT count(*) FROM nation) + (SELECT count(*) FROM supplier) AS n_subjects
+UNION ALL SELECT p, count(*), count(*) FROM nation, (VALUES ('n_name'), ('n_regionkey')) t(p) GROUP BY p
+UNION ALL SELECT p, count(*), count(*) FROM supplier, (VALUES ('s_name'), ('s_acctbal'), ('s_nationkey')) t(p) GROUP BY p
+""")
+
+
+def _ntriples(spark, sf_dir):
+    t = graph_of(spark, sf_dir, "B")[0].triples(["Nation", "Region"])
+    path = scratch_path(spark, "nt")
+    graph_io.to_ntriples(t).write.text(path)
+    back = graph_io.from_ntriples(spark.read.text(path))
+    return back.select("s", "p", F.coalesce("o.iri", "o.lex").alias("o"))
+
+
+_add("ntriples_roundtrip", _ntriples, """
+SELECT 'Nation/' || n_nationkey AS s, 'type' AS p, 'Nation' AS o FROM nation UNION ALL SELECT 'Nation/' || n_nationkey, 'n_name', n_name FROM nation
+UNION ALL SELECT 'Nation/' || n_nationkey, 'n_regionkey', 'Region/' || n_regionkey FROM nation
+UNION ALL SELECT 'Region/' || r_regionkey, 'type', 'Region' FROM region UNION ALL SELECT 'Region/' || r_regionkey, 'r_name', r_name FROM region
+""")
+_add("fn_string", lambda spark, d: table(spark, d, "customer").select("c_custkey", F.concat(F.lit("Customer/"), F.col("c_custkey").cast("string")).alias("iri"), F.length("c_name").cast("long").alias("len"), F.col("c_name").rlike("[0-9]+5$").alias("five"), F.upper(F.substring("c_mktsegment", 1, 3)).alias("seg")), "SELECT c_custkey, 'Customer/' || c_custkey AS iri, length(c_name) AS len, regexp_matches(c_name, '[0-9]+5$') AS five, upper(substring(c_mktsegment, 1, 3)) AS seg FROM customer")
+_add("fn_date", lambda spark, d: table(spark, d, "orders").select("o_orderkey", F.datediff("o_orderdate", F.lit("1992-01-01")).cast("long").alias("days"), F.year("o_orderdate").cast("long").alias("y"), F.date_format(F.trunc("o_orderdate", "month"), "yyyy-MM-dd").alias("m")), "SELECT o_orderkey, date_diff('day', DATE '1992-01-01', o_orderdate::DATE) AS days, year(o_orderdate) AS y, strftime(date_trunc('month', o_orderdate), '%Y-%m-%d') AS m FROM orders")
+_add("fn_json", lambda spark, d: table(spark, d, "events").select("event_id", F.from_json("props", "k INT")["k"].cast("long").alias("k"), F.get_json_object("props", "$.k").alias("raw")), "SELECT event_id, CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, json_extract_string(props, '$.k') AS raw FROM events")
+_add("fn_array", lambda spark, d: table(spark, d, "embeddings").select("vec_id", F.size("embedding").cast("long").alias("n"), F.forall("embedding", lambda x: x < 10).alias("small"), F.round(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double")), 4).alias("total")), "SELECT vec_id, len(embedding) AS n, len(list_filter(embedding, lambda x: x >= 10)) = 0 AS small, round(list_sum(list_transform(embedding, lambda x: x::DOUBLE)), 4) AS total FROM embeddings")
+
+
+def _binom(spark, sf_dir):
+    register(spark)
+    per = table(spark, sf_dir, "lineitem").groupBy("l_orderkey").agg(F.count(F.lit(1)).alias("k"))
+    return per.selectExpr("l_orderkey", "binom(k, 2) AS pairs")
+
+
+_add("fn_math_binomial", _binom, "SELECT l_orderkey, (count(*) * (count(*) - 1) / 2)::DOUBLE AS pairs FROM lineitem GROUP BY 1")
+_win = "count(*) AS n, count(*) FILTER (WHERE NOT (event_type IN ('click', 'error', 'purchase', 'signup', 'view') AND value >= 0)) AS n_invalid, count(*) FILTER (WHERE event_type = 'error') AS n_errors"
+_add("win_tumbling", lambda spark, d: ev.tumbling(table(spark, d, "events")), f"SELECT time_bucket(INTERVAL 1 HOUR, ts) AS w_start, time_bucket(INTERVAL 1 HOUR, ts) + INTERVAL 1 HOUR AS w_end, {_win} FROM events GROUP BY 1, 2")
+_add("win_sliding", lambda spark, d: ev.sliding(table(spark, d, "events")), f"SELECT w_start, w_start + INTERVAL 1 HOUR AS w_end, {_win} FROM (SELECT *, unnest([time_bucket(INTERVAL 30 MINUTES, ts), time_bucket(INTERVAL 30 MINUTES, ts) - INTERVAL 30 MINUTES]) AS w_start FROM events) GROUP BY 1, 2")
+_add("win_session", lambda spark, d: ev.sessions(table(spark, d, "events")), """
+WITH a AS (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 30 MINUTES THEN 0 ELSE 1 END AS new FROM events),
+b AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS s FROM a)
+SELECT user_id, min(ts) AS w_start, max(ts) + INTERVAL 30 MINUTES AS w_end, count(*) AS n, count(*) FILTER (WHERE NOT (event_type IN ('click', 'error', 'purchase', 'signup', 'view') AND value >= 0)) AS n_invalid FROM b GROUP BY user_id, s
+""")
+
+
+def queries() -> dict[str, Query]:
+    return dict(_queries)
+
+
+def oracle_sql() -> dict[str, str]:
+    return dict(_sql)

@@ -97,7 +97,8 @@ def rules(m: Mapping, schema: ShapeSchema, planned_order: list[str] | None = Non
         maxs = [f"CAST({_choose(k, c.n + 1)} AS DOUBLE)" for k, c in zip(ks, s.counts()) if c.kind == "max"]
         body = "1" + (" + " + " * ".join(mins) if mins else "") + "".join(f" + {x}" for x in maxs)
         terms.append(f"SELECT coalesce(sum({body}), 0) AS n FROM ({ground}) t")
-        decided.add(n)
+        if planned_order:
+            decided.add(n)
     return f"{ctes[0]} SELECT CAST(sum(n) AS DOUBLE) AS n_rules FROM (" + " UNION ALL ".join(terms) + ")"
 
 
