@@ -124,6 +124,7 @@ def align(a: np.ndarray, b: np.ndarray) -> tuple[int | None, float | None]:
     return offset, float(np.bitwise_count(a[i : i + n] ^ b[j : j + n]).sum() / (32 * n))
 
 
+@W.tidy
 def _prints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in W.slices(batches, "media", 4 << 20):
         rows = []
@@ -137,6 +138,7 @@ def _prints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], names=["uid", "doc_id", "n_samples", "n_codes", "codes_crc32", "codes", "picks"])
 
 
+@W.tidy
 def _aligned(batches: Iterator[pa.RecordBatch], same: float) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         out = []

@@ -29,6 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from shapeplan.llm import words as W
 from shapeplan.llm.words import column
 from shapeplan.runtime import ship, written
 
@@ -78,6 +79,7 @@ def _matrix(batch: pa.RecordBatch, name: str = "embedding") -> np.ndarray:
     return a.flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(a), -1)
 
 
+@W.tidy
 def _points(batches: Iterator[pa.RecordBatch], k: int, every: int) -> Iterator[pa.RecordBatch]:
     """Distinct vectors of a partition's batches, with their least ids and whether a query has them."""
     for batch in batches:
@@ -97,6 +99,7 @@ def _points(batches: Iterator[pa.RecordBatch], k: int, every: int) -> Iterator[p
         yield pa.RecordBatch.from_arrays([pa.array(list(by), pa.binary()), pa.array(list(by.values()), pa.list_(pa.int64())), pa.array([asks[b] for b in by])], names=["point", "ids", "asks"])
 
 
+@W.tidy
 def _truth(batches: Iterator[pa.RecordBatch], queries: np.ndarray, k: int) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         if batch.num_rows and len(queries):
@@ -107,6 +110,7 @@ def _truth(batches: Iterator[pa.RecordBatch], queries: np.ndarray, k: int) -> It
             yield pa.RecordBatch.from_arrays([pa.array(q.astype(np.int32)), pa.array([points[i] for i in top.ravel()], pa.binary()), pa.array(np.take_along_axis(s, top, 1).ravel())], names=["q", "point", "score"])
 
 
+@W.tidy
 def _numbered(batches: Iterator[pa.RecordBatch], axes, shifts, lo, hi) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         points, asks = column(batch, "point"), column(batch, "asks")
@@ -198,6 +202,7 @@ def neighbours(vectors: DataFrame, *, k: int = 20, every: int = 20, curves: int
     return out.select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
 
+@W.tidy
 def _named(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         if batch.num_rows:

@@ -141,7 +141,7 @@ class Lattice:
 
 
 #: Words that go through a lattice together.
-TOGETHER = 8192
+TOGETHER = 2048
 
 
 def _by_length(words: list[str]) -> Iterator[tuple[int, np.ndarray, list[str]]]:
@@ -169,10 +169,11 @@ def stretches(word: str) -> list[str]:
     return [word[i : i + STRETCH] for i in range(0, len(word), STRETCH)]
 
 
+@W.tidy
 def _learn(batches: Iterator[pa.RecordBatch], model: str, labels: list[str], logp: np.ndarray) -> Iterator[pa.RecordBatch]:
     pieces, place = vocabulary(model), {x: i for i, x in enumerate(labels)}
     lattice, counts = Lattice(pieces, logp), np.zeros((len(pieces) + 1, len(labels)))
-    for batch in W.slices(batches, "text", 16 << 20):
+    for batch in W.slices(batches, "text", 8 << 20):
         seen: dict[str, Counter] = {}
         for text, lang in zip(W.column(batch, "text"), W.column(batch, "lang")):
             seen.setdefault(lang, Counter()).update(tokens(text or ""))
@@ -224,6 +225,7 @@ class _Numbers(dict):
         return i
 
 
+@W.tidy
 def _predict(batches: Iterator[pa.RecordBatch], model: str, labels: list[str], logp: np.ndarray, whole: bool = False, most: int = 300_000) -> Iterator[pa.RecordBatch]:
     lattice = Lattice(vocabulary(model), logp)
     numbers, known = _Numbers(), np.zeros((0, len(labels)))

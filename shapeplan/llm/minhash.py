@@ -48,10 +48,7 @@ CHUNK = 256
 
 def shingles(text: bytes | None, n: int) -> np.ndarray:
     """Sorted distinct hashes of the ``n``-word shingles of a lower-cased text."""
-    return np.unique(W.ngram_hashes(_hashes.of(W.split(text, lower=True)), n))
-
-
-_hashes = W.WordHashes()
+    return np.unique(W.ngram_hashes(W.hashes.of(W.split(text, lower=True)), n))
 
 
 def signature(sh: np.ndarray, bins: int) -> np.ndarray:
@@ -98,6 +95,7 @@ def keys(sh: np.ndarray, sig: np.ndarray, rows: int, small: int, num: int, den:
     return np.concatenate(out)
 
 
+@W.tidy
 def _describe(batches: Iterator[pa.RecordBatch], n: int, bins: int, **how) -> Iterator[pa.RecordBatch]:
     for batch in W.slices(batches, "text"):
         ids, node, size, buckets = W.column(batch, "doc_id"), [], [], []
@@ -115,6 +113,7 @@ def _describe(batches: Iterator[pa.RecordBatch], n: int, bins: int, **how) -> It
         )
 
 
+@W.tidy
 def _sets(batches: Iterator[pa.RecordBatch], n: int) -> Iterator[pa.RecordBatch]:
     for batch in W.slices(batches, "text"):
         node = batch.column(batch.schema.get_field_index("node")).to_pylist()

@@ -73,6 +73,7 @@ def pack(lengths: list[int], capacity: int) -> list[list[int]]:
     return out
 
 
+@W.tidy
 def _pieces(batches: Iterator[pa.RecordBatch], vocabulary: str | None, end: int, capacity: int) -> Iterator[pa.RecordBatch]:
     encoder, last = Encoder(vocabulary), np.array([end], "<u4").tobytes()
     for batch in W.slices(batches, "text"):

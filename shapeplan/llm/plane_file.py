@@ -83,6 +83,7 @@ def read_page(page: bytes) -> tuple[np.ndarray, list[int | None], list[int]]:
     return np.concatenate(parts) if parts else np.zeros(0, "<u4"), [None if d == _NULL else d for d in docs[:, 0].tolist()], docs[:, 1].tolist()
 
 
+@W.tidy
 def _pages(batches: Iterator[pa.RecordBatch], vocabulary: str | None, end: int, page_ids: int, kind: str) -> Iterator[pa.RecordBatch]:
     encoder, shard = Encoder(vocabulary), TaskContext.get().partitionId()
     last = np.array([end], "<u4").tobytes()
@@ -114,6 +115,7 @@ def write_ids(docs: DataFrame, path: str, *, vocabulary: str | None = None, end:
     ordered.mapInArrow(partial(_pages, vocabulary=vocabulary, end=end, page_ids=page_ids, kind=kind), "shard int, before long, n_ids long, page binary").write.parquet(path)
 
 
+@W.tidy
 def _documents(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for shard, before, page in zip(*(W.column(batch, c) for c in ("shard", "before", "page"))):
@@ -134,6 +136,7 @@ def read_index(spark, path: str) -> DataFrame:
     return found.join(F.broadcast(base), "shard").select("doc_id", (F.col("base") + F.col("own_start")).alias("start"), "n_tokens", "ids_crc32")
 
 
+@W.tidy
 def _ids(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for page in W.column(batch, "page"):

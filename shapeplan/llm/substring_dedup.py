@@ -34,7 +34,7 @@ from shapeplan.runtime import ship, written
 GRAM = 8
 
 #: Words that a shard indexes, as expected.
-SHARD_WORDS = 1 << 20
+SHARD_WORDS = 1 << 19
 
 #: Different segments of one least hash beyond which its windows are dealt out one by one.
 HOT = 8192
@@ -42,9 +42,6 @@ HOT = 8192
 #: Windows of a segment, at most.
 RUN = 64
 
-_hashes = W.WordHashes()
-
-
 def least_grams(h: np.ndarray, window: int) -> np.ndarray:
     """For each window the least of its k-gram hashes."""
     if len(h) < window:
@@ -69,11 +66,12 @@ def segments(h: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray, np.nda
     return start, np.diff(np.concatenate([start, [len(low)]])), low[start]
 
 
+@W.tidy
 def _segments(batches: Iterator[pa.RecordBatch], window: int) -> Iterator[pa.RecordBatch]:
     for batch in W.slices(batches, "text"):
         ids, starts, runs, lows, names = [], [], [], [], []
         for doc, text in zip(W.column(batch, "doc_id"), W.texts(batch, "text")):
-            h = _hashes.of(W.split(text))
+            h = W.hashes.of(W.split(text))
             start, run, low = segments(h, window)
             ids.extend([doc] * len(start))
             starts.append(start)
@@ -85,12 +83,13 @@ def _segments(batches: Iterator[pa.RecordBatch], window: int) -> Iterator[pa.Rec
         yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(cat(starts, np.int32)), pa.array(cat(runs, np.int32)), pa.array(W.signed(cat(lows, np.uint64))), pa.array(names, pa.binary())], names=["doc_id", "start", "windows", "low", "segment"])
 
 
+@W.tidy
 def _fetch(batches: Iterator[pa.RecordBatch], window: int, shards: int) -> Iterator[pa.RecordBatch]:
     """The words of wanted segments, dealt out to shards."""
     for batch in W.slices(batches, "text"):
         rows = []
         for doc, text, wanted in zip(W.column(batch, "doc_id"), W.texts(batch, "text"), W.column(batch, "wanted")):
-            h = _hashes.of(W.split(text))
+            h = W.hashes.of(W.split(text))
             for w in wanted:
                 own = h[w["start"] : w["start"] + w["windows"] + window - 1]
                 if hashlib.blake2b(own.tobytes(), digest_size=16).digest() != w["segment"]:
@@ -117,6 +116,12 @@ def first_holders(streams: list[np.ndarray], ids: np.ndarray, window: int) -> li
 
 
 def _search(group: pa.Table, window: int) -> pa.Table:
+    out = _found(group, window)
+    W.release()
+    return out
+
+
+def _found(group: pa.Table, window: int) -> pa.Table:
     ids = group.column("doc_id").to_numpy()
     first = first_holders([np.frombuffer(x, np.uint64) for x in group.column("data").to_pylist()], ids, window)
     seg, at, lo, hi = group.column("segment").to_pylist(), group.column("at").to_pylist(), [], []
@@ -152,6 +157,7 @@ def repeated_spans(docs: DataFrame, *, window: int = 50, hot: int = HOT) -> Data
     return copies.unionByName(parts)
 
 
+@W.tidy
 def _apply(batches: Iterator[pa.RecordBatch], text: bool) -> Iterator[pa.RecordBatch]:
     for batch in W.slices(batches, "text"):
         n, gone, kept = [], [], []

@@ -69,8 +69,9 @@ def _unpack(data: bytes) -> list[np.ndarray]:
     return out
 
 
+@W.tidy
 def _deal(batches: Iterator[pa.RecordBatch], depth: int, buckets: int) -> Iterator[pa.RecordBatch]:
-    for batch in W.slices(batches, "text", 16 << 20):
+    for batch in W.slices(batches, "text", 8 << 20):
         ids, uids, local, parts = W.column(batch, "doc_id"), W.column(batch, "uid"), _Local(), []
         for text in W.texts(batch, "text"):
             words = W.split(text, lower=True)
@@ -188,6 +189,12 @@ def _bucket(group: pa.Table, depth: int, least: int, penalty: float) -> pa.Table
     return pa.table(cols)
 
 
+def _scored(group: pa.Table, depth: int, least: int, penalty: float) -> pa.Table:
+    out = _bucket(group, depth, least, penalty)
+    W.release()
+    return out
+
+
 def lm_scores(docs: DataFrame, *, depth: int = 2, least: int = 8, penalty: float = 1.5, buckets: int | None = None) -> DataFrame:
     """Per document: ``doc_id``, ``held_out``, ``n_tokens``, ``n_known``, ``train_tokens``, ``base_score``, ``score``.
 
@@ -200,10 +207,10 @@ def lm_scores(docs: DataFrame, *, depth: int = 2, least: int = 8, penalty: float
     rows = docs.select("doc_id", "text").withColumn("uid", F.monotonically_increasing_id())
     if buckets is None:
         size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-        buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // (8 << 20)))
+        buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // (6 << 20)))
     dealt = rows.mapInArrow(partial(_deal, depth=depth, buckets=buckets), "bucket int, data binary")
     schema = "kind int, uid long, doc_id long, held_out boolean, word long, n long, known long, base double, score double"
-    found = written(dealt.groupBy("bucket").applyInArrow(lambda group: _bucket(group, depth, least, penalty), schema), "scored")
+    found = written(dealt.groupBy("bucket").applyInArrow(lambda group: _scored(group, depth, least, penalty), schema), "scored")
     end = int(np.uint64(END).astype(np.int64))
     # Ends aren't the last word of any history: one of them per document.
     per_doc = found.where("kind = 0").groupBy("uid").agg(F.first("doc_id").alias("doc_id"), F.first("held_out").alias("held_out"), F.sum("n").alias("n_tokens"), F.sum("known").alias("known"), F.sum("base").alias("base"), F.sum("score").alias("score"))

@@ -2,7 +2,11 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import ctypes
+import functools
+import gc
+import inspect
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -29,7 +33,7 @@ def mix(x: np.ndarray) -> np.ndarray:
 class WordHashes(dict):
     """Word to 64-bit hash. Emptied when full, so that memory stays bounded."""
 
-    def __init__(self, most: int = 400_000):
+    def __init__(self, most: int = 200_000):
         super().__init__()
         self.most = most
 
@@ -43,6 +47,35 @@ class WordHashes(dict):
         return np.fromiter(map(self.__getitem__, words), np.uint64, len(words))
 
 
+#: The hashes of a worker's words, shared by all operators; emptied after each task.
+hashes = WordHashes()
+
+
+def release() -> None:
+    """Give memory back: workers are reused, and what one operator leaves would add to the next one's."""
+    hashes.clear()
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (OSError, AttributeError):  # a C library without it
+        pass
+
+
+def tidy(work: Callable) -> Callable:
+    """Release memory when a worker's task, a generator of batches, is over."""
+    assert inspect.isgeneratorfunction(work)
+
+    @functools.wraps(work)
+    def run(*args, **how):
+        try:
+            yield from work(*args, **how)
+        finally:
+            release()
+
+    return run
+
+
 def split(text: bytes | None, lower: bool = False) -> list[bytes]:
     """The words of a text; null counts as empty. ``bytes`` methods touch ASCII only, as wanted."""
     if not text:
@@ -70,7 +103,7 @@ def texts(batch: pa.RecordBatch, name: str) -> list[bytes | None]:
     return batch.column(batch.schema.get_field_index(name)).cast(pa.large_binary()).to_pylist()
 
 
-def slices(batches: Iterator[pa.RecordBatch], name: str, most: int = 8 << 20) -> Iterator[pa.RecordBatch]:
+def slices(batches: Iterator[pa.RecordBatch], name: str, most: int = 4 << 20) -> Iterator[pa.RecordBatch]:
     """Batches re-cut so that each holds about ``most`` bytes of the column ``name`` (one row at least)."""
     for batch in batches:
         if not batch.num_rows:
