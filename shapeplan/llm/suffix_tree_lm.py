@@ -56,7 +56,7 @@ class _Local(dict):
 
 def _pack(*arrays: np.ndarray) -> bytes:
     raw = b"".join(struct.pack("<cq", a.dtype.char.encode(), len(a)) + a.tobytes() for a in arrays)
-    return zstandard.ZstdCompressor(level=1).compress(raw)
+    return zstandard.ZstdCompressor(level=3).compress(raw)
 
 
 def _unpack(data: bytes) -> list[np.ndarray]:
@@ -71,7 +71,7 @@ def _unpack(data: bytes) -> list[np.ndarray]:
 
 @W.tidy
 def _deal(batches: Iterator[pa.RecordBatch], depth: int, buckets: int) -> Iterator[pa.RecordBatch]:
-    for batch in W.slices(batches, "text", 8 << 20):
+    for batch in W.slices(batches, "text", 24 << 20):
         ids, uids, local, parts = W.column(batch, "doc_id"), W.column(batch, "uid"), _Local(), []
         for text in W.texts(batch, "text"):
             words = W.split(text, lower=True)
@@ -207,7 +207,7 @@ def lm_scores(docs: DataFrame, *, depth: int = 2, least: int = 8, penalty: float
     rows = docs.select("doc_id", "text").withColumn("uid", F.monotonically_increasing_id())
     if buckets is None:
         size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-        buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // (6 << 20)))
+        buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // (12 << 20)))
     dealt = rows.mapInArrow(partial(_deal, depth=depth, buckets=buckets), "bucket int, data binary")
     schema = "kind int, uid long, doc_id long, held_out boolean, word long, n long, known long, base double, score double"
     found = written(dealt.groupBy("bucket").applyInArrow(lambda group: _scored(group, depth, least, penalty), schema), "scored")
