@@ -23,6 +23,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from shapeplan.llm.words import WORD
+from shapeplan.runtime import written
 
 #: Ranges in which the words of a source are summed, at each of two levels.
 RANGES = 4096
@@ -59,7 +60,7 @@ def targets(sizes: DataFrame, *, weights: tuple[int, ...] = (3, 1, 2), share: fl
 
 def mix(docs: DataFrame, **how) -> DataFrame:
     """Per document: ``doc_id``, ``source``, ``size``, ``source_size``, ``target``, ``copies``, ``taken``."""
-    base = docs.select("doc_id", "source", size_of().alias("size"))
+    base = written(docs.select("doc_id", "source", size_of().alias("size")), "sizes")  # texts are read once
     sized = base.withColumn("u", random_number(F.col("doc_id")))
     goal = targets(base.groupBy("source").agg(F.sum("size").alias("source_size")), **how)
     due = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
