@@ -13,6 +13,9 @@ import numpy as np
 
 _open: dict = {}
 
+#: Caches of a worker, kept from task to task; each is bounded.
+_caches: dict = {}
+
 
 def default_vocabulary() -> str:
     import public_tokenizers
@@ -30,18 +33,40 @@ def tokenizer(path: str):
 
 
 class _Parts(dict):
-    """Ids of " part", as bytes; None for a part that white space touches. Emptied when full."""
+    """Ids of " part", as bytes; None for a part that white space touches.
+
+    When full it starts anew, and what is still asked for comes over from the full one.
+    """
 
     def __init__(self, encode, most: int):
         super().__init__()
         self.encode, self.most = encode, most
+        self.encode_end, self.starts, self.old = encode("\n"), {}, {}
+
+    def bare(self, part: str) -> bytes:
+        """Ids of a part that no space precedes."""
+        out = self.starts.get(part)
+        if out is None:
+            out = self.encode(part)
+            if len(self.starts) >= self.most // 4:
+                self.starts.clear()
+            self.starts[part] = out
+        return out
 
     def __missing__(self, part: str) -> bytes | None:
         if not part or part[0].isspace() or part[-1].isspace():
             return None
-        out = self.encode(" " + part)
+        if "\n" in part:
+            lines = part.split("\n")
+            if all(x and not x[0].isspace() and not x[-1].isspace() for x in lines):
+                # A line end between characters that aren't white space is cut off on both sides.
+                return self.encode_end.join([self[lines[0]], *map(self.bare, lines[1:])])
+        out = self.old.get(part)
+        if out is None:
+            out = self.encode(" " + part)
         if len(part) <= 64:
             if len(self) >= self.most:
+                self.old = dict(self)
                 self.clear()
             self[part] = out
         return out
@@ -52,7 +77,7 @@ class Encoder:
 
     def __init__(self, path: str | None = None, most: int = 300_000):
         self.plain = tokenizer(path or default_vocabulary())
-        self.parts = _Parts(self._direct, most)
+        self.parts = _caches.setdefault((path, most), _Parts(self._direct, most))
         # Special strings cross spaces only if one of them holds a space; then nothing is cut.
         added = self.plain.get_added_tokens_decoder().values()
         self.whole = any(" " in t.content or t.lstrip or t.rstrip for t in added)
