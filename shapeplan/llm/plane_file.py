@@ -38,28 +38,43 @@ _NULL = -(2**63)
 
 
 def planes(ids: np.ndarray, kind: str = "bit") -> list[bytes]:
-    raw = np.ascontiguousarray(ids, "<u4").view(np.uint8).reshape(-1, 4)
-    if kind == "byte":
-        return [np.ascontiguousarray(raw[:, k]).tobytes() for k in range(4)]
-    bits = np.unpackbits(raw, axis=1, bitorder="little")
-    return [np.packbits(bits[:, k], bitorder="little").tobytes() for k in range(32)]
+    """The byte planes of ids, or their bit planes, lowest first; a plane of zeros is empty."""
+    raw, out = np.ascontiguousarray(ids, "<u4").view(np.uint8).reshape(-1, 4), []
+    for k in range(4):
+        column = np.ascontiguousarray(raw[:, k])
+        if not column.any():
+            out.extend([b""] * (1 if kind == "byte" else 8))
+        elif kind == "byte":
+            out.append(column.tobytes())
+        else:
+            bits = np.ascontiguousarray(np.unpackbits(column, bitorder="little").reshape(-1, 8).T)
+            out.extend(p.tobytes() if p.any() else b"" for p in np.packbits(bits, axis=1, bitorder="little"))
+    return out
 
 
 def unplanes(data: list[bytes], n: int, kind: str = "bit") -> np.ndarray:
-    if kind == "byte":
-        raw = np.stack([np.frombuffer(d, np.uint8) if d else np.zeros(n, np.uint8) for d in data], axis=1)
-    else:
-        bits = np.stack([np.unpackbits(np.frombuffer(d, np.uint8), bitorder="little")[:n] if d else np.zeros(n, np.uint8) for d in data], axis=1)
-        raw = np.packbits(bits, axis=1, bitorder="little")
-    return np.ascontiguousarray(raw).view("<u4").reshape(-1)
-
-
-def write_page(ids: np.ndarray, doc_ids: list[int | None], counts: list[int], *, block: int = 16_384, kind: str = "bit", level: int = 3) -> bytes:
+    raw = np.zeros((n, 4), np.uint8)
+    per = len(data) // 4
+    for k in range(4):
+        own = data[k * per : k * per + per]
+        if not any(own):
+            continue
+        if kind == "byte":
+            raw[:, k] = np.frombuffer(own[0], np.uint8)
+        else:
+            size = -(-n // 8)
+            packed = np.stack([np.frombuffer(p, np.uint8) if p else np.zeros(size, np.uint8) for p in own])
+            bits = np.ascontiguousarray(np.unpackbits(packed, axis=1, bitorder="little")[:, :n].T)
+            raw[:, k] = np.packbits(bits, axis=1, bitorder="little")[:, 0]
+    return raw.view("<u4").reshape(-1)
+
+
+def write_page(ids: np.ndarray, doc_ids: list[int | None], counts: list[int], *, block: int = 65_536, kind: str = "bit", level: int = 1) -> bytes:
     z = zstandard.ZstdCompressor(level=level)
     lengths, chunks = [], []
     for at in range(0, len(ids), block):
         for plane in planes(ids[at : at + block], kind):
-            data = z.compress(plane) if any(plane) else b""
+            data = z.compress(plane) if plane else b""
             lengths.append(len(data))
             chunks.append(data)
     docs = z.compress(np.array([[_NULL if d is None else d, n] for d, n in zip(doc_ids, counts)], "<i8").tobytes())

@@ -1,7 +1,7 @@
 """Token ids of whole texts by a public byte-level tokenizer, with a cache of the pieces between spaces.
 
 The pre-tokenizer of the vocabulary always cuts before a single space that stands between two
-characters that aren't white space. So the ids of a text are those of its parts at such spaces, and
+characters that aren't white space, and on both sides of a line end that does. So the ids of a text are those of its parts at such places, and
 parts repeat. Parts next to other white space stay together with it.
 """
 
@@ -33,7 +33,7 @@ def tokenizer(path: str):
 
 
 class _Parts(dict):
-    """Ids of " part", as bytes; None for a part that white space touches.
+    """Ids of " part", or of "\\npart" for one that begins with a line end, as bytes; None for a part that white space touches.
 
     When full it starts anew, and what is still asked for comes over from the full one.
     """
@@ -41,29 +41,16 @@ class _Parts(dict):
     def __init__(self, encode, most: int):
         super().__init__()
         self.encode, self.most = encode, most
-        self.encode_end, self.starts, self.old = encode("\n"), {}, {}
-
-    def bare(self, part: str) -> bytes:
-        """Ids of a part that no space precedes."""
-        out = self.starts.get(part)
-        if out is None:
-            out = self.encode(part)
-            if len(self.starts) >= self.most // 4:
-                self.starts.clear()
-            self.starts[part] = out
-        return out
+        self.line_end, self.old = encode("\n"), {}
 
     def __missing__(self, part: str) -> bytes | None:
-        if not part or part[0].isspace() or part[-1].isspace():
+        line = part[:1] == "\n"
+        body = part[1:] if line else part
+        if not body or body[0].isspace() or body[-1].isspace():
             return None
-        if "\n" in part:
-            lines = part.split("\n")
-            if all(x and not x[0].isspace() and not x[-1].isspace() for x in lines):
-                # A line end between characters that aren't white space is cut off on both sides.
-                return self.encode_end.join([self[lines[0]], *map(self.bare, lines[1:])])
         out = self.old.get(part)
         if out is None:
-            out = self.encode(" " + part)
+            out = self.line_end + self.encode(body) if line else self.encode(" " + part)
         if len(part) <= 64:
             if len(self) >= self.most:
                 self.old = dict(self)
@@ -90,10 +77,14 @@ class Encoder:
             return b""
         if self.whole:
             return self._direct(text)
+        parts = text.replace("\n", " \n").split(" ")
+        if parts[0] and not parts[0][-1].isspace():
+            try:
+                return self._direct(parts[0]) + b"".join(map(self.parts.__getitem__, parts[1:]))
+            except TypeError:  # a part without ids of its own
+                pass
         parts = text.split(" ")
-        ids = list(map(self.parts.__getitem__, parts[1:]))
-        if parts[0] and not parts[0][-1].isspace() and None not in ids:
-            return self._direct(parts[0]) + b"".join(ids)
+        ids = [self.parts[p] if "\n" not in p else None for p in parts[1:]]
         out, start = [], 0
         for k in range(1, len(parts) + 1):
             # A cut before part k needs both neighbours clean.
