@@ -8,9 +8,16 @@ parts repeat. Parts next to other white space stay together with it.
 from __future__ import annotations
 
 import os
+from array import array
 
 import numpy as np
 
+MARKS = ".,;:!?"
+
+#: Byte-level vocabularies write a byte as a character: itself if it shows, else the next free one from 256 on.
+_hidden = [b for b in range(256) if not (33 <= b <= 126 or 161 <= b <= 172 or b >= 174)]
+SHOWN = {b: 256 + i for i, b in enumerate(_hidden)}
+
 _open: dict = {}
 
 #: Caches of a worker, kept from task to task; each is bounded.
@@ -41,7 +48,7 @@ class _Parts(dict):
     def __init__(self, encode, most: int):
         super().__init__()
         self.encode, self.most = encode, most
-        self.line_end, self.old = encode("\n"), {}
+        self.line_end, self.old = encode("\n", ""), {}
 
     def __missing__(self, part: str) -> bytes | None:
         line = part[:1] == "\n"
@@ -50,7 +57,7 @@ class _Parts(dict):
             return None
         out = self.old.get(part)
         if out is None:
-            out = self.line_end + self.encode(body) if line else self.encode(" " + part)
+            out = self.line_end + self.encode(body, "") if line else self.encode(part, " ")
         if len(part) <= 64:
             if len(self) >= self.most:
                 self.old = dict(self)
@@ -64,11 +71,29 @@ class Encoder:
 
     def __init__(self, path: str | None = None, most: int = 300_000):
         self.plain = tokenizer(path or default_vocabulary())
-        self.parts = _caches.setdefault((path, most), _Parts(self._direct, most))
+        self.parts = _caches.setdefault((path, most), _Parts(self._part, most))
         # Special strings cross spaces only if one of them holds a space; then nothing is cut.
         added = self.plain.get_added_tokens_decoder().values()
         self.whole = any(" " in t.content or t.lstrip or t.rstrip for t in added)
 
+        self.model = self.plain.model if self.plain.normalizer is None else None
+        self.marks: dict[str, bytes] = {}
+
+    def _part(self, part: str, before: str) -> bytes:
+        """Ids of ``before`` and a part. Letters alone are one unit of the pre-tokenizer, marks after them the next."""
+        word = part.rstrip(MARKS)
+        if self.model is None or not word.isalpha():
+            return self._direct(before + part)
+        out = array("I", [t.id for t in self.model.tokenize((before + word).encode().decode("latin-1").translate(SHOWN))]).tobytes()
+        if len(word) == len(part):
+            return out
+        tail = part[len(word) :]
+        if tail not in self.marks:
+            if len(self.marks) > 10_000:
+                self.marks.clear()
+            self.marks[tail] = self._direct(tail)
+        return out + self.marks[tail]
+
     def _direct(self, text: str) -> bytes:
         return np.array(self.plain.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
