@@ -69,10 +69,11 @@ class _Parts(dict):
 class Encoder:
     """Text to ids as little-endian unsigned 32-bit integers, as bytes."""
 
-    def __init__(self, path: str | None = None, most: int = 300_000):
+    def __init__(self, path: str | None = None, most: int = 500_000):
         self.plain = tokenizer(path or default_vocabulary())
         self.model = self.plain.model if self.plain.normalizer is None else None
         self.marks: dict[str, bytes] = {}
+        self.parts: dict = {}
         self.parts = _caches.setdefault((path, most), _Parts(self._part, most))
         # Special strings cross spaces only if one of them holds a space; then nothing is cut.
         added = self.plain.get_added_tokens_decoder().values()
@@ -83,7 +84,14 @@ class Encoder:
         word = part.rstrip(MARKS)
         if self.model is None or not word.isalpha():
             return self._direct(before + part)
-        out = array("I", [t.id for t in self.model.tokenize((before + word).encode().decode("latin-1").translate(SHOWN))]).tobytes()
+        # The word without its marks may be known already.
+        out = self.parts.get(word) if before and len(word) < len(part) else None
+        if out is None:
+            if word.isascii():
+                shown = "\u0120" + word if before else word
+            else:
+                shown = (before + word).encode().decode("latin-1").translate(SHOWN)
+            out = array("I", [t.id for t in self.model.tokenize(shown)]).tobytes()
         if len(word) == len(part):
             return out
         tail = part[len(word) :]
