@@ -10,8 +10,6 @@ from __future__ import annotations
 import os
 from array import array
 
-import numpy as np
-
 MARKS = ".,;:!?"
 
 #: Byte-level vocabularies write a byte as a character: itself if it shows, else the next free one from 256 on.
@@ -51,12 +49,12 @@ class _Parts(dict):
         self.line_end, self.old = encode("\n", ""), {}
 
     def __missing__(self, part: str) -> bytes | None:
-        line = part[:1] == "\n"
-        body = part[1:] if line else part
-        if not body or body[0].isspace() or body[-1].isspace():
-            return None
         out = self.old.get(part)
         if out is None:
+            line = part[:1] == "\n"
+            body = part[1:] if line else part
+            if not body or body[0].isspace() or body[-1].isspace():
+                return None
             out = self.line_end + self.encode(body, "") if line else self.encode(part, " ")
         if len(part) <= 64:
             if len(self) >= self.most:
@@ -102,7 +100,7 @@ class Encoder:
         return out + self.marks[tail]
 
     def _direct(self, text: str) -> bytes:
-        return np.array(self.plain.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+        return array("I", self.plain.encode(text, add_special_tokens=False).ids).tobytes()
 
     def encode(self, text: str | None) -> bytes:
         if not text:
