@@ -8,9 +8,10 @@ an absolute discount whose mass goes to the next shorter state, at the root to a
 training tokens. A position is scored from the longest state that is a suffix of its history.
 
 All contexts that end in a word belong to the subtree of that word, so positions are dealt out by
-their last word and never by document: packed into arrays (a dictionary of word hashes and indexes
-into it), compressed, a few bytes a position. A bucket builds its subtrees from its training
-positions and scores all its positions at once. The root needs the count of the position's own word,
+their last word and never by document. A slice of the input packs, for each bucket, its distinct histories
+with their symbols and training counts (a dictionary of word hashes and indexes into it), and apart
+from them its places (document, history), compressed. A bucket builds its subtrees from the distinct
+histories of all slices, scores these, and sums the places slice by slice. The root needs the count of the position's own word,
 which the bucket of that word has: positions that fall through to the root are joined with it. Only
 sums a document leave. Number and size of buckets follow the input.
 
@@ -69,6 +70,22 @@ def _unpack(data: bytes) -> list[np.ndarray]:
     return out
 
 
+def _small(x: np.ndarray) -> np.ndarray:
+    return x.astype(np.uint16 if not len(x) or x.max() < 1 << 16 else np.uint32)
+
+
+def _types(symbols: list[np.ndarray], size: int) -> tuple[np.ndarray, np.ndarray]:
+    """Where each distinct tuple of symbols below ``size`` is first seen, and the number of each place's tuple."""
+    key, span = np.zeros(len(symbols[0]), np.int64), 1
+    for s in symbols:
+        if span > (1 << 62) // max(size, 1):
+            seen, key = np.unique(key, return_inverse=True)
+            span = len(seen)
+        key, span = key * size + s, span * size
+    _, first, kind = np.unique(key, return_index=True, return_inverse=True)
+    return first, kind
+
+
 @W.tidy
 def _deal(batches: Iterator[pa.RecordBatch], depth: int, buckets: int) -> Iterator[pa.RecordBatch]:
     for batch in W.slices(batches, "text", 24 << 20):
@@ -89,21 +106,25 @@ def _deal(batches: Iterator[pa.RecordBatch], depth: int, buckets: int) -> Iterat
         order = np.argsort(where, kind="stable")
         ends = np.concatenate([[0], np.flatnonzero(np.diff(where[order])) + 1, [len(order)]])
         meta = np.array(uids, np.int64), np.array([i or 0 for i in ids], np.int64), np.array([i is None for i in ids], np.int8), np.array([held_out(i) for i in ids], np.int8)
-        rows = []
         for a, b in zip(ends[:-1], ends[1:]):
             pick = order[a:b]
             used, inverse = np.unique(np.concatenate([s[pick] for s in symbols]), return_inverse=True)
+            first, kind = _types(list(inverse.reshape(depth + 1, -1)), len(used))
             docs, own = np.unique(doc[pick], return_inverse=True)
-            small = np.uint16 if max(len(used), len(docs)) < 1 << 16 else np.uint32
-            rows.append((int(where[pick[0]]), _pack(hashes[used], *(m[docs] for m in meta), own.astype(small), *inverse.astype(small).reshape(depth + 1, -1))))
-        yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.binary())], names=["bucket", "data"])
+            learned = np.bincount(kind, weights=meta[3][doc[pick]] == 0, minlength=len(first))
+            types = _pack(hashes[used], learned.astype(np.uint32), *(_small(s[first]) for s in inverse.reshape(depth + 1, -1)))
+            places = _pack(*(m[docs] for m in meta), _small(own), _small(kind))
+            rows = [pa.array([int(where[pick[0]])], pa.int32()), pa.array([types], pa.binary()), pa.array([places], pa.binary())]
+            yield pa.RecordBatch.from_arrays(rows, names=["bucket", "types", "places"])
 
 
-def _counts(keys: np.ndarray, among: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct keys of the training positions, their counts, and for each position its key's index or -1."""
-    u, c = np.unique(keys[among], return_counts=True)
+def _counts(keys: np.ndarray, weight: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct keys among those of some weight, the sums of their weights, and for each key its index or -1."""
+    among = weight > 0
+    u, inverse = np.unique(keys[among], return_inverse=True)
     if not len(u):
-        return u, c, np.full(len(keys), -1)
+        return u, u, np.full(len(keys), -1)
+    c = np.bincount(inverse, weights=weight[among])
     i = np.minimum(np.searchsorted(u, keys), len(u) - 1)
     return u, c, np.where(u[i] == keys, i, -1)
 
@@ -112,21 +133,22 @@ def tree_scores(symbols: list[np.ndarray], train: np.ndarray, least: int, penalt
     """Natural log probability of each position short of the root's part, and whether the root has a part.
 
     ``symbols``: the symbol of each position, then its history from the last one back, as small integers.
+    ``train``: how many training positions each stands for; positions may be given one by one or as distinct ones.
     """
     word, size = symbols[0].astype(np.int64), 1 + max(int(s.max(initial=0)) for s in symbols)
-    n = len(word)
+    n, weight = len(word), train.astype(np.int64)
     logp, to_root = np.zeros(n), np.ones(n, bool)
     context, state = np.zeros(n, np.int64), np.ones(n, bool)
     longer = None
     levels = []
     for back in symbols[1:]:
         # Contexts of this length, numbered densely among those that training positions have.
-        cu, cc, ci = _counts(context * size + back, train & state)
+        cu, cc, ci = _counts(context * size + back, weight * state)
         ok = (ci >= 0) & (cc[np.maximum(ci, 0)] >= least) if len(cu) else np.zeros(n, bool)
         if not ok.any():
             break
         total = np.where(ok, cc[np.maximum(ci, 0)], 1)
-        pu, pc, pi = _counts(np.where(ok, ci, 0) * size + word, train & ok)
+        pu, pc, pi = _counts(np.where(ok, ci, 0) * size + word, weight * ok)
         seen = ok & (pi >= 0)
         count = np.where(seen, pc[np.maximum(pi, 0)] if len(pc) else 0, 0)
         kinds = np.bincount(pu // size, minlength=len(cu))
@@ -134,7 +156,8 @@ def tree_scores(symbols: list[np.ndarray], train: np.ndarray, least: int, penalt
         miss_logp = np.log(np.minimum(DISCOUNT * np.where(ok, kinds[np.maximum(ci, 0)], 1) / total, 1.0))
         if longer is not None:
             # Gain over the suffix: training positions all have a probability there.
-            gain = np.bincount(ci[train & ok], weights=(np.log(np.maximum(count, 1) / total) - longer)[train & ok], minlength=len(cu))
+            known = ok & (weight > 0)
+            gain = np.bincount(ci[known], weights=(weight * (np.log(np.maximum(count, 1) / total) - longer))[known], minlength=len(cu))
             passed = gain > penalty * kinds
             ok &= passed[np.maximum(ci, 0)]
             seen &= ok
@@ -148,45 +171,50 @@ def tree_scores(symbols: list[np.ndarray], train: np.ndarray, least: int, penalt
     return logp, to_root
 
 
+#: What a row of a bucket's result says: sums of a document, a word of a document left to the root, a word's count.
+DOC, FALLEN, COUNT = 0, 1, 2
+
+
+def _rows(kind: int, rows: int, **given: np.ndarray) -> pa.Table:
+    """Rows of one kind; columns not given are zero."""
+    cols = {"kind": np.full(rows, kind, np.int32), "uid": 0, "doc_id": 0, "held_out": False, "word": 0, "n": 0, "known": 0, "base": 0.0, "score": 0.0} | given
+    return pa.table({k: pa.array(np.full(rows, v)) if np.ndim(v) == 0 and not isinstance(v, pa.Array) else pa.array(v) if isinstance(v, np.ndarray) else v for k, v in cols.items()})
+
+
 def _bucket(group: pa.Table, depth: int, least: int, penalty: float) -> pa.Table:
-    packs = [_unpack(x) for x in group.column("data").to_pylist()]
+    """Trees are built of distinct histories and their counts; places are read pack by pack, as each document is in one."""
+    packs = [_unpack(x) for x in group.column("types").to_pylist()]
     hashes, inverse = np.unique(np.concatenate([p[0] for p in packs]), return_inverse=True)
-    uid, doc_id, null_id, held = (np.concatenate([p[k] for p in packs]) for k in (1, 2, 3, 4))
-    shift_w = np.cumsum([0, *(len(p[0]) for p in packs)])
-    shift_d = np.cumsum([0, *(len(p[1]) for p in packs)])
-    doc = np.concatenate([p[5].astype(np.int64) + s for p, s in zip(packs, shift_d)])
-    symbols = [np.concatenate([inverse[p[6 + k].astype(np.int64) + s] for p, s in zip(packs, shift_w)]) for k in range(depth + 1)]
-    del packs
-    train = held[doc] == 0
-    logp, to_root = tree_scores(symbols, train, least, penalty)
+    inverse = inverse.astype(np.int32)
+    shift = np.cumsum([0, *(len(p[0]) for p in packs)])
+    symbols = [np.concatenate([inverse[p[2 + k].astype(np.int64) + s] for p, s in zip(packs, shift)]) for k in range(depth + 1)]
+    learned = np.concatenate([p[1] for p in packs])
+    starts = np.cumsum([0, *(len(p[1]) for p in packs)])
+    del packs, inverse
+    first, kind = _types(symbols, len(hashes))
+    kind = kind.astype(np.int32)
+    symbols = [s[first] for s in symbols]
+    learned = np.bincount(kind, weights=learned, minlength=len(first))
+    logp, to_root = tree_scores(symbols, learned, least, penalty)
     # Every word of a document is once the last word of a history: counts of words, but not of ends.
-    last, is_word = symbols[1], hashes[symbols[1]] != np.uint64(START)
-    count = np.bincount(last[train & is_word], minlength=len(hashes))
-    n = len(uid)
-    own = lambda weights=None: np.bincount(doc, weights=weights, minlength=n)
-    tokens = own()
-    known = own((is_word & (count[last] > 0)).astype(float))
-    base = own(np.where(is_word, np.log10(count[last] + 1.0), 0.0))
-    score = own(logp / np.log(10))
+    word, last = symbols[0], symbols[1]
+    is_word = hashes[last] != np.uint64(START)
+    count = np.bincount(last[is_word], weights=learned[is_word], minlength=len(hashes))
+    known, base, score = is_word & (count[last] > 0), np.where(is_word, np.log10(count[last] + 1.0), 0.0), logp / np.log(10)
+    out = []
+    for at, data in enumerate(group.column("places")):
+        uid, doc_id, null_id, held, doc, own = _unpack(data.as_py())
+        t, n = kind[starts[at] : starts[at + 1]][own], len(uid)
+        ids = pa.array(doc_id, mask=null_id != 0)
+        sums = {k: np.bincount(doc, weights=x[t], minlength=n) for k, x in (("known", known), ("base", base), ("score", score))}
+        sums["known"] = sums["known"].astype(np.int64)
+        out.append(_rows(DOC, n, uid=uid, doc_id=ids, held_out=held != 0, n=np.bincount(doc, minlength=n).astype(np.int64), **sums))
+        left = to_root[t]
+        fall, many = np.unique(doc[left].astype(np.int64) * len(hashes) + word[t[left]], return_counts=True)
+        out.append(_rows(FALLEN, len(fall), uid=uid[fall // len(hashes)], word=hashes[fall % len(hashes)].view(np.int64), n=many.astype(np.int64)))
     here = np.flatnonzero(count)
-    fall, many = np.unique(doc[to_root] * len(hashes) + symbols[0][to_root], return_counts=True)
-    m, v = len(fall), len(here)
-    none = lambda k: np.zeros(k)
-    kind = np.concatenate([np.zeros(n), np.ones(m), np.full(v, 2)]).astype(np.int32)
-    at = fall // max(len(hashes), 1)
-    word = np.concatenate([np.zeros(n, np.uint64), hashes[fall % max(len(hashes), 1)], hashes[here]])
-    cols = {
-        "kind": pa.array(kind),
-        "uid": pa.array(np.concatenate([uid, uid[at], np.zeros(v, np.int64)])),
-        "doc_id": pa.array(np.concatenate([doc_id, np.zeros(m + v, np.int64)]), mask=np.concatenate([null_id != 0, np.ones(m + v, bool)])),
-        "held_out": pa.array(np.concatenate([held != 0, np.zeros(m + v, bool)])),
-        "word": pa.array(word.view(np.int64)),
-        "n": pa.array(np.concatenate([tokens, many, count[here]]).astype(np.int64)),
-        "known": pa.array(np.concatenate([known, none(m + v)]).astype(np.int64)),
-        "base": pa.array(np.concatenate([base, none(m + v)])),
-        "score": pa.array(np.concatenate([score, none(m + v)])),
-    }
-    return pa.table(cols)
+    out.append(_rows(COUNT, len(here), word=hashes[here].view(np.int64), n=count[here].astype(np.int64)))
+    return pa.concat_tables(out)
 
 
 def _scored(group: pa.Table, depth: int, least: int, penalty: float) -> pa.Table:
@@ -208,7 +236,7 @@ def lm_scores(docs: DataFrame, *, depth: int = 2, least: int = 8, penalty: float
     if buckets is None:
         size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
         buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // (12 << 20)))
-    dealt = rows.mapInArrow(partial(_deal, depth=depth, buckets=buckets), "bucket int, data binary")
+    dealt = rows.mapInArrow(partial(_deal, depth=depth, buckets=buckets), "bucket int, types binary, places binary")
     schema = "kind int, uid long, doc_id long, held_out boolean, word long, n long, known long, base double, score double"
     found = written(dealt.groupBy("bucket").applyInArrow(lambda group: _scored(group, depth, least, penalty), schema), "scored")
     end = int(np.uint64(END).astype(np.int64))
