@@ -24,7 +24,7 @@ from __future__ import annotations
 
 import struct
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from functools import partial
 
 import numpy as np
@@ -39,6 +39,9 @@ from shapeplan.runtime import ship, written
 
 DISCOUNT = 0.75
 
+#: Distinct histories scored at a time, and at least one whole subtree.
+CHUNK = 400_000
+
 #: Hashes of the two symbols that are no words.
 START, END = xxhash.xxh3_64_intdigest(b"\x00start"), xxhash.xxh3_64_intdigest(b"\x00end")
 
@@ -109,11 +112,12 @@ def _deal(batches: Iterator[pa.RecordBatch], depth: int, buckets: int) -> Iterat
         for a, b in zip(ends[:-1], ends[1:]):
             pick = order[a:b]
             used, inverse = np.unique(np.concatenate([s[pick] for s in symbols]), return_inverse=True)
-            first, kind = _types(list(inverse.reshape(depth + 1, -1)), len(used))
+            inverse = inverse.reshape(depth + 1, -1)
+            first, kind = _types([*inverse[1:], inverse[0]], len(used))
             docs, own = np.unique(doc[pick], return_inverse=True)
             learned = np.bincount(kind, weights=meta[3][doc[pick]] == 0, minlength=len(first))
-            types = _pack(hashes[used], learned.astype(np.uint32), *(_small(s[first]) for s in inverse.reshape(depth + 1, -1)))
-            places = _pack(*(m[docs] for m in meta), _small(own), _small(kind))
+            types = _pack(hashes[used], learned.astype(np.uint32), *(_small(s[first]) for s in inverse))
+            places = _pack(*(m[docs] for m in meta), _small(own[np.argsort(kind, kind="stable")]), _small(np.bincount(kind)))
             rows = [pa.array([int(where[pick[0]])], pa.int32()), pa.array([types], pa.binary()), pa.array([places], pa.binary())]
             yield pa.RecordBatch.from_arrays(rows, names=["bucket", "types", "places"])
 
@@ -139,35 +143,30 @@ def tree_scores(symbols: list[np.ndarray], train: np.ndarray, least: int, penalt
     n, weight = len(word), train.astype(np.int64)
     logp, to_root = np.zeros(n), np.ones(n, bool)
     context, state = np.zeros(n, np.int64), np.ones(n, bool)
-    longer = None
-    levels = []
-    for back in symbols[1:]:
+    for level, back in enumerate(symbols[1:]):
         # Contexts of this length, numbered densely among those that training positions have.
         cu, cc, ci = _counts(context * size + back, weight * state)
         ok = (ci >= 0) & (cc[np.maximum(ci, 0)] >= least) if len(cu) else np.zeros(n, bool)
         if not ok.any():
             break
-        total = np.where(ok, cc[np.maximum(ci, 0)], 1)
-        pu, pc, pi = _counts(np.where(ok, ci, 0) * size + word, weight * ok)
+        ci = np.where(ok, ci, 0)
+        total = np.where(ok, cc[ci], 1)
+        pu, pc, pi = _counts(ci * size + word, weight * ok)
         seen = ok & (pi >= 0)
         count = np.where(seen, pc[np.maximum(pi, 0)] if len(pc) else 0, 0)
         kinds = np.bincount(pu // size, minlength=len(cu))
-        seen_logp = np.log(np.maximum(count - DISCOUNT, 1e-9) / total)
-        miss_logp = np.log(np.minimum(DISCOUNT * np.where(ok, kinds[np.maximum(ci, 0)], 1) / total, 1.0))
-        if longer is not None:
+        del pi, pu, pc
+        if level:
             # Gain over the suffix: training positions all have a probability there.
             known = ok & (weight > 0)
-            gain = np.bincount(ci[known], weights=(weight * (np.log(np.maximum(count, 1) / total) - longer))[known], minlength=len(cu))
-            passed = gain > penalty * kinds
-            ok &= passed[np.maximum(ci, 0)]
+            gain = np.bincount(ci[known], weights=weight[known] * (np.log(np.maximum(count[known], 1) / total[known]) - logp[known]), minlength=len(cu))
+            ok &= (gain > penalty * kinds)[ci]
             seen &= ok
-        levels.append((ok.copy(), seen, seen_logp, miss_logp))
-        below = longer if longer is not None else np.zeros(n)
-        longer = np.where(seen, seen_logp, np.where(ok, miss_logp + below, below))
+        miss = ok & ~seen
+        logp[seen] = np.log(np.maximum(count[seen] - DISCOUNT, 1e-9) / total[seen])
+        logp[miss] += np.log(np.minimum(DISCOUNT * kinds[ci[miss]] / total[miss], 1.0))
+        to_root[seen] = False
         context, state = np.where(ok, ci, 0), ok
-    for ok, seen, seen_logp, miss_logp in levels:
-        logp = np.where(seen, seen_logp, np.where(ok, miss_logp + logp, logp))
-        to_root = np.where(seen, False, to_root)
     return logp, to_root
 
 
@@ -181,9 +180,10 @@ def _rows(kind: int, rows: int, **given: np.ndarray) -> pa.Table:
     return pa.table({k: pa.array(np.full(rows, v)) if np.ndim(v) == 0 and not isinstance(v, pa.Array) else pa.array(v) if isinstance(v, np.ndarray) else v for k, v in cols.items()})
 
 
-def _bucket(group: pa.Table, depth: int, least: int, penalty: float) -> pa.Table:
+def _bucket(group: pa.Table, depth: int, least: int, penalty: float) -> Iterator[pa.RecordBatch]:
     """Trees are built of distinct histories and their counts; places are read pack by pack, as each document is in one."""
-    packs = [_unpack(x) for x in group.column("types").to_pylist()]
+    packs, places = [_unpack(x.as_py()) for x in group.column("types")], group.column("places")
+    del group
     hashes, inverse = np.unique(np.concatenate([p[0] for p in packs]), return_inverse=True)
     inverse = inverse.astype(np.int32)
     shift = np.cumsum([0, *(len(p[0]) for p in packs)])
@@ -191,36 +191,44 @@ def _bucket(group: pa.Table, depth: int, least: int, penalty: float) -> pa.Table
     learned = np.concatenate([p[1] for p in packs])
     starts = np.cumsum([0, *(len(p[1]) for p in packs)])
     del packs, inverse
-    first, kind = _types(symbols, len(hashes))
+    first, kind = _types([*symbols[1:], symbols[0]], len(hashes))
     kind = kind.astype(np.int32)
     symbols = [s[first] for s in symbols]
     learned = np.bincount(kind, weights=learned, minlength=len(first))
-    logp, to_root = tree_scores(symbols, learned, least, penalty)
+    # Distinct histories come in order of their last word: whole subtrees are scored together, some at a time.
+    ends = np.append(np.flatnonzero(np.diff(symbols[1])) + 1, len(first))
+    logp, to_root, a = np.zeros(len(first)), np.ones(len(first), bool), 0
+    while a < len(first):
+        b = int(ends[min(np.searchsorted(ends, a + CHUNK), len(ends) - 1)])
+        logp[a:b], to_root[a:b] = tree_scores([s[a:b] for s in symbols], learned[a:b], least, penalty)
+        a = b
     # Every word of a document is once the last word of a history: counts of words, but not of ends.
     word, last = symbols[0], symbols[1]
     is_word = hashes[last] != np.uint64(START)
     count = np.bincount(last[is_word], weights=learned[is_word], minlength=len(hashes))
     known, base, score = is_word & (count[last] > 0), np.where(is_word, np.log10(count[last] + 1.0), 0.0), logp / np.log(10)
-    out = []
-    for at, data in enumerate(group.column("places")):
-        uid, doc_id, null_id, held, doc, own = _unpack(data.as_py())
-        t, n = kind[starts[at] : starts[at + 1]][own], len(uid)
+    for at, data in enumerate(places):
+        uid, doc_id, null_id, held, doc, repeats = _unpack(data.as_py())
+        t, n = np.repeat(kind[starts[at] : starts[at + 1]], repeats), len(uid)
         ids = pa.array(doc_id, mask=null_id != 0)
         sums = {k: np.bincount(doc, weights=x[t], minlength=n) for k, x in (("known", known), ("base", base), ("score", score))}
         sums["known"] = sums["known"].astype(np.int64)
-        out.append(_rows(DOC, n, uid=uid, doc_id=ids, held_out=held != 0, n=np.bincount(doc, minlength=n).astype(np.int64), **sums))
+        yield from _rows(DOC, n, uid=uid, doc_id=ids, held_out=held != 0, n=np.bincount(doc, minlength=n).astype(np.int64), **sums).to_batches()
         left = to_root[t]
         fall, many = np.unique(doc[left].astype(np.int64) * len(hashes) + word[t[left]], return_counts=True)
-        out.append(_rows(FALLEN, len(fall), uid=uid[fall // len(hashes)], word=hashes[fall % len(hashes)].view(np.int64), n=many.astype(np.int64)))
+        yield from _rows(FALLEN, len(fall), uid=uid[fall // len(hashes)], word=hashes[fall % len(hashes)].view(np.int64), n=many.astype(np.int64)).to_batches()
     here = np.flatnonzero(count)
-    out.append(_rows(COUNT, len(here), word=hashes[here].view(np.int64), n=count[here].astype(np.int64)))
-    return pa.concat_tables(out)
+    yield from _rows(COUNT, len(here), word=hashes[here].view(np.int64), n=count[here].astype(np.int64)).to_batches()
 
 
-def _scored(group: pa.Table, depth: int, least: int, penalty: float) -> pa.Table:
-    out = _bucket(group, depth, least, penalty)
-    W.release()
-    return out
+def _scorer(depth: int, least: int, penalty: float) -> Callable:
+    def scored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from _bucket(pa.Table.from_batches(batches), depth, least, penalty)
+        finally:
+            W.release()
+
+    return scored
 
 
 def lm_scores(docs: DataFrame, *, depth: int = 2, least: int = 8, penalty: float = 1.5, buckets: int | None = None) -> DataFrame:
@@ -235,10 +243,10 @@ def lm_scores(docs: DataFrame, *, depth: int = 2, least: int = 8, penalty: float
     rows = docs.select("doc_id", "text").withColumn("uid", F.monotonically_increasing_id())
     if buckets is None:
         size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-        buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // (12 << 20)))
+        buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // (6 << 20)))
     dealt = rows.mapInArrow(partial(_deal, depth=depth, buckets=buckets), "bucket int, types binary, places binary")
     schema = "kind int, uid long, doc_id long, held_out boolean, word long, n long, known long, base double, score double"
-    found = written(dealt.groupBy("bucket").applyInArrow(lambda group: _scored(group, depth, least, penalty), schema), "scored")
+    found = written(dealt.groupBy("bucket").applyInArrow(_scorer(depth, least, penalty), schema), "scored")
     end = int(np.uint64(END).astype(np.int64))
     # Ends aren't the last word of any history: one of them per document.
     per_doc = found.where("kind = 0").groupBy("uid").agg(F.first("doc_id").alias("doc_id"), F.first("held_out").alias("held_out"), F.sum("n").alias("n_tokens"), F.sum("known").alias("known"), F.sum("base").alias("base"), F.sum("score").alias("score"))
