@@ -117,7 +117,9 @@ def _deal(batches: Iterator[pa.RecordBatch], depth: int, buckets: int) -> Iterat
             docs, own = np.unique(doc[pick], return_inverse=True)
             learned = np.bincount(kind, weights=meta[3][doc[pick]] == 0, minlength=len(first))
             types = _pack(hashes[used], learned.astype(np.uint32), *(_small(s[first]) for s in inverse))
-            places = _pack(*(m[docs] for m in meta), _small(own[np.argsort(kind, kind="stable")]), _small(np.bincount(kind)))
+            # Each document has one place after the start symbol: its id and fold go there only.
+            names = docs if where[pick[0]] == START % buckets else docs[:0]
+            places = _pack(meta[0][docs], *(m[names] for m in meta[1:]), _small(own[np.argsort(kind, kind="stable")]), _small(np.bincount(kind)))
             rows = [pa.array([int(where[pick[0]])], pa.int32()), pa.array([types], pa.binary()), pa.array([places], pa.binary())]
             yield pa.RecordBatch.from_arrays(rows, names=["bucket", "types", "places"])
 
@@ -210,10 +212,11 @@ def _bucket(group: pa.Table, depth: int, least: int, penalty: float) -> Iterator
     for at, data in enumerate(places):
         uid, doc_id, null_id, held, doc, repeats = _unpack(data.as_py())
         t, n = np.repeat(kind[starts[at] : starts[at + 1]], repeats), len(uid)
-        ids = pa.array(doc_id, mask=null_id != 0)
+        named = len(doc_id) == n
+        ids = pa.array(doc_id if named else np.zeros(n, np.int64), mask=null_id != 0 if named else np.ones(n, bool))
         sums = {k: np.bincount(doc, weights=x[t], minlength=n) for k, x in (("known", known), ("base", base), ("score", score))}
         sums["known"] = sums["known"].astype(np.int64)
-        yield from _rows(DOC, n, uid=uid, doc_id=ids, held_out=held != 0, n=np.bincount(doc, minlength=n).astype(np.int64), **sums).to_batches()
+        yield from _rows(DOC, n, uid=uid, doc_id=ids, held_out=held != 0 if named else np.zeros(n, bool), n=np.bincount(doc, minlength=n).astype(np.int64), **sums).to_batches()
         left = to_root[t]
         fall, many = np.unique(doc[left].astype(np.int64) * len(hashes) + word[t[left]], return_counts=True)
         yield from _rows(FALLEN, len(fall), uid=uid[fall // len(hashes)], word=hashes[fall % len(hashes)].view(np.int64), n=many.astype(np.int64)).to_batches()
@@ -243,13 +246,13 @@ def lm_scores(docs: DataFrame, *, depth: int = 2, least: int = 8, penalty: float
     rows = docs.select("doc_id", "text").withColumn("uid", F.monotonically_increasing_id())
     if buckets is None:
         size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-        buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // (6 << 20)))
+        buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // (9 << 20)))
     dealt = rows.mapInArrow(partial(_deal, depth=depth, buckets=buckets), "bucket int, types binary, places binary")
     schema = "kind int, uid long, doc_id long, held_out boolean, word long, n long, known long, base double, score double"
     found = written(dealt.groupBy("bucket").applyInArrow(_scorer(depth, least, penalty), schema), "scored")
     end = int(np.uint64(END).astype(np.int64))
     # Ends aren't the last word of any history: one of them per document.
-    per_doc = found.where("kind = 0").groupBy("uid").agg(F.first("doc_id").alias("doc_id"), F.first("held_out").alias("held_out"), F.sum("n").alias("n_tokens"), F.sum("known").alias("known"), F.sum("base").alias("base"), F.sum("score").alias("score"))
+    per_doc = found.where("kind = 0").groupBy("uid").agg(F.max("doc_id").alias("doc_id"), F.max("held_out").alias("held_out"), F.sum("n").alias("n_tokens"), F.sum("known").alias("known"), F.sum("base").alias("base"), F.sum("score").alias("score"))
     total = per_doc.agg(F.sum(F.when(~F.col("held_out"), F.col("n_tokens"))).alias("n"), F.count(F.when(~F.col("held_out"), 1)).alias("d")).first()
     train_tokens, ends = total["n"] or 0, total["d"]
     vocabulary = found.where("kind = 2").count() + (ends > 0)

@@ -191,6 +191,15 @@ def brute_tree(symbols, train, least, penalty):
     return out
 
 
+def test_lm_scores_do_not_depend_on_buckets(spark):
+    docs = frame(spark, some_docs(90))
+    one, many = ({r.doc_id: r for r in suffix_tree_lm.lm_scores(docs, buckets=k).collect()} for k in (1, 7))
+    assert one.keys() == many.keys()
+    for i, r in one.items():
+        assert r[:5] == many[i][:5]
+        assert r[5:] == pytest.approx(many[i][5:], rel=1e-9)
+
+
 def test_tree_scores():
     r = np.random.default_rng(4)
     stream = r.integers(0, 5, 900)
