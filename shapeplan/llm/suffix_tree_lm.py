@@ -59,7 +59,8 @@ class _Local(dict):
 
 
 def _pack(*arrays: np.ndarray) -> bytes:
-    raw = b"".join(struct.pack("<cq", a.dtype.char.encode(), len(a)) + a.tobytes() for a in arrays)
+    """Arrays by byte planes (first bytes of all items, second bytes, ...), compressed."""
+    raw = b"".join(struct.pack("<cq", a.dtype.char.encode(), len(a)) + np.ascontiguousarray(a).view(np.uint8).reshape(len(a), a.itemsize).T.tobytes() for a in arrays)
     return zstandard.ZstdCompressor(level=3).compress(raw)
 
 
@@ -67,7 +68,8 @@ def _unpack(data: bytes) -> list[np.ndarray]:
     raw, out, at = zstandard.ZstdDecompressor().decompress(data), [], 0
     while at < len(raw):
         kind, n = struct.unpack_from("<cq", raw, at)
-        a = np.frombuffer(raw, np.dtype(kind.decode()), n, at + 9)
+        t = np.dtype(kind.decode())
+        a = np.ascontiguousarray(np.frombuffer(raw, np.uint8, n * t.itemsize, at + 9).reshape(t.itemsize, n).T).reshape(-1).view(t)
         out.append(a)
         at += 9 + a.nbytes
     return out
