@@ -95,13 +95,14 @@ def split_filter(pairs: DataFrame, nodes: DataFrame, n: int, mode: str, limits:
     return reduce(lambda p, i: filter_edges(p, chunk(i), mode), range(queries), pairs).select("entity").distinct()
 
 
-def slices(rows: DataFrame, cap: int, n: int, strategy: str = "hash", key: str = "entity") -> Iterator[DataFrame]:
+def slices(rows: DataFrame, cap: int, n: int | None = None, strategy: str = "hash", key: str = "entity") -> Iterator[DataFrame]:
     """Parts of at most about ``cap`` rows whose union is the answer.
 
     ``offset`` sorts the whole answer for every slice, as an endpoint would; ``hash`` deals rows out by key and
-    ``range`` by ranges of its values, both without a sort.
+    ``range`` by ranges of its values, both without a sort. Rows are counted where ``n`` isn't given; if they are more
+    than the given ``n``, ``offset`` goes on until nothing is left, and the parts of the others are longer.
     """
-    parts = max(1, -(-n // cap))
+    parts = max(1, -(-(rows.count() if n is None else n) // cap))
     for i in range(parts):
         if strategy == "offset":
             yield rows.orderBy(key).offset(i * cap).limit(cap)
@@ -111,6 +112,9 @@ def slices(rows: DataFrame, cap: int, n: int, strategy: str = "hash", key: str =
             edges = rows.approxQuantile(key, [k / parts for k in range(1, parts)], 0.01)
             lo, hi = (edges[i - 1] if i else None), (edges[i] if i < len(edges) else None)
             yield rows.where((F.lit(True) if lo is None else F.col(key) >= lo) & (F.lit(True) if hi is None else F.col(key) < hi))
+    while strategy == "offset" and n is not None and not (more := rows.orderBy(key).offset(parts * cap).limit(cap)).isEmpty():
+        yield more
+        parts += 1
 
 
 def order_constraints(graph, shape: Shape, parts: list) -> list:

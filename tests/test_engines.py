@@ -12,6 +12,7 @@ from shapeplan.operators.compile import max_query, min_query
 from shapeplan.operators.rewrite import Limits, RewriteConfig, choose_list, filter_edges, slices, split_filter
 from shapeplan.plans.order import PlanConfig
 from shapeplan.sources import TripleSource
+from shapeplan.workload import catalogue
 from shapeplan.workload import reference_sql as ref
 from shapeplan.workload.testbeds import graph_of, testbeds
 from tests.conftest import SMALL
@@ -131,6 +132,20 @@ def test_slices_cover(spark, strategy):
     assert sorted(got) == list(range(100))
 
 
+@pytest.mark.parametrize("n", [None, 30, 60, 100])
+def test_offset_slices_go_on_beyond_the_size_given(spark, n):
+    rows = spark.range(100).withColumnRenamed("id", "entity")
+    parts = [[r[0] for r in p.collect()] for p in slices(rows, 30, n, "offset")]
+    assert [len(p) for p in parts] == [30, 30, 30, 10] and sorted(sum(parts, [])) == list(range(100))
+
+
+@pytest.mark.parametrize("strategy", ["offset", "hash", "range"])
+def test_sliced_queries_return_all_customers(spark, strategy):
+    large = "/root/testdata/sf0.1"
+    ids = [r.entity for r in catalogue.queries()[f"slices_{strategy}"](spark, large).collect()]
+    assert sorted(ids) == sorted(r[0] for r in spark.read.parquet(f"{large}/customer.parquet").select("c_custkey").collect())
+
+
 def test_dief(spark):
     t = spark.createDataFrame([("e", 1.0, 1), ("e", 3.0, 2), ("e", 3.0, 3)], "engine string, t double, answer_no long")
     assert tr.dief_at_t(t, 5.0, ["engine"]).first()["dief"] == 4.0 + 6.0
