@@ -9,8 +9,10 @@ frame gives one 32-bit integer.
 Two recordings are aligned by the histogram of offsets between their equal integers; at the fullest
 offset the share of bits that differ over the overlap is the error.
 
-For a table, recordings that share one of a few integers that a hash picks from each meet in a bucket, in
-which all are compared with the member of least id only; so pairs follow the rows, whatever a bucket holds.
+For a table, recordings with the same integers are one class, which its least id stands for. Classes are
+dealt into groups by a hash, and every two groups meet in a cell, which aligns all pairs that have an equal integer
+and returns the best of each class. No pair is left out, so the work grows with the pairs; no task depends on how
+frequent an integer is, as cells are dealt by class alone.
 
 The media of a row is its column of bytes, read as unsigned 8-bit mono samples. Rows: null or too
 short media have no integers and match nothing; constant media gives the integers of silence. Rows repeating
@@ -19,9 +21,9 @@ an id are fingerprinted one by one and never matched with each other.
 
 from __future__ import annotations
 
+import hashlib
 import zlib
 from collections.abc import Iterator
-from functools import partial
 
 import numpy as np
 import pyarrow as pa
@@ -40,8 +42,11 @@ SPAN = 16
 #: Frames averaged by the smoothing, and the thresholds of the quantiser.
 SMOOTH, CUTS = 5, (-0.12, 0.0, 0.12)
 
-#: Integers of a recording that pick its buckets, and the error up to which it counts as the same.
-PICKS, SAME = 4, 0.35
+#: The error up to which a recording counts as the same.
+SAME = 0.35
+
+#: Least number of groups, integers that a group holds at most on average, and equal integers aligned at once.
+GROUPS, PER_GROUP, AT_ONCE = 8, 1 << 19, 1 << 21
 
 
 def filters() -> list[tuple[int, int, int, int]]:
@@ -128,42 +133,126 @@ def align(a: np.ndarray, b: np.ndarray) -> tuple[int | None, float | None]:
 def _prints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in W.slices(batches, "media", 4 << 20):
         rows = []
-        for uid, doc, media in zip(W.column(batch, "uid"), W.column(batch, "doc_id"), W.texts(batch, "media")):
+        for doc, media in zip(W.column(batch, "doc_id"), W.texts(batch, "media")):
             own = fingerprint(media)
-            distinct = np.unique(own)
-            with np.errstate(over="ignore"):
-                picks = distinct[np.argsort(W.mix(distinct.astype(np.uint64) + np.uint64(77)))[:PICKS]]
-            rows.append((uid, doc, len(media or b""), len(own), zlib.crc32(own.astype("<u4").tobytes()), own.astype("<u4").tobytes(), picks.astype(np.int64).tolist()))
-        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.list_(pa.int64()))
-        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], names=["uid", "doc_id", "n_samples", "n_codes", "codes_crc32", "codes", "picks"])
+            packed = own.astype("<u4").tobytes()
+            node = hashlib.blake2b(packed, digest_size=16).digest() if packed and doc is not None else None
+            rows.append((doc, len(media or b""), len(own), zlib.crc32(packed), packed, node))
+        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.binary())
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], names=["doc_id", "n_samples", "n_codes", "codes_crc32", "codes", "node"])
+
+
+def _fullest(key: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
+    """From ``pair * width + offset`` of all equal integers: each pair and its fullest offset, the least of several."""
+    key, votes = np.unique(key, return_counts=True)
+    pair = key // width
+    starts = np.flatnonzero(np.diff(pair, prepend=-1))
+    most = np.repeat(np.maximum.reduceat(votes, starts), np.diff(starts, append=len(key)))
+    top = np.flatnonzero(votes == most)
+    top = top[np.diff(pair[top], prepend=-1) != 0]
+    return pair[top], key[top] % width
+
+
+def _errors(flat: np.ndarray, a: np.ndarray, b: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """Shares of differing bits of runs of ``n`` integers that start at ``a`` and at ``b``."""
+    out, ends, start = np.zeros(len(n)), np.cumsum(n), 0
+    while start < len(n):
+        floor = ends[start - 1] if start else 0
+        stop = max(start + 1, int(np.searchsorted(ends, floor + AT_ONCE, "right")))
+        size = n[start:stop]
+        begin = np.cumsum(size) - size
+        step = np.arange(int(size.sum())) - np.repeat(begin, size)
+        bits = np.bitwise_count(flat[np.repeat(a[start:stop], size) + step] ^ flat[np.repeat(b[start:stop], size) + step])
+        out[start:stop] = np.add.reduceat(bits.astype(np.int64), begin) / (32 * size)
+        start = stop
+    return out
 
 
-@W.tidy
-def _aligned(batches: Iterator[pa.RecordBatch], same: float) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        out = []
-        for uid, other, a, b in zip(*(W.column(batch, c) for c in ("uid", "other", "theirs", "codes"))):
-            offset, error = align(np.frombuffer(a, "<u4"), np.frombuffer(b, "<u4"))
-            if error is not None and error <= same:
-                out.append((uid, other, offset, error))
-        cols = list(zip(*out)) or [()] * 4
-        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.float64()))], names=["uid", "match_id", "match_offset", "bit_error"])
+def _best(found: list[tuple]) -> tuple:
+    """Of each recording the alignment of least error, then of least id, then of least offset."""
+    own, error, other, offset = (np.concatenate(c) for c in zip(*found))
+    order = np.lexsort((offset, other, error, own))
+    order = order[np.diff(own[order], prepend=-1) != 0]
+    return own[order], error[order], other[order], offset[order]
+
+
+def best_in_cell(ids: np.ndarray, codes: list[np.ndarray], left: np.ndarray, right: np.ndarray, same: float) -> tuple:
+    """Place, error, smaller id and offset of the best alignment of recordings, over all pairs of ``left`` and ``right``."""
+    n = np.array([len(c) for c in codes])
+    first, flat = np.cumsum(n) - n, np.concatenate(codes)
+    rec = np.repeat(np.arange(len(n)), n)
+    pos = np.arange(len(flat)) - first[rec]
+    mine = np.flatnonzero(np.isin(rec, left))
+    mine = mine[np.argsort(flat[mine], kind="stable")]
+    width, found = 2 * int(n.max()) + 1, [(np.zeros(0, int), np.zeros(0), np.zeros(0, int), np.zeros(0, int))]
+    span = lambda at: (np.searchsorted(flat[mine], flat[at], "left"), np.searchsorted(flat[mine], flat[at], "right"))
+    theirs = np.flatnonzero(np.isin(rec, right))
+    lo, hi = span(theirs)
+    starts = np.flatnonzero(np.diff(rec[theirs], prepend=-1))
+    ends = np.cumsum(np.add.reduceat(hi - lo, starts)) if len(starts) else np.zeros(0, int)
+    stops, k = np.append(starts[1:], len(theirs)), 0
+    while k < len(starts):
+        floor = ends[k - 1] if k else 0
+        to = max(k + 1, int(np.searchsorted(ends, floor + AT_ONCE, "right")))
+        at, l, h = (x[starts[k] : stops[to - 1]] for x in (theirs, lo, hi))
+        if ends[to - 1] - floor > AT_ONCE:  # one recording with long repeats: pair by pair
+            b = int(rec[at[0]])
+            near = np.unique(np.concatenate([rec[mine[x:y]] for x, y in {*zip(l.tolist(), h.tolist())}]))
+            for a in near[ids[near] != ids[b]].tolist():
+                small, own = (a, b) if ids[a] < ids[b] else (b, a)
+                offset, error = align(codes[small], codes[own])
+                found.append(tuple(np.array([x]) for x in (own, error, ids[small], offset)))
+        elif ends[to - 1] > floor:
+            size = h - l
+            x = mine[np.repeat(l, size) + np.arange(int(size.sum())) - np.repeat(np.cumsum(size) - size, size)]
+            y = np.repeat(at, size)
+            swap = ids[rec[x]] > ids[rec[y]]
+            x, y = (np.where(swap, v, u)[ids[rec[x]] != ids[rec[y]]] for u, v in ((x, y), (y, x)))
+            if len(x):
+                pair, offset = _fullest((rec[x] * len(n) + rec[y]) * width + pos[x] - pos[y] + width // 2, width)
+                small, own, offset = pair // len(n), pair % len(n), offset - width // 2
+                i, j = np.maximum(offset, 0), np.maximum(-offset, 0)
+                found.append((own, _errors(flat, first[small] + i, first[own] + j, np.minimum(n[small] - i, n[own] - j)), ids[small], offset))
+        keep = found[-1][1] <= same
+        found[-1] = tuple(c[keep] for c in found[-1])
+        found, k = [_best(found)], to
+    own, error, other, offset = found[0]
+    return own[error <= same], error[error <= same], other[error <= same], offset[error <= same]
+
+
+def _cell(group: pa.Table, same: float) -> pa.Table:
+    group = group.combine_chunks()
+    ids, side, low, high = (group.column(c).to_numpy() for c in ("id", "own_group", "low", "high"))
+    codes = [np.frombuffer(c, "<u4") for c in group.column("codes").to_pylist()]
+    left, right = np.flatnonzero(side == low), np.flatnonzero(side == high)
+    own, error, other, offset = best_in_cell(ids, codes, left, right, same)
+    cols = (group.column("node").take(pa.array(own, pa.int64())).combine_chunks(), pa.array(error, pa.float64()), pa.array(other, pa.int64()), pa.array(offset, pa.int64()))
+    return pa.table(list(cols), names=["node", "bit_error", "match_id", "match_offset"])
 
 
 def fingerprints(media: DataFrame) -> DataFrame:
-    """From ``doc_id``, ``media`` (bytes): sizes, checksum, the packed integers and the picks of each row."""
+    """From ``doc_id``, ``media`` (bytes): sizes, checksum, the packed integers and their digest ``node``; null without any or without an id."""
     ship(media.sparkSession)
-    rows = media.select("doc_id", F.col("media").cast("binary").alias("media")).withColumn("uid", F.monotonically_increasing_id())
-    return rows.mapInArrow(_prints, "uid long, doc_id long, n_samples long, n_codes long, codes_crc32 long, codes binary, picks array<long>")
+    rows = media.select("doc_id", F.col("media").cast("binary").alias("media"))
+    return rows.mapInArrow(_prints, "doc_id long, n_samples long, n_codes long, codes_crc32 long, codes binary, node binary")
 
 
 def matched(media: DataFrame, *, same: float = SAME) -> DataFrame:
     """Fingerprint digests with the best-aligned recording of smaller id: ``match_id``, ``match_offset``, ``bit_error`` or nulls."""
     prints = written(fingerprints(media), "prints")
-    member = prints.where("doc_id is not null").select("uid", "doc_id", F.explode("picks").alias("pick"))
-    centre = member.groupBy("pick").agg(F.min("doc_id").alias("other"))
-    pairs = member.join(centre, "pick").where("other < doc_id").select("uid", "other").distinct()
-    theirs = prints.where("doc_id is not null").groupBy("doc_id").agg(F.min_by("codes", "uid").alias("theirs")).withColumnRenamed("doc_id", "other")
-    both = pairs.join(theirs.join(pairs.select("other").distinct(), "other"), "other").join(prints.select("uid", "codes"), "uid")
-    best = both.select("uid", "other", "theirs", "codes").mapInArrow(partial(_aligned, same=same), "uid long, match_id long, match_offset long, bit_error double").groupBy("uid").agg(F.min_by(F.struct("match_id", "match_offset", "bit_error"), F.struct("bit_error", "match_id")).alias("m"))
-    return prints.select("uid", "doc_id", "n_samples", "n_codes", "codes_crc32").join(best, "uid", "left").select("doc_id", "n_samples", "n_codes", "codes_crc32", "m.match_id", "m.match_offset", "m.bit_error")
+    nodes = written(prints.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("id"), F.first("codes").alias("codes")), "nodes")
+    total = nodes.agg(F.sum(F.octet_length("codes") / 4)).first()[0] or 0
+    groups = max(GROUPS, -(-int(total) // PER_GROUP))
+    dealt = nodes.withColumn("own_group", F.pmod(F.xxhash64("node"), F.lit(groups))).withColumn("g", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(groups - 1).cast("long"))))
+    cells = dealt.select("node", "id", "codes", "own_group", F.least("own_group", "g").alias("low"), F.greatest("own_group", "g").alias("high"))
+    cells = cells.repartition(min(groups * (groups + 1) // 2, 10_000), "low", "high").groupBy("low", "high")
+    found = cells.applyInArrow(lambda group: _cell(group, same), "node binary, bit_error double, match_id long, match_offset long")
+    best = found.groupBy("node").agg(F.min(F.struct("bit_error", "match_id", "match_offset")).alias("m"))
+    # Copies of a class's least id match that id without error, unless one below it does so too.
+    of = nodes.select("node", "id").join(best, "node", "left")
+    copy = (F.col("doc_id") > F.col("id")) & ~F.coalesce(F.col("m.bit_error") == 0, F.lit(False))
+    itself = F.struct(F.lit(0.0).alias("bit_error"), F.col("id").alias("match_id"), F.lit(0).cast("long").alias("match_offset"))
+    of = prints.where("node is not null").join(of, "node").withColumn("m", F.when(copy, itself).otherwise(F.col("m")))
+    rest = prints.where("node is null").withColumn("m", F.lit(None).cast(of.schema["m"].dataType))  # apart, as a join would send them all to one task
+    cols = ["doc_id", "n_samples", "n_codes", "codes_crc32", "m.match_id", "m.match_offset", "m.bit_error"]
+    return of.select(*cols).unionByName(rest.select(*cols))

@@ -338,3 +338,35 @@ def test_chroma(spark):
     assert got[2].match_id == 1 and got[2].match_offset == 100 and got[2].bit_error < 0.05
     assert got[3].n_codes == 0 and got[3].match_id is None and got[5].match_id is None
     assert len(chroma.filters()) == 16
+
+
+def best_of_all_pairs(rows):
+    """By brute force: id and codes of each row to its best match of smaller id."""
+    out = {}
+    for own, b in rows:
+        found = [(e, other, o) for other, a in rows if other < own for o, e in [chroma.align(a, b)] if e is not None and e <= chroma.SAME]
+        out[own] = min(found, default=(None, None, None))
+    return out
+
+
+def test_chroma_finds_the_best_of_all_pairs(spark):
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet").select("doc_id", F.col("text").cast("binary").alias("media"))
+    got = {r.doc_id: (r.bit_error, r.match_id, r.match_offset) for r in chroma.matched(docs).collect()}
+    assert got == best_of_all_pairs([(r.doc_id, chroma.fingerprint(r.media)) for r in docs.collect()])
+
+
+@pytest.mark.parametrize("at_once", [1 << 21, 50, 1])
+def test_chroma_cells_equal_align(monkeypatch, at_once):
+    monkeypatch.setattr(chroma, "AT_ONCE", at_once)
+    rng = np.random.default_rng(3)
+    codes = [rng.integers(0, 6, int(k)).astype("<u4") for k in rng.integers(1, 40, 60)] + [np.full(60, 3, "<u4"), np.full(50, 3, "<u4")]
+    ids = rng.permutation(len(codes))
+    want = best_of_all_pairs([*zip(ids.tolist(), codes)])
+    half = len(codes) // 2
+    found = []
+    for left, right in ((range(half), range(half)), (range(half), range(half, len(codes))), (range(half, len(codes)), range(half, len(codes)))):
+        found += zip(*(c.tolist() for c in chroma.best_in_cell(ids, codes, np.array(left), np.array(right), chroma.SAME)))
+    got = {int(i): (None, None, None) for i in ids}
+    for k in {f[0] for f in found}:
+        got[int(ids[k])] = min((e, other, o) for own, e, other, o in found if own == k)
+    assert got == want
