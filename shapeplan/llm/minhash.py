@@ -96,7 +96,7 @@ def keys(sh: np.ndarray, sig: np.ndarray, rows: int, small: int, num: int, den:
 
 
 @W.tidy
-def _describe(batches: Iterator[pa.RecordBatch], n: int, bins: int, **how) -> Iterator[pa.RecordBatch]:
+def _describe(batches: Iterator[pa.RecordBatch], n: int, bins: int, key: tuple[str, ...], **how) -> Iterator[pa.RecordBatch]:
     for batch in W.slices(batches, "text"):
         ids, node, size, buckets = W.column(batch, "doc_id"), [], [], []
         for text in W.texts(batch, "text"):
@@ -108,8 +108,8 @@ def _describe(batches: Iterator[pa.RecordBatch], n: int, bins: int, **how) -> It
         flat = np.concatenate(buckets) if buckets else np.zeros(0, np.int64)
         ends = np.cumsum([0, *map(len, buckets)]).astype(np.int32)
         yield pa.RecordBatch.from_arrays(
-            [pa.array(ids, pa.int64()), pa.array(node, pa.binary()), pa.array(size, pa.int64()), pa.ListArray.from_arrays(ends, pa.array(flat, pa.int64()))],
-            names=["doc_id", "node", "n_shingles", "buckets"],
+            [pa.array(ids, pa.int64()), pa.array(node, pa.binary()), pa.array(size, pa.int64()), pa.ListArray.from_arrays(ends, pa.array(flat, pa.int64())), *(batch.column(k) for k in key)],
+            names=["doc_id", "node", "n_shingles", "buckets", *key],
         )
 
 
@@ -124,11 +124,12 @@ def _sets(batches: Iterator[pa.RecordBatch], n: int) -> Iterator[pa.RecordBatch]
         yield pa.RecordBatch.from_arrays([pa.array([node[i] for i in keep], pa.binary()), pa.ListArray.from_arrays(ends, pa.array(W.signed(flat), pa.int64()))], names=["node", "sh"])
 
 
-def describe(docs: DataFrame, *, n: int = 5, bins: int = 128, rows: int = 4, small: int = 80, num: int = 4, den: int = 5) -> DataFrame:
-    """Per document: ``node`` (a digest of its shingle set), ``n_shingles`` and its ``buckets``."""
+def describe(docs: DataFrame, *, n: int = 5, bins: int = 128, rows: int = 4, small: int = 80, num: int = 4, den: int = 5, key: tuple[str, ...] = ()) -> DataFrame:
+    """Per document: ``node`` (a digest of its shingle set), ``n_shingles`` and its ``buckets``; ``key``: long columns to carry along."""
     ship(docs.sparkSession)
     how = dict(bins=bins, rows=rows, small=small, num=num, den=den)
-    return docs.select("doc_id", "text").mapInArrow(partial(_describe, n=n, **how), "doc_id long, node binary, n_shingles long, buckets array<long>")
+    kinds = "".join(f", {k} long" for k in key)
+    return docs.select("doc_id", "text", *key).mapInArrow(partial(_describe, n=n, key=key, **how), f"doc_id long, node binary, n_shingles long, buckets array<long>{kinds}")
 
 
 def _similar(x: str, y: str, num: int, den: int):
@@ -171,14 +172,14 @@ def _links(group: pa.Table, num: int, den: int) -> pa.Table:
     return pa.table([pa.array([x[k] for x in found], pa.binary()) for k in (0, 1)], names=["a", "b"])
 
 
-def near_duplicates(docs: DataFrame, *, n: int = 5, num: int = 4, den: int = 5, bins: int = 128, rows: int = 4, small: int = 80) -> DataFrame:
-    """Per document: ``doc_id``, ``n_shingles``, ``component_id`` and ``kept``.
+def near_duplicates(docs: DataFrame, *, n: int = 5, num: int = 4, den: int = 5, bins: int = 128, rows: int = 4, small: int = 80, key: tuple[str, ...] = ()) -> DataFrame:
+    """Per document: ``doc_id``, ``n_shingles``, ``component_id``, ``kept`` and the long columns of ``key``.
 
     Documents are linked when their sets of ``n``-word shingles have a Jaccard similarity of
     ``num / den`` or more; ``component_id`` is the least id that links reach. With the defaults a
     linked pair just at 0.8 is missed by every band with a probability below 1e-7.
     """
-    described = written(describe(docs, n=n, bins=bins, rows=rows, small=small, num=num, den=den), "described")
+    described = written(describe(docs, n=n, bins=bins, rows=rows, small=small, num=num, den=den, key=key), "described")
     nodes = written(described.where("n_shingles > 0 and doc_id is not null").groupBy("node").agg(F.min("doc_id").alias("min_doc"), F.first("n_shingles").alias("n"), F.first("buckets").alias("buckets")), "nodes")
     member = nodes.select("node", "n", F.explode("buckets").alias("bucket"))
     shared = member.groupBy("bucket").agg(F.count(F.lit(1)).alias("m"), F.min("node").alias("centre"), F.min_by("n", "node").alias("nc")).where("m > 1")
@@ -214,9 +215,9 @@ def near_duplicates(docs: DataFrame, *, n: int = 5, num: int = 4, den: int = 5,
     named = nodes.select("node", "min_doc").join(label, "node", "left").withColumn("label", F.coalesce("label", "node"))
     least = named.groupBy("label").agg(F.min("min_doc").alias("component_id"))
     of = named.join(least, "label").select("node", "component_id")
-    out = described.select("doc_id", "n_shingles", F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.col("node")).alias("node")).join(of, "node", "left")
+    out = described.select("doc_id", "n_shingles", *key, F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.col("node")).alias("node")).join(of, "node", "left")
     comp = F.coalesce("component_id", "doc_id")
-    return out.select("doc_id", "n_shingles", comp.alias("component_id"), F.col("doc_id").eqNullSafe(comp).alias("kept"))
+    return out.select("doc_id", "n_shingles", comp.alias("component_id"), F.col("doc_id").eqNullSafe(comp).alias("kept"), *key)
 
 
 def _joined(label: DataFrame, links: DataFrame) -> DataFrame:

@@ -58,9 +58,9 @@ def targets(sizes: DataFrame, *, weights: tuple[int, ...] = (3, 1, 2), share: fl
     return by.withColumn("water", water).select("source", "source_size", F.when(F.col("water").isNull(), F.col("cap")).otherwise(F.least("cap", F.col("water") * F.col("w"))).alias("target"))
 
 
-def mix(docs: DataFrame, **how) -> DataFrame:
-    """Per document: ``doc_id``, ``source``, ``size``, ``source_size``, ``target``, ``copies``, ``taken``."""
-    base = written(docs.select("doc_id", "source", size_of().alias("size")), "sizes")  # texts are read once
+def mix(docs: DataFrame, *, key: tuple[str, ...] = (), **how) -> DataFrame:
+    """Per document: ``doc_id``, ``source``, ``size``, ``source_size``, ``target``, ``copies``, ``taken`` and the columns of ``key``."""
+    base = written(docs.select("doc_id", "source", size_of().alias("size"), *key), "sizes")  # texts are read once
     sized = base.withColumn("u", random_number(F.col("doc_id")))
     goal = targets(base.groupBy("source").agg(F.sum("size").alias("source_size")), **how)
     due = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
@@ -69,7 +69,7 @@ def mix(docs: DataFrame, **how) -> DataFrame:
     goal = goal.withColumn("gid", F.row_number().over(Window.orderBy(F.col("source").asc_nulls_last())))
     odds = (F.col("u") / (1 - F.col("u"))) / (F.col("p") / (1 - F.col("p")))
     rank = F.when(F.col("p") > 0, odds / (1 + odds)).otherwise(F.lit(1.0))
-    ranked = sized.join(F.broadcast(goal), sized["source"].eqNullSafe(goal["source"])).select("doc_id", sized["source"], "size", "u", "source_size", "target", "whole", "need", "gid", rank.alias("rank"))
+    ranked = sized.join(F.broadcast(goal), sized["source"].eqNullSafe(goal["source"])).select("doc_id", sized["source"], "size", "u", "source_size", "target", "whole", "need", "gid", rank.alias("rank"), *key)
     fine = lambda c, width: F.least(F.floor(c / F.lit(width)), F.lit(RANGES - 1))
     ranked = ranked.withColumn("r1", fine(F.col("rank"), 1.0 / RANGES))
     ranked = ranked.withColumn("r2", fine(F.col("rank") - F.col("r1") / F.lit(float(RANGES)), 1.0 / RANGES / RANGES))
@@ -88,9 +88,9 @@ def mix(docs: DataFrame, **how) -> DataFrame:
     inside = (F.col("r1") == F.col("er1")) & (F.col("r2") == F.col("er2"))
     ahead = F.col("er1").isNull() | (F.col("r1") < F.col("er1")) | ((F.col("r1") == F.col("er1")) & (F.col("r2") < F.col("er2")))
     last = Window.partitionBy("gid").orderBy("rank", "u", "doc_id", "size").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    cols = ["doc_id", "source", "size", "source_size", "target"]
+    cols = ["doc_id", "source", "size", "source_size", "target", *key]
     # "upto - size / 2 <= need" takes the document that crosses the need if that brings the sum nearer.
     edge_rows = marked.where(inside).withColumn("upto", F.col("dr2") + F.sum("size").over(last)).select(*cols, (F.col("whole") + ((F.col("need") > 0) & (F.col("upto") - F.col("size") / 2 <= F.col("need"))).cast("long")).alias("copies"))
     others = marked.where(~F.coalesce(inside, F.lit(False))).select(*cols, (F.col("whole") + (ahead & (F.col("need") > 0)).cast("long")).alias("copies"))
     out = edge_rows.unionByName(others)
-    return out.select("doc_id", "source", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"))
+    return out.select("doc_id", "source", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"), *key)

@@ -6,6 +6,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from shapeplan.llm import language, minhash, mixing, packing, substring_dedup
+from shapeplan.runtime import written
+
+#: The column that tells rows apart within a stage, as ids may be null or repeat.
+ROW = "_row"
+
+
+def _keyed(docs: DataFrame) -> DataFrame:
+    return written(docs.withColumn(ROW, F.monotonically_increasing_id()), "keyed")
 
 
 def keep_identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -16,9 +24,14 @@ def keep_identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies (five words, 0.8), the one of least id."""
-    gone = minhash.near_duplicates(docs).where("not kept").select("doc_id").distinct()
-    kept = docs.join(gone, "doc_id", "left_anti")
+    """One document of each group of near copies (five words, 0.8), the one of least id.
+
+    Rows that share an id go or stay each by its own text. Rows without an id are near copies of nothing and stay.
+    Of rows equal in id and text, null ids too, one stays.
+    """
+    keyed = _keyed(docs)
+    gone = minhash.near_duplicates(keyed, key=(ROW,)).where("not kept").select(ROW)
+    kept = keyed.join(gone, ROW, "left_anti").select(*docs.columns)
     return kept.dropDuplicates(["doc_id", "text"])
 
 
@@ -33,9 +46,10 @@ def drop_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents as often as the mix takes them."""
-    taken = mixing.mix(docs).where("copies > 0").select("doc_id", "copies").dropDuplicates(["doc_id"])
-    return docs.join(taken, "doc_id").withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))).select(*docs.columns)
+    """Rows as often as the mix takes each, also those that share an id or have none."""
+    keyed = _keyed(docs)
+    taken = mixing.mix(keyed, key=(ROW,)).where("copies > 0").select(ROW, "copies")
+    return keyed.join(taken, ROW).withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))).select(*docs.columns)
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
