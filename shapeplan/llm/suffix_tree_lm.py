@@ -1,31 +1,34 @@
 """Language-model scoring with a probabilistic suffix tree over words.
 
 A document is its lower-cased words and one end symbol. The tree holds contexts of up to ``depth``
-words. A one-word context is a state if it was seen ``least`` times; a longer one must also pass a
+words. A context is a state if it was seen ``least`` times, its suffix is a state, and it passes a
 divergence test: what its next-symbol distribution gains over that of its suffix, in nats over all
-its occurrences, must exceed ``penalty`` for each distinct next symbol. Distributions are smoothed by
-an absolute discount whose mass goes to the next shorter state, at the root to add-one counts of all
-training tokens. A position is scored from the longest state that is a suffix of its history.
-
-All contexts that end in a word belong to the subtree of that word, so positions are dealt out by
-their last word and never by document. A slice of the input packs, for each bucket, its distinct histories
-with their symbols and training counts (a dictionary of word hashes and indexes into it), and apart
-from them its places (document, history), compressed. A bucket builds its subtrees from the distinct
-histories of all slices, scores these, and sums the places slice by slice. The root needs the count of the position's own word,
-which the bucket of that word has: positions that fall through to the root are joined with it. Only
-sums a document leave. Number and size of buckets follow the input.
-
-Rows: a null text counts as empty (one end symbol). Rows repeating a ``doc_id`` are scored one by
-one. A null id counts as the empty string in the fold rule. Other columns are ignored; an empty table
-gives an empty result.
+its occurrences, must exceed ``penalty`` for each distinct next symbol; one-word contexts are tested against
+the root. Distributions are smoothed by an absolute discount whose mass is spread as the next shorter
+state says, at the root by add-one counts of all training tokens with one place for all unknown words, so
+every distribution sums to one. A position is scored from the longest state that is a suffix of its history.
+
+Texts are read once, into slices: word hashes and indexes into them, written as a table. Words are counted first, and
+each slice gets the counts of its words. Then a slice deals its distinct histories, with counts, to buckets by
+their last word, as all contexts that end in a word belong to its subtree. A bucket builds its subtrees from the histories of
+all slices and sends back one probability for each history that a slice sent. So what is shuffled follows the
+distinct histories of slices, and never the number of documents times that of buckets. Number of buckets and
+of slices follow the input.
+
+A word that is the last one of more than ``hot`` histories has buckets of its own, by the word before (after the start
+symbol, which has nothing before it, by the next word). The pair counts that these buckets share are summed in a
+pass before, so each tests and smooths with the counts of all.
+
+Rows: a null text counts as empty (one end symbol), a very long one is a slice by itself. Rows repeating a
+``doc_id`` are scored one by one. A null id counts as the empty string in the fold rule. Other columns are ignored,
+whatever their names; an empty table gives an empty result. A score has no ties.
 """
 
 from __future__ import annotations
 
 import struct
 import zlib
-from collections.abc import Callable, Iterator
-from functools import partial
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -42,8 +45,15 @@ DISCOUNT = 0.75
 #: Distinct histories scored at a time, and at least one whole subtree.
 CHUNK = 400_000
 
-#: Hashes of the two symbols that are no words.
+#: Bytes of text in a slice, and bytes of all texts for each bucket.
+SLICE, BUCKET = 24 << 20, 9 << 20
+
+#: Hashes of the two symbols that are no words, and their places in a slice's dictionary.
 START, END = xxhash.xxh3_64_intdigest(b"\x00start"), xxhash.xxh3_64_intdigest(b"\x00end")
+AT_START, AT_END = 0, 1
+
+#: What a row of a slice holds, instead of a bucket's number.
+SELF, COUNTS = -1, -2
 
 
 def held_out(doc_id: int | None, folds: int = 7, fold: int = 2) -> bool:
@@ -76,7 +86,8 @@ def _unpack(data: bytes) -> list[np.ndarray]:
 
 
 def _small(x: np.ndarray) -> np.ndarray:
-    return x.astype(np.uint16 if not len(x) or x.max() < 1 << 16 else np.uint32)
+    top = int(x.max(initial=0))
+    return x.astype(np.uint16 if top < 1 << 16 else np.uint32 if top < 1 << 32 else np.uint64)
 
 
 def _types(symbols: list[np.ndarray], size: int) -> tuple[np.ndarray, np.ndarray]:
@@ -91,39 +102,140 @@ def _types(symbols: list[np.ndarray], size: int) -> tuple[np.ndarray, np.ndarray
     return first, kind
 
 
+def _rows(names: str, *columns) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([c if isinstance(c, pa.Array) else pa.array(c) for c in columns], names=names.split())
+
+
 @W.tidy
-def _deal(batches: Iterator[pa.RecordBatch], depth: int, buckets: int) -> Iterator[pa.RecordBatch]:
-    for batch in W.slices(batches, "text", 24 << 20):
-        ids, uids, local, parts = W.column(batch, "doc_id"), W.column(batch, "uid"), _Local(), []
+def _slices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Texts as one stream of dictionary places, an end after each, with the documents' rows, ids and folds."""
+    for batch in W.slices(batches, "text", SLICE):
+        ids, local, parts = W.column(batch, "doc_id"), _Local(), []
         for text in W.texts(batch, "text"):
             words = W.split(text, lower=True)
-            parts.append(np.fromiter(map(local.__getitem__, words), np.int32, len(words)))
+            parts.append(np.append(np.fromiter(map(local.__getitem__, words), np.int32, len(words)), np.int32(AT_END)))
         hashes = np.fromiter([START, END, *map(xxhash.xxh3_64_intdigest, local)], np.uint64, len(local) + 2)
-        lengths = np.array([len(p) for p in parts], np.int64)
-        # One stream: before each document ``depth`` start symbols, after it one end symbol.
-        pad = np.zeros(depth, np.int32)
-        stream = np.concatenate([x for p in parts for x in (pad, p, [1])]).astype(np.int32)
-        doc = np.repeat(np.arange(len(parts), dtype=np.int32), lengths + 1 + depth)
-        at = np.flatnonzero(np.concatenate([np.arange(n + 1 + depth) >= depth for n in lengths]))
-        doc = doc[at]
-        symbols = [stream[at - k] for k in range(depth + 1)]  # the symbol itself, then its history
-        where = (hashes % np.uint64(buckets)).astype(np.int32)[symbols[1]]
-        order = np.argsort(where, kind="stable")
-        ends = np.concatenate([[0], np.flatnonzero(np.diff(where[order])) + 1, [len(order)]])
-        meta = np.array(uids, np.int64), np.array([i or 0 for i in ids], np.int64), np.array([i is None for i in ids], np.int8), np.array([held_out(i) for i in ids], np.int8)
-        for a, b in zip(ends[:-1], ends[1:]):
-            pick = order[a:b]
-            used, inverse = np.unique(np.concatenate([s[pick] for s in symbols]), return_inverse=True)
-            inverse = inverse.reshape(depth + 1, -1)
-            first, kind = _types([*inverse[1:], inverse[0]], len(used))
-            docs, own = np.unique(doc[pick], return_inverse=True)
-            learned = np.bincount(kind, weights=meta[3][doc[pick]] == 0, minlength=len(first))
-            types = _pack(hashes[used], learned.astype(np.uint32), *(_small(s[first]) for s in inverse))
-            # Each document has one place after the start symbol: its id and fold go there only.
-            names = docs if where[pick[0]] == START % buckets else docs[:0]
-            places = _pack(meta[0][docs], *(m[names] for m in meta[1:]), _small(own[np.argsort(kind, kind="stable")]), _small(np.bincount(kind)))
-            rows = [pa.array([int(where[pick[0]])], pa.int32()), pa.array([types], pa.binary()), pa.array([places], pa.binary())]
-            yield pa.RecordBatch.from_arrays(rows, names=["bucket", "types", "places"])
+        meta = np.array([i or 0 for i in ids], np.int64), np.array([i is None for i in ids], np.int8), np.array([held_out(i) for i in ids], np.int8)
+        data = _pack(hashes, _small(np.concatenate(parts)), _small(np.array([len(p) for p in parts])), *meta)
+        yield _rows("slice bucket data", np.array([W.column(batch, "uid")[0]], np.int64), np.array([SELF], np.int64), pa.array([data], pa.binary()))
+
+
+class _Slice:
+    """A slice and, once they are known, the counts of its words: in training and in all documents."""
+
+    def __init__(self, data: bytes):
+        self.hashes, stream, lengths, self.ids, self.no_id, self.held = _unpack(data)
+        self.stream, self.lengths = stream.astype(np.int32), lengths.astype(np.int64)
+        self.doc = np.repeat(np.arange(len(self.lengths), dtype=np.int32), self.lengths)
+        self.train = self.held[self.doc] == 0
+        self.learned = self.every = np.zeros(0)
+
+    def words(self) -> tuple[np.ndarray, np.ndarray]:
+        """How often each dictionary entry is a token; the start counts once a document, like the end."""
+        n = len(self.hashes)
+        learned, every = (np.bincount(s, minlength=n) for s in (self.stream[self.train], self.stream))
+        learned[AT_START], every[AT_START] = learned[AT_END], every[AT_END]
+        return learned, every
+
+    def symbols(self, depth: int) -> list[np.ndarray]:
+        """The symbol of each position, then its history from the last word back, the start before each document."""
+        place = np.arange(len(self.stream)) - np.repeat(np.cumsum(self.lengths) - self.lengths, self.lengths)
+        out = [self.stream]
+        for k in range(1, depth + 1):
+            out.append(np.where(place >= k, np.concatenate([np.zeros(min(k, len(self.stream)), np.int32), self.stream[:-k]]), np.int32(AT_START)))
+        return out
+
+    def packs(self, depth: int, buckets: int, hot: int, only_hot: bool = False) -> Iterator[tuple[int, list[np.ndarray], np.ndarray, np.ndarray, np.ndarray]]:
+        """By bucket: its positions' symbols, these positions, the first position of each distinct history, and the history of each position."""
+        symbols = self.symbols(depth)
+        last, before = symbols[1], symbols[2] if depth > 1 else symbols[0]
+        parts = -(-self.every // hot)
+        where = (self.hashes % np.uint64(buckets)).astype(np.int64)[last]
+        at = np.flatnonzero(parts[last] > 1)
+        if len(at):
+            by = self.hashes[np.where(last[at] == AT_START, symbols[0][at], before[at])]
+            own = W.mix(self.hashes[last[at]] + W.mix(by) % parts[last[at]].astype(np.uint64)) >> np.uint64(2)
+            where[at] = own.astype(np.int64) + buckets
+        if only_hot:
+            order = at[np.argsort(where[at], kind="stable")]
+        else:
+            order = np.argsort(where, kind="stable")
+        ends = np.flatnonzero(np.diff(where[order])) + 1 if len(order) else np.zeros(0, np.int64)
+        for pick in np.split(order, ends) if len(order) else ():
+            own = [s[pick] for s in symbols]
+            first, kind = _types([*own[1:], own[0]], len(self.hashes))
+            yield int(where[pick[0]]), own, pick, first, kind
+
+
+@W.tidy
+def _words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for name, data in zip(W.column(batch, "slice"), W.column(batch, "data")):
+            own = _Slice(data)
+            learned, every = own.words()
+            yield _rows("slice at word learned every", np.full(len(every), name), np.arange(len(every), dtype=np.int32), W.signed(own.hashes), learned.astype(np.int64), every.astype(np.int64))
+
+
+def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The counts of a slice's words, in order of its dictionary."""
+    group = pa.Table.from_batches(batches)
+    order = np.argsort(group["at"].to_numpy())
+    data = _pack(*(_small(group[c].to_numpy()[order]) for c in ("learned", "every")))
+    yield _rows("slice bucket data", group["slice"].to_numpy()[:1], np.array([COUNTS], np.int64), pa.array([data], pa.binary()))
+
+
+def _whole(group: pa.Table) -> _Slice:
+    rows = dict(zip(group["bucket"].to_pylist(), group["data"]))
+    own = _Slice(rows[SELF].as_py())
+    own.learned, own.every = (x.astype(np.int64) for x in _unpack(rows[COUNTS].as_py()))
+    return own
+
+
+def _deal(batches: Iterator[pa.RecordBatch], depth: int, buckets: int, hot: int, only_hot: bool) -> Iterator[pa.RecordBatch]:
+    group = pa.Table.from_batches(batches)
+    own, name = _whole(group), group["slice"].to_numpy()[:1]
+    del group
+    for bucket, symbols, pick, first, kind in own.packs(depth, buckets, hot, only_hot):
+        used, inverse = np.unique(np.concatenate([s[first] for s in symbols]), return_inverse=True)
+        learned = np.bincount(kind, weights=own.train[pick], minlength=len(first)).astype(np.int64)
+        data = _pack(own.hashes[used], _small(own.learned[used]), _small(learned), *map(_small, inverse.reshape(depth + 1, -1)))
+        yield _rows("slice bucket data", name, np.array([bucket], np.int64), pa.array([data], pa.binary()))
+
+
+class _Bucket:
+    """The distinct histories of all slices' packs, in order of their last word: symbols, training counts, counts of the symbols."""
+
+    def __init__(self, packs: list[list[np.ndarray]], depth: int):
+        self.hashes, at, inverse = np.unique(np.concatenate([p[0] for p in packs]), return_index=True, return_inverse=True)
+        self.count = np.concatenate([p[1].astype(np.int64) for p in packs])[at]
+        inverse = inverse.astype(np.int32)
+        shift = np.cumsum([0, *(len(p[0]) for p in packs)])
+        symbols = [np.concatenate([inverse[p[3 + k].astype(np.int64) + s] for p, s in zip(packs, shift)]) for k in range(depth + 1)]
+        learned = np.concatenate([p[2] for p in packs])
+        first, kind = _types([*symbols[1:], symbols[0]], len(self.hashes))
+        self.kind = kind.astype(np.int32)
+        self.symbols = [s[first] for s in symbols]
+        self.learned = np.bincount(kind, weights=learned, minlength=len(first)).astype(np.int64)
+        self.starts = np.cumsum([0, *(len(p[2]) for p in packs)])
+
+
+def _hot_pairs(batches: Iterator[pa.RecordBatch], depth: int) -> Iterator[pa.RecordBatch]:
+    """Pairs of a hot word's bucket: the last word, the symbol after it, their count there and the symbol's own."""
+    group = pa.Table.from_batches(batches)
+    own = _Bucket([_unpack(x.as_py()) for x in group["data"]], depth)
+    words, inverse = np.unique(own.symbols[0], return_inverse=True)
+    n = np.bincount(inverse, weights=own.learned).astype(np.int64)
+    fill = lambda x: np.full(len(words), x, np.int64)
+    last = own.hashes[own.symbols[1][0]].astype(np.uint64).view(np.int64)
+    yield _rows("bucket last word n c", fill(group["bucket"][0].as_py()), fill(last), own.hashes[words].view(np.int64), n, own.count[words])
+
+
+def _hot_packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Counts of all of a hot word's pairs that a bucket has, and the word's figures: occurrences, distinct next symbols, gain."""
+    group = pa.Table.from_batches(batches)
+    pairs, head = group.filter(pa.compute.is_valid(group["word"])), group.filter(pa.compute.is_null(group["word"]))
+    data = _pack(np.array(head["figures"][0].as_py(), float), pairs["word"].to_numpy().view(np.uint64), pairs["n"].to_numpy())
+    yield _rows("slice bucket data", pa.array([None], pa.int64()), group["bucket"].to_numpy()[:1], pa.array([data], pa.binary()))
 
 
 def _counts(keys: np.ndarray, weight: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -137,132 +249,132 @@ def _counts(keys: np.ndarray, weight: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return u, c, np.where(u[i] == keys, i, -1)
 
 
-def tree_scores(symbols: list[np.ndarray], train: np.ndarray, least: int, penalty: float) -> tuple[np.ndarray, np.ndarray]:
-    """Natural log probability of each position short of the root's part, and whether the root has a part.
+def tree_probabilities(symbols: list[np.ndarray], learned: np.ndarray, root: np.ndarray, least: int, penalty: float, start: int = -1, shared: tuple | None = None) -> np.ndarray:
+    """Probability of each position by the tree that the positions make.
 
     ``symbols``: the symbol of each position, then its history from the last one back, as small integers.
-    ``train``: how many training positions each stands for; positions may be given one by one or as distinct ones.
+    ``learned``: how many training positions each stands for; positions may be given one by one or as distinct ones.
+    ``root``: each symbol's probability without a context. ``start``: the number of the start symbol, before which is nothing.
+    ``shared``: where all have one last word, of which other buckets have a part: by symbol its count after that word, then
+    the word's occurrences, distinct next symbols and gain.
     """
     word, size = symbols[0].astype(np.int64), 1 + max(int(s.max(initial=0)) for s in symbols)
-    n, weight = len(word), train.astype(np.int64)
-    logp, to_root = np.zeros(n), np.ones(n, bool)
+    p, n, weight = root[word].astype(float), len(word), learned.astype(np.int64)
     context, state = np.zeros(n, np.int64), np.ones(n, bool)
     for level, back in enumerate(symbols[1:]):
-        # Contexts of this length, numbered densely among those that training positions have.
-        cu, cc, ci = _counts(context * size + back, weight * state)
-        ok = (ci >= 0) & (cc[np.maximum(ci, 0)] >= least) if len(cu) else np.zeros(n, bool)
+        if level == 0 and shared is not None:
+            after, total, kinds, gain = shared
+            if total < least or gain <= penalty * kinds:
+                break
+            p = np.maximum(after[word] - DISCOUNT, 0) / total + DISCOUNT * kinds / total * p
+            continue
+        if level:
+            state = state & (symbols[level] != start)
+        _, cc, ci = _counts(context * size + back, weight * state)
+        ok = state & (ci >= 0) & (cc[np.maximum(ci, 0)] >= least) if len(cc) else np.zeros(n, bool)
         if not ok.any():
             break
         ci = np.where(ok, ci, 0)
         total = np.where(ok, cc[ci], 1)
         pu, pc, pi = _counts(ci * size + word, weight * ok)
-        seen = ok & (pi >= 0)
-        count = np.where(seen, pc[np.maximum(pi, 0)] if len(pc) else 0, 0)
-        kinds = np.bincount(pu // size, minlength=len(cu))
+        count = np.where(ok & (pi >= 0), pc[np.maximum(pi, 0)], 0)
+        kinds = np.bincount(pu // size, minlength=len(cc))[ci]
         del pi, pu, pc
-        if level:
-            # Gain over the suffix: training positions all have a probability there.
-            known = ok & (weight > 0)
-            gain = np.bincount(ci[known], weights=weight[known] * (np.log(np.maximum(count[known], 1) / total[known]) - logp[known]), minlength=len(cu))
-            ok &= (gain > penalty * kinds)[ci]
-            seen &= ok
-        miss = ok & ~seen
-        logp[seen] = np.log(np.maximum(count[seen] - DISCOUNT, 1e-9) / total[seen])
-        logp[miss] += np.log(np.minimum(DISCOUNT * kinds[ci[miss]] / total[miss], 1.0))
-        to_root[seen] = False
+        # Gain over the suffix: training positions all have a probability there.
+        known = ok & (weight > 0)
+        gain = np.bincount(ci[known], weights=weight[known] * (np.log(count[known] / total[known]) - np.log(p[known])), minlength=len(cc))
+        ok &= gain[ci] > penalty * kinds
+        p = np.where(ok, np.maximum(count - DISCOUNT, 0) / total + DISCOUNT * kinds / total * p, p)
         context, state = np.where(ok, ci, 0), ok
-    return logp, to_root
+    return p
 
 
-#: What a row of a bucket's result says: sums of a document, a word of a document left to the root, a word's count.
-DOC, FALLEN, COUNT = 0, 1, 2
+def _score(batches: Iterator[pa.RecordBatch], depth: int, least: int, penalty: float, norm: float) -> Iterator[pa.RecordBatch]:
+    """For each pack the log10 probabilities of its histories."""
+    group = pa.Table.from_batches(batches)
+    bucket, names = group["bucket"][0].as_py(), group["slice"].to_pylist()
+    data = [_unpack(x.as_py()) for x in group["data"]]
+    del group
+    shared = next((d for d, s in zip(data, names) if s is None), None)
+    data, names = [d for d, s in zip(data, names) if s is not None], [s for s in names if s is not None]
+    own = _Bucket(data, depth)
+    del data
+    root, start = (own.count + 1.0) / norm, np.flatnonzero(own.hashes == np.uint64(START))
+    start = int(start[0]) if len(start) else -1
+    if shared is not None:
+        (total, kinds, gain), words, n = shared
+        after = np.zeros(len(own.hashes))
+        after[np.searchsorted(own.hashes, words)] = n
+        shared = after, total, kinds, gain
+    last = own.symbols[1]
+    ends, p, a = np.append(np.flatnonzero(np.diff(last)) + 1, len(last)), np.ones(len(last)), 0
+    while a < len(last):
+        # Whole subtrees are scored together, some at a time.
+        b = int(ends[min(np.searchsorted(ends, a + CHUNK), len(ends) - 1)])
+        p[a:b] = tree_probabilities([s[a:b] for s in own.symbols], own.learned[a:b], root, least, penalty, start, shared)
+        a = b
+    logs = np.log10(p).astype(np.float32)
+    for k, name in enumerate(names):
+        out = _pack(logs[own.kind[own.starts[k] : own.starts[k + 1]]])
+        yield _rows("slice bucket data", np.array([name], np.int64), np.array([bucket], np.int64), pa.array([out], pa.binary()))
 
 
-def _rows(kind: int, rows: int, **given: np.ndarray) -> pa.Table:
-    """Rows of one kind; columns not given are zero."""
-    cols = {"kind": np.full(rows, kind, np.int32), "uid": 0, "doc_id": 0, "held_out": False, "word": 0, "n": 0, "known": 0, "base": 0.0, "score": 0.0} | given
-    return pa.table({k: pa.array(np.full(rows, v)) if np.ndim(v) == 0 and not isinstance(v, pa.Array) else pa.array(v) if isinstance(v, np.ndarray) else v for k, v in cols.items()})
+def _sum(batches: Iterator[pa.RecordBatch], depth: int, buckets: int, hot: int, norm: float, tokens: int) -> Iterator[pa.RecordBatch]:
+    """The documents of a slice, from what the buckets sent back."""
+    group = pa.Table.from_batches(batches)
+    own, found = _whole(group), dict(zip(group["bucket"].to_pylist(), group["data"]))
+    del group
+    score, base, n = np.zeros(len(own.lengths)), np.log10((own.learned + 1.0) / norm), len(own.lengths)
+    for bucket, _, pick, _, kind in own.packs(depth, buckets, hot):
+        logs = _unpack(found.pop(bucket).as_py())[0].astype(float)
+        score += np.bincount(own.doc[pick], weights=logs[kind], minlength=n)
+    sums = lambda x: np.bincount(own.doc, weights=x[own.stream], minlength=n)
+    yield _rows(
+        "doc_id held_out n_tokens n_known train_tokens base_score score",
+        pa.array(own.ids, mask=own.no_id != 0), own.held != 0, own.lengths, sums(own.learned > 0).astype(np.int64), np.full(n, tokens, np.int64), sums(base), score,
+    )
 
 
-def _bucket(group: pa.Table, depth: int, least: int, penalty: float) -> Iterator[pa.RecordBatch]:
-    """Trees are built of distinct histories and their counts; places are read pack by pack, as each document is in one."""
-    packs, places = [_unpack(x.as_py()) for x in group.column("types")], group.column("places")
-    del group
-    hashes, inverse = np.unique(np.concatenate([p[0] for p in packs]), return_inverse=True)
-    inverse = inverse.astype(np.int32)
-    shift = np.cumsum([0, *(len(p[0]) for p in packs)])
-    symbols = [np.concatenate([inverse[p[2 + k].astype(np.int64) + s] for p, s in zip(packs, shift)]) for k in range(depth + 1)]
-    learned = np.concatenate([p[1] for p in packs])
-    starts = np.cumsum([0, *(len(p[1]) for p in packs)])
-    del packs, inverse
-    first, kind = _types([*symbols[1:], symbols[0]], len(hashes))
-    kind = kind.astype(np.int32)
-    symbols = [s[first] for s in symbols]
-    learned = np.bincount(kind, weights=learned, minlength=len(first))
-    # Distinct histories come in order of their last word: whole subtrees are scored together, some at a time.
-    ends = np.append(np.flatnonzero(np.diff(symbols[1])) + 1, len(first))
-    logp, to_root, a = np.zeros(len(first)), np.ones(len(first), bool), 0
-    while a < len(first):
-        b = int(ends[min(np.searchsorted(ends, a + CHUNK), len(ends) - 1)])
-        logp[a:b], to_root[a:b] = tree_scores([s[a:b] for s in symbols], learned[a:b], least, penalty)
-        a = b
-    # Every word of a document is once the last word of a history: counts of words, but not of ends.
-    word, last = symbols[0], symbols[1]
-    is_word = hashes[last] != np.uint64(START)
-    count = np.bincount(last[is_word], weights=learned[is_word], minlength=len(hashes))
-    known, base, score = is_word & (count[last] > 0), np.where(is_word, np.log10(count[last] + 1.0), 0.0), logp / np.log(10)
-    for at, data in enumerate(places):
-        uid, doc_id, null_id, held, doc, repeats = _unpack(data.as_py())
-        t, n = np.repeat(kind[starts[at] : starts[at + 1]], repeats), len(uid)
-        named = len(doc_id) == n
-        ids = pa.array(doc_id if named else np.zeros(n, np.int64), mask=null_id != 0 if named else np.ones(n, bool))
-        sums = {k: np.bincount(doc, weights=x[t], minlength=n) for k, x in (("known", known), ("base", base), ("score", score))}
-        sums["known"] = sums["known"].astype(np.int64)
-        yield from _rows(DOC, n, uid=uid, doc_id=ids, held_out=held != 0 if named else np.zeros(n, bool), n=np.bincount(doc, minlength=n).astype(np.int64), **sums).to_batches()
-        left = to_root[t]
-        fall, many = np.unique(doc[left].astype(np.int64) * len(hashes) + word[t[left]], return_counts=True)
-        yield from _rows(FALLEN, len(fall), uid=uid[fall // len(hashes)], word=hashes[fall % len(hashes)].view(np.int64), n=many.astype(np.int64)).to_batches()
-    here = np.flatnonzero(count)
-    yield from _rows(COUNT, len(here), word=hashes[here].view(np.int64), n=count[here].astype(np.int64)).to_batches()
-
-
-def _scorer(depth: int, least: int, penalty: float) -> Callable:
-    def scored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        try:
-            yield from _bucket(pa.Table.from_batches(batches), depth, least, penalty)
-        finally:
-            W.release()
-
-    return scored
-
-
-def lm_scores(docs: DataFrame, *, depth: int = 2, least: int = 8, penalty: float = 1.5, buckets: int | None = None) -> DataFrame:
+def _hot_shares(dealt: DataFrame, depth: int, norm: float) -> DataFrame:
+    """What the buckets of hot words have to know of each other's pairs, a row a bucket."""
+    pairs = written(dealt.groupBy("bucket").applyInArrow(W.grouped(_hot_pairs, depth=depth), "bucket long, last long, word long, n long, c long"), "pairs")
+    all_of = written(pairs.groupBy("last", "word").agg(F.sum("n").alias("n"), F.max("c").alias("c")), "pair_counts")
+    seen = all_of.where("n > 0")
+    per = seen.groupBy("last").agg(F.sum("n").cast("double").alias("total"), F.count(F.lit(1)).cast("double").alias("kinds"), F.sum(F.col("n") * (F.ln("n") - F.ln((F.col("c") + 1.0) / F.lit(norm)))).alias("cross"))
+    figures = per.select("last", F.array("total", "kinds", F.col("cross") - F.col("total") * F.ln("total")).alias("figures"))
+    heads = pairs.select("bucket", "last").distinct().join(figures, "last", "left")
+    none = F.array(*[F.lit(0.0)] * 3)
+    heads = heads.select("bucket", F.lit(None).cast("long").alias("word"), F.lit(0).cast("long").alias("n"), F.coalesce("figures", none).alias("figures"))
+    rows = pairs.select("bucket", "last", "word").join(all_of.select("last", "word", "n"), ["last", "word"]).select("bucket", "word", "n", F.lit(None).cast("array<double>").alias("figures"))
+    return rows.unionByName(heads).groupBy("bucket").applyInArrow(W.grouped(_hot_packed), "slice long, bucket long, data binary")
+
+
+def lm_scores(docs: DataFrame, *, depth: int = 2, least: int = 8, penalty: float = 1.5, buckets: int | None = None, hot: int = 2_000_000) -> DataFrame:
     """Per document: ``doc_id``, ``held_out``, ``n_tokens``, ``n_known``, ``train_tokens``, ``base_score``, ``score``.
 
     ``base_score`` is the add-one unigram score, ``score`` that of the tree; both are log10
     probabilities of the whole text with its end symbol. Documents of the held-out fold are scored but
-    not learned from.
+    not learned from. Histories travel back as single-precision logarithms and are summed in double precision.
     """
     spark = docs.sparkSession
     ship(spark)
-    rows = docs.select("doc_id", "text").withColumn("uid", F.monotonically_increasing_id())
+    form, out = "slice long, bucket long, data binary", "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
     if buckets is None:
         size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-        buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // (9 << 20)))
-    dealt = rows.mapInArrow(partial(_deal, depth=depth, buckets=buckets), "bucket int, types binary, places binary")
-    schema = "kind int, uid long, doc_id long, held_out boolean, word long, n long, known long, base double, score double"
-    found = written(dealt.groupBy("bucket").applyInArrow(_scorer(depth, least, penalty), schema), "scored")
-    end = int(np.uint64(END).astype(np.int64))
-    # Ends aren't the last word of any history: one of them per document.
-    per_doc = found.where("kind = 0").groupBy("uid").agg(F.max("doc_id").alias("doc_id"), F.max("held_out").alias("held_out"), F.sum("n").alias("n_tokens"), F.sum("known").alias("known"), F.sum("base").alias("base"), F.sum("score").alias("score"))
-    total = per_doc.agg(F.sum(F.when(~F.col("held_out"), F.col("n_tokens"))).alias("n"), F.count(F.when(~F.col("held_out"), 1)).alias("d")).first()
-    train_tokens, ends = total["n"] or 0, total["d"]
-    vocabulary = found.where("kind = 2").count() + (ends > 0)
-    norm = float(np.log10(train_tokens + vocabulary + 1))
-    words = found.where("kind = 2").select("word", F.col("n").alias("c"))
-    root = F.log10(F.when(F.col("word") == end, F.lit(ends)).otherwise(F.coalesce("c", F.lit(0))) + F.lit(1.0)) - F.lit(norm)
-    fallen = found.where("kind = 1").select("uid", "word", "n").join(words, "word", "left").groupBy("uid").agg(F.sum(F.col("n") * root).alias("rest"))
-    return per_doc.join(fallen, "uid", "left").select(
-        "doc_id", "held_out", "n_tokens", (F.col("known") + F.lit(int(ends > 0))).alias("n_known"), F.lit(train_tokens).cast("long").alias("train_tokens"),
-        (F.col("base") + F.lit(float(np.log10(ends + 1.0))) - F.col("n_tokens") * F.lit(norm)).alias("base_score"), (F.col("score") + F.coalesce("rest", F.lit(0.0))).alias("score"),
-    )
+        buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // BUCKET))
+    rows = docs.select("doc_id", "text").withColumn("uid", F.monotonically_increasing_id())
+    slices = written(rows.mapInArrow(_slices, form), "slices")
+    seen = slices.mapInArrow(_words, "slice long, at int, word long, learned long, every long")
+    words = written(seen.groupBy("word").agg(F.sum("learned").alias("learned"), F.sum("every").alias("every")), "words")
+    start = int(np.uint64(START).astype(np.int64))
+    total = words.where(F.col("word") != start).agg(F.sum("learned").alias("n"), F.count_if(F.col("learned") > 0).alias("v")).first()
+    tokens = int(total["n"] or 0)
+    norm = float(tokens + total["v"] + 1)
+    counts = written(seen.select("slice", "at", "word").join(words, "word").groupBy("slice").applyInArrow(W.grouped(_counted), form), "counts")
+    whole = slices.unionByName(counts)
+    deal = lambda only: whole.groupBy("slice").applyInArrow(W.grouped(_deal, depth=depth, buckets=buckets, hot=hot, only_hot=only), form)
+    dealt = deal(False)
+    if not words.where(F.col("every") > hot).isEmpty():
+        dealt = dealt.unionByName(written(_hot_shares(deal(True), depth, norm), "shares"))
+    scored = dealt.groupBy("bucket").applyInArrow(W.grouped(_score, depth=depth, least=least, penalty=penalty, norm=norm), form)
+    return whole.unionByName(scored).groupBy("slice").applyInArrow(W.grouped(_sum, depth=depth, buckets=buckets, hot=hot, norm=norm, tokens=tokens), out)

@@ -76,6 +76,18 @@ def tidy(work: Callable) -> Callable:
     return run
 
 
+def grouped(work: Callable, **how) -> Callable:
+    """``work`` with further arguments as a function of a group's batches; memory is released after each group."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from work(batches, **how)
+        finally:
+            release()
+
+    return run
+
+
 def split(text: bytes | None, lower: bool = False) -> list[bytes]:
     """The words of a text; null counts as empty. ``bytes`` methods touch ASCII only, as wanted."""
     if not text:

@@ -160,56 +160,6 @@ def test_lm_base_and_held_out(spark):
     assert sum(r.score for r in held) > sum(r.base_score for r in held)
 
 
-def brute_tree(symbols, train, least, penalty):
-    """The same tree with dictionaries, one position at a time."""
-    depth = len(symbols) - 1
-    hist = [tuple(int(symbols[k][i]) for k in range(1, depth + 1)) for i in range(len(train))]
-    word = [int(x) for x in symbols[0]]
-    table = {}
-    for h, w, t in zip(hist, word, train):
-        for d in range(1, depth + 1) if t else ():
-            table.setdefault(h[:d], Counter())[w] += 1
-
-    def prob(s, w):
-        c = table[s]
-        n = sum(c.values())
-        if c[w]:
-            return math.log((c[w] - suffix_tree_lm.DISCOUNT) / n), False
-        low, root = prob(s[:-1], w) if len(s) > 1 else (0.0, True)
-        return math.log(min(1.0, suffix_tree_lm.DISCOUNT * len(c) / n)) + low, root
-
-    states = {s for s, c in table.items() if len(s) == 1 and sum(c.values()) >= least}
-    for d in range(2, depth + 1):
-        for s, c in table.items():
-            n = sum(c.values())
-            if len(s) == d and n >= least and s[:-1] in states and sum(k * (math.log(k / n) - prob(s[:-1], w)[0]) for w, k in c.items()) > penalty * len(c):
-                states.add(s)
-    out = []
-    for h, w in zip(hist, word):
-        s = next((h[:d] for d in range(depth, 0, -1) if all(h[:e] in states for e in range(1, d + 1))), ())
-        out.append(prob(s, w) if s else (0.0, True))
-    return out
-
-
-def test_lm_scores_do_not_depend_on_buckets(spark):
-    docs = frame(spark, some_docs(90))
-    one, many = ({r.doc_id: r for r in suffix_tree_lm.lm_scores(docs, buckets=k).collect()} for k in (1, 7))
-    assert one.keys() == many.keys()
-    for i, r in one.items():
-        assert r[:5] == many[i][:5]
-        assert r[5:] == pytest.approx(many[i][5:], rel=1e-9)
-
-
-def test_tree_scores():
-    r = np.random.default_rng(4)
-    stream = r.integers(0, 5, 900)
-    stream[2:] = np.where(r.random(898) < 0.6, (stream[:-2] + 1) % 5, stream[2:])
-    symbols, train = [stream[2:], stream[1:-1], stream[:-2]], r.random(898) < 0.7
-    logp, root = suffix_tree_lm.tree_scores(symbols, train, 8, 1.5)
-    expected = brute_tree(symbols, train, 8, 1.5)
-    assert np.allclose(logp, [x for x, _ in expected]) and root.tolist() == [x for _, x in expected]
-
-
 TEXTS = ["", " ", "a\nb c", "a  b\n\nc", "it's\nthe 'll", "É été, für!! straße?: ok", "日本語 テスト。 x", "\n", "a \nb", "x" * 3000, "<|endoftext|> a", "a\x1cb c\x1d", "tail. "]
 
 
