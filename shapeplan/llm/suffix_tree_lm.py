@@ -8,8 +8,8 @@ the root. Distributions are smoothed by an absolute discount whose mass is sprea
 state says, at the root by add-one counts of all training tokens with one place for all unknown words, so
 every distribution sums to one. A position is scored from the longest state that is a suffix of its history.
 
-Texts are read once, into slices: word hashes and indexes into them, written as a table. Words are counted first, and
-each slice gets the counts of its words. Then a slice deals its distinct histories, with counts, to buckets by
+Texts are read once, into slices: word hashes and indexes into them, written as a table. Words are counted and numbered first, and
+each slice gets the counts and numbers of its words, ascending in order of their hashes so that they pack well. Then a slice deals its distinct histories, with counts, to buckets by
 their last word, as all contexts that end in a word belong to its subtree. A bucket builds its subtrees from the histories of
 all slices and sends back one probability for each history that a slice sent. So what is shuffled follows the
 distinct histories of slices, and never the number of documents times that of buckets. Number of buckets and
@@ -29,6 +29,7 @@ from __future__ import annotations
 import struct
 import zlib
 from collections.abc import Iterator
+from functools import partial
 
 import numpy as np
 import pyarrow as pa
@@ -52,7 +53,7 @@ SLICE, BUCKET = 24 << 20, 9 << 20
 START, END = xxhash.xxh3_64_intdigest(b"\x00start"), xxhash.xxh3_64_intdigest(b"\x00end")
 AT_START, AT_END = 0, 1
 
-#: What a row of a slice holds, instead of a bucket's number.
+#: The bucket of a row that holds a slice itself; rows with its words' counts come below, by the bucket that counted them.
 SELF, COUNTS = -1, -2
 
 
@@ -121,14 +122,21 @@ def _slices(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 class _Slice:
-    """A slice and, once they are known, the counts of its words: in training and in all documents."""
+    """A slice and, once they are known, its words' numbers and counts: in training and in all documents."""
 
     def __init__(self, data: bytes):
         self.hashes, stream, lengths, self.ids, self.no_id, self.held = _unpack(data)
         self.stream, self.lengths = stream.astype(np.int32), lengths.astype(np.int64)
         self.doc = np.repeat(np.arange(len(self.lengths), dtype=np.int32), self.lengths)
         self.train = self.held[self.doc] == 0
-        self.learned = self.every = np.zeros(0)
+        self.number = self.learned = self.every = np.zeros(0, np.int64)
+
+    def by_hash(self, buckets: int) -> Iterator[tuple[int, np.ndarray]]:
+        """Dictionary places by the bucket that counts them, in order of hashes."""
+        where = (self.hashes % np.uint64(buckets)).astype(np.int64)
+        order = np.lexsort((self.hashes, where))
+        for own in np.split(order, np.flatnonzero(np.diff(where[order])) + 1):
+            yield int(where[own[0]]), own
 
     def words(self) -> tuple[np.ndarray, np.ndarray]:
         """How often each dictionary entry is a token; the start counts once a document, like the end."""
@@ -137,6 +145,12 @@ class _Slice:
         learned[AT_START], every[AT_START] = learned[AT_END], every[AT_END]
         return learned, every
 
+    def take(self, rows: dict[int, bytes], buckets: int) -> None:
+        self.number, self.learned, self.every = (np.zeros(len(self.hashes), np.int64) for _ in range(3))
+        for bucket, own in self.by_hash(buckets):
+            steps, self.learned[own], self.every[own] = _unpack(rows[COUNTS - bucket])
+            self.number[own] = (bucket << 32) + np.cumsum(steps.astype(np.int64))
+
     def symbols(self, depth: int) -> list[np.ndarray]:
         """The symbol of each position, then its history from the last word back, the start before each document."""
         place = np.arange(len(self.stream)) - np.repeat(np.cumsum(self.lengths) - self.lengths, self.lengths)
@@ -168,37 +182,51 @@ class _Slice:
 
 
 @W.tidy
-def _words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _words(batches: Iterator[pa.RecordBatch], buckets: int) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for name, data in zip(W.column(batch, "slice"), W.column(batch, "data")):
             own = _Slice(data)
             learned, every = own.words()
-            yield _rows("slice at word learned every", np.full(len(every), name), np.arange(len(every), dtype=np.int32), W.signed(own.hashes), learned.astype(np.int64), every.astype(np.int64))
+            for bucket, at in own.by_hash(buckets):
+                out = _pack(own.hashes[at], _small(learned[at]), _small(every[at]))
+                yield _rows("slice bucket data", np.array([name], np.int64), np.array([bucket], np.int64), pa.array([out], pa.binary()))
 
 
-def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """The counts of a slice's words, in order of its dictionary."""
+def _number(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Numbers and counts for each slice's words of a bucket, and the bucket's sums: tokens, words, largest count."""
     group = pa.Table.from_batches(batches)
-    order = np.argsort(group["at"].to_numpy())
-    data = _pack(*(_small(group[c].to_numpy()[order]) for c in ("learned", "every")))
-    yield _rows("slice bucket data", group["slice"].to_numpy()[:1], np.array([COUNTS], np.int64), pa.array([data], pa.binary()))
-
-
-def _whole(group: pa.Table) -> _Slice:
-    rows = dict(zip(group["bucket"].to_pylist(), group["data"]))
-    own = _Slice(rows[SELF].as_py())
-    own.learned, own.every = (x.astype(np.int64) for x in _unpack(rows[COUNTS].as_py()))
+    bucket, packs = group["bucket"][0].as_py(), [_unpack(x.as_py()) for x in group["data"]]
+    hashes, inverse = np.unique(np.concatenate([p[0] for p in packs]), return_inverse=True)
+    learned, every = (np.bincount(inverse, weights=np.concatenate([p[k] for p in packs])).astype(np.int64) for k in (1, 2))
+    token = hashes != np.uint64(START)
+    sums = [int(learned[token].sum()), int((learned[token] > 0).sum()), int(every.max())]
+    ends = np.cumsum([len(p[0]) for p in packs])
+    for name, own in zip(group["slice"].to_pylist(), np.split(inverse, ends[:-1])):
+        data = _pack(_small(np.diff(own, prepend=0)), _small(learned[own]), _small(every[own]))
+        yield _rows("slice bucket data tokens words most", *(np.array([x], np.int64) for x in (name, COUNTS - bucket)), pa.array([data], pa.binary()), *(np.array([x], np.int64) for x in sums))
+        sums[:2] = 0, 0
+
+
+def _whole(group: pa.Table, buckets: int) -> _Slice:
+    rows = {k: x.as_py() for k, x in zip(group["bucket"].to_pylist(), group["data"]) if k <= SELF}
+    own = _Slice(rows[SELF])
+    own.take(rows, buckets)
     return own
 
 
 def _deal(batches: Iterator[pa.RecordBatch], depth: int, buckets: int, hot: int, only_hot: bool) -> Iterator[pa.RecordBatch]:
     group = pa.Table.from_batches(batches)
-    own, name = _whole(group), group["slice"].to_numpy()[:1]
+    own, name = _whole(group, buckets), group["slice"].to_numpy()[:1]
     del group
     for bucket, symbols, pick, first, kind in own.packs(depth, buckets, hot, only_hot):
         used, inverse = np.unique(np.concatenate([s[first] for s in symbols]), return_inverse=True)
+        order = np.argsort(own.number[used])
+        place = np.argsort(order)[inverse].reshape(depth + 1, -1)
+        used = used[order]
+        # Histories in order of their last word's number, then of the words before it.
+        again = np.lexsort((place[0], *place[:0:-1]))
         learned = np.bincount(kind, weights=own.train[pick], minlength=len(first)).astype(np.int64)
-        data = _pack(own.hashes[used], _small(own.learned[used]), _small(learned), *map(_small, inverse.reshape(depth + 1, -1)))
+        data = _pack(_small(np.diff(own.number[used], prepend=0)), _small(own.learned[used]), np.flatnonzero(used == AT_START), _small(learned[again]), *(_small(p[again]) for p in place))
         yield _rows("slice bucket data", name, np.array([bucket], np.int64), pa.array([data], pa.binary()))
 
 
@@ -206,17 +234,19 @@ class _Bucket:
     """The distinct histories of all slices' packs, in order of their last word: symbols, training counts, counts of the symbols."""
 
     def __init__(self, packs: list[list[np.ndarray]], depth: int):
-        self.hashes, at, inverse = np.unique(np.concatenate([p[0] for p in packs]), return_index=True, return_inverse=True)
+        numbers = [np.cumsum(p[0].astype(np.int64)) for p in packs]
+        self.number, at, inverse = np.unique(np.concatenate(numbers), return_index=True, return_inverse=True)
         self.count = np.concatenate([p[1].astype(np.int64) for p in packs])[at]
+        self.start = next((int(np.searchsorted(self.number, n[p[2][0]])) for n, p in zip(numbers, packs) if len(p[2])), -1)
         inverse = inverse.astype(np.int32)
-        shift = np.cumsum([0, *(len(p[0]) for p in packs)])
-        symbols = [np.concatenate([inverse[p[3 + k].astype(np.int64) + s] for p, s in zip(packs, shift)]) for k in range(depth + 1)]
-        learned = np.concatenate([p[2] for p in packs])
-        first, kind = _types([*symbols[1:], symbols[0]], len(self.hashes))
+        shift = np.cumsum([0, *map(len, numbers)])
+        symbols = [np.concatenate([inverse[p[4 + k].astype(np.int64) + s] for p, s in zip(packs, shift)]) for k in range(depth + 1)]
+        learned = np.concatenate([p[3] for p in packs])
+        first, kind = _types([*symbols[1:], symbols[0]], len(self.number))
         self.kind = kind.astype(np.int32)
         self.symbols = [s[first] for s in symbols]
         self.learned = np.bincount(kind, weights=learned, minlength=len(first)).astype(np.int64)
-        self.starts = np.cumsum([0, *(len(p[2]) for p in packs)])
+        self.starts = np.cumsum([0, *(len(p[3]) for p in packs)])
 
 
 def _hot_pairs(batches: Iterator[pa.RecordBatch], depth: int) -> Iterator[pa.RecordBatch]:
@@ -226,15 +256,14 @@ def _hot_pairs(batches: Iterator[pa.RecordBatch], depth: int) -> Iterator[pa.Rec
     words, inverse = np.unique(own.symbols[0], return_inverse=True)
     n = np.bincount(inverse, weights=own.learned).astype(np.int64)
     fill = lambda x: np.full(len(words), x, np.int64)
-    last = own.hashes[own.symbols[1][0]].astype(np.uint64).view(np.int64)
-    yield _rows("bucket last word n c", fill(group["bucket"][0].as_py()), fill(last), own.hashes[words].view(np.int64), n, own.count[words])
+    yield _rows("bucket last word n c", fill(group["bucket"][0].as_py()), fill(own.number[own.symbols[1][0]]), own.number[words], n, own.count[words])
 
 
 def _hot_packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Counts of all of a hot word's pairs that a bucket has, and the word's figures: occurrences, distinct next symbols, gain."""
     group = pa.Table.from_batches(batches)
     pairs, head = group.filter(pa.compute.is_valid(group["word"])), group.filter(pa.compute.is_null(group["word"]))
-    data = _pack(np.array(head["figures"][0].as_py(), float), pairs["word"].to_numpy().view(np.uint64), pairs["n"].to_numpy())
+    data = _pack(np.array(head["figures"][0].as_py(), float), pairs["word"].to_numpy(), pairs["n"].to_numpy())
     yield _rows("slice bucket data", pa.array([None], pa.int64()), group["bucket"].to_numpy()[:1], pa.array([data], pa.binary()))
 
 
@@ -299,19 +328,18 @@ def _score(batches: Iterator[pa.RecordBatch], depth: int, least: int, penalty: f
     data, names = [d for d, s in zip(data, names) if s is not None], [s for s in names if s is not None]
     own = _Bucket(data, depth)
     del data
-    root, start = (own.count + 1.0) / norm, np.flatnonzero(own.hashes == np.uint64(START))
-    start = int(start[0]) if len(start) else -1
+    root = (own.count + 1.0) / norm
     if shared is not None:
         (total, kinds, gain), words, n = shared
-        after = np.zeros(len(own.hashes))
-        after[np.searchsorted(own.hashes, words)] = n
+        after = np.zeros(len(own.number))
+        after[np.searchsorted(own.number, words)] = n
         shared = after, total, kinds, gain
     last = own.symbols[1]
     ends, p, a = np.append(np.flatnonzero(np.diff(last)) + 1, len(last)), np.ones(len(last)), 0
     while a < len(last):
         # Whole subtrees are scored together, some at a time.
         b = int(ends[min(np.searchsorted(ends, a + CHUNK), len(ends) - 1)])
-        p[a:b] = tree_probabilities([s[a:b] for s in own.symbols], own.learned[a:b], root, least, penalty, start, shared)
+        p[a:b] = tree_probabilities([s[a:b] for s in own.symbols], own.learned[a:b], root, least, penalty, own.start, shared)
         a = b
     logs = np.log10(p).astype(np.float32)
     for k, name in enumerate(names):
@@ -322,11 +350,13 @@ def _score(batches: Iterator[pa.RecordBatch], depth: int, least: int, penalty: f
 def _sum(batches: Iterator[pa.RecordBatch], depth: int, buckets: int, hot: int, norm: float, tokens: int) -> Iterator[pa.RecordBatch]:
     """The documents of a slice, from what the buckets sent back."""
     group = pa.Table.from_batches(batches)
-    own, found = _whole(group), dict(zip(group["bucket"].to_pylist(), group["data"]))
+    own, found = _whole(group, buckets), {k: x.as_py() for k, x in zip(group["bucket"].to_pylist(), group["data"]) if k >= 0}
     del group
     score, base, n = np.zeros(len(own.lengths)), np.log10((own.learned + 1.0) / norm), len(own.lengths)
-    for bucket, _, pick, _, kind in own.packs(depth, buckets, hot):
-        logs = _unpack(found.pop(bucket).as_py())[0].astype(float)
+    for bucket, symbols, pick, first, kind in own.packs(depth, buckets, hot):
+        place = own.number[np.stack([s[first] for s in symbols])]
+        logs = np.zeros(len(first))
+        logs[np.lexsort((place[0], *place[:0:-1]))] = _unpack(found.pop(bucket))[0]
         score += np.bincount(own.doc[pick], weights=logs[kind], minlength=n)
     sums = lambda x: np.bincount(own.doc, weights=x[own.stream], minlength=n)
     yield _rows(
@@ -364,17 +394,16 @@ def lm_scores(docs: DataFrame, *, depth: int = 2, least: int = 8, penalty: float
         buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // BUCKET))
     rows = docs.select("doc_id", "text").withColumn("uid", F.monotonically_increasing_id())
     slices = written(rows.mapInArrow(_slices, form), "slices")
-    seen = slices.mapInArrow(_words, "slice long, at int, word long, learned long, every long")
-    words = written(seen.groupBy("word").agg(F.sum("learned").alias("learned"), F.sum("every").alias("every")), "words")
-    start = int(np.uint64(START).astype(np.int64))
-    total = words.where(F.col("word") != start).agg(F.sum("learned").alias("n"), F.count_if(F.col("learned") > 0).alias("v")).first()
-    tokens = int(total["n"] or 0)
-    norm = float(tokens + total["v"] + 1)
-    counts = written(seen.select("slice", "at", "word").join(words, "word").groupBy("slice").applyInArrow(W.grouped(_counted), form), "counts")
+    seen = slices.mapInArrow(partial(_words, buckets=buckets), form)
+    counts = written(seen.groupBy("bucket").applyInArrow(W.grouped(_number), f"{form}, tokens long, words long, most long"), "counts")
+    total = counts.agg(F.sum("tokens").alias("n"), F.sum("words").alias("v"), F.max("most").alias("most")).first()
+    tokens = total["n"] or 0
+    norm = float(tokens + (total["v"] or 0) + 1)
+    counts = counts.select("slice", "bucket", "data")
     whole = slices.unionByName(counts)
     deal = lambda only: whole.groupBy("slice").applyInArrow(W.grouped(_deal, depth=depth, buckets=buckets, hot=hot, only_hot=only), form)
     dealt = deal(False)
-    if not words.where(F.col("every") > hot).isEmpty():
+    if (total["most"] or 0) > hot:
         dealt = dealt.unionByName(written(_hot_shares(deal(True), depth, norm), "shares"))
     scored = dealt.groupBy("bucket").applyInArrow(W.grouped(_score, depth=depth, least=least, penalty=penalty, norm=norm), form)
     return whole.unionByName(scored).groupBy("slice").applyInArrow(W.grouped(_sum, depth=depth, buckets=buckets, hot=hot, norm=norm, tokens=tokens), out)
