@@ -62,6 +62,15 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def bucketed(df: DataFrame, name: str, key: str, n: int) -> DataFrame:
+    """Like ``written``, dealt out to ``n`` buckets by a key: later joins and groups by it don't shuffle this side again."""
+    spark, label = df.sparkSession, f"{name}_{uuid.uuid4().hex}"
+    df.write.format("parquet").option("compression", "zstd").option("path", scratch_path(spark, name)).bucketBy(n, key).saveAsTable(label)
+    out = spark.table(label)
+    spark.sql(f"DROP TABLE {label}")  # the catalog's entry only: the files lie outside the warehouse's tables
+    return out
+
+
 def remove(spark: SparkSession, path: str) -> None:
     """Delete a folder through Hadoop's file system, whatever the store is."""
     jvm = spark.sparkContext._jvm
