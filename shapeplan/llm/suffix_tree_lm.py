@@ -39,7 +39,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from shapeplan.llm import words as W
-from shapeplan.runtime import ship, written
+from shapeplan.runtime import bucketed, ship, written
 
 DISCOUNT = 0.75
 
@@ -47,7 +47,7 @@ DISCOUNT = 0.75
 CHUNK = 400_000
 
 #: Bytes of text in a slice, and bytes of all texts for each bucket.
-SLICE, BUCKET = 24 << 20, 9 << 20
+SLICE, BUCKET = 24 << 20, 18 << 20
 
 #: Hashes of the two symbols that are no words, and their places in a slice's dictionary.
 START, END = xxhash.xxh3_64_intdigest(b"\x00start"), xxhash.xxh3_64_intdigest(b"\x00end")
@@ -57,6 +57,11 @@ AT_START, AT_END = 0, 1
 SELF, COUNTS = -1, -2
 
 
+#: Rows that slices and buckets exchange, and the result.
+FORM = pa.schema([("slice", pa.int64()), ("bucket", pa.int64()), ("data", pa.binary())])
+OUT = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), *((c, pa.int64()) for c in ("n_tokens", "n_known", "train_tokens")), ("base_score", pa.float64()), ("score", pa.float64())])
+
+
 def held_out(doc_id: int | None, folds: int = 7, fold: int = 2) -> bool:
     return zlib.crc32(b"" if doc_id is None else str(doc_id).encode()) % folds == fold
 
@@ -207,26 +212,39 @@ def _number(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums[:2] = 0, 0
 
 
-def _whole(group: pa.Table, buckets: int) -> _Slice:
-    rows = {k: x.as_py() for k, x in zip(group["bucket"].to_pylist(), group["data"]) if k <= SELF}
-    own = _Slice(rows[SELF])
+def _known(one: pa.Table, sent: pa.Table, buckets: int) -> tuple[_Slice, np.ndarray, dict[int, bytes]]:
+    """A slice with its words' counts, its number, and what else was sent to it, by bucket."""
+    own, rows = _Slice(one["data"][0].as_py()), {k: x.as_py() for k, x in zip(sent["bucket"].to_pylist(), sent["data"])}
     own.take(rows, buckets)
-    return own
+    return own, one["slice"].to_numpy()[:1], {k: x for k, x in rows.items() if k >= 0}
 
 
-def _deal(batches: Iterator[pa.RecordBatch], depth: int, buckets: int, hot: int, only_hot: bool) -> Iterator[pa.RecordBatch]:
-    group = pa.Table.from_batches(batches)
-    own, name = _whole(group, buckets), group["slice"].to_numpy()[:1]
-    del group
+def _by_rank(learned: np.ndarray) -> np.ndarray:
+    """The places of a pack's words in order of their counts, so that frequent ones have small ranks."""
+    return np.argsort(-learned.astype(np.int64), kind="stable")
+
+
+def _histories(place: np.ndarray) -> np.ndarray:
+    """Histories in the order in which they travel: of their last word, then of the words before it, then of the symbol."""
+    return np.lexsort((place[0], *place[:0:-1]))
+
+
+def _ranked(own: _Slice, symbols: list[np.ndarray], first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """A pack's words in order of their numbers, and its distinct histories as ranks of these words."""
+    used, inverse = np.unique(np.concatenate([s[first] for s in symbols]), return_inverse=True)
+    order = np.argsort(own.number[used])
+    rank = np.empty(len(used), np.int64)
+    rank[order[_by_rank(own.learned[used[order]])]] = np.arange(len(used))
+    return used[order], rank[inverse].reshape(len(symbols), -1)
+
+
+def _deal(one: pa.Table, sent: pa.Table, depth: int, buckets: int, hot: int, only_hot: bool) -> Iterator[pa.RecordBatch]:
+    own, name, _ = _known(one, sent, buckets)
     for bucket, symbols, pick, first, kind in own.packs(depth, buckets, hot, only_hot):
-        used, inverse = np.unique(np.concatenate([s[first] for s in symbols]), return_inverse=True)
-        order = np.argsort(own.number[used])
-        place = np.argsort(order)[inverse].reshape(depth + 1, -1)
-        used = used[order]
-        # Histories in order of their last word's number, then of the words before it.
-        again = np.lexsort((place[0], *place[:0:-1]))
+        used, place = _ranked(own, symbols, first)
+        order = _histories(place)
         learned = np.bincount(kind, weights=own.train[pick], minlength=len(first)).astype(np.int64)
-        data = _pack(_small(np.diff(own.number[used], prepend=0)), _small(own.learned[used]), np.flatnonzero(used == AT_START), _small(learned[again]), *(_small(p[again]) for p in place))
+        data = _pack(_small(np.diff(own.number[used], prepend=0)), _small(own.learned[used]), np.flatnonzero(used == AT_START), _small(learned[order]), *(_small(p[order]) for p in place))
         yield _rows("slice bucket data", name, np.array([bucket], np.int64), pa.array([data], pa.binary()))
 
 
@@ -240,7 +258,8 @@ class _Bucket:
         self.start = next((int(np.searchsorted(self.number, n[p[2][0]])) for n, p in zip(numbers, packs) if len(p[2])), -1)
         inverse = inverse.astype(np.int32)
         shift = np.cumsum([0, *map(len, numbers)])
-        symbols = [np.concatenate([inverse[p[4 + k].astype(np.int64) + s] for p, s in zip(packs, shift)]) for k in range(depth + 1)]
+        words = [inverse[s + _by_rank(p[1])] for p, s in zip(packs, shift)]
+        symbols = [np.concatenate([w[p[4 + k]] for p, w in zip(packs, words)]) for k in range(depth + 1)]
         learned = np.concatenate([p[3] for p in packs])
         first, kind = _types([*symbols[1:], symbols[0]], len(self.number))
         self.kind = kind.astype(np.int32)
@@ -347,22 +366,17 @@ def _score(batches: Iterator[pa.RecordBatch], depth: int, least: int, penalty: f
         yield _rows("slice bucket data", np.array([name], np.int64), np.array([bucket], np.int64), pa.array([out], pa.binary()))
 
 
-def _sum(batches: Iterator[pa.RecordBatch], depth: int, buckets: int, hot: int, norm: float, tokens: int) -> Iterator[pa.RecordBatch]:
+def _sum(one: pa.Table, sent: pa.Table, depth: int, buckets: int, hot: int, norm: float, tokens: int) -> Iterator[pa.RecordBatch]:
     """The documents of a slice, from what the buckets sent back."""
-    group = pa.Table.from_batches(batches)
-    own, found = _whole(group, buckets), {k: x.as_py() for k, x in zip(group["bucket"].to_pylist(), group["data"]) if k >= 0}
-    del group
+    own, _, found = _known(one, sent, buckets)
     score, base, n = np.zeros(len(own.lengths)), np.log10((own.learned + 1.0) / norm), len(own.lengths)
     for bucket, symbols, pick, first, kind in own.packs(depth, buckets, hot):
-        place = own.number[np.stack([s[first] for s in symbols])]
         logs = np.zeros(len(first))
-        logs[np.lexsort((place[0], *place[:0:-1]))] = _unpack(found.pop(bucket))[0]
+        logs[_histories(_ranked(own, symbols, first)[1])] = _unpack(found.pop(bucket))[0]
         score += np.bincount(own.doc[pick], weights=logs[kind], minlength=n)
     sums = lambda x: np.bincount(own.doc, weights=x[own.stream], minlength=n)
-    yield _rows(
-        "doc_id held_out n_tokens n_known train_tokens base_score score",
-        pa.array(own.ids, mask=own.no_id != 0), own.held != 0, own.lengths, sums(own.learned > 0).astype(np.int64), np.full(n, tokens, np.int64), sums(base), score,
-    )
+    columns = pa.array(own.ids, mask=own.no_id != 0), own.held != 0, own.lengths, sums(own.learned > 0).astype(np.int64), np.full(n, tokens, np.int64), sums(base), score
+    yield _rows(" ".join(OUT.names), *columns)
 
 
 def _hot_shares(dealt: DataFrame, depth: int, norm: float) -> DataFrame:
@@ -389,21 +403,26 @@ def lm_scores(docs: DataFrame, *, depth: int = 2, least: int = 8, penalty: float
     spark = docs.sparkSession
     ship(spark)
     form, out = "slice long, bucket long, data binary", "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     if buckets is None:
         size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-        buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // BUCKET))
+        buckets = max(1, -(-size // BUCKET))
     rows = docs.select("doc_id", "text").withColumn("uid", F.monotonically_increasing_id())
-    slices = written(rows.mapInArrow(_slices, form), "slices")
+    slices = bucketed(rows.mapInArrow(_slices, form), "slices", "slice", parts)
     seen = slices.mapInArrow(partial(_words, buckets=buckets), form)
     counts = written(seen.groupBy("bucket").applyInArrow(W.grouped(_number), f"{form}, tokens long, words long, most long"), "counts")
     total = counts.agg(F.sum("tokens").alias("n"), F.sum("words").alias("v"), F.max("most").alias("most")).first()
     tokens = total["n"] or 0
     norm = float(tokens + (total["v"] or 0) + 1)
     counts = counts.select("slice", "bucket", "data")
-    whole = slices.unionByName(counts)
-    deal = lambda only: whole.groupBy("slice").applyInArrow(W.grouped(_deal, depth=depth, buckets=buckets, hot=hot, only_hot=only), form)
+    of = slices.groupBy("slice")
+
+    def deal(only_hot: bool) -> DataFrame:
+        return of.cogroup(counts.groupBy("slice")).applyInArrow(W.paired(_deal, FORM, depth=depth, buckets=buckets, hot=hot, only_hot=only_hot), form)
+
     dealt = deal(False)
     if (total["most"] or 0) > hot:
         dealt = dealt.unionByName(written(_hot_shares(deal(True), depth, norm), "shares"))
     scored = dealt.groupBy("bucket").applyInArrow(W.grouped(_score, depth=depth, least=least, penalty=penalty, norm=norm), form)
-    return whole.unionByName(scored).groupBy("slice").applyInArrow(W.grouped(_sum, depth=depth, buckets=buckets, hot=hot, norm=norm, tokens=tokens), out)
+    back = counts.unionByName(scored).groupBy("slice")
+    return of.cogroup(back).applyInArrow(W.paired(_sum, OUT, depth=depth, buckets=buckets, hot=hot, norm=norm, tokens=tokens), out)

@@ -88,6 +88,18 @@ def grouped(work: Callable, **how) -> Callable:
     return run
 
 
+def paired(work: Callable, form: pa.Schema, **how) -> Callable:
+    """``work``, a generator of batches, with further arguments as a function of two groups of one key."""
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        try:
+            return pa.Table.from_batches(work(left, right, **how), form)
+        finally:
+            release()
+
+    return run
+
+
 def split(text: bytes | None, lower: bool = False) -> list[bytes]:
     """The words of a text; null counts as empty. ``bytes`` methods touch ASCII only, as wanted."""
     if not text:
