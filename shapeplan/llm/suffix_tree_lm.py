@@ -219,32 +219,32 @@ def _known(one: pa.Table, sent: pa.Table, buckets: int) -> tuple[_Slice, np.ndar
     return own, one["slice"].to_numpy()[:1], {k: x for k, x in rows.items() if k >= 0}
 
 
-def _by_rank(learned: np.ndarray) -> np.ndarray:
-    """The places of a pack's words in order of their counts, so that frequent ones have small ranks."""
-    return np.argsort(-learned.astype(np.int64), kind="stable")
-
-
 def _histories(place: np.ndarray) -> np.ndarray:
     """Histories in the order in which they travel: of their last word, then of the words before it, then of the symbol."""
     return np.lexsort((place[0], *place[:0:-1]))
 
 
 def _ranked(own: _Slice, symbols: list[np.ndarray], first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """A pack's words in order of their numbers, and its distinct histories as ranks of these words."""
+    """A pack's words, the most frequent first, equally frequent ones by number, and its distinct histories as places among them."""
     used, inverse = np.unique(np.concatenate([s[first] for s in symbols]), return_inverse=True)
-    order = np.argsort(own.number[used])
+    order = np.lexsort((own.number[used], -own.learned[used]))
     rank = np.empty(len(used), np.int64)
-    rank[order[_by_rank(own.learned[used[order]])]] = np.arange(len(used))
+    rank[order] = np.arange(len(used))
     return used[order], rank[inverse].reshape(len(symbols), -1)
 
 
+def _steps(x: np.ndarray) -> np.ndarray:
+    """Differences of neighbours, backward ones wrapped around."""
+    return np.diff(x, prepend=0).view(np.uint64)
+
+
 def _deal(one: pa.Table, sent: pa.Table, depth: int, buckets: int, hot: int, only_hot: bool) -> Iterator[pa.RecordBatch]:
     own, name, _ = _known(one, sent, buckets)
     for bucket, symbols, pick, first, kind in own.packs(depth, buckets, hot, only_hot):
         used, place = _ranked(own, symbols, first)
         order = _histories(place)
         learned = np.bincount(kind, weights=own.train[pick], minlength=len(first)).astype(np.int64)
-        data = _pack(_small(np.diff(own.number[used], prepend=0)), _small(own.learned[used]), np.flatnonzero(used == AT_START), _small(learned[order]), *(_small(p[order]) for p in place))
+        data = _pack(_steps(own.number[used]), _steps(own.learned[used]), np.flatnonzero(used == AT_START), _small(learned[order]), *(_small(p[order]) for p in place))
         yield _rows("slice bucket data", name, np.array([bucket], np.int64), pa.array([data], pa.binary()))
 
 
@@ -252,13 +252,13 @@ class _Bucket:
     """The distinct histories of all slices' packs, in order of their last word: symbols, training counts, counts of the symbols."""
 
     def __init__(self, packs: list[list[np.ndarray]], depth: int):
-        numbers = [np.cumsum(p[0].astype(np.int64)) for p in packs]
+        numbers, counts = ([np.cumsum(p[k]).view(np.int64) for p in packs] for k in (0, 1))
         self.number, at, inverse = np.unique(np.concatenate(numbers), return_index=True, return_inverse=True)
-        self.count = np.concatenate([p[1].astype(np.int64) for p in packs])[at]
+        self.count = np.concatenate(counts)[at]
         self.start = next((int(np.searchsorted(self.number, n[p[2][0]])) for n, p in zip(numbers, packs) if len(p[2])), -1)
         inverse = inverse.astype(np.int32)
         shift = np.cumsum([0, *map(len, numbers)])
-        words = [inverse[s + _by_rank(p[1])] for p, s in zip(packs, shift)]
+        words = np.split(inverse, shift[1:-1])
         symbols = [np.concatenate([w[p[4 + k]] for p, w in zip(packs, words)]) for k in range(depth + 1)]
         learned = np.concatenate([p[3] for p in packs])
         first, kind = _types([*symbols[1:], symbols[0]], len(self.number))
@@ -393,7 +393,7 @@ def _hot_shares(dealt: DataFrame, depth: int, norm: float) -> DataFrame:
     return rows.unionByName(heads).groupBy("bucket").applyInArrow(W.grouped(_hot_packed), "slice long, bucket long, data binary")
 
 
-def lm_scores(docs: DataFrame, *, depth: int = 2, least: int = 8, penalty: float = 1.5, buckets: int | None = None, hot: int = 2_000_000) -> DataFrame:
+def lm_scores(docs: DataFrame, *, depth: int = 2, least: int = 8, penalty: float = 1.5, buckets: int | None = None, hot: int = 1_000_000) -> DataFrame:
     """Per document: ``doc_id``, ``held_out``, ``n_tokens``, ``n_known``, ``train_tokens``, ``base_score``, ``score``.
 
     ``base_score`` is the add-one unigram score, ``score`` that of the tree; both are log10
