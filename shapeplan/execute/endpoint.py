@@ -1,4 +1,4 @@
-"""A query endpoint that gives at most so many rows an answer, and what that does to the engines."""
+"""A query endpoint that gives at most so many rows an answer, and what that does to verdicts."""
 
 from __future__ import annotations
 
@@ -7,32 +7,20 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from shapeplan.model import Shape
-from shapeplan.operators import compile as q
-from shapeplan.operators.rewrite import slices
-
 
 @dataclass(frozen=True)
-class AnswerCap:
-    """Answers are sorted by entity, as a deterministic endpoint would, and cut after ``max_rows``."""
-
-    max_rows: int
+class Endpoint:
+    """Answers are sorted by all their columns, as a deterministic endpoint would, and cut after ``max_rows``; None cuts nothing."""
 
-    def naive(self, rows: DataFrame) -> DataFrame:
-        return rows.orderBy("entity").limit(self.max_rows)
+    max_rows: int | None = None
 
-    def sliced(self, rows: DataFrame, n: int, strategy: str = "hash") -> DataFrame:
-        """The whole answer as the union of slices, each below the cap."""
-        parts = list(slices(rows, self.max_rows, n, strategy))
-        out = parts[0]
-        for p in parts[1:]:
-            out = out.unionByName(p)
-        return out
+    def answer(self, rows: DataFrame) -> DataFrame:
+        return rows if self.max_rows is None else rows.orderBy(*rows.columns).limit(self.max_rows)
 
 
-def capped_misses(graph, shape: Shape, valid: DataFrame, cap: AnswerCap) -> DataFrame:
-    """Exactly valid entities, those that a capped minimum query never shows, and their share."""
-    seen = cap.naive(q.min_query(graph, shape).select("entity").distinct()).withColumn("seen", F.lit(True))
-    both = valid.select("entity").join(seen, "entity", "left")
-    row = both.agg(F.count(F.lit(1)).alias("n_valid"), F.count_if(F.col("seen").isNull()).alias("n_missed"))
-    return row.withColumn("share_missed", F.try_divide(F.col("n_missed").cast("double"), F.col("n_valid")))
+def misclassified(exact: DataFrame, capped: DataFrame) -> DataFrame:
+    """By shape, from two sets of verdicts: valid entities, those that the capped engine calls invalid, their share; and invalid ones called valid."""
+    both = exact.select("shape", "entity", F.col("valid").alias("truth")).join(capped.select("shape", "entity", F.col("valid").alias("said")), ["shape", "entity"], "left")
+    said = F.coalesce("said", F.lit(False))
+    out = both.groupBy("shape").agg(F.count_if("truth").alias("n_valid"), F.count_if(F.col("truth") & ~said).alias("n_missed"), F.count_if(~F.col("truth") & said).alias("n_wrongly_valid"))
+    return out.withColumn("share_missed", F.try_divide(F.col("n_missed").cast("double"), F.col("n_valid")))

@@ -7,7 +7,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from shapeplan.model import ShapeSchema
+from shapeplan.model import Shape, ShapeSchema
 from shapeplan.operators import compile as q
 from shapeplan.operators.rewrite import can_push
 
@@ -20,26 +20,36 @@ def choose(k: Column, n: int) -> Column:
     return out
 
 
-def count_rules(graph, schema: ShapeSchema, order: list[str] | None = None, valid: dict[str, DataFrame] | None = None) -> DataFrame:
-    """``n_rules``: for each grounded target one, the product of the minima's choices, and each maximum's.
+def rules_of(graph, shape: Shape, rows: DataFrame, known: dict[str, DataFrame]) -> DataFrame:
+    """``n``: rules that the given targets ground: one each, the product of the minima's choices, and each maximum's.
 
-    Without ``order`` the naive count. With it, shapes come in that order, targets are first cut by the valid lists of
-    decided shapes, and witnesses must conform to them. Combinations are counted, never made.
+    Witnesses of a decided reference must conform to it. Combinations are counted, never made.
+    """
+    terms: dict[str, list[Column]] = {"min": [], "max": []}
+    for k, c in enumerate(shape.counts(), 1):
+        per = q.witnesses(graph, shape, c, known).groupBy("entity").agg(F.count(F.lit(1)).alias(f"k{k}"))
+        rows = rows.join(per, "entity", "left")
+        n = F.coalesce(F.col(f"k{k}"), F.lit(0)).cast("double")
+        terms[c.kind].append(choose(n, c.n + (c.kind == "max")))
+    product = reduce(lambda a, b: a * b, terms["min"]) if terms["min"] else F.lit(0.0)
+    return rows.select(reduce(lambda a, b: a + b, terms["max"], F.lit(1.0) + product).alias("n")).agg(F.coalesce(F.sum("n"), F.lit(0.0)).alias("n"))
+
+
+def count_rules(graph, schema: ShapeSchema, order: list[str] | None = None, valid: dict[str, DataFrame] | None = None, push: bool = True) -> DataFrame:
+    """``n_rules`` of a whole schema.
+
+    Without ``order`` the naive count. With it, shapes come in that order and witnesses must conform to decided shapes, as
+    rules with a false atom aren't grounded; with ``push`` targets are first cut by the valid lists of decided shapes.
     """
     parts, decided = [], set()
     for name in order or schema.names:
         shape = schema[name]
         known = {r: valid[r] for r in decided} if order else {}
         rows = graph.entities(shape.target)
-        terms = {"min": [], "max": []}
-        for k, c in enumerate(shape.counts(), 1):
-            pairs = q.witnesses(graph, shape, c, known if c.ref in known else None)
-            per = pairs.groupBy("entity").agg(F.count(F.lit(1)).alias(f"k{k}"))
-            rows = rows.join(per, "entity", "inner" if can_push(c, set(known)) else "left")
-            n = F.coalesce(F.col(f"k{k}"), F.lit(0)).cast("double")
-            terms[c.kind].append(choose(n, c.n + (c.kind == "max")))
-        product = reduce(lambda a, b: a * b, terms["min"]) if terms["min"] else F.lit(0.0)
-        parts.append(rows.select(reduce(lambda a, b: a + b, terms["max"], F.lit(1.0) + product).alias("n")).agg(F.coalesce(F.sum("n"), F.lit(0.0)).alias("n")))
+        for c in shape.counts() if push else ():
+            if can_push(c, set(known)):
+                rows = rows.join(q.witnesses(graph, shape, c, known).select("entity").distinct(), "entity", "left_semi")
+        parts.append(rules_of(graph, shape, rows, known))
         decided.add(name)
     return reduce(DataFrame.unionByName, parts).agg(F.sum("n").alias("n_rules"))
 

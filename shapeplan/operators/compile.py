@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from functools import reduce
-from itertools import combinations
+from typing import NamedTuple
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -12,6 +12,36 @@ from shapeplan.model import And, Count, Not, Or, Shape
 from shapeplan.model.ast import leaves
 
 
+class NodeList(NamedTuple):
+    """What is known of a decided shape, as a list for filters: of the nodes that conform, or of those that don't.
+
+    A list of the others says nothing of nodes outside the shape's domain, which don't conform either. ``within`` is
+    that domain; it may be left out only where no link leaves it.
+    """
+
+    mode: str  # valid, invalid
+    nodes: DataFrame
+    within: DataFrame | None = None
+    #: Items and their bytes, where they are known.
+    n: int | None = None
+    size: int | None = None
+
+    def sides(self) -> list[tuple[DataFrame, bool]]:
+        """Sets of nodes, and whether a node must be in them."""
+        return [(self.nodes, self.mode == "valid")] + ([(self.within, True)] if self.within is not None else [])
+
+
+def as_list(known: DataFrame | NodeList) -> NodeList:
+    return known if isinstance(known, NodeList) else NodeList("valid", known)
+
+
+def conforming(pairs: DataFrame, known: DataFrame | NodeList) -> DataFrame:
+    """Pairs whose value conforms. Never ``NOT IN``: that broadcasts whatever its size."""
+    for nodes, wanted in as_list(known).sides():
+        pairs = pairs.join(nodes.select(F.col("entity").alias("value")), "value", "left_semi" if wanted else "left_anti")
+    return pairs.select("entity", "value")
+
+
 def target(graph, shape: Shape) -> DataFrame:
     """``entity`` of the shape's target class."""
     return graph.entities(shape.target)
@@ -37,13 +67,13 @@ def domain(graph, schema, shape: Shape) -> DataFrame:
     return reduce(DataFrame.unionByName, parts).distinct()
 
 
-def witnesses(graph, shape: Shape, c: Count, valid: dict[str, DataFrame] | None = None) -> DataFrame:
-    """Distinct ``entity``, ``value`` that pass the constraint's test and, given ``valid``, its reference."""
+def witnesses(graph, shape: Shape, c: Count, valid: dict[str, DataFrame | NodeList] | None = None) -> DataFrame:
+    """Distinct ``entity``, ``value`` that pass the constraint's test and, where ``valid`` has it, its reference."""
     pairs = graph.edges(shape.entity_class, c.path)
     if c.test:
         pairs = pairs.where(c.test.sql)
-    if c.ref and valid is not None:
-        pairs = pairs.join(valid[c.ref].select(F.col("entity").alias("value")), "value", "left_semi").select("entity", "value")
+    if c.ref and c.ref in (valid or {}):
+        pairs = conforming(pairs, valid[c.ref])
     return pairs.distinct()
 
 
@@ -83,8 +113,15 @@ def holds(c: Count, n: Column) -> Column:
     return n >= c.n if c.kind == "min" else n <= c.n
 
 
-def _exists_like(c: Count) -> bool:
-    return c.n <= 1
+def rows_of(graph, schema, shape: Shape, parts=None) -> DataFrame:
+    """The domain of a shape, with the entity's own columns that the constraints look at."""
+    cls = shape.entity_class
+    found = (leaf for c in (shape.body if parts is None else parts) for leaf, _ in leaves(c))
+    single = list(dict.fromkeys(c.path for c in found if graph.single(cls, c.path)))
+    if single and not (shape.accepts_bare or shape.target is None):
+        return graph.frame(cls, single)
+    out = domain(graph, schema, shape)
+    return out.join(graph.frame(cls, single), "entity", "left") if single else out
 
 
 class Flags:
@@ -95,29 +132,26 @@ class Flags:
     and greatest agree. References are marked by a left join with the conforming entities.
     """
 
-    def __init__(self, graph, schema, shape: Shape, valid: dict[str, DataFrame], parts=None):
-        self.graph, self.shape, self.valid = graph, shape, valid
+    def __init__(self, graph, schema, shape: Shape, valid: dict[str, DataFrame | NodeList], parts=None):
+        self.graph, self.schema, self.shape = graph, schema, shape
+        self.valid = {n: as_list(v) for n, v in valid.items()}
         self.parts = shape.body if parts is None else parts
         self.all = list(dict.fromkeys(leaf for c in self.parts for leaf, _ in leaves(c)))
         self.columns: dict[Count, Column] = {}
-        self.base = domain(graph, schema, shape)
+        self._marks: dict[tuple[str, str], Column] = {}
 
     def frame(self, only: DataFrame | None = None) -> DataFrame:
         """The domain (or the entities of ``only``) with whatever the flags need; fills ``columns``."""
-        g, cls = self.graph, self.shape.entity_class
-        single = list(dict.fromkeys(c.path for c in self.all if g.single(cls, c.path)))
-        plain = self.shape.accepts_bare or self.shape.target is None
-        if single and not plain:
-            out = g.frame(cls, single)
-        else:
-            out = self.base
-            if single:
-                out = out.join(g.frame(cls, single), "entity", "left")
+        out = rows_of(self.graph, self.schema, self.shape, self.parts)
         if only is not None:
             out = out.join(only.select("entity"), "entity", "left_semi")
+        return self.add(out)
+
+    def add(self, out: DataFrame) -> DataFrame:
+        """Rows that hold the entity's own columns, with whatever else the flags need."""
         grouped: dict[tuple, list[Count]] = {}
         for i, c in enumerate(self.all):
-            if c.path in single:
+            if self.graph.single(self.shape.entity_class, c.path):
                 out = self._single(out, i, c)
             else:
                 grouped.setdefault(self._source(c), []).append(c)
@@ -130,12 +164,14 @@ class Flags:
         if c.test:
             has = has & F.coalesce(F.expr(c.test.on(c.path)), F.lit(False))
         if c.ref:
-            mark = next((m for o, m in getattr(self, "_marks", {}).items() if o == (c.path, c.ref)), None)
-            if mark is None:
-                mark = f"_r{i}"
-                out = out.join(self.valid[c.ref].select(F.col("entity").alias(f"_v{i}"), F.lit(True).alias(mark)), F.col(c.path) == F.col(f"_v{i}"), "left").drop(f"_v{i}")
-                self._marks = getattr(self, "_marks", {}) | {(c.path, c.ref): mark}
-            has = has & F.col(mark).isNotNull()
+            if (c.path, c.ref) not in self._marks:
+                mark = F.lit(True)
+                for k, (nodes, wanted) in enumerate(self.valid[c.ref].sides()):
+                    at = f"_r{i}_{k}"
+                    out = out.join(nodes.select(F.col("entity").alias(f"{at}v"), F.lit(True).alias(at)), F.col(c.path) == F.col(f"{at}v"), "left").drop(f"{at}v")
+                    mark = mark & (F.col(at).isNotNull() if wanted else F.col(at).isNull())
+                self._marks[c.path, c.ref] = mark
+            has = has & self._marks[c.path, c.ref]
         self.columns[c] = holds(c, has.cast("int"))
         return out
 
@@ -168,7 +204,7 @@ class Flags:
         if c.test:
             pairs = pairs.where(c.test.sql)
         if c.ref:
-            pairs = pairs.join(self.valid[c.ref].select(F.col("entity").alias("value")), "value", "left_semi")
+            pairs = conforming(pairs, self.valid[c.ref])
         # Existence needs no distinct values.
         number = F.count(F.lit(1)) if need <= 1 else F.count_distinct("value")
         per = pairs.groupBy("entity").agg(number.alias(f"_n{j}"))

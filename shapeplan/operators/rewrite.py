@@ -6,19 +6,30 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from shapeplan.model import Count, Shape
+from shapeplan.model.ast import leaves
+from shapeplan.operators.compile import NodeList, as_list, conforming
 
 
 @dataclass(frozen=True)
 class RewriteConfig:
+    """Which rewrites the planned engine makes; each can be switched off by itself."""
+
+    #: Cut targets by what decided shapes proved.
     push: bool = True
+    #: Fetch a target query in slices, and deliver each slice's verdicts when they are known.
     slice: bool = False
+    #: Put a long list into several queries, or into none if these would be too many.
     split: bool = False
+    #: The most selective constraint first.
     reorder: bool = True
+    #: Drop an entity at its first violation.
     skip: bool = True
+    #: ``smaller``: the smaller list, that of others only where no link leaves the domain; ``valid``, ``invalid``: always this one.
+    lists: str = "smaller"
 
 
 OFF = RewriteConfig(push=False, reorder=False, skip=False)
@@ -28,18 +39,20 @@ OFF = RewriteConfig(push=False, reorder=False, skip=False)
 class Limits:
     #: Most rows that one answer may have (None: no cap).
     answer_cap: int | None = None
+    #: Rows of a slice (None: as many as an answer may have).
+    slice_rows: int | None = None
     #: Longest list that goes into a query as literals.
     literal_items: int = 10
-    #: Most rows of a side that is broadcast; beyond it the join is shuffled.
-    broadcast_rows: int = 1_000_000
+    #: Most bytes of a side that is broadcast; beyond them the join is shuffled.
+    broadcast_bytes: int = 64 << 20
     #: Items a query of a split list, and most queries that a list is split into.
     max_filter_items: int = 10_000
     max_rewritten: int = 8
 
 
-def choose_list(n_valid: int, n_invalid: int) -> str:
-    """The smaller list; the valid one on a tie."""
-    return "valid" if n_valid <= n_invalid else "invalid"
+def choose_list(n_valid: int, n_invalid: int, closed: bool = True) -> str:
+    """The smaller list; the valid one on a tie, and where links may lead out of the domain, as its complement then isn't all of the rest."""
+    return "valid" if n_valid <= n_invalid or not closed else "invalid"
 
 
 def can_push(c, decided: set[str]) -> bool:
@@ -47,36 +60,38 @@ def can_push(c, decided: set[str]) -> bool:
     return isinstance(c, Count) and c.kind == "min" and c.n >= 1 and c.ref in decided
 
 
-def sized(side: DataFrame, n: int, limits: Limits) -> DataFrame:
-    """A broadcast hint if the counted size allows it."""
-    return F.broadcast(side) if n <= limits.broadcast_rows else side
+def sized(side: DataFrame, size: int | None, limits: Limits) -> DataFrame:
+    """A broadcast hint if the counted bytes allow it."""
+    return F.broadcast(side) if size is not None and size <= limits.broadcast_bytes else side
 
 
 def filter_edges(pairs: DataFrame, nodes: DataFrame, mode: str) -> DataFrame:
-    """Pairs whose value is in (``valid``) or not in (``invalid``) the list. Never ``NOT IN``: that broadcasts whatever its size."""
-    return pairs.join(nodes.select(F.col("entity").alias("value")), "value", "left_semi" if mode == "valid" else "left_anti").select("entity", "value")
+    """Pairs whose value is in (``valid``) or not in (``invalid``) the list."""
+    return conforming(pairs, NodeList(mode, nodes))
 
 
-def push_filter(graph, shape: Shape, targets: DataFrame, c: Count, nodes: DataFrame, n: int, mode: str, limits: Limits = Limits()) -> DataFrame:
-    """Targets with a link over the path to a listed (or not excluded) node.
+def push_filter(graph, shape: Shape, targets: DataFrame, c: Count, known: DataFrame | NodeList, limits: Limits = Limits()) -> DataFrame:
+    """Targets with a link over the path to a node that the list lets through.
 
     An exclusion list filters links, not entities: one good link is enough. On a single-valued path
     both are a join on the column itself, without a second look at the entity.
     """
+    known = as_list(known)
     if graph.single(shape.entity_class, c.path):
         col = F.col(c.path)
         own = targets if c.path in targets.columns else targets.join(graph.frame(shape.entity_class, [c.path]), "entity")
-        if mode == "valid" and n <= limits.literal_items:
-            items = [r[0] for r in nodes.select("entity").limit(limits.literal_items + 1).collect()]
-            return own.where(col.isin(items)) if items else own.where(F.lit(False))
-        side = sized(nodes.select(F.col("entity").alias("_node")), n, limits)
-        kept = own.where(col.isNotNull()) if mode == "invalid" else own
-        return kept.join(side, col == F.col("_node"), "left_semi" if mode == "valid" else "left_anti")
+        if known.n is not None and known.n <= limits.literal_items and known.within is None:
+            items = [r[0] for r in known.nodes.select("entity").limit(limits.literal_items + 1).collect()]
+            among = col.isin(items) if items else F.lit(False)
+            return own.where(among if known.mode == "valid" else col.isNotNull() & ~among)
+        own = own.where(col.isNotNull())
+        for nodes, wanted in known.sides():
+            own = own.join(nodes.select(F.col("entity").alias("_node")), col == F.col("_node"), "left_semi" if wanted else "left_anti")
+        return own
     pairs = graph.edges(shape.entity_class, c.path)
     if c.test:
         pairs = pairs.where(c.test.sql)
-    linked = filter_edges(pairs, sized(nodes, n, limits), mode)
-    return targets.join(linked.select("entity"), "entity", "left_semi")
+    return targets.join(conforming(pairs, known).select("entity"), "entity", "left_semi")
 
 
 def split_filter(pairs: DataFrame, nodes: DataFrame, n: int, mode: str, limits: Limits = Limits()) -> DataFrame:
@@ -104,7 +119,9 @@ def slices(rows: DataFrame, cap: int, n: int | None = None, strategy: str = "has
     """
     parts = max(1, -(-(rows.count() if n is None else n) // cap))
     for i in range(parts):
-        if strategy == "offset":
+        if parts == 1 and strategy != "offset":
+            yield rows
+        elif strategy == "offset":
             yield rows.orderBy(key).offset(i * cap).limit(cap)
         elif strategy == "hash":
             yield rows.where(F.pmod(F.xxhash64(key), F.lit(parts)) == i)
@@ -117,13 +134,41 @@ def slices(rows: DataFrame, cap: int, n: int | None = None, strategy: str = "has
         parts += 1
 
 
-def order_constraints(graph, shape: Shape, parts: list) -> list:
-    """Cheap and selective first: tests of the entity's own row, then its references, then child tables."""
+def hash_slices(rows: DataFrame, n: int, cap: int, key: str = "entity") -> list[Column]:
+    """Conditions that deal rows out by a hash of their key so that each part has ``cap`` rows at most.
+
+    Hashing is uneven, so the largest part is counted, and there are more parts until it fits.
+    """
+    parts = max(1, -(-n // cap))
+    while parts > 1 or n > cap:
+        parts += max(1, parts // 8)
+        part = F.pmod(F.xxhash64(key), F.lit(parts))
+        if (rows.groupBy(part).count().agg(F.max("count")).first()[0] or 0) <= cap:
+            return [part == i for i in range(parts)]
+    return [F.lit(True)]
+
+
+def surviving(graph, shape: Shape, c, stats=None, share: dict[str, float] | None = None) -> float:
+    """The estimated share of entities that pass a constraint, from statistics and from the shares of decided shapes that conform."""
+    if not isinstance(c, Count):
+        return 0.5
+    cls = shape.entity_class
+    known = stats.path(cls, c.path) if stats is not None else None
+    per = known.n / max(known.n_subjects, 1) if known else 1.0
+    some = known.n_subjects / max(stats.entities(cls), 1) if known else 0.9
+    good = (1 / 3 if c.test else 1.0) * ((share or {}).get(c.ref, 0.5) if c.ref else 1.0)
+    if c.kind == "min":
+        return 1.0 if c.n == 0 else some * (1 - (1 - good) ** max(per, 1.0)) ** c.n
+    if known and known.most <= c.n:
+        return 1.0
+    return 1 - some * good ** (c.n + 1) if c.n < per else 0.9
+
+
+def order_constraints(graph, shape: Shape, parts: list, stats=None, share: dict[str, float] | None = None) -> list:
+    """Tests of the entity's own row first, as they cost nothing, then by the share of entities that are expected to pass; ties as declared."""
 
     def rank(c) -> tuple:
-        if not isinstance(c, Count):
-            return 3, 0
-        single = graph.single(shape.entity_class, c.path)
-        return (0 if single and not c.ref else 1 if single else 2), c.kind == "max"
+        own = isinstance(c, Count) and not c.ref and graph.single(shape.entity_class, c.path)
+        return not own, round(surviving(graph, shape, c, stats, share), 6), any(leaf.ref for leaf, _ in leaves(c))
 
     return sorted(parts, key=rank)

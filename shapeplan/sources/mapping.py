@@ -45,6 +45,12 @@ class Mapping:
         return replace(self, classes=self.classes | {cls: replace(c, single=c.single | {predicate: expression})})
 
 
+    def without(self, cls: str, condition: str) -> Mapping:
+        """The mapping without the entities of a class that meet a condition; links to them stay, and dangle."""
+        c = self.classes[cls]
+        return replace(self, classes=self.classes | {cls: replace(c, key=f"CASE WHEN {condition} THEN NULL ELSE {c.key} END")})
+
+
 def _same(*names: str) -> dict[str, str]:
     return {n: n for n in names}
 

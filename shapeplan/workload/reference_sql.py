@@ -75,21 +75,75 @@ def summary(m: Mapping, schema: ShapeSchema) -> str:
     return f"SELECT shape, bool_and(valid) AS all_valid, count(*) FILTER (WHERE valid) AS n_valid, count(*) FILTER (WHERE NOT valid) AS n_invalid FROM ({verdicts(m, schema)}) GROUP BY shape"
 
 
+def _subsets(pairs: str, n: int, stem: str) -> tuple[str, list[str]]:
+    """All ``n``-subsets of the values of each entity, and their columns."""
+    cols = [f"{stem}{i}" for i in range(1, n + 1)]
+    froms = " JOIN ".join(f"{pairs} p{i}" + (f" ON p{i}.entity = p1.entity AND p{i - 1}.value < p{i}.value" if i > 1 else "") for i in range(1, n + 1))
+    return f"(SELECT p1.entity, {', '.join(f'p{i}.value AS {c}' for i, c in enumerate(cols, 1))} FROM {froms})", cols
+
+
+def capped(m: Mapping, schema: ShapeSchema, cap: int) -> str:
+    """Verdicts of the naive evaluation where every answer is sorted and ends after ``cap`` rows."""
+    ctes = []
+    for n in (n for part in dependency_graph(schema).components() for n in part):
+        s = schema[n]
+        cols, froms, good = [], f"{entities(m, s.target)} t", []
+        for k, c in enumerate(s.counts("min"), 1):
+            if c.n:
+                rows, own = _subsets(witnesses(m, s, c, False), c.n, f"m{k}_")
+                froms += f" JOIN {rows} j{k} ON j{k}.entity = t.entity"
+                cols += own
+                good += [f"{x} IN (SELECT entity FROM seen_{c.ref})" for x in own if c.ref]
+        answer = f"(SELECT {', '.join(['t.entity', *cols])} FROM {froms} ORDER BY ALL LIMIT {cap})"
+        bad = ""
+        for c in s.counts("max"):
+            rows, own = _subsets(witnesses(m, s, c, False), c.n + 1, "x")
+            broken = " AND ".join(f"{x} IN (SELECT entity FROM seen_{c.ref})" for x in own) if c.ref else "TRUE"
+            bad += f" EXCEPT SELECT entity FROM (SELECT * FROM {rows} ORDER BY ALL LIMIT {cap}) WHERE {broken}"
+        ctes.append(f"seen_{n} AS MATERIALIZED (SELECT DISTINCT entity FROM {answer} WHERE {' AND '.join(good) or 'TRUE'}{bad})")
+    parts = [f"SELECT '{s.name}' AS shape, CAST(entity AS VARCHAR) AS entity, entity IN (SELECT entity FROM seen_{s.name}) AS valid FROM {entities(m, s.target)}" for s in schema.shapes]
+    return "WITH " + ",\n".join(ctes) + "\n" + "\nUNION ALL ".join(parts)
+
+
+def misclassified(exact: str, said: str) -> str:
+    """By shape, how two sets of verdicts differ."""
+    return f"""SELECT shape, count(*) FILTER (WHERE e.valid) AS n_valid, count(*) FILTER (WHERE e.valid AND NOT s.valid) AS n_missed, count(*) FILTER (WHERE NOT e.valid AND s.valid) AS n_wrongly_valid,
+    (count(*) FILTER (WHERE e.valid AND NOT s.valid))::DOUBLE / nullif(count(*) FILTER (WHERE e.valid), 0) AS share_missed FROM ({exact}) e JOIN ({said}) s USING (shape, entity) GROUP BY shape"""
+
+
+def predicates(m: Mapping) -> list[tuple[str, str]]:
+    """Name and SQL of the pairs of every predicate of the long form: those given, and inverses that no other one mirrors."""
+    direct = {p for c in m.classes.values() for p in (*c.single, *c.multi) if not p.startswith("^")}
+    out = []
+    for cls, c in m.classes.items():
+        for p in (*c.single, *c.multi):
+            if not p.startswith("^"):
+                out.append((p, f"(SELECT DISTINCT '{cls}/' || entity AS s, CAST(value AS VARCHAR) AS o FROM {_step(m, cls, p)} WHERE entity IS NOT NULL AND value IS NOT NULL)"))
+            elif p[1:] not in direct:
+                out.append((p[1:], f"(SELECT DISTINCT 'Turn/' || value AS s, CAST(entity AS VARCHAR) AS o FROM {_step(m, cls, p)} WHERE entity IS NOT NULL AND value IS NOT NULL)"))
+    return [("type", f"(SELECT '{cls}/' || entity AS s, '{cls}' AS o FROM {entities(m, cls)})") for cls in m.classes] + out
+
+
+def by_predicate(m: Mapping) -> str:
+    """Of the whole graph as triples, by predicate: triples and subjects."""
+    return "SELECT p, sum(n)::BIGINT AS n, sum(k)::BIGINT AS n_subjects FROM (" + " UNION ALL ".join(f"SELECT '{p}' AS p, count(*) AS n, count(DISTINCT s) AS k FROM {x}" for p, x in predicates(m)) + ") GROUP BY p"
+
+
 def counts(m: Mapping, s: Shape) -> str:
     """Witnesses of each top-level constraint, references ignored."""
     cols = [f"(SELECT count(*) FROM {witnesses(m, s, c, False)} w WHERE w.entity = t.entity) AS c{k}" for k, c in enumerate(s.counts(), 1)]
     return f"SELECT t.entity, {', '.join(cols)} FROM {entities(m, s.target)} t"
 
 
-def rules(m: Mapping, schema: ShapeSchema, planned_order: list[str] | None = None) -> str:
-    """Number of grounded rules in closed form; with an order, after its valid lists were pushed."""
+def rules(m: Mapping, schema: ShapeSchema, planned_order: list[str] | None = None, push: bool = True) -> str:
+    """Number of grounded rules in closed form; with an order, witnesses conform to decided shapes, and with ``push`` their lists cut the targets."""
     ctes = [valid_ctes(m, schema)] if planned_order else ["WITH one AS (SELECT 1)"]
     terms, decided = [], set()
     for n in planned_order or schema.names:
         s = schema[n]
         judged = {c for c in s.counts() if c.ref in decided}
         ground = f"SELECT entity FROM {entities(m, s.target)}"
-        for c in judged:
+        for c in judged if push else ():
             if c.kind == "min" and c.n >= 1:
                 ground = f"SELECT entity FROM ({ground}) WHERE entity IN (SELECT entity FROM {witnesses(m, s, c)})"
         ks = [f"coalesce((SELECT count(*) FROM {witnesses(m, s, c, c in judged)} w WHERE w.entity = t.entity), 0)" for c in s.counts()]

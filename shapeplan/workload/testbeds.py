@@ -7,8 +7,10 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from shapeplan.execute import validate
+from shapeplan.measure import trace as tr
 from shapeplan.model import ShapeSchema, load_schema
 from shapeplan.plans.order import CONFIGS
 from shapeplan.sources import class_tables, corrupt
@@ -59,5 +61,26 @@ def run_matrix(spark: SparkSession, beds: list[Testbed], engines=ENGINES, runs:
                     yield bed.name, name, run, time.monotonic() - began
 
 
+def steps(spark: SparkSession, runs: dict) -> DataFrame:
+    """Traces of results by engine: ``engine``, ``t`` (seconds), ``answer_no`` (verdicts so far); a row for each delivery, as its verdicts share a time."""
+    rows = [(e, t, sum(n for _, _, n in r.trace[: i + 1])) for e, r in runs.items() for i, (_, t, _) in enumerate(r.trace)]
+    return spark.createDataFrame(rows, "engine string, t double, answer_no long")
+
+
+def continuous(spark: SparkSession, sf_dir: str, schema: str, level: str, engines: tuple[str, ...]) -> DataFrame:
+    """By engine the measures of continuous behaviour over its own trace, the area up to the time at which the slowest engine ends."""
+    graph, s = graph_of(spark, sf_dir, schema, level)
+    made = steps(spark, {e: validate(graph, s, e, traced=True) for e in engines})
+    until = made.agg(F.max("t")).first()[0]
+    return tr.trace_summary(made, ["engine"]).join(tr.dief_at_t(made, until, ["engine"]), "engine").withColumn("until", F.lit(until))
+
+
+def measured(spark: SparkSession, sf_dir: str, schema: str, level: str, engines: tuple[str, ...]) -> DataFrame:
+    """What of ``continuous`` doesn't depend on the clock."""
+    out = continuous(spark, sf_dir, schema, level, engines)
+    within = (F.col("dief") >= 0) & (F.col("dief") <= F.col("until") * F.col("comp"))
+    return out.select("engine", "comp", "n_steps", within.alias("area_within"), (F.col("inv_tfff") >= F.col("inv_et")).alias("first_before_last"))
+
+
 def times_table(spark: SparkSession, rows) -> DataFrame:
     return spark.createDataFrame(list(rows), "testbed string, engine string, run int, seconds double")

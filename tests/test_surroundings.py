@@ -3,13 +3,14 @@
 import pytest
 from pyspark.sql import functions as F
 
+from shapeplan.functions.register import register
 from shapeplan.sources import io
 from shapeplan.streaming import events as ev
 from shapeplan.workload import catalogue
 from shapeplan.workload.testbeds import graph_of
 from tests.conftest import SMALL
 
-NAMES = [n for n in catalogue.oracle_sql() if n.startswith(("push", "split", "union", "join", "asof", "fn_", "win_", "report", "x", "retrieved", "checks", "capped", "plan_orders_B", "min_R", "graph_size", "explain"))]
+NAMES = [n for n in catalogue.oracle_sql() if n.startswith(("push", "split", "union", "join", "asof", "fn_", "win_", "report", "x", "retrieved", "checks", "capped_misses_naive", "plan_orders_B", "min_R", "max_A_Nation", "graph_size", "explain", "work", "cascade", "strata", "fragments", "shape_skew", "demand"))]
 
 
 def plain(v):
@@ -52,6 +53,32 @@ def test_triples_written_by_predicate(spark, tmp_path):
     assert back.count() == t.count() and "PartitionFilters: [isnotnull(p" in plan
 
 
+def test_edge_lists_and_sinks(spark, tmp_path):
+    (tmp_path / "e.csv").write_text("s,p,o\na,p,x\na,p,x\nb,q,y\n")
+    assert sorted((r.s, r.p, r.o.iri) for r in io.read_edges_csv(spark, str(tmp_path / "e.csv")).collect()) == [("a", "p", "x"), ("b", "q", "y")]
+    verdicts = spark.createDataFrame([("S", "a", True), ("T", "b", False)], "shape string, entity string, valid boolean")
+    io.write_verdicts(verdicts, str(tmp_path / "v"))
+    io.write_verdicts(verdicts.where("shape = 'T'").withColumn("valid", F.lit(True)), str(tmp_path / "v"))
+    assert {(r.shape, r.valid) for r in spark.read.parquet(str(tmp_path / "v")).collect()} == {("S", True), ("T", True)}
+    io.write_report(verdicts, str(tmp_path / "r"))
+    assert spark.read.json(str(tmp_path / "r")).count() == 2
+
+
+def test_dief_in_sql(spark):
+    register(spark)
+    out = spark.sql("SELECT dief(t, 5.0D) AS d FROM VALUES (1.0D), (3.0D), (3.0D) AS x(t)")
+    assert out.first()["d"] == 10.0
+
+
+def test_published_batches(spark, tmp_path):
+    spark.read.parquet(f"{SMALL}/events.parquet").repartition(2).write.parquet(str(tmp_path / "in"))
+    seen = []
+    q = ev.publish(ev.read_events(spark, str(tmp_path / "in")).withColumn("ok", ev.conforms()), str(tmp_path / "out"), str(tmp_path / "at"), lambda batch, n: seen.append(n)).start()
+    q.processAllAvailable()
+    q.stop()
+    assert spark.read.parquet(str(tmp_path / "out")).count() == spark.read.parquet(str(tmp_path / "in")).count() and seen == [0, 1]
+
+
 def test_stream_equals_batch(spark, tmp_path):
     events = spark.read.parquet(f"{SMALL}/events.parquet")
     events.withColumn("ts", F.col("ts").cast("timestamp")).repartition(3).write.parquet(str(tmp_path / "in"))
