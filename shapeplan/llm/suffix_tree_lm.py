@@ -393,7 +393,7 @@ def _hot_shares(dealt: DataFrame, depth: int, norm: float) -> DataFrame:
     return rows.unionByName(heads).groupBy("bucket").applyInArrow(W.grouped(_hot_packed), "slice long, bucket long, data binary")
 
 
-def lm_scores(docs: DataFrame, *, depth: int = 2, least: int = 8, penalty: float = 1.5, buckets: int | None = None, hot: int = 1_000_000) -> DataFrame:
+def lm_scores(docs: DataFrame, *, depth: int = 2, least: int = 8, penalty: float = 1.5, buckets: int | None = None, hot: int = 4_000_000) -> DataFrame:
     """Per document: ``doc_id``, ``held_out``, ``n_tokens``, ``n_known``, ``train_tokens``, ``base_score``, ``score``.
 
     ``base_score`` is the add-one unigram score, ``score`` that of the tree; both are log10
@@ -410,7 +410,7 @@ def lm_scores(docs: DataFrame, *, depth: int = 2, least: int = 8, penalty: float
     rows = docs.select("doc_id", "text").withColumn("uid", F.monotonically_increasing_id())
     slices = bucketed(rows.mapInArrow(_slices, form), "slices", "slice", parts)
     seen = slices.mapInArrow(partial(_words, buckets=buckets), form)
-    counts = written(seen.groupBy("bucket").applyInArrow(W.grouped(_number), f"{form}, tokens long, words long, most long"), "counts")
+    counts = bucketed(seen.groupBy("bucket").applyInArrow(W.grouped(_number), f"{form}, tokens long, words long, most long"), "counts", "slice", parts)
     total = counts.agg(F.sum("tokens").alias("n"), F.sum("words").alias("v"), F.max("most").alias("most")).first()
     tokens = total["n"] or 0
     norm = float(tokens + (total["v"] or 0) + 1)
