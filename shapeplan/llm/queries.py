@@ -47,7 +47,7 @@ def op8_compaction(spark: SparkSession, sf_dir: str) -> DataFrame:
     arrival = F.coalesce(F.when(part < 16, 0).when(part < 24, 1).otherwise(part - 22), F.lit(0)).cast("int")
     held = compaction.ShardedTable(spark, scratch_path(spark, "shards"), base_bytes=1 << 16)
     held.append_all(docs.withColumn("arrival", arrival), "arrival")
-    held.vacuum()
+    held.vacuum(grace_s=0)  # nobody else writes to it
     rows = held.read(schema=docs.schema)
     return rows.select("doc_id", "lang", "source", "n_chars", F.sha2(F.col("text").cast("binary"), 256).alias("text_sha256"))
 

@@ -251,6 +251,30 @@ def test_compaction(spark):
     assert held.read().count() == 7 * rows.count() and len(held.versions()) == 1
 
 
+def test_vacuum_leaves_what_a_writer_has_not_committed(spark):
+    root = scratch_path(spark, "shards")
+    held = compaction.ShardedTable(spark, root, base_bytes=1 << 10)
+    rows = frame(spark, some_docs(5))
+    held.append(rows)
+    rows.write.parquet(f"{root}/data/pending")
+    held.vacuum()
+    entry = held.describe(f"{root}/data/pending", 0)
+    held.commit([entry])
+    assert held.read().count() == 2 * rows.count()
+    rows.write.parquet(f"{root}/data/crashed")
+    held.vacuum(grace_s=0)
+    assert "crashed" not in held._list(f"{root}/data") and held.read().count() == 2 * rows.count()
+
+
+def test_empty_arrivals_commit_nothing(spark):
+    held = compaction.ShardedTable(spark, scratch_path(spark, "shards"), fanout=2)
+    rows = frame(spark, some_docs(5))
+    for _ in range(3):
+        assert held.append(rows.limit(0)) == 0 and not held.versions()
+    assert held.append_all(rows.limit(0).withColumn("a", F.lit(1)), "a") == [] and held.compact() == 0
+    assert held.read() is None and held.read(schema=rows.schema).count() == 0
+
+
 def test_hilbert_is_a_curve():
     pts = np.array(list(itertools.product(range(8), repeat=2)))
     key = curve_search.hilbert(pts, 3)
