@@ -2,7 +2,8 @@
 
 Every language has a probability for each piece of a fixed public vocabulary. The probability of a
 word is the sum, over all ways to cut it into pieces, of the product of their probabilities: a forward
-pass over its characters. A text's languages are compared by the product over its words.
+pass over its characters, whatever its length. Short words of equal length go through it together, in products that
+cannot leave the range of a double; long ones go alone, in logarithms. A text's languages are compared by the product over its words.
 
 Learning: two passes of expectation maximisation over the whole texts of labelled rows, of which a
 parameter bounds the number a label. Both count on the
@@ -11,7 +12,8 @@ first starts from equal probabilities for pieces of equal length. Words repeat,
 each distinct word of a batch once.
 
 Rows: a null text, or one without a letter, is ``und`` with score 0. Ties go to the label that sorts
-first. If nothing is labelled all is ``und``. Other columns are ignored.
+first. If nothing is labelled all is ``und``. Rows repeating an id are judged one by one. Very long texts and words count whole. An
+empty table gives an empty result. Other columns are ignored.
 """
 
 from __future__ import annotations
@@ -56,8 +58,8 @@ def default_vocabulary() -> str:
     return public_tokenizers.path("piece_bpe_32k.model")
 
 
-#: Factor a character that keeps the products of a stretch within the range of a double.
-LIFT = 5.0
+#: Factor a character that keeps the products of a short word within the range of a double, and the characters of one.
+LIFT, SHORT = 5.0, 64
 
 _BASE = np.uint64(0x100000001B3 * 2 + 0x5BD1E995)
 
@@ -90,6 +92,7 @@ class Lattice:
         self.other, self.none = len(pieces), len(pieces) + 1
         length = np.array([len(p) for p in pieces] + [1])
         self.p = np.vstack([np.exp(logp.astype(float) + LIFT * length[:, None]), np.zeros((1, logp.shape[1]))])
+        self.logp = np.vstack([logp.astype(float), np.full((1, logp.shape[1]), -np.inf)])
 
     def arcs(self, words: list[str], n: int) -> dict[tuple[int, int], np.ndarray]:
         """For each (start, end) the piece of each word there, or the row of zeros; lone unknown characters count as one."""
@@ -119,8 +122,49 @@ class Lattice:
         """Words by languages, for words of any lengths."""
         out = np.zeros((len(words), self.p.shape[1]))
         for n, at, part in _by_length(words):
-            value = np.log(self.forward(self.arcs(part, n), n, len(part))[n]) - LIFT * n
-            np.add.at(out, at, value)
+            out[at] = np.log(self.forward(self.arcs(part, n), n, len(part))[n]) - LIFT * n
+        for at in _long(words):
+            out[at] = self.sweep(self.ends(words[at]))[-1]
+        return out
+
+    def ends(self, word: str) -> np.ndarray:
+        """Of one word the piece that ends before each place (rows from the second on) with each length (columns), or the row of zeros."""
+        n, size = len(word), min(self.longest, len(word))
+        codes = _codes([word], n)[0]
+        out = np.full((n + 1, size + 1), self.none, np.int64)
+        h = np.zeros(n, np.uint64)  # of the last d characters before each place
+        power = np.uint64(1)
+        for d in range(1, size + 1):
+            with np.errstate(over="ignore"):
+                h[d - 1 :] = h[d - 1 :] + codes[: n - d + 1] * power
+                power = power * _BASE
+            sub = h[d - 1 :] ^ np.uint64(d)
+            k = np.minimum(np.searchsorted(self.hashes, sub), len(self.hashes) - 1)
+            out[d:, d] = np.where(self.hashes[k] == sub, self.ids[k], self.other if d == 1 else self.none)
+        return out
+
+    def sweep(self, ends: np.ndarray) -> np.ndarray:
+        """Log of the sum over all segmentations of each prefix, by languages."""
+        n, size = ends.shape[0] - 1, ends.shape[1] - 1
+        out = np.full((n + 1, self.p.shape[1]), -np.inf)
+        out[0] = 0.0
+        for j in range(1, n + 1):
+            d = min(j, size)
+            parts = out[j - d : j][::-1] + self.logp[ends[j, 1 : d + 1]]
+            top = parts.max(axis=0)
+            out[j] = top + np.log(np.exp(parts - top).sum(axis=0))
+        return out
+
+    def sweep_back(self, ends: np.ndarray) -> np.ndarray:
+        """The same for each suffix."""
+        n, size = ends.shape[0] - 1, ends.shape[1] - 1
+        out = np.full((n + 1, self.p.shape[1]), -np.inf)
+        out[n] = 0.0
+        for i in range(n - 1, -1, -1):
+            d = np.arange(1, min(n - i, size) + 1)
+            parts = out[i + d] + self.logp[ends[i + d, d]]
+            top = parts.max(axis=0)
+            out[i] = top + np.log(np.exp(parts - top).sum(axis=0))
         return out
 
     def expected(self, words: list[str], weights: np.ndarray) -> np.ndarray:
@@ -138,6 +182,14 @@ class Lattice:
                 now = alpha[i] * self.p[ids] * beta[j] * share
                 for k in range(counts.shape[1]):
                     counts[:, k] += np.bincount(ids, weights=now[:, k], minlength=len(counts))
+        for at in _long(words):
+            ends = self.ends(words[at])
+            front, back = self.sweep(ends), self.sweep_back(ends)
+            for d in range(1, ends.shape[1]):
+                ids = ends[d:, d]
+                now = np.exp(front[: len(front) - d] + self.logp[ids] + back[d:] - front[-1]) * weights[at]
+                for k in range(counts.shape[1]):
+                    counts[:, k] += np.bincount(ids, weights=now[:, k], minlength=len(counts))
         return counts[: self.none]
 
 
@@ -146,28 +198,23 @@ TOGETHER = 2048
 
 
 def _by_length(words: list[str]) -> Iterator[tuple[int, np.ndarray, list[str]]]:
-    """Stretches of the words by length: the length, the word that each is of, and the stretches."""
-    by: dict[int, tuple[list[int], list[str]]] = {}
+    """Short words by length: the length, their places and the words."""
+    by: dict[int, list[int]] = {}
     for at, word in enumerate(words):
-        for part in stretches(word):
-            own = by.setdefault(len(part), ([], []))
-            own[0].append(at)
-            own[1].append(part)
-    for n, (at, parts) in by.items():
-        for i in range(0, len(parts), TOGETHER):
-            yield n, np.array(at[i : i + TOGETHER]), parts[i : i + TOGETHER]
-
-
-def tokens(text: str) -> list[str]:
-    return [SPACE + w for w in text.lower().split()]
+        if len(word) <= SHORT:
+            by.setdefault(len(word), []).append(at)
+    for n, at in by.items():
+        for i in range(0, len(at), TOGETHER):
+            own = at[i : i + TOGETHER]
+            yield n, np.array(own), [words[k] for k in own]
 
 
-#: Characters of a word that are looked at together; longer ones are cut, as pieces are short.
-STRETCH = 64
+def _long(words: list[str]) -> list[int]:
+    return [at for at, word in enumerate(words) if len(word) > SHORT]
 
 
-def stretches(word: str) -> list[str]:
-    return [word[i : i + STRETCH] for i in range(0, len(word), STRETCH)]
+def tokens(text: str) -> list[str]:
+    return [SPACE + w for w in text.lower().split()]
 
 
 @W.tidy

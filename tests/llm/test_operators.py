@@ -146,6 +146,33 @@ def test_forward_sums_all_segmentations():
     assert math.isclose(sum(n * k for n, k in zip(e, (1, 1, 2, 2, 3, 1))), 4.0)
 
 
+def test_long_words_sum_all_segmentations_too():
+    """Against an exact sum in whole numbers, beyond the length up to which words go together."""
+    pieces, share = ["a", "b", "ab", "ba", "aba"], [20, 10, 30, 15, 5, 1]
+    lattice = language.Lattice(pieces, np.log(np.array(share)[:, None] / 100))
+    r = random.Random(9)
+    for n in (60, 64, 65, 200, 3000):
+        word = "".join(r.choice("aabbc") for _ in range(n))
+        ways = [1] + [0] * n  # sums of products, times 100 for each character
+        for j in range(1, n + 1):
+            for k, x in enumerate(pieces):
+                if word[:j].endswith(x):
+                    ways[j] += ways[j - len(x)] * share[k] * 100 ** (len(x) - 1)
+            if word[j - 1] == "c":
+                ways[j] += ways[j - 1]
+        exact = math.log(ways[n] >> max(0, ways[n].bit_length() - 60)) + max(0, ways[n].bit_length() - 60) * math.log(2) - n * math.log(100)
+        assert math.isclose(lattice.log_probability([word])[0, 0], exact, rel_tol=1e-9)
+        e = lattice.expected([word], np.ones((1, 1)))[:, 0]
+        assert math.isclose(sum(m * k for m, k in zip(e, (1, 1, 2, 2, 3, 1))), n, rel_tol=1e-9)
+
+
+def test_language_of_long_words_repeated_ids_and_nothing(spark):
+    rows = [(i, "".join("abcd"[(i + k) % 3 + (i % 2)] for k in range(300)), "xy"[i % 2], "s") for i in range(40)]
+    got = language.identify(frame(spark, [*rows, (1, rows[1][1], None, None), (1, None, None, None)])).collect()
+    assert len(got) == 42 and all(r.lang_pred == "xy"[r.doc_id % 2] for r in got if r.score > 0)
+    assert language.identify(frame(spark, [])).count() == 0
+
+
 def test_lm_base_and_held_out(spark):
     docs = spark.read.parquet(f"{SMALL}/documents.parquet").select("doc_id", "text")
     rows = [(r.doc_id, ((r.text or "").encode().lower().split()) + [b"\x00end"]) for r in docs.collect()] + [(9001, [b"\x00end"])]
