@@ -14,9 +14,10 @@ method, like any other, saves little over scanning.
 Equal vectors are one point with its least ``k + 1`` ids, which is all that ties can ask for, so a
 vector that very many rows share costs no more than another.
 
-Rows: vectors null, zero, holding a null or a component that isn't finite take no part, nor do those
-whose length differs from most. A null id takes no part. With fewer candidates than ``k`` all are returned.
-Rows repeating an id and vector count once.
+Rows: vectors null, empty, zero, holding a null or a component that isn't finite take no part. Vectors of different lengths
+compare by the components that both have, as if the shorter one went on with zeros. A null id takes no part. With fewer
+candidates than ``k`` all are returned. Rows repeating an id and vector count once. Points that tie are kept in order of their least
+ids wherever lists are cut, so ties go to smaller ids. Other columns are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -74,19 +75,23 @@ def directions(dim: int, curves: int, seed: int) -> tuple[list[np.ndarray], np.n
     return [np.linalg.qr(rng.standard_normal((dim, dim)))[0][:, :k] for _ in range(curves)], rng.random((curves, k))
 
 
-def _matrix(batch: pa.RecordBatch, name: str = "embedding") -> np.ndarray:
+def _matrix(batch: pa.RecordBatch, dim: int, name: str = "embedding") -> np.ndarray:
+    """Vectors as rows of ``dim`` components, shorter ones filled up with zeros."""
     a = batch.column(batch.schema.get_field_index(name))
-    return a.flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(a), -1)
+    flat, sizes = a.flatten().to_numpy(zero_copy_only=False).astype(float), pa.compute.list_value_length(a).to_numpy(zero_copy_only=False).astype(np.int64)
+    out = np.zeros((len(a), dim))
+    out[np.arange(dim) < sizes[:, None]] = flat
+    return out
 
 
 @W.tidy
-def _points(batches: Iterator[pa.RecordBatch], k: int, every: int) -> Iterator[pa.RecordBatch]:
+def _points(batches: Iterator[pa.RecordBatch], k: int, every: int, dim: int) -> Iterator[pa.RecordBatch]:
     """Distinct vectors of a partition's batches, with their least ids and whether a query has them."""
     for batch in batches:
         if not batch.num_rows:
             continue
         ids = np.array(column(batch, "vec_id"), np.int64)
-        x = np.ascontiguousarray(_matrix(batch)) + 0.0  # no negative zeros
+        x = np.ascontiguousarray(_matrix(batch, dim)) + 0.0  # no negative zeros
         order = np.argsort(ids, kind="stable")
         by: dict[bytes, list[int]] = {}
         asks: dict[bytes, bool] = {}
@@ -113,32 +118,39 @@ def _truth(batches: Iterator[pa.RecordBatch], queries: np.ndarray, k: int) -> It
 @W.tidy
 def _numbered(batches: Iterator[pa.RecordBatch], axes, shifts, lo, hi) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        points, asks = column(batch, "point"), column(batch, "asks")
+        points, asks, least = (column(batch, c) for c in ("point", "asks", "least"))
         if not points:
             continue
         x = np.array([np.frombuffer(p) for p in points])
         for c, axis in enumerate(axes):
             unit = np.clip((x @ axis - lo[c]) / np.maximum(hi[c] - lo[c], 1e-12), 0, 1)
             key = hilbert(((unit + shifts[c]) / 2 * ((1 << BITS) - 1)).astype(np.int64), BITS)
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(points), c, np.int32)), pa.array(key), pa.array(points, pa.binary()), pa.array(asks)], names=["curve", "number", "point", "asks"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(points), c, np.int32)), pa.array(key), pa.array(points, pa.binary()), pa.array(asks), pa.array(least, pa.int64())], names=["curve", "number", "point", "asks", "least"])
 
 
 def _window(group: pa.Table, k: int) -> pa.Table:
-    asks = group.column("asks").to_numpy()
+    asks, least = group.column("asks").to_numpy(), group.column("least").to_numpy()
     points = group.column("point").to_pylist()
     q, v = np.flatnonzero(asks), np.flatnonzero(~asks)
     x = np.array([np.frombuffer(p) for p in points])
-    out = [[], [], []]
+    out: list[list] = [[], [], [], []]
     for at in range(0, len(q) if len(v) else 0, 512):
         own = q[at : at + 512]
         s = x[own] @ x[v].T
         n = min(k, len(v))
-        top = np.argpartition(-s, n - 1, axis=1)[:, :n]
-        a, b = np.repeat(own, n), v[top.ravel()]
-        out[0].extend(points[i] for i in a)
-        out[1].extend(points[i] for i in b)
-        out[2].append(np.einsum("ij,ij->i", x[a], x[b]))
-    return pa.table([pa.array(out[0], pa.binary()), pa.array(out[1], pa.binary()), pa.array(np.concatenate([np.zeros(0), *out[2]]))], names=["q", "point", "score"])
+        # All that could be among the best, products of a matrix being a little off, then the best by score and least id.
+        edge = np.partition(s, len(v) - n, axis=1)[:, len(v) - n]
+        a, b = np.nonzero(s >= (edge - 1e-9 * (1 + np.abs(s).max(axis=1)))[:, None])
+        score = np.einsum("ij,ij->i", x[own[a]], x[v[b]])
+        order = np.lexsort((least[v[b]], -score, a))
+        place = np.arange(len(order)) - np.searchsorted(a[order], a[order], "left")
+        keep = order[place < n]
+        out[0].extend(points[i] for i in own[a[keep]])
+        out[1].extend(points[i] for i in v[b[keep]])
+        out[2].append(score[keep])
+        out[3].append(least[v[b[keep]]])
+    score, ids = np.concatenate([np.zeros(0), *out[2]]), np.concatenate([np.zeros(0, np.int64), *out[3]])
+    return pa.table([pa.array(out[0], pa.binary()), pa.array(out[1], pa.binary()), pa.array(score), pa.array(ids)], names=["q", "point", "score", "least"])
 
 
 def usable(vectors: DataFrame) -> DataFrame:
@@ -153,13 +165,12 @@ def neighbours(vectors: DataFrame, *, k: int = 20, every: int = 20, curves: int
     ship(spark)
     schema = "query_id long, rank int, vec_id long, score double"
     sized = usable(vectors).withColumn("dim", F.size("embedding"))
-    first = sized.groupBy("dim").count().orderBy(F.desc("count"), "dim").first()
-    if first is None:
+    dim = sized.agg(F.max("dim")).first()[0]
+    if dim is None:
         return spark.createDataFrame([], schema)
-    dim = first["dim"]
-    good = sized.where(F.col("dim") == dim).select("vec_id", "embedding")
+    good = sized.select("vec_id", "embedding")
     least = F.slice(F.array_sort(F.array_distinct(F.flatten(F.collect_list("ids")))), 1, k + 1)
-    points = good.mapInArrow(partial(_points, k=k, every=every), "point binary, ids array<long>, asks boolean")
+    points = good.mapInArrow(partial(_points, k=k, every=every, dim=dim), "point binary, ids array<long>, asks boolean")
     # Twice, so that a vector with very many copies isn't merged in one go.
     points = points.withColumn("salt", F.pmod(F.xxhash64("ids"), F.lit(64))).groupBy("point", "salt").agg(least.alias("ids"), F.max("asks").alias("asks"))
     points = written(points.groupBy("point").agg(least.alias("ids"), F.max("asks").alias("asks")), "points")
@@ -172,12 +183,12 @@ def neighbours(vectors: DataFrame, *, k: int = 20, every: int = 20, curves: int
     seen = np.array([np.frombuffer(r[0]) for r in points.select("point").orderBy(F.xxhash64("point", F.lit(1))).limit(1024).collect()])
     lo, hi = [np.array([np.quantile(seen @ a, f, axis=0) for a in axes]) for f in (0.002, 0.998)]
 
-    lined = points.select("point", "asks").mapInArrow(partial(_numbered, axes=axes, shifts=shifts, lo=lo, hi=hi), "curve int, number long, point binary, asks boolean")
+    lined = points.select("point", "asks", F.element_at("ids", 1).alias("least")).mapInArrow(partial(_numbered, axes=axes, shifts=shifts, lo=lo, hi=hi), "curve int, number long, point binary, asks boolean, least long")
     lined = written(lined.repartitionByRange("curve", "number", "point").sortWithinPartitions("curve", "number", "point").withColumn("at", F.monotonically_increasing_id()), "lined")
     runs = lined.groupBy("curve", F.shiftright("at", 33).alias("part")).agg(F.min("at").alias("least"), F.count(F.lit(1)).alias("n"))
     base = Window.partitionBy("curve").orderBy("part")
     runs = runs.select("curve", "part", (F.sum("n").over(base) - F.col("n") - F.col("least")).alias("shift"))
-    ranks = written(lined.withColumn("part", F.shiftright("at", 33)).join(F.broadcast(runs), ["curve", "part"]).select("curve", "point", "asks", (F.col("at") + F.col("shift")).alias("rank")), "ranks")
+    ranks = written(lined.withColumn("part", F.shiftright("at", 33)).join(F.broadcast(runs), ["curve", "part"]).select("curve", "point", "asks", "least", (F.col("at") + F.col("shift")).alias("rank")), "ranks")
 
     wanted = {r[0] for r in asked} | {r["point"] for r in near}
     place: dict[bytes, np.ndarray] = {}
@@ -189,22 +200,22 @@ def neighbours(vectors: DataFrame, *, k: int = 20, every: int = 20, curves: int
 
     block = F.floor(F.col("rank") / F.lit(width)).cast("long")
     pieces = -(-width // CHUNK)
-    held = ranks.select("curve", block.alias("block"), F.floor(F.pmod("rank", F.lit(width)) / F.lit(CHUNK)).cast("long").alias("piece"), "point", F.lit(False).alias("asks"))
-    sent = ranks.where("asks").select("curve", F.explode(F.array(block - 1, block, block + 1)).alias("block"), "point")
-    sent = sent.withColumn("piece", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(pieces - 1).cast("long")))).select("curve", "block", "piece", "point", F.lit(True).alias("asks"))
-    found = held.unionByName(sent).groupBy("curve", "block", "piece").applyInArrow(lambda group: _window(group, k + 1), "q binary, point binary, score double")
-    best = found.groupBy("q", "point").agg(F.max("score").alias("score"))
+    held = ranks.select("curve", block.alias("block"), F.floor(F.pmod("rank", F.lit(width)) / F.lit(CHUNK)).cast("long").alias("piece"), "point", F.lit(False).alias("asks"), "least")
+    sent = ranks.where("asks").select("curve", F.explode(F.array(block - 1, block, block + 1)).alias("block"), "point", "least")
+    sent = sent.withColumn("piece", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(pieces - 1).cast("long")))).select("curve", "block", "piece", "point", F.lit(True).alias("asks"), "least")
+    found = held.unionByName(sent).groupBy("curve", "block", "piece").applyInArrow(lambda group: _window(group, k + 1), "q binary, point binary, score double, least long")
+    best = found.groupBy("q", "point").agg(F.max("score").alias("score"), F.min("least").alias("least"))
     order = lambda by: Window.partitionBy(by).orderBy(F.desc("score"), "vec_id")
-    merged = best.withColumn("r", F.row_number().over(Window.partitionBy("q").orderBy(F.desc("score"), "point"))).where(F.col("r") <= 2 * k + 2)
+    merged = best.withColumn("r", F.row_number().over(Window.partitionBy("q").orderBy(F.desc("score"), "least"))).where(F.col("r") <= k + 1)
     top = merged.join(points.select("point", "ids"), "point").select("q", "score", F.explode("ids").alias("vec_id")).withColumn("r", F.row_number().over(order("q"))).where(F.col("r") <= k + 1).select(F.col("q").alias("point"), "vec_id", "score")
-    asks = good.where(F.col("vec_id") % every == 0).mapInArrow(_named, "query_id long, point binary").distinct()
+    asks = good.where(F.col("vec_id") % every == 0).mapInArrow(partial(_named, dim=dim), "query_id long, point binary").distinct()
     out = asks.join(top, "point").where("query_id <> vec_id").withColumn("rank", F.row_number().over(order("query_id"))).where(F.col("rank") <= k)
     return out.select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
 
 @W.tidy
-def _named(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _named(batches: Iterator[pa.RecordBatch], dim: int) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         if batch.num_rows:
-            x = _matrix(batch) + 0.0
+            x = _matrix(batch, dim) + 0.0
             yield pa.RecordBatch.from_arrays([pa.array(column(batch, "vec_id"), pa.int64()), pa.array([r.tobytes() for r in x], pa.binary())], names=["query_id", "point"])

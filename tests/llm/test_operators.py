@@ -327,6 +327,43 @@ def test_neighbours(spark):
     assert got[220] == [20, *range(200, 209)]
 
 
+def exact_neighbours(vectors, k, every):
+    """By brute force, with zeros after the end of shorter vectors."""
+    dim = max(len(v) for _, v in vectors)
+    ids = np.array([i for i, _ in vectors])
+    x = np.array([[*v, *[0.0] * (dim - len(v))] for _, v in vectors])
+    out = {}
+    for i, v in zip(ids, x):
+        if i % every == 0:
+            s = x @ v
+            out[int(i)] = [(int(ids[j]), float(s[j])) for j in sorted(range(len(ids)), key=lambda j: (-s[j], ids[j])) if ids[j] != i][:k]
+    return out
+
+
+def found_neighbours(spark, vectors, **how):
+    rows = spark.createDataFrame(vectors, "vec_id long, embedding array<double>").withColumn("point", F.lit("x")).withColumn("rank", F.lit(0))
+    got = {}
+    for q in curve_search.neighbours(rows, **how).orderBy("query_id", "rank").collect():
+        got.setdefault(q.query_id, []).append((q.vec_id, q.score))
+    return got
+
+
+def test_neighbours_that_tie_come_by_id(spark):
+    r = np.random.default_rng(8)
+    few = [(int(i), np.eye(6)[r.integers(0, 6)].tolist()) for i in r.permutation(150)]  # one-hot: many equal ones
+    signs = [(int(i), (r.integers(0, 2, 10) * 2.0 - 1).tolist()) for i in r.permutation(200)]  # nearly all different, few scores
+    for vectors in (few, signs):
+        assert found_neighbours(spark, vectors, k=7) == exact_neighbours(vectors, 7, 20)
+
+
+def test_neighbours_of_different_lengths_and_none(spark):
+    r = np.random.default_rng(9)
+    vectors = [(i, r.standard_normal(int(r.choice([4, 4, 4, 7, 2]))).tolist()) for i in range(120)]
+    got, want = found_neighbours(spark, vectors, k=5), exact_neighbours(vectors, 5, 20)
+    assert {q: [i for i, _ in v] for q, v in got.items()} == {q: [i for i, _ in v] for q, v in want.items()}
+    assert found_neighbours(spark, []) == {} and found_neighbours(spark, [(20, [1.0])]) == {}
+
+
 def test_chroma(spark):
     t = np.arange(40_000) / chroma.RATE
     notes = np.repeat(np.random.default_rng(7).integers(48, 72, 40), 1000)
