@@ -38,17 +38,28 @@ def ship(spark: SparkSession) -> None:
 def scratch_root(spark: SparkSession) -> str:
     """Shared folder for written intermediate tables.
 
-    The cluster names it in ``spark.checkpoint.dir``. Only where that is unset (tests,
-    single-machine runs) a folder under the warehouse is used instead.
+    The cluster names it in ``spark.checkpoint.dir``. Only on a single machine (tests, local runs) it may be
+    unset, and a folder under the warehouse is used instead; on a cluster that could be the driver's own disk.
     """
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if spark.sparkContext.master.split("[")[0] != "local":
+            raise ValueError("set spark.checkpoint.dir to a folder that all machines share")
         base = spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_scratch"
     return base.rstrip("/")
 
 
+def _own_folder(spark: SparkSession) -> str:
+    return f"{scratch_root(spark)}/shapeplan/{spark.sparkContext.applicationId}"
+
+
 def scratch_path(spark: SparkSession, name: str) -> str:
-    return f"{scratch_root(spark)}/shapeplan/{name}-{uuid.uuid4().hex}"
+    return f"{_own_folder(spark)}/{name}-{uuid.uuid4().hex}"
+
+
+def clear_scratch(spark: SparkSession) -> None:
+    """Delete this application's intermediate tables; results that were not written elsewhere can't be read afterwards."""
+    remove(spark, _own_folder(spark))
 
 
 def written(df: DataFrame, name: str) -> DataFrame:
