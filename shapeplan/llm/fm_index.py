@@ -1,8 +1,9 @@
 """An FM-index over word sequences: Burrows-Wheeler transform in a wavelet matrix, searched backwards.
 
 The index is made for patterns up to ``depth`` symbols: suffixes are sorted by that many symbols,
-which backward search of shorter or equal patterns needs and no more. Bit vectors are packed, with a
-count of set bits for each 64; searching is vectorised over many patterns.
+which backward search of shorter or equal patterns needs and no more. What is kept is compressed: packed bit vectors with a
+count of set bits for each 64, for the transform and for where groups of suffixes with equal first symbols begin. The suffix array is
+gone once the transform and the least owner of each group are made. Searching is vectorised over many patterns.
 """
 
 from __future__ import annotations
@@ -52,11 +53,12 @@ class WaveletMatrix:
 class FMIndex:
     """Index of many word sequences; symbol 0 ends each of them and is never searched for."""
 
-    def __init__(self, sequences: list[np.ndarray], depth: int = 50):
-        """``sequences``: arrays of positive integers, dense from 1."""
+    def __init__(self, sequences: list[np.ndarray], depth: int = 50, owners: np.ndarray | None = None):
+        """``sequences``: arrays of positive integers, dense from 1. ``owners``: a value for each; of every group of suffixes
+        that share ``depth`` symbols ``least`` is the least one."""
         self.depth = depth
         lengths = np.array([len(s) for s in sequences], np.int64)
-        self.starts = np.concatenate([[0], np.cumsum(lengths + 1)[:-1]]) if len(lengths) else np.zeros(0, np.int64)
+        starts = np.concatenate([[0], np.cumsum(lengths + 1)[:-1]]) if len(lengths) else np.zeros(0, np.int64)
         text = np.concatenate([x for s in sequences for x in (s, [0])]).astype(np.int64) if sequences else np.zeros(1, np.int64)
         n, self.size = len(text), int(text.max()) + 1
         rank, reach = text.copy(), 1
@@ -65,16 +67,21 @@ class FMIndex:
             tail = np.concatenate([rank[step:] + 1, np.zeros(step, np.int64)])
             rank = np.unique(rank * (n + self.size + 2) + tail, return_inverse=True)[1]
             reach += step
-        #: Suffixes in order, and the group of suffixes that share ``depth`` symbols that each belongs to.
-        self.suffixes = np.argsort(rank, kind="stable")
-        group = rank[self.suffixes]
-        self.group_of = np.concatenate([[0], np.cumsum(np.diff(group) != 0)])
-        self.group_start = np.flatnonzero(np.concatenate([[True], np.diff(group) != 0]))
-        self.group_end = np.concatenate([self.group_start[1:], [n]])
-        self.bwt = WaveletMatrix(text[self.suffixes - 1], self.size)
+        suffixes = np.argsort(rank, kind="stable")
+        first = np.concatenate([[True], np.diff(rank[suffixes]) != 0])
+        del rank
+        self.group_bits, self.group_start = BitVector(first), np.append(np.flatnonzero(first), n).astype(np.int32)
+        self.least = None
+        if owners is not None and len(starts):
+            self.least = np.minimum.reduceat(owners[np.searchsorted(starts, suffixes, "right") - 1], self.group_start[:-1])
+        self.bwt = WaveletMatrix(text[suffixes - 1], self.size)
         self.below = np.concatenate([[0], np.cumsum(np.bincount(text, minlength=self.size))[:-1]])
         self.n = n
 
+    def group(self, at: np.ndarray) -> np.ndarray:
+        """The group of the suffix at each place of the order."""
+        return self.group_bits.rank(at + 1) - 1
+
     def extend(self, c: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Intervals of the patterns with ``c`` put in front."""
         both = self.bwt.rank(np.concatenate([c, c]), np.concatenate([lo, hi]))
@@ -130,15 +137,10 @@ class FMIndex:
                 live, at, a, b = live[ok], at[ok], a[ok], b[ok]
                 length[live] = np.minimum(length[live] + 1, self.depth)
                 full = length[live] == self.depth
-                group = self.group_of[a[full]]
-                a[full], b[full] = self.group_start[group], self.group_end[group]
+                group = self.group(a[full])
+                a[full], b[full] = self.group_start[group], self.group_start[group + 1]
                 lo[live], hi[live] = a, b
                 for x, place, g in zip(live[full], at[full], group):
                     out[of[x]][place] = g
             todo = again
         return out
-
-    def least(self, values: np.ndarray) -> np.ndarray:
-        """By group, the least of the values (one a sequence) over the sequences that its suffixes start in."""
-        owner = np.searchsorted(self.starts, self.suffixes, "right") - 1
-        return np.minimum.reduceat(values[owner], self.group_start)

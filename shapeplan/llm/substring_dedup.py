@@ -13,7 +13,8 @@ Texts are shuffled twice, to fetch the words of indexed segments and to apply wh
 all else is hashes and spans.
 
 Rows: a null or short text loses nothing. Windows are judged on the input. A null id neither removes
-nor loses. Rows repeating an id count as that id; none removes from another. Other columns are ignored.
+nor loses. Rows repeating an id count as that id; none removes from another. Very long texts count whole, in segments of at most
+``RUN`` windows. Other columns are ignored, or carried along where they are named. An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -110,9 +111,8 @@ def first_holders(streams: list[np.ndarray], ids: np.ndarray, window: int) -> li
     used, inverse = np.unique(np.concatenate(streams), return_inverse=True)
     ends = np.cumsum([0, *map(len, streams)])
     local = [inverse[a:b] + 1 for a, b in zip(ends[:-1], ends[1:])]
-    index = FMIndex(local, window)
-    least = index.least(ids)
-    return [least[g[: len(g) - window + 1]] for g in index.matched_groups(local)]
+    index = FMIndex(local, window, ids)
+    return [index.least[g[: len(g) - window + 1]] for g in index.matched_groups(local)]
 
 
 def _search(group: pa.Table, window: int) -> pa.Table:
