@@ -9,7 +9,9 @@ found by going back through the steps. A multiset that can be repeated is repeat
 Remainders are dealt out by a hash to groups of bounded size, so no task holds more than its group;
 each group leaves at most a few sequences that aren't full. Only lengths and checksums are shuffled.
 
-Rows: a null text counts as empty (the end id alone). Rows repeating an id are packed one by one.
+Rows: a null text counts as empty (the end id alone). Rows repeating an id, whole rows too, are packed one by one, and dealt out by
+row, not by id. Very long texts are cut at full windows. Pieces of equal length are interchangeable; they go in order of id.
+Other columns are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -111,7 +113,8 @@ def packed(docs: DataFrame, *, vocabulary: str | None = None, end: int = 1, capa
     parts = cut.where(F.col("length") < capacity)
     groups = max(1, -(-parts.count() // GROUP))
     cols = ["doc_id", "start", "length", "ids_crc32", "doc_tokens"]
-    dealt = parts.withColumn("grp", F.pmod(F.xxhash64("doc_id", "ids_crc32"), F.lit(groups)).cast("int"))
+    # By row: copies of a row would otherwise all go to one group.
+    dealt = parts.withColumn("grp", F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(groups)).cast("int"))
     schema = ", ".join(f"{c} long" for c in [*cols, "sequence_id", "offset"])
     small = dealt.groupBy("grp").applyInArrow(lambda group: _pack_group(group, capacity), schema)
     full = cut.where(F.col("length") == capacity).select(*cols, (F.monotonically_increasing_id() * 2).alias("sequence_id"), F.lit(0).cast("long").alias("offset"))
