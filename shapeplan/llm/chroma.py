@@ -16,7 +16,8 @@ frequent an integer is, as cells are dealt by class alone.
 
 The media of a row is its column of bytes, read as unsigned 8-bit mono samples. Rows: null or too
 short media have no integers and match nothing; constant media gives the integers of silence. Rows repeating
-an id are fingerprinted one by one and never matched with each other.
+an id are fingerprinted one by one and never matched with each other. Matches of equal error go to the smaller id. Very long media count
+whole. Other columns are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations

@@ -20,8 +20,8 @@ Copies with equal shingle sets are one node throughout, whatever their number. E
 confirmed on the full sets.
 
 Rows: a null or blank text has no shingles and is linked with nothing. Rows repeating a ``doc_id``
-are judged by their own texts. A null id keeps a row of its own, with a null component. Other
-columns are ignored. An empty table gives an empty result.
+are judged by their own texts. A null id keeps a row of its own, with a null component. Very long texts count whole. Other
+columns are ignored, whatever their names. An empty table gives an empty result.
 """
 
 from __future__ import annotations

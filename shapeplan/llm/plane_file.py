@@ -11,7 +11,8 @@ each block), then the planes, then the index of documents. Pages are rows of a P
 takes and Spark's committer makes whole: a lost executor leaves no half file. Reading needs no order
 among pages; the page tells how many ids of its shard come before it.
 
-Rows: a null text is the end id alone. Null ids come first; repeated ids are ordered by text.
+Rows: a null text is the end id alone. Null ids come first; repeated ids are ordered by text. A very long text is a page by
+itself. Other columns are ignored; an empty table gives an empty file and result.
 """
 
 from __future__ import annotations

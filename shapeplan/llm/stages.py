@@ -1,4 +1,8 @@
-"""The stages of the training-data pipeline: each takes and returns documents, the last returns pieces."""
+"""The stages of the training-data pipeline: each takes and returns documents, the last returns pieces.
+
+All stages take an empty table and give an empty one, look at whole texts of any length, and carry further columns along, whatever their
+names (but for ``_row``). What they do with nulls, repeated rows and ties is said at each.
+"""
 
 from __future__ import annotations
 
@@ -17,7 +21,10 @@ def _keyed(docs: DataFrame) -> DataFrame:
 
 
 def keep_identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents in which a language is found; those without a letter go."""
+    """Documents in which a language is found; those without a letter go, null texts with them.
+
+    Rows repeating an id are judged one by one. If no row has a language all documents without one go, as nothing was learned.
+    """
     labels, logp = language.fit(docs)
     kept = language.predict(docs.select(F.struct("*").alias("row"), "doc_id", "text"), labels, logp, whole=True).where("lang_pred <> 'und'")
     return kept.select("row.*")
@@ -36,7 +43,11 @@ def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -
 
 
 def drop_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Passages of 50 words or more that an earlier document has are cut out; documents left empty by that go."""
+    """Passages of 50 words or more that an earlier document has are cut out; documents left empty by that go.
+
+    Rows without an id lose nothing, nor does another row lose to them. Rows that share an id count as one document, so none loses to
+    another. Null texts stay.
+    """
     rest = tuple(c for c in docs.columns if c not in ("doc_id", "text"))
     out = substring_dedup.deduplicated(docs, keep=rest, text=True).where("n_removed < n_words or n_removed = 0")
     out = out.withColumnRenamed("kept", "text")
@@ -46,12 +57,15 @@ def drop_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Rows as often as the mix takes each, also those that share an id or have none."""
+    """Rows as often as the mix takes each, also those that share an id or have none.
+
+    Rows without words are due copies like others, of no words. Of rows that tie in id and size, those that are taken are any.
+    """
     keyed = _keyed(docs)
     taken = mixing.mix(keyed, key=(ROW,)).where("copies > 0").select(ROW, "copies")
     return keyed.join(taken, ROW).withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))).select(*docs.columns)
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of the documents in sequences of 2,048 ids."""
+    """Pieces of the documents in sequences of 2,048 ids; a null text is its end id alone, rows repeating an id are packed one by one."""
     return packing.packed(docs)

@@ -237,6 +237,23 @@ def test_packing(spark):
     assert sum(r.length for r in out) == total and len(per) * 512 - total < 0.03 * total + 1024
 
 
+def test_pieces_are_whole_gapless_and_spread(spark):
+    long = " ".join(f"word{i}" for i in range(9000))
+    rows = [(i, x, "en", "a") for i, x in enumerate(TEXTS)] + [(50, None, None, None), (51, long, "en", "a")] + [(7, "same text", "en", "a")] * 9000
+    out = packing.packed(frame(spark, rows), capacity=256).collect()
+    t, per = tokenizer(default_vocabulary()), {}
+    for r in out:
+        per.setdefault((r.doc_id, r.doc_tokens), []).append(r)
+    for i, x, *_ in rows[: len(TEXTS) + 2]:
+        ids = np.array([*t.encode(x or "", add_special_tokens=False).ids, 1], "<u4")
+        own = sorted(per[i, len(ids)], key=lambda r: r.start)
+        assert [r.start for r in own] == list(range(0, len(ids), 256)) and sum(r.length for r in own) == len(ids)
+        assert all(r.ids_crc32 == zlib.crc32(ids[r.start : r.start + r.length].tobytes()) for r in own)
+    copies = [r.sequence_id for r in out if r.doc_id == 7 and r.doc_tokens == 3]
+    assert len(copies) == 9000 and len({s >> 33 for s in copies}) > 1  # copies of one row are in several groups
+    assert packing.packed(frame(spark, [])).count() == 0
+
+
 def test_mixing(spark):
     docs = spark.read.parquet(f"{SMALL}/documents.parquet").select("doc_id", "text", "source").unionByName(spark.createDataFrame([(9001, "a b", None), (9002, None, "src3"), (9003, " ", None)], "doc_id long, text string, source string"))
     rows = mixing.mix(docs).collect()

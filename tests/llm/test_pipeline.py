@@ -25,6 +25,11 @@ def test_one_of_each_group_stays(spark):
     assert kept == {c for _, c in brute_components(rows, 5).values()}
 
 
+def test_pack_stage_takes_nothing(spark):
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet").limit(0)
+    assert stages.pack_sequences(spark, docs, SMALL).count() == 0
+
+
 def test_run(spark):
     out = corpus_pipeline.run(spark, SMALL)
     assert {"doc_id", "start", "length", "sequence_id", "offset"} <= set(out.columns) and out.count() > 0
