@@ -154,14 +154,50 @@ def _naive_py(graph, schema: ShapeSchema, shape: Shape, valid: dict[str, DataFra
     return rules.repartition("entity").sortWithinPartitions("entity").mapInPandas(_decide, f"entity {kind}")
 
 
+def _chain(shape: Shape) -> str | None:
+    """The path over which a shape refers to itself, if that is the only way in which it does: one value that conforms."""
+    own = {(leaf.path, leaf.kind, leaf.n, leaf.test, positive) for c in shape.body for leaf, positive in q.leaves(c) if leaf.ref == shape.name}
+    path = next(iter(own))[0] if own else None
+    return path if own == {(path, "min", 1, None, True)} else None
+
+
+def _doubled(graph, schema: ShapeSchema, shape: Shape, path: str, valid: dict[str, DataFrame], unfounded: bool) -> DataFrame | None:
+    """A recursion along chains, in as many rounds as the logarithm of the longest one; None if an entity has several next ones.
+
+    An entity conforms for certain (``lo``), or if the one that it points to does (``hi``). A round lets each look through the one that
+    it points to, so pointers reach twice as far. Entities that are open once pointers reach further than there are entities are on
+    cycles or lead there.
+    """
+    links = q.witnesses(graph, shape, Count(path, "min", 1))
+    if not links.groupBy("entity").count().where("count > 1").isEmpty():
+        return None
+    every = written(q.domain(graph, schema, shape), "domain")
+    none = every.limit(0)
+    sure = _fused(graph, schema, shape, valid | {shape.name: none}).select("entity", F.lit(True).alias("lo"))
+    may = _fused(graph, schema, shape, valid | {shape.name: q.NodeList("invalid", none, every)}).select("entity", F.lit(True).alias("hi"))
+    rows = every.join(may, "entity", "left").join(sure, "entity", "left").join(links.withColumnRenamed("value", "next"), "entity", "left")
+    rows = written(rows.select("entity", F.coalesce("hi", F.lit(False)).alias("hi"), F.coalesce("lo", F.lit(False)).alias("lo"), "next"), "chains")
+    undecided, n, reach = F.col("hi") & ~F.col("lo") & F.col("next").isNotNull(), every.count(), 1
+    while reach <= 2 * n and not rows.where(undecided).isEmpty():
+        there = rows.select(F.col("entity").alias("next"), F.col("hi").alias("hi2"), F.col("lo").alias("lo2"), F.col("next").alias("next2"))
+        moved = rows.where(undecided).join(there, "next", "left")
+        moved = moved.select("entity", F.coalesce("hi2", F.lit(False)).alias("hi"), F.coalesce("lo2", F.lit(False)).alias("lo"), F.col("next2").alias("next"))
+        rows = written(rows.where(~undecided).unionByName(moved), "chains")
+        reach *= 2
+    return rows.where(F.col("lo") | undecided if unfounded else F.col("lo")).select("entity")
+
+
 def fixpoint(graph, schema: ShapeSchema, part: list[str], valid: dict[str, DataFrame], unfounded: bool = False) -> dict[str, DataFrame]:
     """The least solution of mutually recursive shapes, or the greatest if ``unfounded`` entities are to conform.
 
     For the least one entities are added until a round adds none, so entities that only support each other stay out;
     for the greatest they are taken away until a round takes none. A round looks only at entities that have a link to
     what the last one added or took; its result is written, so the plan doesn't grow. Each round decides something, so the rounds
-    are at most as many as entities.
+    are at most as many as entities; a shape that refers only to itself, along chains, takes the logarithm of that.
     """
+    path = _chain(schema[part[0]]) if len(part) == 1 else None
+    if path and (chained := _doubled(graph, schema, schema[part[0]], path, valid, unfounded)) is not None:
+        return {part[0]: written(chained, "solution")}
     every = {n: written(q.domain(graph, schema, schema[n]), "domain") for n in part}
     now = every if unfounded else {n: written(every[n].limit(0), "none") for n in part}
     fresh = None

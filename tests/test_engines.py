@@ -215,6 +215,19 @@ def test_positive_cycle_is_unfounded(spark, engine):
     assert run(triples(spark, rows), one, engine=engine) == {("S", "a"): False, ("S", "b"): False, ("S", "c"): True}
 
 
+@pytest.mark.parametrize("links", [[], [("c7", "n", "b")]])
+def test_chains_and_branches(spark, links):
+    """A chain of ten, one broken in the middle, a cycle and a dangling end; with a second link the rounds go link by link."""
+    rows = [(f"{x}{i}", "type", "T") for x in "cd" for i in range(10)] + [(e, "type", "T") for e in ("u", "v", "w", "b")]
+    rows += [(f"{x}{i}", "n", f"{x}{i + 1}") for x in "cd" for i in range(9)] + [(f"{x}{i}", "ok", "1") for x in "cd" for i in range(10) if (x, i) != ("d", 4)]
+    rows += [("c9", "stop", "1"), ("d9", "stop", "1"), ("u", "n", "v"), ("v", "n", "u"), ("w", "n", "lost")] + [(e, "ok", "1") for e in "uvwb"] + links
+    one = shape([{"path": "ok", "min": 1}, {"or": [{"path": "stop", "min": 1}, {"path": "n", "min": 1, "ref": "S"}]}])
+    good = {*(f"c{i}" for i in range(10)), *(f"d{i}" for i in range(5, 10))}
+    for engine in ("fused", "planned"):
+        assert {e for (_, e), ok in run(triples(spark, rows), one, engine=engine).items() if ok} == good
+        assert {e for (_, e), ok in run(triples(spark, rows), one, engine=engine, unfounded="valid").items() if ok} == good | {"u", "v"}
+
+
 @pytest.mark.parametrize("engine", ["fused", "planned"])
 def test_unfounded_entities_may_conform(spark, engine):
     rows = [(e, "type", "T") for e in "abcd"] + [("a", "n", "b"), ("b", "n", "a"), ("c", "stop", "1"), ("d", "n", "e")]
