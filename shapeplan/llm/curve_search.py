@@ -101,7 +101,10 @@ def _points(batches: Iterator[pa.RecordBatch], k: int, every: int, dim: int) ->
             if len(own) <= k and (not own or own[-1] != ids[i]):
                 own.append(int(ids[i]))
             asks[key] = asks.get(key, False) or ids[i] % every == 0
-        yield pa.RecordBatch.from_arrays([pa.array(list(by), pa.binary()), pa.array(list(by.values()), pa.list_(pa.int64())), pa.array([asks[b] for b in by])], names=["point", "ids", "asks"])
+        yield pa.RecordBatch.from_arrays(
+            [pa.array(list(by), pa.binary()), pa.array(list(by.values()), pa.list_(pa.int64())), pa.array([asks[b] for b in by])],
+            names=["point", "ids", "asks"],
+        )
 
 
 @W.tidy
@@ -112,7 +115,10 @@ def _truth(batches: Iterator[pa.RecordBatch], queries: np.ndarray, k: int) -> It
             s = queries @ np.array([np.frombuffer(p) for p in points]).T
             top = np.argsort(-s, axis=1)[:, :k]
             q = np.repeat(np.arange(len(queries)), top.shape[1])
-            yield pa.RecordBatch.from_arrays([pa.array(q.astype(np.int32)), pa.array([points[i] for i in top.ravel()], pa.binary()), pa.array(np.take_along_axis(s, top, 1).ravel())], names=["q", "point", "score"])
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(q.astype(np.int32)), pa.array([points[i] for i in top.ravel()], pa.binary()), pa.array(np.take_along_axis(s, top, 1).ravel())],
+                names=["q", "point", "score"],
+            )
 
 
 @W.tidy
@@ -125,7 +131,10 @@ def _numbered(batches: Iterator[pa.RecordBatch], axes, shifts, lo, hi) -> Iterat
         for c, axis in enumerate(axes):
             unit = np.clip((x @ axis - lo[c]) / np.maximum(hi[c] - lo[c], 1e-12), 0, 1)
             key = hilbert(((unit + shifts[c]) / 2 * ((1 << BITS) - 1)).astype(np.int64), BITS)
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(points), c, np.int32)), pa.array(key), pa.array(points, pa.binary()), pa.array(asks), pa.array(least, pa.int64())], names=["curve", "number", "point", "asks", "least"])
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(np.full(len(points), c, np.int32)), pa.array(key), pa.array(points, pa.binary()), pa.array(asks), pa.array(least, pa.int64())],
+                names=["curve", "number", "point", "asks", "least"],
+            )
 
 
 def _window(group: pa.Table, k: int) -> pa.Table:
@@ -178,17 +187,27 @@ def neighbours(vectors: DataFrame, *, k: int = 20, every: int = 20, curves: int
     asked = points.where("asks").orderBy(F.xxhash64("point")).limit(sample).select("point").collect()
     queries = np.array([np.frombuffer(r[0]) for r in asked]).reshape(len(asked), dim)
     ranked = Window.partitionBy("q").orderBy(F.desc("score"), "point")
-    near = points.select("point").mapInArrow(partial(_truth, queries=queries, k=k + 1), "q int, point binary, score double").withColumn("r", F.row_number().over(ranked)).where(F.col("r") <= k + 1).select("q", "point").collect()
+    near = points.select("point").mapInArrow(
+        partial(_truth, queries=queries, k=k + 1), "q int, point binary, score double",
+    ).withColumn("r", F.row_number().over(ranked)).where(F.col("r") <= k + 1).select("q", "point").collect()
     axes, shifts = directions(dim, curves, seed)
     seen = np.array([np.frombuffer(r[0]) for r in points.select("point").orderBy(F.xxhash64("point", F.lit(1))).limit(1024).collect()])
     lo, hi = [np.array([np.quantile(seen @ a, f, axis=0) for a in axes]) for f in (0.002, 0.998)]
 
-    lined = points.select("point", "asks", F.element_at("ids", 1).alias("least")).mapInArrow(partial(_numbered, axes=axes, shifts=shifts, lo=lo, hi=hi), "curve int, number long, point binary, asks boolean, least long")
-    lined = written(lined.repartitionByRange("curve", "number", "point").sortWithinPartitions("curve", "number", "point").withColumn("at", F.monotonically_increasing_id()), "lined")
+    lined = points.select("point", "asks", F.element_at("ids", 1).alias("least")).mapInArrow(
+        partial(_numbered, axes=axes, shifts=shifts, lo=lo, hi=hi), "curve int, number long, point binary, asks boolean, least long",
+    )
+    lined = written(
+        lined.repartitionByRange("curve", "number", "point").sortWithinPartitions("curve", "number", "point").withColumn("at", F.monotonically_increasing_id()),
+        "lined",
+    )
     runs = lined.groupBy("curve", F.shiftright("at", 33).alias("part")).agg(F.min("at").alias("least"), F.count(F.lit(1)).alias("n"))
     base = Window.partitionBy("curve").orderBy("part")
     runs = runs.select("curve", "part", (F.sum("n").over(base) - F.col("n") - F.col("least")).alias("shift"))
-    ranks = written(lined.withColumn("part", F.shiftright("at", 33)).join(F.broadcast(runs), ["curve", "part"]).select("curve", "point", "asks", "least", (F.col("at") + F.col("shift")).alias("rank")), "ranks")
+    ranks = written(
+        lined.withColumn("part", F.shiftright("at", 33)).join(F.broadcast(runs), ["curve", "part"]).select("curve", "point", "asks", "least", (F.col("at") + F.col("shift")).alias("rank")),
+        "ranks",
+    )
 
     wanted = {r[0] for r in asked} | {r["point"] for r in near}
     place: dict[bytes, np.ndarray] = {}
@@ -200,14 +219,21 @@ def neighbours(vectors: DataFrame, *, k: int = 20, every: int = 20, curves: int
 
     block = F.floor(F.col("rank") / F.lit(width)).cast("long")
     pieces = -(-width // CHUNK)
-    held = ranks.select("curve", block.alias("block"), F.floor(F.pmod("rank", F.lit(width)) / F.lit(CHUNK)).cast("long").alias("piece"), "point", F.lit(False).alias("asks"), "least")
+    held = ranks.select(
+        "curve", block.alias("block"), F.floor(F.pmod("rank", F.lit(width)) / F.lit(CHUNK)).cast("long").alias("piece"), "point", F.lit(False).alias("asks"),
+        "least",
+    )
     sent = ranks.where("asks").select("curve", F.explode(F.array(block - 1, block, block + 1)).alias("block"), "point", "least")
-    sent = sent.withColumn("piece", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(pieces - 1).cast("long")))).select("curve", "block", "piece", "point", F.lit(True).alias("asks"), "least")
+    sent = sent.withColumn(
+        "piece", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(pieces - 1).cast("long"))),
+    ).select("curve", "block", "piece", "point", F.lit(True).alias("asks"), "least")
     found = held.unionByName(sent).groupBy("curve", "block", "piece").applyInArrow(lambda group: _window(group, k + 1), "q binary, point binary, score double, least long")
     best = found.groupBy("q", "point").agg(F.max("score").alias("score"), F.min("least").alias("least"))
     order = lambda by: Window.partitionBy(by).orderBy(F.desc("score"), "vec_id")
     merged = best.withColumn("r", F.row_number().over(Window.partitionBy("q").orderBy(F.desc("score"), "least"))).where(F.col("r") <= k + 1)
-    top = merged.join(points.select("point", "ids"), "point").select("q", "score", F.explode("ids").alias("vec_id")).withColumn("r", F.row_number().over(order("q"))).where(F.col("r") <= k + 1).select(F.col("q").alias("point"), "vec_id", "score")
+    top = merged.join(points.select("point", "ids"), "point").select(
+        "q", "score", F.explode("ids").alias("vec_id"),
+    ).withColumn("r", F.row_number().over(order("q"))).where(F.col("r") <= k + 1).select(F.col("q").alias("point"), "vec_id", "score")
     asks = good.where(F.col("vec_id") % every == 0).mapInArrow(partial(_named, dim=dim), "query_id long, point binary").distinct()
     out = asks.join(top, "point").where("query_id <> vec_id").withColumn("rank", F.row_number().over(order("query_id"))).where(F.col("rank") <= k)
     return out.select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")

@@ -258,7 +258,9 @@ def fit(labelled: DataFrame, *, model: str | None = None, rounds: int = 2, smoot
     start = np.array([-3.0 - 1.5 * len(p) for p in pieces] + [-14.0])
     logp = np.repeat(start[:, None], max(len(labels), 1), axis=1)
     for _ in range(rounds if labels else 0):
-        counted = labelled.mapInArrow(partial(_learn, model=model, labels=labels, logp=logp.astype(np.float32)), "piece int, lang_at int, n double").groupBy("piece", "lang_at").agg(F.sum("n").alias("n")).toArrow()
+        counted = labelled.mapInArrow(
+            partial(_learn, model=model, labels=labels, logp=logp.astype(np.float32)), "piece int, lang_at int, n double",
+        ).groupBy("piece", "lang_at").agg(F.sum("n").alias("n")).toArrow()
         counts = np.full((len(pieces) + 1, len(labels)), smoothing)
         np.add.at(counts, (counted["piece"].to_numpy(), counted["lang_at"].to_numpy()), counted["n"].to_numpy())
         logp = np.log(counts / counts.sum(axis=0))
@@ -299,7 +301,10 @@ def _predict(batches: Iterator[pa.RecordBatch], model: str, labels: list[str], l
             best.append(labels[k])
             sure.append(float(p[k]))
         keep = [i for i, name in enumerate(batch.schema.names) if whole or name != "text"]
-        yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in keep), pa.array(best, pa.string()), pa.array(sure, pa.float64())], names=[*(batch.schema.names[i] for i in keep), "lang_pred", "score"])
+        yield pa.RecordBatch.from_arrays(
+            [*(batch.column(i) for i in keep), pa.array(best, pa.string()), pa.array(sure, pa.float64())],
+            names=[*(batch.schema.names[i] for i in keep), "lang_pred", "score"],
+        )
 
 
 def predict(docs: DataFrame, labels: list[str], logp: np.ndarray, *, model: str | None = None, whole: bool = False) -> DataFrame:

@@ -121,7 +121,9 @@ def _sets(batches: Iterator[pa.RecordBatch], n: int) -> Iterator[pa.RecordBatch]
         keep = [i for i, sh in enumerate(own) if hashlib.blake2b(sh.tobytes(), digest_size=16).digest() == node[i]]
         ends = np.cumsum([0, *(len(own[i]) for i in keep)]).astype(np.int32)
         flat = np.concatenate([own[i] for i in keep]) if keep else np.zeros(0, np.uint64)
-        yield pa.RecordBatch.from_arrays([pa.array([node[i] for i in keep], pa.binary()), pa.ListArray.from_arrays(ends, pa.array(W.signed(flat), pa.int64()))], names=["node", "sh"])
+        yield pa.RecordBatch.from_arrays(
+            [pa.array([node[i] for i in keep], pa.binary()), pa.ListArray.from_arrays(ends, pa.array(W.signed(flat), pa.int64()))], names=["node", "sh"],
+        )
 
 
 def describe(docs: DataFrame, *, n: int = 5, bins: int = 128, rows: int = 4, small: int = 80, num: int = 4, den: int = 5, key: tuple[str, ...] = ()) -> DataFrame:
@@ -180,17 +182,24 @@ def near_duplicates(docs: DataFrame, *, n: int = 5, num: int = 4, den: int = 5,
     linked pair just at 0.8 is missed by every band with a probability below 1e-7.
     """
     described = written(describe(docs, n=n, bins=bins, rows=rows, small=small, num=num, den=den, key=key), "described")
-    nodes = written(described.where("n_shingles > 0 and doc_id is not null").groupBy("node").agg(F.min("doc_id").alias("min_doc"), F.first("n_shingles").alias("n"), F.first("buckets").alias("buckets")), "nodes")
+    nodes = written(
+        described.where("n_shingles > 0 and doc_id is not null").groupBy("node").agg(F.min("doc_id").alias("min_doc"), F.first("n_shingles").alias("n"), F.first("buckets").alias("buckets")),
+        "nodes",
+    )
     member = nodes.select("node", "n", F.explode("buckets").alias("bucket"))
     shared = member.groupBy("bucket").agg(F.count(F.lit(1)).alias("m"), F.min("node").alias("centre"), F.min_by("n", "node").alias("nc")).where("m > 1")
     member = written(member.join(shared.select("bucket", "centre", "nc"), "bucket"), "members")
 
     wanted = member.select("node").distinct().join(nodes, "node").select("node", F.col("min_doc").alias("doc_id"))
-    found = docs.select("doc_id", "text").join(wanted.select("node", "doc_id"), "doc_id").select("node", "text").mapInArrow(partial(_sets, n=n), "node binary, sh array<long>").dropDuplicates(["node"])
+    found = docs.select("doc_id", "text").join(wanted.select("node", "doc_id"), "doc_id").select("node", "text").mapInArrow(
+        partial(_sets, n=n), "node binary, sh array<long>",
+    ).dropDuplicates(["node"])
     sets = written(found, "sets")
     side = lambda x: [F.col(c).alias(f"{k}{x}") for c, k in (("node", ""), ("sh", "x"))]
 
-    star = member.where("node <> centre").select(F.col("centre").alias("a"), F.col("node").alias("b"), F.col("nc").alias("na"), F.col("n").alias("nb")).where(_could(num, den)).select("a", "b").distinct()
+    star = member.where("node <> centre").select(
+        F.col("centre").alias("a"), F.col("node").alias("b"), F.col("nc").alias("na"), F.col("n").alias("nb"),
+    ).where(_could(num, den)).select("a", "b").distinct()
     links = star.join(sets.select(*side("a")), "a").join(sets.select(*side("b")), "b").where(_similar("xa", "xb", num, den)).select("a", "b")
     label = written(components(links), "labels")
 
@@ -206,7 +215,9 @@ def near_duplicates(docs: DataFrame, *, n: int = 5, num: int = 4, den: int = 5,
         chosen = written(among.where("stray").join(size, "bucket").where(turn).select("bucket", "chunks", "node", "comp"), "chosen")
         if chosen.isEmpty() and among.isEmpty():
             break
-        own = among.join(size.select("bucket", "chunks"), "bucket").select("bucket", F.pmod(F.xxhash64("node"), "chunks").alias("chunk"), F.lit(False).alias("centre"), "node", "comp")
+        own = among.join(size.select("bucket", "chunks"), "bucket").select(
+            "bucket", F.pmod(F.xxhash64("node"), "chunks").alias("chunk"), F.lit(False).alias("centre"), "node", "comp",
+        )
         sent = chosen.select("bucket", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("chunk"), F.lit(True).alias("centre"), "node", "comp")
         links = own.unionByName(sent).join(sets, "node").groupBy("bucket", "chunk").applyInArrow(lambda group: _links(group, num, den), "a binary, b binary")
         label = written(_joined(label, links.distinct()), "labels")

@@ -104,7 +104,9 @@ def _pack_group(group: pa.Table, capacity: int) -> pa.Table:
 def pieces(docs: DataFrame, *, vocabulary: str | None = None, end: int = 1, capacity: int = 2048) -> DataFrame:
     """Pieces of every whole text: ``doc_id``, ``start``, ``length``, ``ids_crc32``, ``doc_tokens``."""
     ship(docs.sparkSession)
-    return docs.select("doc_id", "text").mapInArrow(partial(_pieces, vocabulary=vocabulary, end=end, capacity=capacity), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long")
+    return docs.select("doc_id", "text").mapInArrow(
+        partial(_pieces, vocabulary=vocabulary, end=end, capacity=capacity), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long",
+    )
 
 
 def packed(docs: DataFrame, *, vocabulary: str | None = None, end: int = 1, capacity: int = 2048) -> DataFrame:

@@ -107,7 +107,10 @@ def _pages(batches: Iterator[pa.RecordBatch], vocabulary: str | None, end: int,
 
     def page():
         ids = np.frombuffer(b"".join(parts), "<u4")
-        return pa.RecordBatch.from_arrays([pa.array([shard], pa.int32()), pa.array([before], pa.int64()), pa.array([len(ids)], pa.int64()), pa.array([write_page(ids, docs, counts, kind=kind)], pa.binary())], names=["shard", "before", "n_ids", "page"])
+        return pa.RecordBatch.from_arrays(
+            [pa.array([shard], pa.int32()), pa.array([before], pa.int64()), pa.array([len(ids)], pa.int64()), pa.array([write_page(ids, docs, counts, kind=kind)], pa.binary())],
+            names=["shard", "before", "n_ids", "page"],
+        )
 
     for batch in W.slices(batches, "text"):
         for doc, text in zip(W.column(batch, "doc_id"), W.column(batch, "text")):
@@ -139,7 +142,10 @@ def _documents(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             ends = np.cumsum([0, *counts])
             raw = memoryview(ids.tobytes())
             crc = [zlib.crc32(raw[4 * a : 4 * b]) for a, b in zip(ends[:-1].tolist(), ends[1:].tolist())]
-            yield pa.RecordBatch.from_arrays([pa.array([shard] * len(docs), pa.int32()), pa.array(docs, pa.int64()), pa.array(before + ends[:-1], pa.int64()), pa.array(counts, pa.int64()), pa.array(crc, pa.int64())], names=["shard", "doc_id", "own_start", "n_tokens", "ids_crc32"])
+            yield pa.RecordBatch.from_arrays(
+                [pa.array([shard] * len(docs), pa.int32()), pa.array(docs, pa.int64()), pa.array(before + ends[:-1], pa.int64()), pa.array(counts, pa.int64()), pa.array(crc, pa.int64())],
+                names=["shard", "doc_id", "own_start", "n_tokens", "ids_crc32"],
+            )
 
 
 def read_index(spark, path: str) -> DataFrame:

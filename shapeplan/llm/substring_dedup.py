@@ -81,7 +81,10 @@ def _segments(batches: Iterator[pa.RecordBatch], window: int) -> Iterator[pa.Rec
             raw = memoryview(h.tobytes())
             names.extend(hashlib.blake2b(raw[8 * a : 8 * (a + n + window - 1)], digest_size=16).digest() for a, n in zip(start.tolist(), run.tolist()))
         cat = lambda x, kind: np.concatenate([np.zeros(0, kind), *x]).astype(kind)
-        yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(cat(starts, np.int32)), pa.array(cat(runs, np.int32)), pa.array(W.signed(cat(lows, np.uint64))), pa.array(names, pa.binary())], names=["doc_id", "start", "windows", "low", "segment"])
+        yield pa.RecordBatch.from_arrays(
+            [pa.array(ids, pa.int64()), pa.array(cat(starts, np.int32)), pa.array(cat(runs, np.int32)), pa.array(W.signed(cat(lows, np.uint64))), pa.array(names, pa.binary())],
+            names=["doc_id", "start", "windows", "low", "segment"],
+        )
 
 
 @W.tidy
@@ -103,7 +106,10 @@ def _fetch(batches: Iterator[pa.RecordBatch], window: int, shards: int) -> Itera
                     to = W.mix(grams[: w["windows"]] * np.uint64(3) + grams[window - GRAM :][: w["windows"]]) % np.uint64(shards)
                 rows.extend((int(to[k]), w["segment"], k, doc, own[k : k + window].tobytes()) for k in range(w["windows"]))
         cols = list(zip(*rows)) or [()] * 5
-        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int32(), pa.binary(), pa.int32(), pa.int64(), pa.binary()))], names=["shard", "segment", "at", "doc_id", "data"])
+        yield pa.RecordBatch.from_arrays(
+            [pa.array(c, t) for c, t in zip(cols, (pa.int32(), pa.binary(), pa.int32(), pa.int64(), pa.binary()))],
+            names=["shard", "segment", "at", "doc_id", "data"],
+        )
 
 
 def first_holders(streams: list[np.ndarray], ids: np.ndarray, window: int) -> list[np.ndarray]:
@@ -142,15 +148,22 @@ def repeated_spans(docs: DataFrame, *, window: int = 50, hot: int = HOT) -> Data
     segs = written(docs.mapInArrow(partial(_segments, window=window), "doc_id long, start int, windows int, low long, segment binary"), "segments")
     both = segs.groupBy("low").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b")).where("a < b").select("low")
     shared = written(segs.join(both, "low"), "shared")
-    least = written(shared.groupBy("segment").agg(F.min("doc_id").alias("first"), F.min_by(F.struct("start", "windows", "low"), F.struct("doc_id", "start")).alias("w")).select("segment", "first", "w.*"), "firsts")
-    copies = shared.join(least.select("segment", "first"), "segment").where("doc_id > first").select("doc_id", F.col("start").alias("lo"), (F.col("start") + F.col("windows") + (window - 1)).alias("hi"))
+    least = written(
+        shared.groupBy("segment").agg(F.min("doc_id").alias("first"), F.min_by(F.struct("start", "windows", "low"), F.struct("doc_id", "start")).alias("w")).select("segment", "first", "w.*"),
+        "firsts",
+    )
+    copies = shared.join(least.select("segment", "first"), "segment").where("doc_id > first").select(
+        "doc_id", F.col("start").alias("lo"), (F.col("start") + F.col("windows") + (window - 1)).alias("hi"),
+    )
     # A hash with one segment alone has nothing left to find.
     several = least.groupBy("low").agg(F.count(F.lit(1)).alias("k")).where("k > 1").select("low", (F.col("k") > hot).alias("hot"))
     indexed = written(least.join(several, "low"), "indexed")
     words = indexed.agg(F.sum(F.when(F.col("hot"), F.col("windows") * window).otherwise(F.col("windows") + window - 1)).alias("n")).first()["n"] or 0
     shards = max(1, -(-words // SHARD_WORDS))
     wanted = indexed.groupBy(F.col("first").alias("doc_id")).agg(F.collect_list(F.struct("segment", "start", "windows", "low", "hot")).alias("wanted"))
-    fetched = docs.join(wanted, "doc_id").mapInArrow(partial(_fetch, window=window, shards=shards), "shard int, segment binary, at int, doc_id long, data binary").dropDuplicates(["segment", "at"])
+    fetched = docs.join(wanted, "doc_id").mapInArrow(
+        partial(_fetch, window=window, shards=shards), "shard int, segment binary, at int, doc_id long, data binary",
+    ).dropDuplicates(["segment", "at"])
     found = fetched.groupBy("shard").applyInArrow(lambda group: _search(group, window), "segment binary, lo int, hi int")
     own = shared.join(least.select("segment", F.col("first").alias("doc_id")), ["segment", "doc_id"]).select("segment", "doc_id", "start")
     parts = found.join(own, "segment").select("doc_id", (F.col("start") + F.col("lo")).alias("lo"), (F.col("start") + F.col("hi")).alias("hi"))
@@ -175,7 +188,10 @@ def _apply(batches: Iterator[pa.RecordBatch], text: bool) -> Iterator[pa.RecordB
                 kept.append(hashlib.sha256(b" ".join(words if left == len(words) else [w for w, k in zip(words, keep) if k])).hexdigest())
         rest = [i for i, name in enumerate(batch.schema.names) if name not in ("text", "spans")]
         out = pa.array(kept, pa.binary()).cast(pa.string()) if text else pa.array(kept, pa.string())
-        yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in rest), pa.array(n, pa.int64()), pa.array(gone, pa.int64()), out], names=[*(batch.schema.names[i] for i in rest), "n_words", "n_removed", "kept"])
+        yield pa.RecordBatch.from_arrays(
+            [*(batch.column(i) for i in rest), pa.array(n, pa.int64()), pa.array(gone, pa.int64()), out],
+            names=[*(batch.schema.names[i] for i in rest), "n_words", "n_removed", "kept"],
+        )
 
 
 def deduplicated(docs: DataFrame, *, window: int = 50, keep: tuple[str, ...] = (), text: bool = False, hot: int = HOT) -> DataFrame:

@@ -59,7 +59,10 @@ SELF, COUNTS = -1, -2
 
 #: Rows that slices and buckets exchange, and the result.
 FORM = pa.schema([("slice", pa.int64()), ("bucket", pa.int64()), ("data", pa.binary())])
-OUT = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), *((c, pa.int64()) for c in ("n_tokens", "n_known", "train_tokens")), ("base_score", pa.float64()), ("score", pa.float64())])
+OUT = pa.schema([
+    ("doc_id", pa.int64()), ("held_out", pa.bool_()), *((c, pa.int64()) for c in ("n_tokens", "n_known", "train_tokens")), ("base_score", pa.float64()),
+    ("score", pa.float64()),
+])
 
 
 def held_out(doc_id: int | None, folds: int = 7, fold: int = 2) -> bool:
@@ -208,7 +211,10 @@ def _number(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     ends = np.cumsum([len(p[0]) for p in packs])
     for name, own in zip(group["slice"].to_pylist(), np.split(inverse, ends[:-1])):
         data = _pack(_small(np.diff(own, prepend=0)), _small(learned[own]), _small(every[own]))
-        yield _rows("slice bucket data tokens words most", *(np.array([x], np.int64) for x in (name, COUNTS - bucket)), pa.array([data], pa.binary()), *(np.array([x], np.int64) for x in sums))
+        yield _rows(
+            "slice bucket data tokens words most", *(np.array([x], np.int64) for x in (name, COUNTS - bucket)), pa.array([data], pa.binary()),
+            *(np.array([x], np.int64) for x in sums),
+        )
         sums[:2] = 0, 0
 
 
@@ -384,12 +390,17 @@ def _hot_shares(dealt: DataFrame, depth: int, norm: float) -> DataFrame:
     pairs = written(dealt.groupBy("bucket").applyInArrow(W.grouped(_hot_pairs, depth=depth), "bucket long, last long, word long, n long, c long"), "pairs")
     all_of = written(pairs.groupBy("last", "word").agg(F.sum("n").alias("n"), F.max("c").alias("c")), "pair_counts")
     seen = all_of.where("n > 0")
-    per = seen.groupBy("last").agg(F.sum("n").cast("double").alias("total"), F.count(F.lit(1)).cast("double").alias("kinds"), F.sum(F.col("n") * (F.ln("n") - F.ln((F.col("c") + 1.0) / F.lit(norm)))).alias("cross"))
+    per = seen.groupBy("last").agg(
+        F.sum("n").cast("double").alias("total"), F.count(F.lit(1)).cast("double").alias("kinds"),
+        F.sum(F.col("n") * (F.ln("n") - F.ln((F.col("c") + 1.0) / F.lit(norm)))).alias("cross"),
+    )
     figures = per.select("last", F.array("total", "kinds", F.col("cross") - F.col("total") * F.ln("total")).alias("figures"))
     heads = pairs.select("bucket", "last").distinct().join(figures, "last", "left")
     none = F.array(*[F.lit(0.0)] * 3)
     heads = heads.select("bucket", F.lit(None).cast("long").alias("word"), F.lit(0).cast("long").alias("n"), F.coalesce("figures", none).alias("figures"))
-    rows = pairs.select("bucket", "last", "word").join(all_of.select("last", "word", "n"), ["last", "word"]).select("bucket", "word", "n", F.lit(None).cast("array<double>").alias("figures"))
+    rows = pairs.select("bucket", "last", "word").join(all_of.select("last", "word", "n"), ["last", "word"]).select(
+        "bucket", "word", "n", F.lit(None).cast("array<double>").alias("figures"),
+    )
     return rows.unionByName(heads).groupBy("bucket").applyInArrow(W.grouped(_hot_packed), "slice long, bucket long, data binary")
 
 

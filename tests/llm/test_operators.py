@@ -124,7 +124,9 @@ def test_fm_index():
 
 def test_language(spark):
     docs = spark.read.parquet(f"{SMALL}/documents.parquet")
-    got = language.identify(docs.unionByName(frame(spark, [(9001, None, "en", "a"), (9002, "12 !", None, "a")]).select(docs.columns))).join(docs.select("doc_id", "lang"), "doc_id", "left").collect()
+    got = language.identify(docs.unionByName(frame(
+        spark, [(9001, None, "en", "a"), (9002, "12 !", None, "a")],
+    ).select(docs.columns))).join(docs.select("doc_id", "lang"), "doc_id", "left").collect()
     held = [r for r in got if r.held_out and r.doc_id < 9000]
     assert sum(r.lang == r.lang_pred for r in held) >= 0.98 * len(held)
     assert {r.doc_id: r.lang_pred for r in got if r.doc_id > 9000} == {9001: "und", 9002: "und"}
@@ -255,7 +257,9 @@ def test_pieces_are_whole_gapless_and_spread(spark):
 
 
 def test_mixing(spark):
-    docs = spark.read.parquet(f"{SMALL}/documents.parquet").select("doc_id", "text", "source").unionByName(spark.createDataFrame([(9001, "a b", None), (9002, None, "src3"), (9003, " ", None)], "doc_id long, text string, source string"))
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet").select("doc_id", "text", "source").unionByName(spark.createDataFrame(
+        [(9001, "a b", None), (9002, None, "src3"), (9003, " ", None)], "doc_id long, text string, source string",
+    ))
     rows = mixing.mix(docs).collect()
     sizes = Counter()
     for r in docs.collect():

@@ -73,7 +73,10 @@ def test_scores_equal_brute_force(spark, depth, hot, buckets, penalty):
     docs, train = split(rows)
     tree = BruteTree(train, depth, 8, penalty)
     assert any(len(s) == depth for s in tree.states)
-    want = Counter((i, held, len(ws) + 1, sum(tree.count[w] > 0 for w in [*ws, END]), round(sum(math.log10(tree.p((), w)) for w in [*ws, END]), 6), round(tree.score(ws), 2)) for i, ws, held in docs)
+    want = Counter((
+        i, held, len(ws) + 1, sum(tree.count[w] > 0 for w in [*ws, END]), round(sum(math.log10(tree.p((), w)) for w in [*ws, END]), 6),
+        round(tree.score(ws), 2),
+    ) for i, ws, held in docs)
     got = lm.lm_scores(frame(spark, rows), depth=depth, hot=hot, buckets=buckets, penalty=penalty).collect()
     assert Counter((r.doc_id, r.held_out, r.n_tokens, r.n_known, round(r.base_score, 6), round(r.score, 2)) for r in got) == want
     assert {r.train_tokens for r in got} == {sum(tree.count.values())}
