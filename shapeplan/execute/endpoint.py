@@ -22,5 +22,7 @@ def misclassified(exact: DataFrame, capped: DataFrame) -> DataFrame:
     """By shape, from two sets of verdicts: valid entities, those that the capped engine calls invalid, their share; and invalid ones called valid."""
     both = exact.select("shape", "entity", F.col("valid").alias("truth")).join(capped.select("shape", "entity", F.col("valid").alias("said")), ["shape", "entity"], "left")
     said = F.coalesce("said", F.lit(False))
-    out = both.groupBy("shape").agg(F.count_if("truth").alias("n_valid"), F.count_if(F.col("truth") & ~said).alias("n_missed"), F.count_if(~F.col("truth") & said).alias("n_wrongly_valid"))
+    out = both.groupBy("shape").agg(
+        F.count_if("truth").alias("n_valid"), F.count_if(F.col("truth") & ~said).alias("n_missed"), F.count_if(~F.col("truth") & said).alias("n_wrongly_valid"),
+    )
     return out.withColumn("share_missed", F.try_divide(F.col("n_missed").cast("double"), F.col("n_valid")))

@@ -47,7 +47,9 @@ class ValidationResult:
     def of(self, shape: str) -> DataFrame:
         """``shape``, ``entity`` (as text), ``valid`` for each target of a shape."""
         mark = self.valid[shape].select("entity", F.lit(True).alias("ok"))
-        return self.targets(shape).join(mark, "entity", "left").select(F.lit(shape).alias("shape"), F.col("entity").cast("string").alias("entity"), F.coalesce("ok", F.lit(False)).alias("valid"))
+        return self.targets(shape).join(mark, "entity", "left").select(
+            F.lit(shape).alias("shape"), F.col("entity").cast("string").alias("entity"), F.coalesce("ok", F.lit(False)).alias("valid"),
+        )
 
     @property
     def reported(self) -> list[str]:
@@ -525,7 +527,9 @@ def cascade(graph, schema: ShapeSchema, result: ValidationResult) -> DataFrame:
         flags = q.Flags(graph, schema, shape, {}, own)
         bad = q.domain(graph, schema, shape).join(result.valid[shape.name], "entity", "left_anti")
         rows = flags.frame(bad).select("entity", (~flags.truth()).alias("own"))
-        links = [graph.edges(shape.entity_class, leaf.path).join(depth[leaf.ref].select(F.col("entity").alias("value"), "depth"), "value").select("entity", "depth") for c in shape.body for leaf, _ in q.leaves(c) if leaf.ref]
+        links = [graph.edges(shape.entity_class, leaf.path).join(
+            depth[leaf.ref].select(F.col("entity").alias("value"), "depth"), "value",
+        ).select("entity", "depth") for c in shape.body for leaf, _ in q.leaves(c) if leaf.ref]
         if links:
             near = reduce(DataFrame.unionByName, links).groupBy("entity").agg(F.min("depth").alias("near"))
             rows = rows.join(near, "entity", "left")

@@ -28,7 +28,10 @@ def trace_summary(trace: DataFrame, by: list[str], steps: bool = True) -> DataFr
     """Inverse time to the first answer, inverse execution time, completeness (the last answer's number), throughput, and with ``steps`` the rows of the trace."""
     one = F.lit(1.0)
     out = trace.groupBy(*by).agg(F.min("t").alias("first"), F.max("t").alias("et"), F.max("answer_no").alias("comp"), F.count(F.lit(1)).alias("n_steps"))
-    out = out.select(*by, F.try_divide(one, "first").alias("inv_tfff"), F.try_divide(one, "et").alias("inv_et"), "comp", F.try_divide(F.col("comp").cast("double"), F.col("et")).alias("throughput"), "n_steps")
+    out = out.select(
+        *by, F.try_divide(one, "first").alias("inv_tfff"), F.try_divide(one, "et").alias("inv_et"), "comp",
+        F.try_divide(F.col("comp").cast("double"), F.col("et")).alias("throughput"), "n_steps",
+    )
     return out if steps else out.drop("n_steps")
 
 

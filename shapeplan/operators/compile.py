@@ -49,7 +49,9 @@ def target(graph, shape: Shape) -> DataFrame:
 
 def demanded(graph, schema, name: str) -> DataFrame | None:
     """Nodes that constraints of other shapes reach with a reference to this one."""
-    parts = [graph.edges(s.entity_class, leaf.path).select(F.col("value").alias("entity")) for s in schema.shapes for c in s.body for leaf, _ in leaves(c) if leaf.ref == name and s.entity_class]
+    parts = [graph.edges(
+        s.entity_class, leaf.path,
+    ).select(F.col("value").alias("entity")) for s in schema.shapes for c in s.body for leaf, _ in leaves(c) if leaf.ref == name and s.entity_class]
     return reduce(DataFrame.unionByName, parts).distinct() if parts else None
 
 

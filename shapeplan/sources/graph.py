@@ -89,7 +89,10 @@ class ClassTableSource(_Paths):
         for cls in classes or list(self.mapping.classes):
             c = self._class(cls)
             ents = self.entities(cls)
-            parts.append(ents.select(iri(cls, F.col("entity")).alias("s"), F.lit("type").alias("p"), F.struct(F.lit("iri").alias("kind"), F.lit(cls).alias("iri"), F.lit(None).cast("string").alias("lex"), F.lit(None).cast("string").alias("dt")).alias("o")))
+            parts.append(ents.select(
+                iri(cls, F.col("entity")).alias("s"), F.lit("type").alias("p"),
+                F.struct(F.lit("iri").alias("kind"), F.lit(cls).alias("iri"), F.lit(None).cast("string").alias("lex"), F.lit(None).cast("string").alias("dt")).alias("o"),
+            ))
             for p in (*c.single, *c.multi):
                 if p.startswith("^") and p[1:] in direct:
                     continue
@@ -100,7 +103,9 @@ class ClassTableSource(_Paths):
                     # A derived inverse: turns are the only entities at the far end of one.
                     parts.append(pairs.select(iri("Turn", F.col("value")).alias("s"), F.lit(p[1:]).alias("p"), link(cls, F.col("entity")).alias("o")))
                     continue
-                o = link(to, F.col("value")) if to else F.struct(F.lit("literal").alias("kind"), F.lit(None).cast("string").alias("iri"), F.col("value").cast("string").alias("lex"), F.lit(dt).alias("dt"))
+                o = link(to, F.col("value")) if to else F.struct(
+                    F.lit("literal").alias("kind"), F.lit(None).cast("string").alias("iri"), F.col("value").cast("string").alias("lex"), F.lit(dt).alias("dt"),
+                )
                 parts.append(pairs.select(iri(cls, F.col("entity")).alias("s"), F.lit(p).alias("p"), o.alias("o")))
         return reduce(DataFrame.unionByName, parts).dropDuplicates()
 

@@ -36,7 +36,10 @@ def from_ntriples(lines: DataFrame) -> DataFrame:
     held = F.regexp_replace(raw, r"\\\\", "\x00")
     plain = F.regexp_replace(F.regexp_replace(F.regexp_replace(F.regexp_replace(held, r"\\n", "\n"), r"\\r", "\r"), r'\\"', '"'), "\x00", r"\\")
     none = F.lit(None).cast("string")
-    o = F.struct(F.when(is_lit, "literal").otherwise("iri").alias("kind"), F.when(is_lit, none).otherwise(part(3)).alias("iri"), F.when(is_lit, plain).alias("lex"), F.when(is_lit & (part(5) != ""), part(5)).alias("dt"))
+    o = F.struct(
+        F.when(is_lit, "literal").otherwise("iri").alias("kind"), F.when(is_lit, none).otherwise(part(3)).alias("iri"), F.when(is_lit, plain).alias("lex"),
+        F.when(is_lit & (part(5) != ""), part(5)).alias("dt"),
+    )
     p = F.when(part(2) == _TYPE, "type").otherwise(part(2))
     return ok.select(part(1).alias("s"), p.alias("p"), o.alias("o"))
 

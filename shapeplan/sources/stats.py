@@ -42,7 +42,10 @@ class GraphStats:
 
 def graph_stats(graph, schema: ShapeSchema) -> GraphStats:
     """One job; the result has a row for each class and path of the schema, whatever the size of the graph."""
-    rows = [d.select(F.lit(c).alias("cls"), F.lit(None).cast("string").alias("path"), F.col("n_entities").alias("n"), *[F.lit(None).cast("long").alias(x) for x in ("subjects", "most", "dangling")]) for c in schema_classes(schema) for d in [class_stats(graph, [c])]]
+    rows = [d.select(
+        F.lit(c).alias("cls"), F.lit(None).cast("string").alias("path"), F.col("n_entities").alias("n"),
+        *[F.lit(None).cast("long").alias(x) for x in ("subjects", "most", "dangling")],
+    ) for c in schema_classes(schema) for d in [class_stats(graph, [c])]]
     ends: dict[tuple[str, str], str | None] = {}
     for s in schema.shapes:
         for leaf, _ in (x for c in s.body for x in leaves(c)):
@@ -55,7 +58,10 @@ def graph_stats(graph, schema: ShapeSchema) -> GraphStats:
         if to:
             per = per.join(graph.entities(to).select(F.col("entity").alias("value"), F.lit(0).alias("out")), "value", "left")
         out = F.sum(F.coalesce("out", F.lit(1))) if to else F.lit(None)
-        one = per.groupBy("entity").agg(F.count(F.lit(1)).alias("k"), out.cast("long").alias("d")).agg(F.coalesce(F.sum("k"), F.lit(0)).alias("n"), F.count(F.lit(1)).alias("subjects"), F.coalesce(F.max("k"), F.lit(0)).alias("most"), F.sum("d").alias("dangling"))
+        one = per.groupBy("entity").agg(F.count(F.lit(1)).alias("k"), out.cast("long").alias("d")).agg(
+            F.coalesce(F.sum("k"), F.lit(0)).alias("n"), F.count(F.lit(1)).alias("subjects"), F.coalesce(F.max("k"), F.lit(0)).alias("most"),
+            F.sum("d").alias("dangling"),
+        )
         none = F.coalesce("dangling", F.lit(0)) if to else F.col("dangling")
         rows.append(one.select(F.lit(cls).alias("cls"), F.lit(path).alias("path"), "n", "subjects", "most", none.cast("long").alias("dangling")))
     found = reduce(DataFrame.unionByName, rows).collect()
@@ -73,7 +79,9 @@ def predicate_stats(graph, cls: str, paths: list[str]) -> DataFrame:
     def one(path: str) -> DataFrame:
         per = graph.edges(cls, path).distinct().groupBy("entity").agg(F.count(F.lit(1)).alias("k"))
         objects = graph.edges(cls, path).agg(F.count_distinct("value").alias("n_objects"))
-        return per.agg(F.coalesce(F.sum("k"), F.lit(0)).alias("n"), F.count(F.lit(1)).alias("n_subjects"), F.coalesce(F.max("k"), F.lit(0)).alias("max_per_subject")).crossJoin(F.broadcast(objects)).select(F.lit(path).alias("path"), "n", "n_subjects", "n_objects", "max_per_subject")
+        return per.agg(
+            F.coalesce(F.sum("k"), F.lit(0)).alias("n"), F.count(F.lit(1)).alias("n_subjects"), F.coalesce(F.max("k"), F.lit(0)).alias("max_per_subject"),
+        ).crossJoin(F.broadcast(objects)).select(F.lit(path).alias("path"), "n", "n_subjects", "n_objects", "max_per_subject")
 
     return reduce(DataFrame.unionByName, map(one, paths))
 

@@ -30,7 +30,9 @@ def windowed(events: DataFrame, window: Column, watermark: str | None = None) ->
     rows = events.withColumn("ok", conforms())
     if watermark:
         rows = rows.withWatermark("ts", watermark)
-    out = rows.groupBy(window.alias("w")).agg(F.count(F.lit(1)).alias("n"), F.count_if(~F.col("ok")).alias("n_invalid"), F.count_if(F.col("event_type") == "error").alias("n_errors"))
+    out = rows.groupBy(window.alias("w")).agg(
+        F.count(F.lit(1)).alias("n"), F.count_if(~F.col("ok")).alias("n_invalid"), F.count_if(F.col("event_type") == "error").alias("n_errors"),
+    )
     return out.select(F.col("w.start").alias("w_start"), F.col("w.end").alias("w_end"), "n", "n_invalid", "n_errors")
 
 

@@ -191,7 +191,10 @@ SELECT 'Nation' AS shape, CAST(e AS VARCHAR) AS entity, depth FROM n UNION ALL S
 for _s in "RABC":
     _schema = load_schema(_s)
     _add(f"plan_orders_{_s}", lambda spark, d, s=_schema: plan_orders(spark, s), _values(evidence.orders(_s), "config, pos, shape"))
-    _add(f"degrees_{_s}", lambda spark, d, s=_schema: degrees(spark, s), _values([(n, *x, True) for n, x in evidence.DEGREES[_s].items()], "shape, in_deg, out_deg, n_constraints, has_target"))
+    _add(
+        f"degrees_{_s}", lambda spark, d, s=_schema: degrees(spark, s),
+        _values([(n, *x, True) for n, x in evidence.DEGREES[_s].items()], "shape, in_deg, out_deg, n_constraints, has_target"),
+    )
     _add(f"deps_{_s}", lambda spark, d, s=_schema: dependencies(spark, s), _values(evidence.DEPENDENCIES[_s], "src, dst, path, kind, n"))
 
 
@@ -202,8 +205,15 @@ def _fragment(name: str) -> str:
         return "rejected"
 
 
-_add("fragments", lambda spark, d: spark.createDataFrame([(n, _fragment(n)) for n, _ in evidence.FRAGMENTS], "schema string, fragment string"), _values(evidence.FRAGMENTS, "schema, fragment"))
-_add("strata", lambda spark, d: spark.createDataFrame([(s, n, k) for s in ("X4", "A", "R") for n, k in strata(load_schema(s)).items()], "schema string, shape string, level long"), _values(evidence.STRATA, "schema, shape, level"))
+_add(
+    "fragments", lambda spark, d: spark.createDataFrame([(n, _fragment(n)) for n, _ in evidence.FRAGMENTS], "schema string, fragment string"),
+    _values(evidence.FRAGMENTS, "schema, fragment"),
+)
+_add(
+    "strata",
+    lambda spark, d: spark.createDataFrame([(s, n, k) for s in ("X4", "A", "R") for n, k in strata(load_schema(s)).items()], "schema string, shape string, level long"),
+    _values(evidence.STRATA, "schema, shape, level"),
+)
 
 
 def _udtf(spark, sf_dir):
@@ -225,16 +235,31 @@ for _s, _names in (("A", ("Nation", "Customer", "Order")), ("R", ("Supplier", "O
     for _n in _names:
         _shape = load_schema(_s)[_n]
         _add(f"counts_{_s}_{_n}", lambda spark, d, s=_shape, x=_s: q.counts(graph_of(spark, d, x)[0], s), ref.counts(_base, _shape))
-        _add(f"min_{_s}_{_n}", lambda spark, d, s=_shape, x=_s: q.min_query(graph_of(spark, d, x)[0], s).select("entity"), "SELECT t.entity FROM " + ref.entities(_base, _shape.target) + " t" + "".join(f" JOIN {ref.witnesses(_base, _shape, c, False)} w{k} ON w{k}.entity = t.entity" for k, c in enumerate(_shape.counts("min"))))
+        _add(
+            f"min_{_s}_{_n}", lambda spark, d, s=_shape, x=_s: q.min_query(graph_of(spark, d, x)[0], s).select("entity"),
+            "SELECT t.entity FROM " + ref.entities(_base, _shape.target) + " t" + "".join(f" JOIN {ref.witnesses(_base, _shape, c, False)} w{k} ON w{k}.entity = t.entity" for k, c in enumerate(_shape.counts("min"))),
+        )
         for _k, _c in enumerate(_shape.counts("max"), 1):
             # The given tables break few maxima; one less than the schema's bound has rows to compare.
             _c = Count(_c.path, "max", 3 if _c.n > 3 else _c.n - 1, _c.test, _c.ref)
             _w = ref.witnesses(_base, _shape, _c, False)
-            _add(f"max_{_s}_{_n}_{_k}", lambda spark, d, s=_shape, x=_s, c=_c: q.max_query(graph_of(spark, d, x)[0], s, c).select("entity").distinct(), f"SELECT entity FROM {_w} GROUP BY entity HAVING count(*) > {_c.n}")
-
-_add("demand_R_Nation", lambda spark, d: q.demanded(*graph_of(spark, d, "R"), "Nation"), "SELECT s_nationkey AS entity FROM supplier UNION SELECT c_nationkey FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey")
-_add("path_alternative", lambda spark, d: graph_of(spark, d, "B")[0].edges("Nation", "^c_nationkey|^s_nationkey").distinct(), "SELECT c_nationkey AS entity, c_custkey AS value FROM customer UNION SELECT s_nationkey, s_suppkey FROM supplier")
-_add("path_inverse_sequence", lambda spark, d: graph_of(spark, d, "B")[0].edges("Order", "o_custkey/c_nationkey/n_regionkey").distinct(), "SELECT DISTINCT o_orderkey AS entity, n_regionkey AS value FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey")
+            _add(
+                f"max_{_s}_{_n}_{_k}", lambda spark, d, s=_shape, x=_s, c=_c: q.max_query(graph_of(spark, d, x)[0], s, c).select("entity").distinct(),
+                f"SELECT entity FROM {_w} GROUP BY entity HAVING count(*) > {_c.n}",
+            )
+
+_add(
+    "demand_R_Nation", lambda spark, d: q.demanded(*graph_of(spark, d, "R"), "Nation"),
+    "SELECT s_nationkey AS entity FROM supplier UNION SELECT c_nationkey FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey",
+)
+_add(
+    "path_alternative", lambda spark, d: graph_of(spark, d, "B")[0].edges("Nation", "^c_nationkey|^s_nationkey").distinct(),
+    "SELECT c_nationkey AS entity, c_custkey AS value FROM customer UNION SELECT s_nationkey, s_suppkey FROM supplier",
+)
+_add(
+    "path_inverse_sequence", lambda spark, d: graph_of(spark, d, "B")[0].edges("Order", "o_custkey/c_nationkey/n_regionkey").distinct(),
+    "SELECT DISTINCT o_orderkey AS entity, n_regionkey AS value FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey",
+)
 
 # Rewrites.
 
@@ -336,16 +361,26 @@ for _name, _order in (("exploiting", "Nation Supplier OrderLine Part"), ("linked
 
 def _ratio(spark, sf_dir):
     a, b = _rules("A", "L3", False, spark, sf_dir), _rules("A", "L3", True, spark, sf_dir)
-    return a.select(F.col("n_rules").alias("naive")).crossJoin(F.broadcast(b.select(F.col("n_rules").alias("planned")))).withColumn("ratio", F.round(F.col("naive") / F.col("planned"), 2))
+    return a.select(F.col("n_rules").alias("naive")).crossJoin(F.broadcast(b.select(F.col("n_rules").alias("planned")))).withColumn(
+        "ratio", F.round(F.col("naive") / F.col("planned"), 2),
+    )
 
 
 def _ratio_r(spark, sf_dir):
     a, b = _rules("R", "L3", False, spark, sf_dir), _rules("R", "L3", True, spark, sf_dir)
-    return a.select(F.col("n_rules").alias("naive")).crossJoin(F.broadcast(b.select(F.col("n_rules").alias("planned")))).withColumn("ratio", F.round(F.col("naive") / F.col("planned"), 2))
+    return a.select(F.col("n_rules").alias("naive")).crossJoin(F.broadcast(b.select(F.col("n_rules").alias("planned")))).withColumn(
+        "ratio", F.round(F.col("naive") / F.col("planned"), 2),
+    )
 
 
-_add("rules_ratio_R", _ratio_r, f"SELECT a.n_rules AS naive, b.n_rules AS planned, round(a.n_rules / b.n_rules, 2) AS ratio FROM ({ref.rules(*_mapping('R', 'L3'))}) a, ({ref.rules(*_mapping('R', 'L3'), 'Nation Supplier OrderLine Part'.split())}) b")
-_add("rules_ratio_A", _ratio, f"SELECT a.n_rules AS naive, b.n_rules AS planned, round(a.n_rules / b.n_rules, 2) AS ratio FROM ({ref.rules(*_mapping('A', 'L3'))}) a, ({ref.rules(*_mapping('A', 'L3'), ['Nation', 'Customer', 'Order'])}) b")
+_add(
+    "rules_ratio_R", _ratio_r,
+    f"SELECT a.n_rules AS naive, b.n_rules AS planned, round(a.n_rules / b.n_rules, 2) AS ratio FROM ({ref.rules(*_mapping('R', 'L3'))}) a, ({ref.rules(*_mapping('R', 'L3'), 'Nation Supplier OrderLine Part'.split())}) b",
+)
+_add(
+    "rules_ratio_A", _ratio,
+    f"SELECT a.n_rules AS naive, b.n_rules AS planned, round(a.n_rules / b.n_rules, 2) AS ratio FROM ({ref.rules(*_mapping('A', 'L3'))}) a, ({ref.rules(*_mapping('A', 'L3'), ['Nation', 'Customer', 'Order'])}) b",
+)
 
 
 def _prefiltered(spark, sf_dir):
@@ -373,14 +408,26 @@ UNION ALL SELECT 'Customer', (SELECT count(*) FROM customer) + (SELECT count(DIS
 UNION ALL SELECT 'Order', (SELECT count(*) FROM orders) + (SELECT count(DISTINCT o_custkey) FROM orders)
 """)
 for _s in "ABC":
-    _add(f"invalid_pct_{_s}", lambda spark, d, s=_s: work.invalid_pct(_verdicts(s, "L2", "fused", 5, spark, d)), f"SELECT count(*) AS n_entities, count(*) FILTER (WHERE valid) AS n_valid, round(100.0 * count(*) FILTER (WHERE NOT valid) / count(*), 2)::DOUBLE AS invalid_pct FROM ({ref.verdicts(*_mapping(_s, 'L2'))})")
+    _add(
+        f"invalid_pct_{_s}", lambda spark, d, s=_s: work.invalid_pct(_verdicts(s, "L2", "fused", 5, spark, d)),
+        f"SELECT count(*) AS n_entities, count(*) FILTER (WHERE valid) AS n_valid, round(100.0 * count(*) FILTER (WHERE NOT valid) / count(*), 2)::DOUBLE AS invalid_pct FROM ({ref.verdicts(*_mapping(_s, 'L2'))})",
+    )
 _add("checks_A", lambda spark, d: work.checks(*graph_of(spark, d, "A")), f"""
 WITH c(kind, n) AS ({" UNION ALL ".join(f"SELECT '{'inter' if c.ref else 'intra'}', (SELECT sum(greatest(coalesce(k, 0), 1)) FROM {ref.entities(_base, s.target)} t LEFT JOIN (SELECT entity, count(*) AS k FROM {ref.witnesses(_base, s, c, False)} GROUP BY entity) w ON w.entity = t.entity)" for s in load_schema("A").shapes for c in s.counts())})
 SELECT kind, count(*) AS n_constraints, avg(n)::DOUBLE AS avg_checks FROM c GROUP BY kind
 """)
-_add("shape_cardinality", lambda spark, d: class_stats(graph_of(spark, d, "C")[0], schema_classes(load_schema("C"))), " UNION ALL ".join(f"SELECT '{c}' AS cls, count(*) AS n_entities FROM {ref.entities(_base, c)}" for c in schema_classes(load_schema("C"))))
-_add("predicate_stats_Order", lambda spark, d: predicate_stats(graph_of(spark, d, "B")[0], "Order", ["o_custkey", "^l_orderkey"]), " UNION ALL ".join(f"SELECT '{p}' AS path, (SELECT count(*) FROM (SELECT DISTINCT entity, value FROM {x})) AS n, (SELECT count(DISTINCT entity) FROM {x}) AS n_subjects, (SELECT count(DISTINCT value) FROM {x}) AS n_objects, (SELECT max(k) FROM (SELECT count(DISTINCT value) AS k FROM {x} GROUP BY entity)) AS max_per_subject" for p in ("o_custkey", "^l_orderkey") for x in [f"(SELECT * FROM {ref.edges(_base, 'Order', p)} WHERE value IS NOT NULL)"]))
-_add("graph_size", lambda spark, d: graph_size(graph_of(spark, d, "B")[0].triples()), f"SELECT sum(n)::BIGINT AS n_triples, (SELECT count(*) FROM ({' UNION ALL '.join(f'SELECT CAST(entity AS VARCHAR) FROM {ref.entities(_base, c)}' for c in _base.classes)})) AS n_subjects FROM ({ref.by_predicate(_base)})")
+_add(
+    "shape_cardinality", lambda spark, d: class_stats(graph_of(spark, d, "C")[0], schema_classes(load_schema("C"))),
+    " UNION ALL ".join(f"SELECT '{c}' AS cls, count(*) AS n_entities FROM {ref.entities(_base, c)}" for c in schema_classes(load_schema("C"))),
+)
+_add(
+    "predicate_stats_Order", lambda spark, d: predicate_stats(graph_of(spark, d, "B")[0], "Order", ["o_custkey", "^l_orderkey"]),
+    " UNION ALL ".join(f"SELECT '{p}' AS path, (SELECT count(*) FROM (SELECT DISTINCT entity, value FROM {x})) AS n, (SELECT count(DISTINCT entity) FROM {x}) AS n_subjects, (SELECT count(DISTINCT value) FROM {x}) AS n_objects, (SELECT max(k) FROM (SELECT count(DISTINCT value) AS k FROM {x} GROUP BY entity)) AS max_per_subject" for p in ("o_custkey", "^l_orderkey") for x in [f"(SELECT * FROM {ref.edges(_base, 'Order', p)} WHERE value IS NOT NULL)"]),
+)
+_add(
+    "graph_size", lambda spark, d: graph_size(graph_of(spark, d, "B")[0].triples()),
+    f"SELECT sum(n)::BIGINT AS n_triples, (SELECT count(*) FROM ({' UNION ALL '.join(f'SELECT CAST(entity AS VARCHAR) FROM {ref.entities(_base, c)}' for c in _base.classes)})) AS n_subjects FROM ({ref.by_predicate(_base)})",
+)
 _biggest = " UNION ALL ".join(f"SELECT count(*) AS n FROM {ref.entities(_base, c)}" for c in schema_classes(load_schema("C")))
 
 
@@ -391,7 +438,10 @@ def _skew(spark, sf_dir):
     return per.agg(F.sum("n_entities").alias("n_entities")).crossJoin(F.broadcast(top)).withColumn("share", F.round(F.col("n_two") / F.col("n_entities"), 6))
 
 
-_add("shape_skew_C", _skew, f"WITH b AS ({_biggest}), x AS (SELECT (SELECT sum(n) FROM b)::BIGINT AS n_entities, (SELECT sum(n) FROM (SELECT n FROM b ORDER BY n DESC LIMIT 2))::BIGINT AS n_two) SELECT *, round(n_two / n_entities, 6) AS share FROM x")
+_add(
+    "shape_skew_C", _skew,
+    f"WITH b AS ({_biggest}), x AS (SELECT (SELECT sum(n) FROM b)::BIGINT AS n_entities, (SELECT sum(n) FROM (SELECT n FROM b ORDER BY n DESC LIMIT 2))::BIGINT AS n_two) SELECT *, round(n_two / n_entities, 6) AS share FROM x",
+)
 
 #: Rows that an answer of the capped endpoint may have.
 CAP = 2000
@@ -415,7 +465,10 @@ def _engine_measures(spark, sf_dir):
     return measured(spark, sf_dir, "A", "L2", ("naive", "naive_py", "planned"))
 
 
-_add("engine_measures_A", _engine_measures, "SELECT e AS engine, (SELECT count(*) FROM nation) + (SELECT count(*) FROM customer) + (SELECT count(*) FROM orders) AS comp, 3::BIGINT AS n_steps, TRUE AS area_within, TRUE AS first_before_last FROM (VALUES ('naive'), ('naive_py'), ('planned')) t(e)")
+_add(
+    "engine_measures_A", _engine_measures,
+    "SELECT e AS engine, (SELECT count(*) FROM nation) + (SELECT count(*) FROM customer) + (SELECT count(*) FROM orders) AS comp, 3::BIGINT AS n_steps, TRUE AS area_within, TRUE AS first_before_last FROM (VALUES ('naive'), ('naive_py'), ('planned')) t(e)",
+)
 
 
 def _answers(spark, sf_dir):
@@ -434,7 +487,10 @@ WITH s AS (SELECT engine, t, max(answer_no)::DOUBLE AS k FROM ({_trace_sql}) WHE
 x AS (SELECT *, lead(t) OVER w AS t2, lead(k) OVER w AS k2 FROM s WINDOW w AS (PARTITION BY engine ORDER BY t))
 SELECT engine, round(sum(CASE WHEN t2 IS NULL THEN (1000000 - t) * k ELSE (t2 - t) * (k + k2) / 2 END), 2) AS dief FROM x GROUP BY engine
 """)
-_add("trace_summary", lambda spark, d: tr.trace_summary(_trace(spark, d), ["engine"], steps=False), f"SELECT engine, 1.0 / nullif(min(t), 0) AS inv_tfff, 1.0 / nullif(max(t), 0) AS inv_et, count(*) AS comp, count(*)::DOUBLE / nullif(max(t), 0) AS throughput FROM ({_trace_sql}) GROUP BY engine")
+_add(
+    "trace_summary", lambda spark, d: tr.trace_summary(_trace(spark, d), ["engine"], steps=False),
+    f"SELECT engine, 1.0 / nullif(min(t), 0) AS inv_tfff, 1.0 / nullif(max(t), 0) AS inv_et, count(*) AS comp, count(*)::DOUBLE / nullif(max(t), 0) AS throughput FROM ({_trace_sql}) GROUP BY engine",
+)
 
 # Recursion, disjunction, negation.
 
@@ -458,17 +514,29 @@ for _s in ("X3", "X4"):
 
 # Surrounding operators.
 
-_add("filter_value_test", lambda spark, d: table(spark, d, "part").where("p_size BETWEEN 1 AND 10 AND p_type LIKE '%MO%' AND p_brand IS NOT NULL").select("p_partkey", "p_size"), "SELECT p_partkey, p_size FROM part WHERE p_size BETWEEN 1 AND 10 AND p_type LIKE '%MO%' AND p_brand IS NOT NULL")
-_add("join_inner_path", lambda spark, d: graph_of(spark, d, "R")[0].edges("OrderLine", "l_orderkey/o_custkey/c_nationkey").distinct(), "SELECT DISTINCT l_orderkey * 16 + l_linenumber AS entity, c_nationkey AS value FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey")
+_add(
+    "filter_value_test",
+    lambda spark, d: table(spark, d, "part").where("p_size BETWEEN 1 AND 10 AND p_type LIKE '%MO%' AND p_brand IS NOT NULL").select("p_partkey", "p_size"),
+    "SELECT p_partkey, p_size FROM part WHERE p_size BETWEEN 1 AND 10 AND p_type LIKE '%MO%' AND p_brand IS NOT NULL",
+)
+_add(
+    "join_inner_path", lambda spark, d: graph_of(spark, d, "R")[0].edges("OrderLine", "l_orderkey/o_custkey/c_nationkey").distinct(),
+    "SELECT DISTINCT l_orderkey * 16 + l_linenumber AS entity, c_nationkey AS value FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey",
+)
 
 
 def _range(spark, sf_dir):
     lines = table(spark, sf_dir, "lineitem").select(F.col("l_orderkey").alias("k"), "l_linenumber", "l_shipdate")
     orders = table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("k"), "o_orderdate")
-    return rel.range_join(lines, orders, ["k"], F.col("l_shipdate"), F.col("o_orderdate"), F.col("o_orderdate") + F.expr("INTERVAL 30 DAYS")).groupBy("l_linenumber").agg(F.count(F.lit(1)).alias("n"))
+    return rel.range_join(
+        lines, orders, ["k"], F.col("l_shipdate"), F.col("o_orderdate"), F.col("o_orderdate") + F.expr("INTERVAL 30 DAYS"),
+    ).groupBy("l_linenumber").agg(F.count(F.lit(1)).alias("n"))
 
 
-_add("join_range_ship", _range, "SELECT l_linenumber, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey AND l_shipdate BETWEEN o_orderdate AND o_orderdate + INTERVAL 30 DAYS GROUP BY 1")
+_add(
+    "join_range_ship", _range,
+    "SELECT l_linenumber, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey AND l_shipdate BETWEEN o_orderdate AND o_orderdate + INTERVAL 30 DAYS GROUP BY 1",
+)
 
 
 def _asof(spark, sf_dir):
@@ -486,16 +554,36 @@ _rep = f"SELECT 'A' AS workload, shape, valid FROM ({ref.verdicts(*_mapping('A',
 
 
 def _report(kind: str, spark, sf_dir):
-    v = _verdicts("A", "L2", "fused", 5, spark, sf_dir).withColumn("workload", F.lit("A")).unionByName(_verdicts("R", "L3", "fused", 5, spark, sf_dir).withColumn("workload", F.lit("R")))
+    v = _verdicts("A", "L2", "fused", 5, spark, sf_dir).withColumn("workload", F.lit("A")).unionByName(_verdicts(
+        "R", "L3", "fused", 5, spark, sf_dir,
+    ).withColumn("workload", F.lit("R")))
     return rel.quality_report(v, ["workload", "shape"], kind)
 
 
 for _k in ("rollup", "cube"):
-    _add(f"report_{_k}", partial(_report, _k), f"SELECT workload, shape, count(*) AS n, count(*) FILTER (WHERE valid) AS n_valid FROM ({_rep}) GROUP BY {_k.upper()}(workload, shape)")
-_add("topk_invalid_shapes", lambda spark, d: rel.top_invalid(_summary("B", "L2", "fused", 5, spark, d), 3), f"SELECT * FROM ({ref.summary(*_mapping('B', 'L2'))}) ORDER BY n_invalid DESC, shape LIMIT 3")
-_add("counts_distinct", lambda spark, d: table(spark, d, "lineitem").groupBy("l_returnflag").agg(F.count_distinct("l_partkey").alias("parts"), F.min("l_shipdate").alias("first"), F.bool_or(F.col("l_tax") > 0.07).alias("high"), F.count_if(F.col("l_discount") > 0.05).alias("n_discount")), "SELECT l_returnflag, count(DISTINCT l_partkey) AS parts, min(l_shipdate) AS first, bool_or(l_tax > 0.07) AS high, count(*) FILTER (WHERE l_discount > 0.05) AS n_discount FROM lineitem GROUP BY 1")
-_add("prev_order_chain", lambda spark, d: table(spark, d, "orders").select("o_orderkey", F.lag("o_orderkey").over(Window.partitionBy("o_custkey").orderBy("o_orderkey")).alias("prev"), F.row_number().over(Window.partitionBy("o_custkey").orderBy("o_orderkey")).cast("long").alias("depth")), "SELECT o_orderkey, lag(o_orderkey) OVER w AS prev, row_number() OVER w AS depth FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderkey)")
-_add("triples_by_predicate", lambda spark, d: graph_of(spark, d, "B")[0].triples().groupBy("p").agg(F.count(F.lit(1)).alias("n"), F.count_distinct("s").alias("n_subjects")), ref.by_predicate(_base))
+    _add(
+        f"report_{_k}", partial(_report, _k),
+        f"SELECT workload, shape, count(*) AS n, count(*) FILTER (WHERE valid) AS n_valid FROM ({_rep}) GROUP BY {_k.upper()}(workload, shape)",
+    )
+_add(
+    "topk_invalid_shapes", lambda spark, d: rel.top_invalid(_summary("B", "L2", "fused", 5, spark, d), 3),
+    f"SELECT * FROM ({ref.summary(*_mapping('B', 'L2'))}) ORDER BY n_invalid DESC, shape LIMIT 3",
+)
+_add(
+    "counts_distinct",
+    lambda spark, d: table(spark, d, "lineitem").groupBy("l_returnflag").agg(F.count_distinct("l_partkey").alias("parts"), F.min("l_shipdate").alias("first"), F.bool_or(F.col("l_tax") > 0.07).alias("high"), F.count_if(F.col("l_discount") > 0.05).alias("n_discount")),
+    "SELECT l_returnflag, count(DISTINCT l_partkey) AS parts, min(l_shipdate) AS first, bool_or(l_tax > 0.07) AS high, count(*) FILTER (WHERE l_discount > 0.05) AS n_discount FROM lineitem GROUP BY 1",
+)
+_add(
+    "prev_order_chain",
+    lambda spark, d: table(spark, d, "orders").select("o_orderkey", F.lag("o_orderkey").over(Window.partitionBy("o_custkey").orderBy("o_orderkey")).alias("prev"), F.row_number().over(Window.partitionBy("o_custkey").orderBy("o_orderkey")).cast("long").alias("depth")),
+    "SELECT o_orderkey, lag(o_orderkey) OVER w AS prev, row_number() OVER w AS depth FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderkey)",
+)
+_add(
+    "triples_by_predicate",
+    lambda spark, d: graph_of(spark, d, "B")[0].triples().groupBy("p").agg(F.count(F.lit(1)).alias("n"), F.count_distinct("s").alias("n_subjects")),
+    ref.by_predicate(_base),
+)
 
 
 def _ntriples(spark, sf_dir):
@@ -507,10 +595,26 @@ def _ntriples(spark, sf_dir):
 
 
 _add("ntriples_roundtrip", _ntriples, ref.by_predicate(_base))
-_add("fn_string", lambda spark, d: table(spark, d, "customer").select("c_custkey", F.concat(F.lit("Customer/"), F.col("c_custkey").cast("string")).alias("iri"), F.length("c_name").cast("long").alias("len"), F.col("c_name").rlike("[0-9]+5$").alias("five"), F.upper(F.substring("c_mktsegment", 1, 3)).alias("seg")), "SELECT c_custkey, 'Customer/' || c_custkey AS iri, length(c_name) AS len, regexp_matches(c_name, '[0-9]+5$') AS five, upper(substring(c_mktsegment, 1, 3)) AS seg FROM customer")
-_add("fn_date", lambda spark, d: table(spark, d, "orders").select("o_orderkey", F.datediff("o_orderdate", F.lit("1992-01-01")).cast("long").alias("days"), F.year("o_orderdate").cast("long").alias("y"), F.date_format(F.trunc("o_orderdate", "month"), "yyyy-MM-dd").alias("m")), "SELECT o_orderkey, date_diff('day', DATE '1992-01-01', o_orderdate::DATE) AS days, year(o_orderdate) AS y, strftime(date_trunc('month', o_orderdate), '%Y-%m-%d') AS m FROM orders")
-_add("fn_json", lambda spark, d: table(spark, d, "events").select("event_id", F.from_json("props", "k INT")["k"].cast("long").alias("k"), F.get_json_object("props", "$.k").alias("raw")), "SELECT event_id, CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, json_extract_string(props, '$.k') AS raw FROM events")
-_add("fn_array", lambda spark, d: table(spark, d, "embeddings").select("vec_id", F.size("embedding").cast("long").alias("n"), F.forall("embedding", lambda x: x < 10).alias("small"), F.round(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double")), 4).alias("total")), "SELECT vec_id, len(embedding) AS n, len(list_filter(embedding, lambda x: x >= 10)) = 0 AS small, round(list_sum(list_transform(embedding, lambda x: x::DOUBLE)), 4) AS total FROM embeddings")
+_add(
+    "fn_string",
+    lambda spark, d: table(spark, d, "customer").select("c_custkey", F.concat(F.lit("Customer/"), F.col("c_custkey").cast("string")).alias("iri"), F.length("c_name").cast("long").alias("len"), F.col("c_name").rlike("[0-9]+5$").alias("five"), F.upper(F.substring("c_mktsegment", 1, 3)).alias("seg")),
+    "SELECT c_custkey, 'Customer/' || c_custkey AS iri, length(c_name) AS len, regexp_matches(c_name, '[0-9]+5$') AS five, upper(substring(c_mktsegment, 1, 3)) AS seg FROM customer",
+)
+_add(
+    "fn_date",
+    lambda spark, d: table(spark, d, "orders").select("o_orderkey", F.datediff("o_orderdate", F.lit("1992-01-01")).cast("long").alias("days"), F.year("o_orderdate").cast("long").alias("y"), F.date_format(F.trunc("o_orderdate", "month"), "yyyy-MM-dd").alias("m")),
+    "SELECT o_orderkey, date_diff('day', DATE '1992-01-01', o_orderdate::DATE) AS days, year(o_orderdate) AS y, strftime(date_trunc('month', o_orderdate), '%Y-%m-%d') AS m FROM orders",
+)
+_add(
+    "fn_json",
+    lambda spark, d: table(spark, d, "events").select("event_id", F.from_json("props", "k INT")["k"].cast("long").alias("k"), F.get_json_object("props", "$.k").alias("raw")),
+    "SELECT event_id, CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, json_extract_string(props, '$.k') AS raw FROM events",
+)
+_add(
+    "fn_array",
+    lambda spark, d: table(spark, d, "embeddings").select("vec_id", F.size("embedding").cast("long").alias("n"), F.forall("embedding", lambda x: x < 10).alias("small"), F.round(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double")), 4).alias("total")),
+    "SELECT vec_id, len(embedding) AS n, len(list_filter(embedding, lambda x: x >= 10)) = 0 AS small, round(list_sum(list_transform(embedding, lambda x: x::DOUBLE)), 4) AS total FROM embeddings",
+)
 
 
 def _binom(spark, sf_dir):
@@ -521,8 +625,14 @@ def _binom(spark, sf_dir):
 
 _add("fn_math_binomial", _binom, "SELECT l_orderkey, (count(*) * (count(*) - 1) / 2)::DOUBLE AS pairs FROM lineitem GROUP BY 1")
 _win = "count(*) AS n, count(*) FILTER (WHERE NOT (event_type IN ('click', 'error', 'purchase', 'signup', 'view') AND value >= 0)) AS n_invalid, count(*) FILTER (WHERE event_type = 'error') AS n_errors"
-_add("win_tumbling", lambda spark, d: ev.tumbling(table(spark, d, "events")), f"SELECT time_bucket(INTERVAL 1 HOUR, ts) AS w_start, time_bucket(INTERVAL 1 HOUR, ts) + INTERVAL 1 HOUR AS w_end, {_win} FROM events GROUP BY 1, 2")
-_add("win_sliding", lambda spark, d: ev.sliding(table(spark, d, "events")), f"SELECT w_start, w_start + INTERVAL 1 HOUR AS w_end, {_win} FROM (SELECT *, unnest([time_bucket(INTERVAL 30 MINUTES, ts), time_bucket(INTERVAL 30 MINUTES, ts) - INTERVAL 30 MINUTES]) AS w_start FROM events) GROUP BY 1, 2")
+_add(
+    "win_tumbling", lambda spark, d: ev.tumbling(table(spark, d, "events")),
+    f"SELECT time_bucket(INTERVAL 1 HOUR, ts) AS w_start, time_bucket(INTERVAL 1 HOUR, ts) + INTERVAL 1 HOUR AS w_end, {_win} FROM events GROUP BY 1, 2",
+)
+_add(
+    "win_sliding", lambda spark, d: ev.sliding(table(spark, d, "events")),
+    f"SELECT w_start, w_start + INTERVAL 1 HOUR AS w_end, {_win} FROM (SELECT *, unnest([time_bucket(INTERVAL 30 MINUTES, ts), time_bucket(INTERVAL 30 MINUTES, ts) - INTERVAL 30 MINUTES]) AS w_start FROM events) GROUP BY 1, 2",
+)
 _add("win_session", lambda spark, d: ev.sessions(table(spark, d, "events")), """
 WITH a AS (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 30 MINUTES THEN 0 ELSE 1 END AS new FROM events),
 b AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS s FROM a)

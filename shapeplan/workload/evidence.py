@@ -54,10 +54,16 @@ DEPENDENCIES = {
 #: The plan of schema B in configuration 5: place, shape, what it waits for.
 PLAN_B = [(1, "Nation", "Region"), (2, "Customer", ""), (3, "Order", ""), (4, "OrderLine", "Part,Supplier"), (5, "Part", ""), (6, "Supplier", ""), (7, "Region", "")]
 
-FRAGMENTS = [("R", "non-recursive"), ("A", "non-recursive"), ("B", "non-recursive"), ("C", "non-recursive"), ("X1", "positive"), ("X2", "positive"), ("X3", "non-recursive"), ("X4", "non-recursive"), ("X5", "rejected")]
+FRAGMENTS = [
+    ("R", "non-recursive"), ("A", "non-recursive"), ("B", "non-recursive"), ("C", "non-recursive"), ("X1", "positive"), ("X2", "positive"),
+    ("X3", "non-recursive"), ("X4", "non-recursive"), ("X5", "rejected"),
+]
 
 #: A maximum with a reference counts as negative, as more conforming values can break it.
-STRATA = [("X4", "ToxicLabel", 0), ("X4", "Document", 1), ("A", "Nation", 0), ("A", "Customer", 1), ("A", "Order", 2), ("R", "Nation", 0), ("R", "Part", 0), ("R", "Supplier", 1), ("R", "OrderLine", 1)]
+STRATA = [
+    ("X4", "ToxicLabel", 0), ("X4", "Document", 1), ("A", "Nation", 0), ("A", "Customer", 1), ("A", "Order", 2), ("R", "Nation", 0), ("R", "Part", 0),
+    ("R", "Supplier", 1), ("R", "OrderLine", 1),
+]
 
 
 def orders(schema: str) -> list[tuple[int, int, str]]:

@@ -61,7 +61,9 @@ def valid_ctes(m: Mapping, schema: ShapeSchema, upto: str | None = None) -> str:
                 need.add(n)
                 todo += schema[n].refs
         names = [n for n in names if n in need]
-    body = ",\n".join(f"valid_{n} AS MATERIALIZED (SELECT entity FROM {entities(m, schema[n].entity_class)} WHERE " + (" AND ".join(_holds(m, schema[n], c) for c in schema[n].body) or "TRUE") + ")" for n in names)
+    body = ",\n".join(f"valid_{n} AS MATERIALIZED (SELECT entity FROM {entities(
+        m, schema[n].entity_class,
+    )} WHERE " + (" AND ".join(_holds(m, schema[n], c) for c in schema[n].body) or "TRUE") + ")" for n in names)
     return f"WITH {body}"
 
 
@@ -72,7 +74,9 @@ def verdicts(m: Mapping, schema: ShapeSchema, only: str | None = None) -> str:
 
 
 def summary(m: Mapping, schema: ShapeSchema) -> str:
-    return f"SELECT shape, bool_and(valid) AS all_valid, count(*) FILTER (WHERE valid) AS n_valid, count(*) FILTER (WHERE NOT valid) AS n_invalid FROM ({verdicts(m, schema)}) GROUP BY shape"
+    return f"SELECT shape, bool_and(valid) AS all_valid, count(*) FILTER (WHERE valid) AS n_valid, count(*) FILTER (WHERE NOT valid) AS n_invalid FROM ({verdicts(
+        m, schema,
+    )}) GROUP BY shape"
 
 
 def _subsets(pairs: str, n: int, stem: str) -> tuple[str, list[str]]:
@@ -101,7 +105,9 @@ def capped(m: Mapping, schema: ShapeSchema, cap: int) -> str:
             broken = " AND ".join(f"{x} IN (SELECT entity FROM seen_{c.ref})" for x in own) if c.ref else "TRUE"
             bad += f" EXCEPT SELECT entity FROM (SELECT * FROM {rows} ORDER BY ALL LIMIT {cap}) WHERE {broken}"
         ctes.append(f"seen_{n} AS MATERIALIZED (SELECT DISTINCT entity FROM {answer} WHERE {' AND '.join(good) or 'TRUE'}{bad})")
-    parts = [f"SELECT '{s.name}' AS shape, CAST(entity AS VARCHAR) AS entity, entity IN (SELECT entity FROM seen_{s.name}) AS valid FROM {entities(m, s.target)}" for s in schema.shapes]
+    parts = [f"SELECT '{s.name}' AS shape, CAST(entity AS VARCHAR) AS entity, entity IN (SELECT entity FROM seen_{s.name}) AS valid FROM {entities(
+        m, s.target,
+    )}" for s in schema.shapes]
     return "WITH " + ",\n".join(ctes) + "\n" + "\nUNION ALL ".join(parts)
 
 

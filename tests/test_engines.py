@@ -64,7 +64,9 @@ def test_27_beds():
 
 def triples(spark, rows):
     none = F.lit(None).cast("string")
-    return TripleSource(spark.createDataFrame(rows, "s string, p string, v string").select("s", "p", F.struct(F.lit("iri").alias("kind"), F.col("v").alias("iri"), none.alias("lex"), none.alias("dt")).alias("o")))
+    return TripleSource(spark.createDataFrame(rows, "s string, p string, v string").select(
+        "s", "p", F.struct(F.lit("iri").alias("kind"), F.col("v").alias("iri"), none.alias("lex"), none.alias("dt")).alias("o"),
+    ))
 
 
 def shape(constraints, target="T", name="S"):
@@ -77,7 +79,9 @@ def run(g, *shapes, engine="fused", **how):
 
 
 #: b links to y, which doesn't conform, and c to a node of no class; x and z conform, so the list of the others is the shorter one.
-DANGLING = [(e, "type", "T") for e in "abc"] + [(e, "type", "U") for e in "xyz"] + [("x", "q", "1"), ("z", "q", "1"), ("a", "r", "x"), ("a", "r", "y"), ("b", "r", "y"), ("c", "r", "lost")]
+DANGLING = [(e, "type", "T") for e in "abc"] + [(e, "type", "U") for e in "xyz"] + [
+    ("x", "q", "1"), ("z", "q", "1"), ("a", "r", "x"), ("a", "r", "y"), ("b", "r", "y"), ("c", "r", "lost"),
+]
 REFER = shape([{"path": "r", "min": 1, "ref": "V"}, {"path": "r", "max": 3, "ref": "V"}]), shape([{"path": "q", "min": 1}], "U", "V")
 DANGLING_WAYS = [("fused", {}), ("naive", {}), ("naive_py", {}), ("grounded", {})] + [("planned", {"config": k}) for k in CONFIGS]
 DANGLING_WAYS += [("planned", {"config": 1, "rewrite": RewriteConfig(lists=x, split=y), "limits": Limits(max_filter_items=1, literal_items=z)}) for x in ("smaller", "invalid", "valid") for y, z in ((False, 10), (True, 10), (False, 0))]
@@ -171,8 +175,12 @@ def test_slices_are_delivered_one_by_one(spark):
 
 
 def test_depth_of_a_cascade(spark):
-    rows = [(e, "type", t) for t, es in (("T", "abc"), ("U", "xy"), ("W", "w")) for e in es] + [("x", "r", "w"), ("a", "r", "x"), ("b", "r", "y"), ("a", "p", "1"), ("b", "p", "1"), ("x", "p", "1"), ("y", "p", "1")]
-    shapes = shape([{"path": "p", "min": 1}, {"path": "r", "min": 1, "ref": "V"}]), shape([{"path": "p", "min": 1}, {"path": "r", "min": 1, "ref": "X"}], "U", "V"), shape([{"path": "q", "min": 1}], "W", "X")
+    rows = [(e, "type", t) for t, es in (("T", "abc"), ("U", "xy"), ("W", "w")) for e in es] + [
+        ("x", "r", "w"), ("a", "r", "x"), ("b", "r", "y"), ("a", "p", "1"), ("b", "p", "1"), ("x", "p", "1"), ("y", "p", "1"),
+    ]
+    shapes = shape([{"path": "p", "min": 1}, {"path": "r", "min": 1, "ref": "V"}]), shape(
+        [{"path": "p", "min": 1}, {"path": "r", "min": 1, "ref": "X"}], "U", "V",
+    ), shape([{"path": "q", "min": 1}], "W", "X")
     s = schema_from_dict({"name": "t", "shapes": list(shapes)})
     g = triples(spark, rows)
     got = {(r.shape, r.entity): r.depth for r in cascade(g, s, validate(g, s, "fused")).collect()}
@@ -196,7 +204,10 @@ def test_thresholds_and_set_semantics(spark, engine):
 
 @pytest.mark.parametrize("engine", ["fused", "planned", "naive", "grounded"])
 def test_one_good_link_is_enough(spark, engine):
-    rows = [("a", "type", "T"), ("b", "type", "T"), ("x", "type", "U"), ("y", "type", "U"), ("x", "q", "1"), ("a", "r", "x"), ("a", "r", "y"), ("b", "r", "y"), ("b", "r", "nowhere")]
+    rows = [
+        ("a", "type", "T"), ("b", "type", "T"), ("x", "type", "U"), ("y", "type", "U"), ("x", "q", "1"), ("a", "r", "x"), ("a", "r", "y"), ("b", "r", "y"),
+        ("b", "r", "nowhere"),
+    ]
     out = run(triples(spark, rows), shape([{"path": "r", "min": 1, "ref": "V"}]), shape([{"path": "q", "min": 1}], "U", "V"), engine=engine)
     assert out["S", "a"] and not out["S", "b"]
 

@@ -10,7 +10,10 @@ from shapeplan.workload import catalogue
 from shapeplan.workload.testbeds import graph_of
 from tests.conftest import SMALL
 
-NAMES = [n for n in catalogue.oracle_sql() if n.startswith(("push", "split", "union", "join", "asof", "fn_", "win_", "report", "x", "retrieved", "checks", "capped_misses_naive", "plan_orders_B", "min_R", "max_A_Nation", "graph_size", "explain", "work", "cascade", "strata", "fragments", "shape_skew", "demand"))]
+NAMES = [n for n in catalogue.oracle_sql() if n.startswith((
+    "push", "split", "union", "join", "asof", "fn_", "win_", "report", "x", "retrieved", "checks", "capped_misses_naive", "plan_orders_B", "min_R",
+    "max_A_Nation", "graph_size", "explain", "work", "cascade", "strata", "fragments", "shape_skew", "demand",
+))]
 
 
 def plain(v):
@@ -41,7 +44,10 @@ def test_anti_joins_are_no_nested_loops(spark):
 def test_ntriples_escapes(spark):
     none = F.lit(None).cast("string")
     text = 'a "b"\n\\n\r c\\'
-    t = spark.createDataFrame([("s", text)], "s string, x string").select("s", F.lit("p").alias("p"), F.struct(F.lit("literal").alias("kind"), none.alias("iri"), F.col("x").alias("lex"), F.lit("string").alias("dt")).alias("o"))
+    t = spark.createDataFrame([("s", text)], "s string, x string").select(
+        "s", F.lit("p").alias("p"),
+        F.struct(F.lit("literal").alias("kind"), none.alias("iri"), F.col("x").alias("lex"), F.lit("string").alias("dt")).alias("o"),
+    )
     assert io.from_ntriples(io.to_ntriples(t)).first()["o"]["lex"] == text
 
 
@@ -73,7 +79,10 @@ def test_dief_in_sql(spark):
 def test_published_batches(spark, tmp_path):
     spark.read.parquet(f"{SMALL}/events.parquet").repartition(2).write.parquet(str(tmp_path / "in"))
     seen = []
-    q = ev.publish(ev.read_events(spark, str(tmp_path / "in")).withColumn("ok", ev.conforms()), str(tmp_path / "out"), str(tmp_path / "at"), lambda batch, n: seen.append(n)).start()
+    q = ev.publish(
+        ev.read_events(spark, str(tmp_path / "in")).withColumn("ok", ev.conforms()), str(tmp_path / "out"), str(tmp_path / "at"),
+        lambda batch, n: seen.append(n),
+    ).start()
     q.processAllAvailable()
     q.stop()
     assert spark.read.parquet(str(tmp_path / "out")).count() == spark.read.parquet(str(tmp_path / "in")).count() and seen == [0, 1]
