@@ -27,7 +27,8 @@ def to_ntriples(triples: DataFrame) -> DataFrame:
 
 def from_ntriples(lines: DataFrame) -> DataFrame:
     """Triples of N-Triples lines; comments and blank lines are skipped."""
-    pattern = r'^<([^>]*)> <([^>]*)> (?:<([^>]*)>|"((?:[^"\\]|\\.)*)"(?:\^\^<([^>]*)>)?) \.\s*$'
+    # Quotes within a literal are escaped and types hold none, so the last one of a line closes it, however long it is.
+    pattern = r'(?s)^<([^>]*)> <([^>]*)> (?:<([^>]*)>|"(.*)"(?:\^\^<([^>]*)>)?) \.\s*$'
     part = lambda i: F.regexp_extract("value", pattern, i)
     ok = lines.where(F.col("value").rlike(pattern))
     is_lit = F.col("value").rlike(r'^<[^>]*> <[^>]*> "')

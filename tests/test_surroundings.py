@@ -49,6 +49,8 @@ def test_ntriples_escapes(spark):
         F.struct(F.lit("literal").alias("kind"), none.alias("iri"), F.col("x").alias("lex"), F.lit("string").alias("dt")).alias("o"),
     )
     assert io.from_ntriples(io.to_ntriples(t)).first()["o"]["lex"] == text
+    long = (text + "\u2028\x85 <x> .") * 30_000
+    assert io.from_ntriples(io.to_ntriples(t.withColumn("o", F.col("o").withField("lex", F.lit(long))))).first()["o"]["lex"] == long
 
 
 def test_triples_written_by_predicate(spark, tmp_path):
