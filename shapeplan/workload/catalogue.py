@@ -76,11 +76,14 @@ def _needed(schema: ShapeSchema, shape: str) -> ShapeSchema:
 
 
 def _valid(schema: str, shape: str, spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Verdicts of the fused engine, and once more each one in which the naive or the planned engine differs from it."""
+    """Verdicts of the fused engine, and once more each one in which another engine differs from it.
+
+    The naive one is left out of C: the combinations of an order line's values grow with the product of its seventeen constraints.
+    """
     g, s = graph_of(spark, sf_dir, schema)
     s = _needed(s, shape)
     out = validate(g, s, "fused").of(shape)
-    for engine in ("naive", "planned"):
+    for engine in ("planned",) if schema == "C" else ("naive", "planned"):
         out = out.unionByName(equivalent(out, validate(g, s, engine).of(shape)).drop("side"))
     return out
 
@@ -135,7 +138,6 @@ for _name, _s, _l, _how in [
 ]:
     _add(f"summary_{_s}_{_l}_planned_{_name}", partial(_variant, _s, _l, _how), ref.summary(*_mapping(_s, _l)))
 _add("summary_A_L2_grounded", partial(_summary, "A", "L2", "grounded", 5), ref.summary(*_mapping("A", "L2")))
-_add("summary_C_L2_naive", partial(_summary, "C", "L2", "naive", 5), ref.summary(*_mapping("C", "L2")))
 _add("summary_B_low_L0_naive", partial(_summary, "B_low", "L0", "naive", 5), ref.summary(*_mapping("B_low", "L0")))
 _add("verdicts_ordered_A", lambda spark, d: validate(*graph_of(spark, d, "A", "L2"), "planned", ordered=True).verdicts, ref.verdicts(*_mapping("A", "L2")))
 
