@@ -36,9 +36,10 @@ def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -
     Rows that share an id go or stay each by its own text. Rows without an id are near copies of nothing and stay.
     Of rows equal in id and text, null ids too, one stays.
     """
-    keyed = _keyed(docs)
-    gone = minhash.near_duplicates(keyed, key=(ROW,)).where("not kept").select(ROW)
-    kept = keyed.join(gone, ROW, "left_anti").select(*docs.columns)
+    # Rows are told apart by id and a hash of the text, so no copy of the texts is written for it.
+    keyed = docs.withColumn(ROW, F.xxhash64("text"))
+    gone = minhash.near_duplicates(keyed, key=(ROW,)).where("not kept").select("doc_id", ROW).distinct()
+    kept = keyed.join(gone, ["doc_id", ROW], "left_anti").select(*docs.columns)
     return kept.dropDuplicates(["doc_id", "text"])
 
 
