@@ -22,7 +22,7 @@ from shapeplan.operators import relational as rel
 from shapeplan.operators.rewrite import OFF, Limits, RewriteConfig, filter_edges, push_filter, slices, split_filter
 from shapeplan.plans.depgraph import classify, degrees, dependencies, strata
 from shapeplan.plans.order import CONFIGS, PlanConfig, plan_orders, plan_validation
-from shapeplan.runtime import scratch_path, table
+from shapeplan.runtime import scratch_path, table, written
 from shapeplan.sources import TripleSource, class_tables
 from shapeplan.sources import io as graph_io
 from shapeplan.sources.mapping import corrupted, default_mapping
@@ -116,7 +116,8 @@ _add("summary_R_L3_order_only", _rewrite_off, ref.summary(*_mapping("R", "L3")))
 def _triple_engine(spark, sf_dir):
     """Schema R over triples instead of class tables; entities lose their class prefix in the end."""
     g, schema = graph_of(spark, sf_dir, "R", "L3")
-    out = validate(TripleSource(g.triples(["Nation", "Supplier", "Part", "Customer", "Order", "OrderLine"]), g.mapping.links), schema, "fused").verdicts
+    triples = written(g.triples(["Nation", "Supplier", "Part", "Customer", "Order", "OrderLine"]), "triples")
+    out = validate(TripleSource(triples, g.mapping.links), schema, "fused").verdicts
     return out.withColumn("entity", F.substring_index("entity", "/", -1))
 
 
