@@ -10,7 +10,7 @@ from shapeplan.measure import trace as tr
 from shapeplan.measure import work
 from shapeplan.model import UnsupportedFragment, load_schema, schema_from_dict
 from shapeplan.operators.compile import max_query, min_query
-from shapeplan.operators.rewrite import Limits, RewriteConfig, choose_list, filter_edges, slices, split_filter
+from shapeplan.operators.rewrite import Limits, RewriteConfig, choose_list, filter_edges, sliced, slices, split_filter
 from shapeplan.plans.depgraph import dependency_graph
 from shapeplan.plans.order import CONFIGS, PlanConfig, traverse
 from shapeplan.sources import TripleSource, class_tables
@@ -174,6 +174,14 @@ def test_slices_are_delivered_one_by_one(spark):
     assert len(parts) >= 5 and equivalent(whole, validate(g, s, "fused").verdicts).isEmpty()
 
 
+def test_many_slices_share_a_job(spark):
+    g, s = graph_of(spark, SMALL, "A", "L1")
+    how = {"rewrite": RewriteConfig(slice=True), "limits": Limits(answer_cap=40)}
+    result = validate(g, s, "planned", **how)
+    assert equivalent(validate(g, s, "fused").verdicts, result.verdicts).isEmpty()
+    assert result.measures["Order"]["slices"] >= 38 and len(result.trace) <= 20
+
+
 def test_depth_of_a_cascade(spark):
     rows = [(e, "type", t) for t, es in (("T", "abc"), ("U", "xy"), ("W", "w")) for e in es] + [
         ("x", "r", "w"), ("a", "r", "x"), ("b", "r", "y"), ("a", "p", "1"), ("b", "p", "1"), ("x", "p", "1"), ("y", "p", "1"),
@@ -277,6 +285,14 @@ def test_slices_cover(spark, strategy):
     assert sorted(got) == list(range(100))
 
 
+@pytest.mark.parametrize("strategy", ["hash", "range"])
+def test_many_slices_are_one_pass(spark, strategy):
+    rows = spark.range(10_000).select(F.when(F.col("id") != 7, F.col("id")).alias("entity"))
+    dealt = sliced(rows, 250, strategy)
+    assert dealt.count() == 10_000 and dealt.groupBy("slice").count().agg(F.max("count")).first()[0] <= 90
+    assert dealt._jdf.queryExecution().optimizedPlan().toString().count("Range (") == 1
+
+
 @pytest.mark.parametrize("n", [None, 30, 60, 100])
 def test_offset_slices_go_on_beyond_the_size_given(spark, n):
     rows = spark.range(100).withColumnRenamed("id", "entity")
@@ -296,3 +312,15 @@ def test_dief(spark):
     assert tr.dief_at_t(t, 5.0, ["engine"]).first()["dief"] == 4.0 + 6.0
     assert tr.dief_at_t(t, 0.5, ["engine"]).isEmpty()
     assert tr.dief_at_t(t, 1.0, ["engine"]).first()["dief"] == 0.0
+
+
+def test_large_tables_are_not_broadcast_by_the_size_of_their_files(spark):
+    g, s = graph_of(spark, "/root/testdata/sf0.1", "R")
+    rows = min_query(g, s["OrderLine"])._jdf.queryExecution().executedPlan().toString()
+    assert rows.count("SortMergeJoin") >= 5 and rows.count("BroadcastExchange") <= 2
+
+
+def test_what_baselines_refer_to_is_written(spark):
+    g, s = graph_of(spark, SMALL, "B", "L2")
+    files = validate(g, s, "naive").valid["OrderLine"].inputFiles()
+    assert any("/valid-Order-" in f for f in files) and not any("customer.parquet" in f for f in files)
