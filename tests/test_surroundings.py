@@ -31,6 +31,13 @@ def test_query(spark, duck, name):
     assert got == sorted(tuple(plain(r[i]) for i in at) for r in sql.fetchall())
 
 
+@pytest.mark.parametrize("name", [f"{kind}_{s}" for kind in ("degrees", "deps") for s in "RABC"])
+def test_references_with_their_links(spark, duck, name):
+    df = catalogue.queries()[name](spark, SMALL)
+    assert any(f.endswith(".parquet") for f in df.inputFiles())
+    test_query(spark, duck, name)
+
+
 def test_value_tests_reach_the_scan(spark):
     plan = catalogue.queries()["filter_value_test"](spark, SMALL)._jdf.queryExecution().executedPlan().toString()
     assert "PushedFilters: [" in plan and "GreaterThanOrEqual(p_size,1)" in plan and "p_name" not in plan.split("ReadSchema")[1]
