@@ -324,3 +324,32 @@ def test_what_baselines_refer_to_is_written(spark):
     g, s = graph_of(spark, SMALL, "B", "L2")
     files = validate(g, s, "naive").valid["OrderLine"].inputFiles()
     assert any("/valid-Order-" in f for f in files) and not any("customer.parquet" in f for f in files)
+
+
+@pytest.mark.parametrize(("schema", "engine"), [("X2", "planned"), ("R", "naive"), ("B", "naive"), ("B", "fused"), ("B", "planned")])
+def test_large_sides_are_not_broadcast_by_their_shuffled_bytes(spark, monkeypatch, schema, engine):
+    from shapeplan import runtime
+    from shapeplan.execute import engines
+
+    monkeypatch.setattr(runtime, "SMALL_FILES", -1)  # every side counts as large
+    monkeypatch.setattr(runtime, "SMALL_ROWS", -1)
+    monkeypatch.setattr(engines, "SMALL_ROWS", -1)
+    held = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", str(1 << 30))
+    made = spark._jsparkSession.sharedState().statusStore()
+    before = made.executionsCount()
+    try:
+        g, s = graph_of(spark, SMALL, schema, "L2")
+        result = validate(g, s, engine, limits=Limits(broadcast_bytes=0, literal_items=0))
+        result.verdicts.collect()
+        spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty()
+        plans = [made.executionsList().apply(i).physicalPlanDescription() for i in range(before, made.executionsCount())]
+        assert plans and not [p for p in plans if "BroadcastExchange" in p]
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", held)
+
+
+def test_naive_decides_each_shape_in_a_job_of_its_own(spark):
+    g, s = graph_of(spark, SMALL, "B", "L2")
+    plan = validate(g, s, "naive").summary()._jdf.queryExecution().optimizedPlan().toString()
+    assert "Join" not in plan
