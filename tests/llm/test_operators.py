@@ -377,6 +377,23 @@ def test_neighbours_that_tie_come_by_id(spark):
         assert found_neighbours(spark, vectors, k=7) == exact_neighbours(vectors, 7, 20)
 
 
+def test_neighbours_groups_hold_bounded_numbers_of_queries(spark, monkeypatch):
+    window = curve_search._window
+
+    def bounded(group, k):
+        n = sum(group.column("asks").to_pylist())
+        if n > 2 * 128 or group.num_rows - n > 128:
+            raise ValueError(f"{n} queries, {group.num_rows - n} vectors in a group")
+        return window(group, k)
+
+    monkeypatch.setattr(curve_search, "CHUNK", 128)
+    monkeypatch.setattr(curve_search, "_window", bounded)
+    vectors = [(i, list(map(float, v))) for i, v in enumerate(np.random.default_rng(3).standard_normal((1200, 8)))]
+    got, want = found_neighbours(spark, vectors, k=5, every=1), exact_neighbours(vectors, 5, 1)
+    assert got.keys() == want.keys()
+    assert sum(len({v for v, *_ in got[q]} & {v for v, *_ in want[q]}) for q in want) >= 0.9 * 5 * len(want)
+
+
 def test_neighbours_of_different_lengths_and_none(spark):
     r = np.random.default_rng(9)
     vectors = [(i, r.standard_normal(int(r.choice([4, 4, 4, 7, 2]))).tolist()) for i in range(120)]
