@@ -114,3 +114,13 @@ def test_stateful_alerts(spark, tmp_path):
     q.stop()
     per = spark.read.parquet(str(tmp_path / "in")).where("event_type = 'error'").groupBy("user_id").count().where("count > 12")
     assert {r[0] for r in spark.table("alerts").collect()} == {r[0] for r in per.collect()}
+
+
+def test_triples_are_a_set_and_no_triple_is_shuffled(spark):
+    g = graph_of(spark, SMALL, "B")[0]
+    twice = type(g)(lambda name: g.read(name).unionByName(g.read(name)), g.mapping)
+    for classes in (["Nation", "OrderLine"], ["Customer", "Part", "Customer"]):
+        once, both = g.triples(classes), twice.triples(classes)
+        assert once.count() == once.distinct().count() == both.count() and both.exceptAll(once).isEmpty()
+    plan = g.triples(["OrderLine"])._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange") == 1
