@@ -2,10 +2,12 @@
 
 import math
 import random
+import tracemalloc
 import zlib
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from shapeplan.llm import suffix_tree_lm as lm
@@ -106,6 +108,45 @@ def test_tree_probabilities_of_positions_and_of_distinct_ones():
         assert len(at) < 5 or math.isclose(sum(at.values()), 1.0)
 
 
+def bucket_rows(slices=6, n=150_000, words=1500):
+    """What slices send to a bucket: histories that mostly end in one word."""
+    r, rows = np.random.default_rng(5), []
+    for k in range(slices):
+        before, last = np.minimum(r.integers(0, words, n), r.integers(0, words, n)), np.where(r.random(n) < 0.9, 7, r.integers(0, 50, n))
+        word = np.where(r.random(n) < 0.4, (before * 31 + last) % words, r.integers(0, words, n))
+        first, kind = lm._types([last, before, word], words)
+        data = lm._pack(
+            lm._steps(np.arange(words)), lm._steps(np.arange(words) + 5), np.zeros(1, np.int64), lm._small(np.bincount(kind)), *(lm._small(x[first]) for x in (word, last, before)),
+        )
+        rows.append(pa.RecordBatch.from_arrays([pa.array([k], pa.int64()), pa.array([0], pa.int64()), pa.array([data], pa.binary())], schema=lm.FORM))
+    return rows
+
+
+def test_a_bucket_scored_in_parts_equals_the_whole(monkeypatch):
+    rows = bucket_rows(3, 20_000, 300)
+    scored = lambda: [lm._unpack(o["data"][0].as_py())[0] for o in lm._score(iter(rows), 2, 8, 0.2, 1e5)]
+    whole = scored()
+    monkeypatch.setattr(lm, "CHUNK", 500)
+    for a, b in zip(whole, scored(), strict=True):
+        assert np.allclose(a, b, atol=1e-6)
+    own = lm._Bucket([lm._unpack(o["data"][0].as_py()) for o in rows], 2)
+    ranges = list(own.chunks(None, np.full(300, 0.01)))
+    assert max(b - a for a, b, _ in ranges) <= 500 and [a for a, _, _ in ranges] == [0, *(b for _, b, _ in ranges[:-1])] and ranges[-1][1] == len(own.learned)
+    assert len({*whole[0].round(3)}) > 100
+
+
+def test_memory_of_a_bucket_follows_its_histories(monkeypatch):
+    monkeypatch.setattr(lm, "CHUNK", 50_000)
+    rows = bucket_rows()
+    n = sum(len(lm._unpack(o["data"][0].as_py())[3]) for o in rows)
+    tracemalloc.start()
+    for _ in lm._score(iter(rows), 2, 8, 1.5, 1e7):
+        pass
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 90 * n
+
+
 def test_rows_of_all_kinds(spark):
     assert lm.lm_scores(frame(spark, [])).count() == 0
     long = " ".join(f"w{i % 700}" for i in range(200_000))
