@@ -28,6 +28,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -46,6 +47,9 @@ SMOOTH, CUTS = 5, (-0.12, 0.0, 0.12)
 #: The error up to which a recording counts as the same.
 SAME = 0.35
 
+#: Bytes of a fingerprint's digest.
+DIGEST = 16
+
 #: Least number of groups, integers that a group holds at most on average, and equal integers aligned at once.
 GROUPS, PER_GROUP, AT_ONCE = 8, 1 << 19, 1 << 21
 
@@ -137,7 +141,7 @@ def _prints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for doc, media in zip(W.column(batch, "doc_id"), W.texts(batch, "media")):
             own = fingerprint(media)
             packed = own.astype("<u4").tobytes()
-            node = hashlib.blake2b(packed, digest_size=16).digest() if packed and doc is not None else None
+            node = hashlib.blake2b(packed, digest_size=DIGEST).digest() if packed and doc is not None else None
             rows.append((doc, len(media or b""), len(own), zlib.crc32(packed), packed, node))
         kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.binary())
         yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], names=["doc_id", "n_samples", "n_codes", "codes_crc32", "codes", "node"])
@@ -221,13 +225,41 @@ def best_in_cell(ids: np.ndarray, codes: list[np.ndarray], left: np.ndarray, rig
     return own[error <= same], error[error <= same], other[error <= same], offset[error <= same]
 
 
-def _cell(group: pa.Table, same: float) -> pa.Table:
-    group = group.combine_chunks()
-    ids, side, low, high = (group.column(c).to_numpy() for c in ("id", "own_group", "low", "high"))
+def bundle(ids: np.ndarray, nodes: list[bytes], codes: list[np.ndarray]) -> bytes:
+    """A group's recordings in few bytes: of neighbouring integers the bits that change, by byte planes, compressed."""
+    flat = np.concatenate(codes).astype("<u4")
+    flat[1:] ^= flat[:-1].copy()
+    planes = lambda x: np.ascontiguousarray(x).view(np.uint8).reshape(len(x), x.itemsize).T.tobytes()
+    head, n = np.array([len(ids), len(flat)], "<i8").tobytes(), np.array([len(c) for c in codes], "<i8")
+    return zstandard.ZstdCompressor(level=1).compress(b"".join([head, planes(ids.astype("<i8")), planes(n), *nodes, planes(flat)]))
+
+
+def unbundle(data: bytes) -> tuple[np.ndarray, list[bytes], list[np.ndarray]]:
+    raw = zstandard.ZstdDecompressor().decompress(data)
+    n, total = np.frombuffer(raw, "<i8", 2).tolist()
+    whole = lambda at, kind, n: np.ascontiguousarray(np.frombuffer(raw, np.uint8, n * np.dtype(kind).itemsize, at).reshape(-1, n).T).reshape(-1).view(kind)
+    ids, sizes = whole(16, "<i8", n), whole(16 + 8 * n, "<i8", n)
+    at = 16 + 16 * n
+    nodes = [raw[i : i + DIGEST] for i in range(at, at + DIGEST * n, DIGEST)]
+    flat = np.bitwise_xor.accumulate(whole(at + DIGEST * n, "<u4", total))
+    return ids, nodes, np.split(flat, np.cumsum(sizes)[:-1])
+
+
+def _bundled(group: pa.Table) -> pa.Table:
     codes = [np.frombuffer(c, "<u4") for c in group.column("codes").to_pylist()]
-    left, right = np.flatnonzero(side == low), np.flatnonzero(side == high)
+    data = bundle(group.column("id").to_numpy(), group.column("node").to_pylist(), codes)
+    return pa.table([group.column("own_group").slice(0, 1), pa.array([data], pa.binary())], names=["own_group", "data"])
+
+
+def _cell(group: pa.Table, same: float) -> pa.Table:
+    low = group.column("low")[0].as_py()
+    sides = [(g == low, unbundle(data)) for g, data in zip(group.column("own_group").to_pylist(), group.column("data").to_pylist())]
+    ids, nodes, codes = np.concatenate([s[0] for _, s in sides]), [x for _, s in sides for x in s[1]], [x for _, s in sides for x in s[2]]
+    first = np.concatenate([np.full(len(s[0]), of_low) for of_low, s in sides])
+    left = np.flatnonzero(first)
+    right = left if low == group.column("high")[0].as_py() else np.flatnonzero(~first)
     own, error, other, offset = best_in_cell(ids, codes, left, right, same)
-    cols = (group.column("node").take(pa.array(own, pa.int64())).combine_chunks(), pa.array(error, pa.float64()), pa.array(other, pa.int64()), pa.array(offset, pa.int64()))
+    cols = (pa.array([nodes[k] for k in own.tolist()], pa.binary()), pa.array(error, pa.float64()), pa.array(other, pa.int64()), pa.array(offset, pa.int64()))
     return pa.table(list(cols), names=["node", "bit_error", "match_id", "match_offset"])
 
 
@@ -244,8 +276,10 @@ def matched(media: DataFrame, *, same: float = SAME) -> DataFrame:
     nodes = written(prints.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("id"), F.first("codes").alias("codes")), "nodes")
     total = nodes.agg(F.sum(F.octet_length("codes") / 4)).first()[0] or 0
     groups = max(GROUPS, -(-int(total) // PER_GROUP))
-    dealt = nodes.withColumn("own_group", F.pmod(F.xxhash64("node"), F.lit(groups))).withColumn("g", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(groups - 1).cast("long"))))
-    cells = dealt.select("node", "id", "codes", "own_group", F.least("own_group", "g").alias("low"), F.greatest("own_group", "g").alias("high"))
+    # A group travels to all its cells as one small bundle.
+    dealt = nodes.withColumn("own_group", F.pmod(F.xxhash64("node"), F.lit(groups))).groupBy("own_group").applyInArrow(_bundled, "own_group long, data binary")
+    dealt = dealt.withColumn("g", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(groups - 1).cast("long"))))
+    cells = dealt.select("own_group", "data", F.least("own_group", "g").alias("low"), F.greatest("own_group", "g").alias("high"))
     cells = cells.repartition(min(groups * (groups + 1) // 2, 10_000), "low", "high").groupBy("low", "high")
     found = cells.applyInArrow(lambda group: _cell(group, same), "node binary, bit_error double, match_id long, match_offset long")
     best = found.groupBy("node").agg(F.min(F.struct("bit_error", "match_id", "match_offset")).alias("m"))

@@ -431,6 +431,16 @@ def test_chroma_finds_the_best_of_all_pairs(spark):
     assert got == best_of_all_pairs([(r.doc_id, chroma.fingerprint(r.media)) for r in docs.collect()])
 
 
+def test_chroma_bundles_are_small_and_whole(spark):
+    texts = [r.text for r in spark.read.parquet(f"{SMALL}/documents.parquet").select("text").collect()]
+    codes = [c for c in (chroma.fingerprint((t or "").encode()) for t in texts) if len(c)] + [np.array([7], "<u4")]
+    ids, nodes = np.arange(len(codes)) * 1000 - 5, [bytes([k % 256, *[0] * 15]) for k in range(len(codes))]
+    data = chroma.bundle(ids, nodes, codes)
+    got = chroma.unbundle(data)
+    assert got[0].tolist() == ids.tolist() and got[1] == nodes and all(np.array_equal(a, b) for a, b in zip(got[2], codes, strict=True))
+    assert len(data) < 2 * sum(map(len, codes))
+
+
 @pytest.mark.parametrize("at_once", [1 << 21, 50, 1])
 def test_chroma_cells_equal_align(monkeypatch, at_once):
     monkeypatch.setattr(chroma, "AT_ONCE", at_once)
