@@ -456,3 +456,35 @@ def test_chroma_cells_equal_align(monkeypatch, at_once):
     for k in {f[0] for f in found}:
         got[int(ids[k])] = min((e, other, o) for own, e, other, o in found if own == k)
     assert got == want
+
+
+def test_chroma_of_repeating_sound_does_not_follow_rounding():
+    media = bytes(np.random.default_rng(1).integers(0, 256, chroma.HOP, dtype=np.uint8)) * 100
+    assert len(set(chroma.fingerprint(media).tolist())) == 1
+    some = [media, None, media[:5000], b"a", media[:1990], bytes(range(256)) * 90]
+    assert all(np.array_equal(a, chroma.fingerprint(m)) for a, m in zip(chroma.fingerprinted(some), some, strict=True))
+
+
+def test_chroma_compares_no_more_bits_than_decide(monkeypatch):
+    rng = np.random.default_rng(5)
+    codes = [np.array([7], np.uint32)] + [rng.integers(8, 1 << 32, 200, dtype=np.uint32) for _ in range(40)]
+    for own in codes:
+        own[0] = 7  # all pairs have an equal integer, and all others of the first recording agree with it wholly
+    count, compared = np.bitwise_count, []
+    monkeypatch.setattr(np, "bitwise_count", lambda x: compared.append(x.size) or count(x))
+    places = np.arange(len(codes))
+    own, error, other, offset = chroma.best_in_cell(places, codes, places, places, chroma.SAME)
+    assert sorted(own.tolist()) == list(range(1, 41)) and not error.any() and not other.any() and not offset.any()
+    assert sum(compared) <= 4 * 41 * 40 // 2
+
+
+@pytest.mark.parametrize("per_group", [1 << 24, 40])
+def test_chroma_groups_of_many_pieces_find_the_best_of_all_pairs(spark, monkeypatch, per_group):
+    monkeypatch.setattr(chroma, "PER_PIECE", 20)
+    monkeypatch.setattr(chroma, "PER_GROUP", per_group)
+    monkeypatch.setattr(chroma, "GROUPS", 2)
+    rows = [(k, bytearray(np.random.default_rng(k % 9).integers(32, 127, 1984 + 64 * (k % 5), dtype=np.uint8))) for k in range(40)] + [(None, bytearray(5000)), (50, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, media binary")
+    got = {r.doc_id: (r.bit_error, r.match_id, r.match_offset) for r in chroma.matched(docs).collect()}
+    want = best_of_all_pairs([(k, chroma.fingerprint(m)) for k, m in rows if k is not None])
+    assert got == want | {None: (None, None, None)}
