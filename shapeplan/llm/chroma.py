@@ -10,9 +10,10 @@ Two recordings are aligned by the histogram of offsets between their equal integ
 offset the share of bits that differ over the overlap is the error.
 
 For a table, recordings with the same integers are one class, which its least id stands for. Classes are
-dealt into groups by a hash, and every two groups meet in a cell, which finds the fullest offset of all pairs that have an
+dealt into groups by ranges of ids, and every two groups meet in a cell, which finds the fullest offset of all pairs that have an
 equal integer and returns the best of each class. A pair's bits are compared only as long as its error may be the least:
-integers that aren't equal differ by a bit each. No pair is left out, so the work grows with the pairs; no task depends on how
+integers that aren't equal differ by a bit each. Smaller ids come first, so a recording that agrees wholly with one over their overlap
+is compared with no larger one of the cell, which could not be its best. No other pair is left out, so the work grows with the pairs; no task depends on how
 frequent an integer is, as cells are dealt by class alone. A group is as large as a task's memory allows, since it travels
 to as many cells as there are groups; what it meets passes piece by piece.
 
@@ -211,6 +212,10 @@ class Recordings:
         own = own[ahead]
         self.error[own], self.other[own], self.offset[own] = error[ahead], other[ahead], offset[ahead]
 
+    def closed(self, least: int) -> np.ndarray:
+        """Whether nothing better is left among ids from ``least`` on."""
+        return (self.error == 0) & (self.other < least)
+
     def found(self) -> np.ndarray:
         return np.flatnonzero(self.other != NONE)
 
@@ -235,6 +240,11 @@ class Places:
         pos -= recordings.first.astype(np.uint32)[rec]
         return cls(codes, rec, pos.view(np.int32))
 
+    def without(self, closed: np.ndarray) -> Places:
+        """Leave out closed recordings, once they are many."""
+        keep = ~closed[self.rec]
+        return Places(self.codes[keep], self.rec[keep], self.pos[keep]) if np.count_nonzero(keep) < 0.8 * len(keep) else self
+
 
 def _bits(left: np.ndarray, a: np.ndarray, right: np.ndarray, b: np.ndarray, n: np.ndarray) -> np.ndarray:
     """Differing bits of runs of ``n`` integers that start at ``a`` of ``left`` and at ``b`` of ``right``."""
@@ -303,7 +313,7 @@ def _alone(left: Recordings, places: Places, right: Recordings, one: int, begin:
     held = _runs(begin, size)
     rec = places.rec[held]
     equal = np.bincount(rec, np.repeat(times, size), len(left.ids)).astype(np.int64)
-    equal[left.ids >= right.ids[one] if upward else left.ids == right.ids[one]] = 0
+    equal[left.ids <= right.ids[one] if upward else left.ids == right.ids[one]] = 0
     for x in np.flatnonzero(equal > AT_ONCE).tolist():
         a, b = (r.flat[r.first[k] : r.first[k] + r.n[k]] for r, k in ((left, x), (right, one)))
         swap = left.ids[x] > right.ids[one]
@@ -320,7 +330,9 @@ def _alone(left: Recordings, places: Places, right: Recordings, one: int, begin:
 
 
 def _meet(left: Recordings, places: Places, right: Recordings, these: slice, upward: bool, part_of: bool = False) -> None:
-    """Align recordings of ``right`` with all of ``left`` that have an equal integer; ``upward``: only with smaller ids.
+    """Align recordings of ``right`` with all of ``left`` that have an equal integer.
+
+    ``upward``: only with those of larger ids; ``right`` is in order of ids, so what agrees wholly with one of them is closed to the rest.
 
     ``part_of``: the places are those that one recording meets at once, whatever their number.
     """
@@ -344,11 +356,14 @@ def _meet(left: Recordings, places: Places, right: Recordings, these: slice, upw
             base = (own << (for_x + for_shift)) + longest - (np.arange(part.start, part.stop) - first[k + own])
             at = _runs(begin[part], size[part])
             key = places.rec[at].astype(np.int64)
-            keep = left.ids[key] < np.repeat(right.ids[these][k + own], size[part]) if upward else slice(None)
+            keep = slice(None)
+            if upward:
+                reach = np.where(left.closed(right.ids[these.start + k]), np.iinfo(np.int64).min, left.ids)
+                keep = np.flatnonzero(reach[key] > np.repeat(right.ids[these][k + own], size[part]))
+                at, key = at[keep], key[keep]
             key <<= for_shift
             key += places.pos[at]
-            key += np.repeat(base, size[part])
-            key = key[keep]
+            key += np.repeat(base, size[part])[keep]
             key.sort()
             _fullest(left, right, key, these.start + k, for_x, for_shift, longest)
         k = to
@@ -356,8 +371,10 @@ def _meet(left: Recordings, places: Places, right: Recordings, these: slice, upw
 
 def best_in_cell(ids: np.ndarray, codes: list[np.ndarray], left: np.ndarray, right: np.ndarray, same: float) -> tuple:
     """Place, error, smaller id and offset of the best alignment of recordings, over all pairs of ``left`` and ``right``, equal or apart."""
+    upward = np.array_equal(left, right)
+    right = right[np.argsort(ids[right], kind="stable")] if upward else right
     a, b = (Recordings(ids[side], np.array([len(codes[k]) for k in side]), np.concatenate([codes[k] for k in side]), same) for side in (left, right))
-    _meet(a, Places.of(a), b, slice(0, len(right)), np.array_equal(left, right))
+    _meet(a, Places.of(a), b, slice(0, len(right)), upward)
     found = [(side[r.found()], *(c[r.found()] for c in (r.error, r.other, r.offset))) for r, side in ((a, left), (b, right))]
     return tuple(np.concatenate(c) for c in zip(*found))
 
@@ -385,36 +402,45 @@ def unbundle(data: bytes) -> tuple[np.ndarray, list[bytes], list[np.ndarray]]:
     return ids, [x.tobytes() for x in nodes], np.split(flat, np.cumsum(sizes)[:-1])
 
 
-def _bundled(piece: pa.Table) -> pa.Table:
-    codes = [np.frombuffer(c, "<u4") for c in piece.column("codes").to_pylist()]
-    data = bundle(piece.column("id").to_numpy(), piece.column("node").to_pylist(), codes)
-    return pa.table([piece.column("piece").slice(0, 1), pa.array([data], pa.binary())], names=["piece", "data"])
+@W.tidy
+def _bundles(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Pieces of rows that come in order of ids: least id, weight and bundle."""
+
+    def piece() -> pa.RecordBatch:
+        ids, nodes, codes = zip(*held)
+        data = bundle(np.array(ids, np.int64), list(nodes), [np.frombuffer(c, "<u4") for c in codes])
+        return pa.RecordBatch.from_arrays([pa.array([ids[0]], pa.int64()), pa.array([weight], pa.int64()), pa.array([data], pa.binary())], names=["least", "weight", "data"])
+
+    held, weight = [], 0
+    for batch in batches:
+        for row in zip(*(W.column(batch, name) for name in ("id", "node", "codes"))):
+            held.append(row)
+            weight += len(row[2]) // 4 + BESIDES
+            if weight >= PER_PIECE:
+                yield piece()
+                held, weight = [], 0
+    if held:
+        yield piece()
 
 
 def _cell(cell: pa.Table, same: float) -> pa.Table:
-    """All pairs of two groups, or of one with itself: one is laid out by integer, the pieces of the other pass by it."""
+    """All pairs of two groups, or of one with itself: the one of larger ids is laid out by integer, the pieces of the other pass by in order of ids."""
     low, high = cell.column("low")[0].as_py(), cell.column("high")[0].as_py()
-    group, data = cell.column("own_group").to_numpy(), cell.column("data")
-    ours, theirs = (np.flatnonzero(group == g).tolist() for g in (low, high))
+    group, least, data = cell.column("own_group").to_numpy(), cell.column("least").to_numpy(), cell.column("data")
+    theirs, ours = (np.flatnonzero(group == g) for g in (low, high))
     form = pa.schema([("node", pa.binary()), ("bit_error", pa.float64()), ("match_id", pa.int64()), ("match_offset", pa.int64())])
-    if not ours or not theirs:
+    if not len(ours) or not len(theirs):
         return form.empty_table()
-    ids, nodes, sizes, flat = (np.concatenate(c) for c in zip(*(_opened(data[k].as_py()) for k in ours)))
-    left, out = Recordings(ids, sizes, flat, same), []
+    ids, nodes, sizes, flat = (np.concatenate(c) for c in zip(*(_opened(data[k].as_py()) for k in ours.tolist())))
+    left = Recordings(ids, sizes, flat, same)
     places = Places.of(left)
-
-    def keep(of: Recordings, nodes: np.ndarray) -> None:
-        own = of.found()
-        digests = pa.Array.from_buffers(pa.binary(DIGEST), len(own), [None, pa.py_buffer(nodes[own].tobytes())]).cast(pa.binary())
-        out.append(pa.table([digests, *(pa.array(c[own]) for c in (of.error, of.other, of.offset))], schema=form))
-
-    for k in theirs:
-        ids, digests, sizes, flat = _opened(data[k].as_py())
-        right = Recordings(ids, sizes, flat, same)
-        _meet(left, places, right, slice(0, len(ids)), low == high)
-        keep(right, digests)
-    keep(left, nodes)
-    return pa.concat_tables(out)
+    for k in theirs[np.argsort(least[theirs], kind="stable")].tolist():
+        ids, _, sizes, flat = _opened(data[k].as_py())
+        places = places.without(left.closed(int(ids[0])) | (left.ids <= ids[0]))
+        _meet(left, places, Recordings(ids, sizes, flat, same), slice(0, len(ids)), True)
+    own = left.found()
+    digests = pa.Array.from_buffers(pa.binary(DIGEST), len(own), [None, pa.py_buffer(nodes[own].tobytes())]).cast(pa.binary())
+    return pa.table([digests, *(pa.array(c[own]) for c in (left.error, left.other, left.offset))], schema=form)
 
 
 def fingerprints(media: DataFrame) -> DataFrame:
@@ -430,11 +456,18 @@ def matched(media: DataFrame, *, same: float = SAME) -> DataFrame:
     nodes = written(prints.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("id"), F.first("codes").alias("codes")), "nodes")
     total = int(nodes.agg(F.sum(F.octet_length("codes") / 4 + BESIDES)).first()[0] or 0)
     groups = max(GROUPS, -(-total // PER_GROUP))
-    pieces = groups * max(1, -(-total // (groups * PER_PIECE)))
-    # A group travels to all its cells as a few small bundles.
-    dealt = nodes.withColumn("piece", F.pmod(F.xxhash64("node"), F.lit(pieces))).groupBy("piece").applyInArrow(_bundled, "piece long, data binary")
-    dealt = dealt.withColumn("own_group", F.col("piece") % groups).withColumn("g", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(groups - 1).cast("long"))))
-    cells = dealt.select("own_group", "data", F.least("own_group", "g").alias("low"), F.greatest("own_group", "g").alias("high"))
+    ranges = 4 * groups * max(1, -(-total // (groups * PER_PIECE)))
+    pieces = nodes.repartitionByRange(ranges, "id").sortWithinPartitions("id").mapInArrow(_bundles, "least long, weight long, data binary")
+    pieces = written(pieces, "pieces")
+    # Groups are ranges of ids of about equal weight; each travels to all its cells as small bundles.
+    sizes = pieces.select("least", "weight").orderBy("least").collect()
+    weights = np.array([r.weight for r in sizes], np.int64)
+    at = (np.cumsum(weights) - weights // 2) * groups // max(total, 1)
+    starts = [sizes[k + 1].least for k in np.flatnonzero(np.diff(at)).tolist()]
+    own = sum(((F.col("least") >= x).cast("long") for x in starts), F.lit(0).cast("long"))
+    groups = len(starts) + 1
+    dealt = pieces.select("least", "data", own.alias("own_group")).withColumn("g", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(groups - 1).cast("long"))))
+    cells = dealt.select("own_group", "least", "data", F.least("own_group", "g").alias("low"), F.greatest("own_group", "g").alias("high"))
     cells = cells.repartition(min(2 * groups * (groups + 1), 10_000), "low", "high").groupBy("low", "high")
     found = cells.applyInArrow(lambda group: _cell(group, same), "node binary, bit_error double, match_id long, match_offset long")
     best = found.groupBy("node").agg(F.min(F.struct("bit_error", "match_id", "match_offset")).alias("m"))

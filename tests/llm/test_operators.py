@@ -478,6 +478,20 @@ def test_chroma_compares_no_more_bits_than_decide(monkeypatch):
     assert sum(compared) <= 4 * 41 * 40 // 2
 
 
+@pytest.mark.parametrize("at_once", [1 << 21, 30, 1])
+def test_chroma_cells_with_repeated_ids_equal_align(monkeypatch, at_once):
+    monkeypatch.setattr(chroma, "AT_ONCE", at_once)
+    rng = np.random.default_rng(8)
+    codes = [rng.integers(0, 5, int(k)).astype("<u4") for k in rng.integers(1, 7, 80)]
+    ids, places = rng.integers(0, 25, len(codes)), np.arange(len(codes))
+    want = {}
+    for own in places.tolist():
+        pairs = [(ids[x], *chroma.align(codes[x], codes[own])) for x in places.tolist() if ids[x] < ids[own]]
+        found = [(e, int(other), o) for other, o, e in pairs if e is not None and e <= chroma.SAME]
+        want |= {own: min(found)} if found else {}
+    assert {k: tuple(m) for k, *m in zip(*(c.tolist() for c in chroma.best_in_cell(ids, codes, places, places, chroma.SAME)))} == want
+
+
 @pytest.mark.parametrize("per_group", [1 << 24, 40])
 def test_chroma_groups_of_many_pieces_find_the_best_of_all_pairs(spark, monkeypatch, per_group):
     monkeypatch.setattr(chroma, "PER_PIECE", 20)
