@@ -464,7 +464,7 @@ def matched(media: DataFrame, *, same: float = SAME) -> DataFrame:
     weights = np.array([r.weight for r in sizes], np.int64)
     at = (np.cumsum(weights) - weights // 2) * groups // max(total, 1)
     starts = [sizes[k + 1].least for k in np.flatnonzero(np.diff(at)).tolist()]
-    own = sum(((F.col("least") >= x).cast("long") for x in starts), F.lit(0).cast("long"))
+    own = F.size(F.filter(F.array(*map(F.lit, starts)).cast("array<bigint>"), lambda start: start <= F.col("least"))).cast("long")
     groups = len(starts) + 1
     dealt = pieces.select("least", "data", own.alias("own_group")).withColumn("g", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(groups - 1).cast("long"))))
     cells = dealt.select("own_group", "least", "data", F.least("own_group", "g").alias("low"), F.greatest("own_group", "g").alias("high"))

@@ -492,6 +492,16 @@ def test_chroma_cells_with_repeated_ids_equal_align(monkeypatch, at_once):
     assert {k: tuple(m) for k, *m in zip(*(c.tolist() for c in chroma.best_in_cell(ids, codes, places, places, chroma.SAME)))} == want
 
 
+def test_chroma_of_nothing_and_of_copies_alone(spark):
+    form = "doc_id long, media binary"
+    assert chroma.matched(spark.createDataFrame([], form)).collect() == []
+    none = chroma.matched(spark.createDataFrame([(1, None), (2, bytearray(b"short"))], form)).collect()
+    assert sorted((r.doc_id, r.n_codes, r.match_id) for r in none) == [(1, 0, None), (2, 0, None)]
+    media = bytearray(np.random.default_rng(4).integers(0, 256, 5000, dtype=np.uint8))
+    copies = chroma.matched(spark.createDataFrame([(k, media) for k in (7, 3, 9)], form)).collect()
+    assert sorted((r.doc_id, r.match_id, r.match_offset, r.bit_error) for r in copies if r.match_id) == [(7, 3, 0, 0.0), (9, 3, 0, 0.0)] and len(copies) == 3
+
+
 @pytest.mark.parametrize("per_group", [1 << 24, 40])
 def test_chroma_groups_of_many_pieces_find_the_best_of_all_pairs(spark, monkeypatch, per_group):
     monkeypatch.setattr(chroma, "PER_PIECE", 20)
