@@ -1,10 +1,14 @@
 """Catalogue queries against DuckDB on the smallest tables, plans, sources, streams."""
 
+import re
+
 import pytest
 from pyspark.sql import functions as F
 
 from shapeplan.functions.register import register
 from shapeplan.sources import io
+from shapeplan.sources.graph import ClassTableSource
+from shapeplan.sources.mapping import ClassMap, Edge, Mapping
 from shapeplan.streaming import events as ev
 from shapeplan.workload import catalogue
 from shapeplan.workload.testbeds import graph_of
@@ -60,6 +64,17 @@ def test_ntriples_escapes(spark):
     assert io.from_ntriples(io.to_ntriples(t.withColumn("o", F.col("o").withField("lex", F.lit(long))))).first()["o"]["lex"] == long
 
 
+def test_lines_are_read_as_the_pattern_reads_them(spark):
+    pattern = re.compile(r'<([^>]*)> <([^>]*)> (?:<([^>]*)>|"(.*)"(?:\^\^<([^>]*)>)?) \.\s*\Z', re.S)
+    ends = ["<o>", "<>", "< o >", "<o>x>", "<o", '"l"', '""', '"', '"l"^^<t>', '""^^<t>', '"^^<t>', '"l"^^<>', '"l"^^<t>>', '"a"^^<t>"^^<u>', '"a> <b> "c"^^<t>', '"a"@en', '"\u00e9> \u2028"^^<t>', "x", ""]
+    heads = ["<s> <p> ", "<s>  <p> ", "<> <> ", "<s>> <p> ", "<s> <p>> ", "<s> p ", " <s> <p> ", "<s> ", "# <s> <p> ", "<\u00e9 x> <p> ", ""]
+    lines = [h + o + e for h in heads for o in ends for e in (" .", ".", " . ", " .\t\r", " . .", "")] + [None, "", "# c", "<"]
+    hits = [pattern.match(x) for x in lines if x is not None]
+    want = [(m[1], m[2], ("literal", None, m[4], m[5] or None) if m[4] is not None else ("iri", m[3], None, None)) for m in hits if m]
+    got = [(r.s, r.p, tuple(r.o)) for r in io.from_ntriples(spark.createDataFrame([(x,) for x in lines], "value string")).collect()]
+    assert len(want) > 50 and sorted(got, key=str) == sorted(want, key=str)
+
+
 def test_triples_written_by_predicate(spark, tmp_path):
     t = graph_of(spark, SMALL, "B")[0].triples(["Nation"])
     io.write_triples(t, str(tmp_path / "t"))
@@ -124,3 +139,20 @@ def test_triples_are_a_set_and_no_triple_is_shuffled(spark):
         assert once.count() == once.distinct().count() == both.count() and both.exceptAll(once).isEmpty()
     plan = g.triples(["OrderLine"])._jdf.queryExecution().executedPlan().toString()
     assert plan.count("Exchange") == 1
+
+
+def test_repeats_go_before_rows_become_triples(spark):
+    plan = graph_of(spark, SMALL, "B")[0].triples(["OrderLine"])._jdf.queryExecution().executedPlan().toString()
+    assert plan.rindex("Generate") < plan.index("Aggregate")
+
+
+def test_triples_of_values_that_differ_or_miss(spark):
+    rows = spark.createDataFrame([(1, 2, 0.0, "a"), (1, 2, -0.0, None), (1, 3, 0.0, "a"), (2, None, None, None), (None, 4, 1.0, "b")], "k int, link int, x double, y string")
+    edge = lambda v: Edge("t", "k", v)
+    for single, multi in (({"link": "link", "x": "x", "y": "y"}, {}), ({}, {"link": edge("link"), "x": edge("x"), "y": edge("y")}), ({"link": "link"}, {"x": Edge("t", "k", "x", "k > 0"), "y": Edge("t", "k", "y", "k < 9")})):
+        g = ClassTableSource(lambda name: rows, Mapping({"C": ClassMap("t", "k", single, multi, True)}, {"link": "D"}))
+        got = sorted((r.s, r.p, r.o.kind, r.o.iri or r.o.lex, r.o.dt or "") for r in g.triples().collect())
+        assert got == [
+            ("C/1", "link", "iri", "D/2", ""), ("C/1", "link", "iri", "D/3", ""), ("C/1", "type", "iri", "C", ""), ("C/1", "x", "literal", "-0.0", "double"),
+            ("C/1", "x", "literal", "0.0", "double"), ("C/1", "y", "literal", "a", "string"), ("C/2", "type", "iri", "C", ""),
+        ]
