@@ -11,7 +11,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from shapeplan.llm import chroma, compaction, curve_search, language, minhash, mixing, packing, plane_file, substring_dedup, suffix_tree_lm
+from shapeplan.llm import chroma, compaction, curve_search, language, minhash, mixing, packing, plane_file, queries, substring_dedup, suffix_tree_lm
 from shapeplan.llm.fm_index import FMIndex
 from shapeplan.llm.tokens import Encoder, default_vocabulary, tokenizer
 from shapeplan.runtime import scratch_path
@@ -323,6 +323,26 @@ def test_empty_arrivals_commit_nothing(spark):
     assert held.read() is None and held.read(schema=rows.schema).count() == 0
 
 
+def test_arrivals_of_many_files_are_compacted_whatever_their_size(spark):
+    rows = frame(spark, some_docs(60)).repartition(24)
+    for target, merged in ((1 << 30, True), (1 << 14, True), (1 << 10, False)):  # more than the arrival, less, and less than each of its files
+        held = compaction.ShardedTable(spark, scratch_path(spark, "shards"), fanout=2, base_bytes=1 << 10, target_bytes=target)
+        held.append(rows)
+        [before] = held.manifest()["shards"]
+        assert held.compact() == merged and held.compact() == 0
+        [after] = held.manifest()["shards"]
+        assert before["files"] > 12 and after["files"] <= (held.needed(before["bytes"]) if merged else 24)
+        assert after["rows"] == rows.count() and held.read().exceptAll(rows).isEmpty()
+
+
+def test_no_arrival_of_the_query_stays_in_many_files(spark, tmp_path):
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet")
+    docs.repartition(32).write.parquet(str(tmp_path / "documents.parquet"))
+    got = queries.op8_compaction(spark, str(tmp_path))
+    assert got.count() == docs.count() and len(got.inputFiles()) <= 10
+    assert got.exceptAll(queries.op8_compaction(spark, SMALL)).isEmpty()
+
+
 def test_hilbert_is_a_curve():
     pts = np.array(list(itertools.product(range(8), repeat=2)))
     key = curve_search.hilbert(pts, 3)
